@@ -12,6 +12,7 @@ documents; an empty table packs into nothing.
 
 from __future__ import annotations
 
+import re
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
@@ -23,22 +24,56 @@ from pyspark.sql import functions as F
 
 from pagelift.llm.common import cut, documents, raw
 
-MAX_CACHED = 400_000  # words a worker remembers; then it starts anew
+MAX_CACHED = 300_000  # runs a worker remembers of each kind; then that memory starts anew
+#: Runs of unaccented or Latin-1 letters and of plain signs: the vocabulary's rules cut a run between the two only.
+LETTERS_SIGNS = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*)([.,!?;:#$%&*|]*)")
+
+
+def byte_letters() -> dict[int, str]:
+    """The public byte-level alphabet: a printable letter for each byte, given as Latin-1."""
+    plain = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    rest = [b for b in range(256) if b not in plain]
+    return {b: chr(256 + i) for i, b in enumerate(rest)}
 
 
 class WordBytes(dict):
     """Run of non-space bytes -> its ids as little-endian bytes.  Encoding a run alone gives what it gives in context,
-    as the vocabulary drops white space and no rule looks across it."""
+    as the vocabulary drops white space and no rule looks across it.  Runs of letters and signs skip the tokenizer's
+    front end, after a trial that this gives its ids."""
+
+    TRIAL = ("the", "Straße", "ÉTÉ,", "niño...", "a|", "###", "Über!!")
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         super().__init__()
-        self.encode = Tokenizer.from_file(path).encode
+        tokenizer = Tokenizer.from_file(path)
+        self.encode, self.model, self.letters = tokenizer.encode, tokenizer.model, {}
+        self.to_alphabet = byte_letters()
+        self.short = all(self._pieces(w) == self._encoded(w) for w in self.TRIAL)
+
+    def _encoded(self, text: str) -> bytes:
+        return np.array(self.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def _piece(self, piece: str) -> bytes:
+        out = self.letters.get(piece)
+        if out is None:
+            tokens = self.model.tokenize(piece.encode().decode("latin-1").translate(self.to_alphabet))
+            out = np.array([t.id for t in tokens], "<u4").tobytes()
+            if len(self.letters) >= MAX_CACHED:
+                self.letters.clear()
+            self.letters[piece] = out
+        return out
+
+    def _pieces(self, text: str) -> bytes | None:
+        found = LETTERS_SIGNS.fullmatch(text)
+        return None if found is None else b"".join(self._piece(p) for p in (found[1].lower(), found[2]) if p)
 
     def __missing__(self, word: bytes) -> bytes:
-        ids = self.encode(word.decode(), add_special_tokens=False).ids if word else []
-        out = np.array(ids, "<u4").tobytes()
+        text = word.decode()
+        out = self._pieces(text) if self.short and len(word) <= 64 else None
+        if out is None:
+            out = self._encoded(text) if word else b""
         if len(self) >= MAX_CACHED:
             self.clear()
         if len(word) <= 64:
@@ -46,6 +81,15 @@ class WordBytes(dict):
         return out
 
 
+_WORDS: dict[str, WordBytes] = {}  # of this worker process, over its tasks
+
+
+def word_bytes(path: str) -> WordBytes:
+    if path not in _WORDS:
+        _WORDS[path] = WordBytes(path)
+    return _WORDS[path]
+
+
 SPACES = bytes.maketrans(b"\t\n\r", b"   ")
 PIECES = "doc_id long, row long, piece int, start long, length long, ids_crc32 long"
 
@@ -54,7 +98,7 @@ def encode_pieces(path: str, capacity: int, end_id: int):
     end = np.array([end_id], "<u4").tobytes()
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = WordBytes(path)
+        words = word_bytes(path)
         for batch in batches:
             rows = []
             for i, r, text in zip(batch.column("doc_id").to_pylist(), batch.column("row").to_pylist(), raw(batch.column("text"))):

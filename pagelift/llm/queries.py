@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagelift.llm import line_dedup, lm_score, packing, quality, substring, topk
+from pagelift.llm import line_dedup, lm_score, packing, quality, substring, token_spans, topk
 from pagelift.llm.common import table
 from pagelift.session import ship
 
@@ -24,6 +24,13 @@ def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(spark, table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), max_rows=20_000)
 
 
+def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    ship(spark)
+    return token_spans.by_section(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def op6_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
     return topk.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0, k=20)
@@ -45,7 +52,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op6_exact_top_k, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
+    return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op5_token_counts, op6_exact_top_k, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
 
 
 OP6_SQL = """
