@@ -213,3 +213,19 @@ def score(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_rows: int
     feats = cut(spark, feature_table(documents(docs)), "features").withColumn("held_out", F.coalesce(crc_mod("doc_id", 5) == 0, F.lit(False)))
     model = learn(feats, labels, ~F.col("held_out"), max_rows)
     return apply(model, feats).select("doc_id", "held_out", "score", "predicted")
+
+
+def keep_good(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_rows: int = 20_000, threshold: float = THRESHOLD) -> DataFrame:
+    """The rows of docs, all columns, that the classifier doesn't reject; fitted on the labelled rows that aren't held out.
+
+    Texts are scored where they are read, so none is shuffled.
+    """
+    feats = cut(spark, feature_table(documents(docs)), "features")
+    model = learn(feats, labels, ~F.coalesce(crc_mod("doc_id", 5) == 0, F.lit(False)), max_rows)
+
+    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = np.array([features(t) for t in raw(batch.column("text"))], float).reshape(batch.num_rows, len(FEATURES))
+            yield batch.filter(pa.array(model.score(x) >= threshold))
+
+    return docs.mapInArrow(stream, docs.schema)

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagelift.llm import line_dedup, lm_score, ngram_join, packing, quality, substring, token_spans, topk
+from pagelift.llm import decontaminate, line_dedup, lm_score, ngram_join, packing, quality, substring, token_spans, topk
 from pagelift.llm.common import table
 from pagelift.session import ship
 
@@ -24,6 +24,10 @@ def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(spark, table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), max_rows=20_000)
 
 
+def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.overlaps(spark, table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op4_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
     return ngram_join.near_duplicates(spark, table(spark, sf_dir, "documents"), n=3, percent=90)
@@ -57,7 +61,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op4_ngram_jaccard_join, op5_token_counts, op6_exact_top_k, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
+    return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op3_benchmark_decontamination, op4_ngram_jaccard_join, op5_token_counts, op6_exact_top_k, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
 
 
 OP6_SQL = """
