@@ -31,8 +31,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pagelift.llm import exchange as ex
+from pagelift.llm import idfilter
 from pagelift.llm.common import WordIds, cut, documents, drop, mix, pair_hash, raw
 from pagelift.llm.components import components
+from pagelift.llm.idfilter import IdFilter
 
 PARTS = 4  # fragments for counting
 FLUSH = 1 << 20  # keys a batch gathers before it sends them
@@ -124,8 +126,10 @@ def _sketch(rule: Rule):
     return stream
 
 
-def _send(bits: int):
-    """Keys of many documents, each with its smallest document, by shard; the others of a key go as pairs."""
+def _send(bits: int, copies=None):
+    """Keys of many documents, each with its smallest document, by shard; the others of a key go as pairs.
+
+    copies: a filter of the documents to leave out here, as they may be copies."""
     names = ["shard", "keys", "docs", "a", "b"]
 
     def pack(keys, docs):
@@ -144,8 +148,10 @@ def _send(bits: int):
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, docs, held = [], [], 0
         for batch in batches:
+            if copies is not None:
+                batch = _picked(batch, copies.value, False)
             for i, k in zip(batch.column("doc_id").to_pylist(), batch.column("keys").to_pylist()):
-                if k and i is not None:
+                if k:
                     keys.append(np.frombuffer(k, np.uint64))
                     docs.append(np.full(len(keys[-1]), i, np.int64))
                     held += len(keys[-1])
@@ -171,13 +177,27 @@ def _star(table: pa.Table) -> pa.Table:
     return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
 
 
-def _members(rule: Rule):
-    """Fragments of each document's set, with its size; fragment -1 holds the bitmap."""
+def _picked(batch: pa.RecordBatch, ids: IdFilter, inside: bool) -> pa.RecordBatch:
+    """The rows whose doc_id the filter may hold, or the others; rows without id go with neither."""
+    batch = batch.filter(batch.column("doc_id").is_valid())
+    return batch.filter(pa.array(ids.may_hold(np.asarray(batch.column("doc_id"))) == inside))
+
+
+def _only(ids):
+    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield _picked(batch, ids.value, True)
+
+    return stream
+
+
+def _members(rule: Rule, active):
+    """Fragments of the sets of documents that may be active, with the set's size; fragment -1 holds the bitmap."""
     names = ["doc_id", "part", "size", "data"]
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = []
+            batch, rows = _picked(batch, active.value, True), []
             for i, s in zip(batch.column("doc_id").to_pylist(), hash_sets(raw(batch.column("text")), rule.n)):
                 at = np.concatenate([[0], np.searchsorted(s, np.array([(k << 64) // PARTS for k in range(1, PARTS)], np.uint64)), [len(s)]])
                 rows.append((i, -1, len(s), parity(s)))
@@ -273,14 +293,17 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     sets = cut(spark, docs.mapInArrow(_sketch(rule), "doc_id long, n_shingles long, hi long, lo long, keys binary"), "sets")
     filled = sets.where("n_shingles > 0")
     classes = cut(spark, filled.groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("copies")), "classes")
-    copies = filled.select("doc_id", "hi", "lo").join(classes.where("copies > 1"), ["hi", "lo"]).where("doc_id > class_id").select("doc_id")
-    heads = filled.select("doc_id", "keys").join(copies, "doc_id", "left_anti")
+    copies = cut(spark, filled.select("doc_id", "hi", "lo").join(classes.where("copies > 1"), ["hi", "lo"]).where("doc_id > class_id").select("doc_id").distinct(), "copies")
     amount = int(sets.agg(F.sum(F.octet_length("keys"))).first()[0] or 0) // 8
     bits = max(0, math.ceil(math.log2(max(1, amount / SHARD_KEYS))))
-    sent = heads.mapInArrow(_send(bits), "shard int, keys binary, docs binary, a binary, b binary")
+    # only documents that may be copies are shuffled to find out
+    maybe_copy, keyed = idfilter.build(spark, copies, "doc_id"), filled.select("doc_id", "keys")
+    unsure = keyed.mapInArrow(_only(maybe_copy), keyed.schema).join(copies, "doc_id", "left_anti")
+    kind = "shard int, keys binary, docs binary, a binary, b binary"
+    sent = keyed.mapInArrow(_send(bits, maybe_copy), kind).unionByName(unsure.mapInArrow(_send(bits), kind))
     pairs = cut(spark, sent.groupBy("shard").applyInArrow(_star, "a long, b long").distinct(), "pairs")
-    active = pairs.selectExpr("a AS doc_id").unionByName(pairs.selectExpr("b AS doc_id")).distinct()
-    members = cut(spark, docs.join(active, "doc_id", "left_semi").mapInArrow(_members(rule), "doc_id long, part int, size long, data binary"), "members")
+    active = idfilter.build(spark, pairs.selectExpr("a AS doc_id").unionByName(pairs.selectExpr("b AS doc_id")).distinct(), "doc_id")
+    members = cut(spark, docs.mapInArrow(_members(rule, active), "doc_id long, part int, size long, data binary"), "members")
     links = cut(spark, verified(pairs, members, rule), "links")
     first = components(spark, links)
     rest = crossing(members, first, rule).join(pairs, ["a", "b"], "left_anti")

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagelift.llm import decontaminate, line_dedup, lm_score, ngram_join, packing, quality, substring, token_spans, topk
+from pagelift.llm import decontaminate, licenses, line_dedup, lm_score, ngram_join, packing, quality, substring, token_spans, topk
 from pagelift.llm.common import table
 from pagelift.session import ship
 
@@ -45,6 +45,12 @@ def op6_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0, k=20)
 
 
+def op7_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
+    docs = table(spark, sf_dir, "documents")
+    return licenses.scan(spark, docs.withColumn("path", licenses.tree_path(F.col("doc_id"))))
+
+
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
     return line_dedup.dedup(spark, table(spark, sf_dir, "documents"), least=10, min_chars=1, digest=True)
@@ -61,7 +67,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op3_benchmark_decontamination, op4_ngram_jaccard_join, op5_token_counts, op6_exact_top_k, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
+    return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op3_benchmark_decontamination, op4_ngram_jaccard_join, op5_token_counts, op6_exact_top_k, op7_license_scan, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
 
 
 OP6_SQL = """
