@@ -37,3 +37,9 @@ def ship(spark: SparkSession) -> SparkSession:
     sc.addPyFile(path)
     sc._pagelift_shipped = True
     return spark
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """A folder that all executors see: the session's checkpoint folder; only without one, this machine's own."""
+    found = spark.conf.get("spark.checkpoint.dir", None)
+    return (found or os.path.join(tempfile.gettempdir(), "pagelift")).rstrip("/")
