@@ -4,9 +4,9 @@ from __future__ import annotations
 
 
 def _registries():
-    from pagelift.workloads import scans
+    from pagelift.workloads import scans, tpch
 
-    return (scans.REG,)
+    return (scans.REG, tpch.REG)
 
 
 def queries() -> dict:
