@@ -1,28 +1,27 @@
 """Near-duplicate join on word n-grams: Jaccard similarity at or above a threshold, exactly.
 
-The order of n-gram hashes is the global order; it is cut into fragments, vertically, across all documents.
-
-1. Every text becomes its set of n-gram hashes.  Equal sets form a class; only its smallest document goes on.
-2. Two sets of the wanted similarity differ in few n-grams, and a level (a pair of neighbouring size classes) has one
-   more fragment than that number.  So they agree in a whole fragment: its hash is a key, and pairs without a common key
-   can't be similar.  A passage that many texts share makes no key by itself, as the rest of a fragment differs.
-3. Candidates first join each document to the smallest one of its key.  Batches do this locally, so a key held by a third
-   of all documents reaches its shard once a batch.
-4. Overlaps are counted fragment by fragment and added up per pair.
-5. Keys whose documents lie in several components after that are compared in full: pairs in different components whose
-   parity bitmaps don't prove a larger difference are counted as in 4.  No link can be missed, and no group is expanded
+N-grams have one global order: rare ones first (by document frequency), then by hash.
+
+1. Every text becomes its set of n-gram hashes; document frequencies come back through the batch-to-shard exchange.
+   Equal sets form a class; only its smallest document goes on.
+2. Two sets of the wanted similarity share an n-gram among the first few of both in the global order (its prefix, as long
+   as the number of n-grams that may differ, and one).  N-grams of one document only can't be shared, so a text whose
+   prefix is all its own has no partner, however many others hold the same passages.
+3. Candidates first join each document to the smallest one that shares a prefix n-gram.
+4. The order is cut into fragments, vertically, across all documents; overlaps are counted fragment by fragment and added
+   up per pair.  Pairs that the sets' parity bitmaps prove too different are not counted.
+5. Prefix n-grams whose documents lie in several components after that are compared in full: pairs in different
+   components that the bitmaps can't tell apart are counted as in 4.  No link can be missed, and no group is expanded
    into all its pairs.
 
-Defined results: texts with fewer words than n are one n-gram, their whole sequence; texts without words are null-like,
-have no n-grams and link with nothing, each its own component; rows that share an id are one document for links; an
-empty table gives an empty result.
+Defined results: texts with fewer words than n are one n-gram, their whole sequence; texts without words have no n-grams
+and link with nothing, each its own component; rows that share an id are one document for links; an empty table gives an
+empty result.
 """
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -37,16 +36,14 @@ from pagelift.llm.components import components
 from pagelift.llm.idfilter import IdFilter
 
 PARTS = 4  # fragments for counting
-FLUSH = 1 << 20  # keys a batch gathers before it sends them
 BLOCK = 1024  # documents of one key that are compared with as many others at once
-SHARD_KEYS = 1 << 20
 
 
 class Rule:
     """Similarity at or above percent/100 on n-grams of n words."""
 
     def __init__(self, n: int = 3, percent: int = 90):
-        self.n, self.percent, self.t = n, percent, percent / 100
+        self.n, self.percent = n, percent
 
     def linked(self, both: int, one: int, two: int) -> bool:
         return 100 * both >= self.percent * (one + two - both)
@@ -55,15 +52,9 @@ class Rule:
         """The largest symmetric difference that two similar sets of these sizes can have."""
         return np.floor((100 - self.percent) * (one + two) / (100 + self.percent) + 1e-9)
 
-    def size_class(self, size: int) -> int:
-        return int(math.floor(math.log(size) / -math.log(self.t))) if self.percent < 100 else size
-
-    @lru_cache(maxsize=4096)
-    def edges(self, level: int) -> np.ndarray:
-        """Fragment borders of a level, which holds the sizes of the classes level and level + 1."""
-        size = self.t ** -(level + 2)
-        count = int(self.most_apart(size, size)) + 1
-        return np.array([(k << 64) // count for k in range(1, count)], dtype=np.uint64)
+    def prefix(self, size):
+        """How many n-grams of a set, in the global order, are enough to meet every similar set's."""
+        return size - (self.percent * size + 99) // 100 + 1
 
 
 def hash_sets(texts: list[bytes | None], n: int) -> list[np.ndarray]:
@@ -87,21 +78,6 @@ def hash_sets(texts: list[bytes | None], n: int) -> list[np.ndarray]:
     return out
 
 
-def fragment_keys(s: np.ndarray, rule: Rule) -> np.ndarray:
-    """A key for each fragment of the two levels a set belongs to; none for sets that no other set can be similar to."""
-    if len(s) < 2 or rule.most_apart(len(s), len(s) / rule.t) < 1:
-        return np.array([], np.uint64)
-    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(mix(s), dtype=np.uint64)])
-    c, out = rule.size_class(len(s)), []
-    for level in (c - 1, c):
-        edges = rule.edges(level)
-        at = np.concatenate([[0], np.searchsorted(s, edges), [len(s)]])
-        sums = total[at[1:]] - total[at[:-1]]
-        place = np.arange(len(sums), dtype=np.uint64) + np.uint64((level + 1) << 32)
-        out.append(pair_hash(sums, mix(place)))
-    return np.concatenate(out)
-
-
 def parity(s: np.ndarray) -> bytes:
     """Bit i tells whether an odd number of members falls on i; two bitmaps differ in no more bits than the sets in members."""
     bits = 1 << max(9, (3 * len(s)).bit_length())
@@ -113,82 +89,71 @@ def folded(bitmap: np.ndarray, size: int) -> np.ndarray:
     return np.bitwise_xor.reduce(bitmap.reshape(-1, size), axis=0)
 
 
-def _sketch(rule: Rule):
-    names = ["doc_id", "n_shingles", "hi", "lo", "keys"]
-
-    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            sets = hash_sets(raw(batch.column("text")), rule.n)
-            d = [xxhash.xxh3_128_digest(s.tobytes()) for s in sets]
-            part = lambda a, b: [int.from_bytes(x[a:b], "big", signed=True) for x in d]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(part(0, 8), pa.int64()), pa.array(part(8, 16), pa.int64()), pa.array([fragment_keys(s, rule).tobytes() for s in sets], pa.binary())], names=names)
-
-    return stream
-
+def batch_sets(table: pa.Table, rule: Rule):
+    """Set sizes of a batch's texts, their n-gram hashes laid end to end, and the document each belongs to."""
+    sets = hash_sets(raw(table.column("text")), rule.n)
+    sizes = np.array([len(s) for s in sets], np.int64)
+    flat = np.concatenate(sets) if sets else np.array([], np.uint64)
+    return sets, sizes, flat, np.repeat(np.arange(len(sets)), sizes)
 
-def _send(bits: int, copies=None):
-    """Keys of many documents, each with its smallest document, by shard; the others of a key go as pairs.
 
-    copies: a filter of the documents to leave out here, as they may be copies."""
-    names = ["shard", "keys", "docs", "a", "b"]
+def _ask(rule: Rule, bits: int):
+    names = ["batch", "shard", "keys", "counts"]
 
-    def pack(keys, docs):
-        keys, docs = np.concatenate(keys), np.concatenate(docs)
-        by = np.lexsort((docs, keys))
-        keys, docs = keys[by], docs[by]
-        uniq, first, inv = np.unique(keys, return_index=True, return_inverse=True)
-        lead = docs[first]
-        pairs = np.unique(np.column_stack([docs, lead[inv]])[docs != lead[inv]], axis=0)
-        at = ex.slices(uniq, bits)
-        filled = [s for s in range(len(at) - 1) if at[s] < at[s + 1]]
-        cuts = np.array_split(pairs, max(1, len(filled)))
-        rows = [(s, ex.pack_sorted(uniq[at[s] : at[s + 1]]), lead[at[s] : at[s + 1]].astype("<i8").tobytes(), p[:, 0].astype("<i8").tobytes(), p[:, 1].astype("<i8").tobytes()) for s, p in zip(filled, cuts)]
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 5, (pa.int32(), *[pa.binary()] * 4))], names=names)
+    def make(key, table):
+        _, _, flat, _ = batch_sets(table, rule)
+        uniq, n = np.unique(flat, return_counts=True)
+        at, b = ex.slices(uniq, bits), key[0].as_py()
+        rows = [(b, s, ex.pack_sorted(uniq[at[s] : at[s + 1]]), ex.pack_counts(n[at[s] : at[s + 1]])) for s in range(len(at) - 1) if at[s] < at[s + 1]]
+        return pa.table([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 4, (pa.int32(), pa.int32(), pa.binary(), pa.binary()))], names=names)
 
-    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys, docs, held = [], [], 0
-        for batch in batches:
-            if copies is not None:
-                batch = _picked(batch, copies.value, False)
-            for i, k in zip(batch.column("doc_id").to_pylist(), batch.column("keys").to_pylist()):
-                if k:
-                    keys.append(np.frombuffer(k, np.uint64))
-                    docs.append(np.full(len(keys[-1]), i, np.int64))
-                    held += len(keys[-1])
-            if held >= FLUSH:
-                yield pack(keys, docs)
-                keys, docs, held = [], [], 0
-        if held:
-            yield pack(keys, docs)
+    return make
 
-    return stream
 
+def _frequencies(table: pa.Table) -> pa.Table:
+    """Document frequencies of each batch's n-grams in a shard, in the batch's order."""
+    shard, owner = table.column("shard")[0].as_py(), table.column("batch").to_pylist()
+    vectors = [ex.unpack_sorted(x) for x in table.column("keys").to_pylist()]
+    at = np.concatenate([[0], np.cumsum([len(v) for v in vectors])]).astype(np.int64)
+    _, inv = np.unique(np.concatenate(vectors), return_inverse=True)
+    df = np.bincount(inv, weights=np.concatenate([ex.unpack_counts(x) for x in table.column("counts").to_pylist()])).astype(np.int64)
+    return pa.table({"batch": pa.array(owner, pa.int32()), "shard": pa.array([shard] * len(owner), pa.int32()), "counts": pa.array([ex.pack_counts(df[inv[a:b]]) for a, b in zip(at, at[1:])], pa.binary())})
+
+
+SETS = "doc_id long, n_shingles long, hi long, lo long, prefix array<long>"
+
+
+def _prefixes(rule: Rule):
+    def make(key, docs, replies):
+        sets, sizes, flat, owner = batch_sets(docs, rule)
+        _, inv = np.unique(flat, return_inverse=True)
+        found = [ex.unpack_counts(x) for x in replies.sort_by("shard").column("counts").to_pylist()]
+        df = np.concatenate(found)[inv] if found else np.array([], np.int64)
+        need = rule.prefix(sizes)
+        shared = np.bincount(owner, df == 1, len(sets)) < need  # the others' prefixes are all their own
+        ends = np.cumsum(sizes)
+        prefix: list = [[]] * len(sets)
+        for i in np.flatnonzero(shared & (sizes > 0)):
+            s, f = sets[i], df[ends[i] - sizes[i] : ends[i]]
+            first = np.lexsort((s, f))[: need[i]]
+            prefix[i] = s[first[f[first] > 1]].view(np.int64).tolist()
+        d = [xxhash.xxh3_128_digest(s.tobytes()) for s in sets]
+        part = lambda a, b: [int.from_bytes(x[a:b], "big", signed=True) for x in d]
+        return pa.table({"doc_id": docs.column("doc_id"), "n_shingles": pa.array(sizes), "hi": pa.array(part(0, 8), pa.int64()), "lo": pa.array(part(8, 16), pa.int64()), "prefix": pa.array(prefix, pa.list_(pa.int64()))})
 
-def _star(table: pa.Table) -> pa.Table:
-    """Pairs (document, smallest document of its key) of one shard, with those found on the way."""
-    lists = lambda c: [np.frombuffer(x, "<i8") for x in table.column(c).to_pylist()]
-    keys, docs = np.concatenate([ex.unpack_sorted(x) for x in table.column("keys").to_pylist()]), np.concatenate(lists("docs"))
-    by = np.lexsort((docs, keys))
-    keys, docs = keys[by], docs[by]
-    _, first, inv = np.unique(keys, return_index=True, return_inverse=True)
-    lead = docs[first][inv]
-    far = docs != lead
-    pairs = np.unique(np.column_stack([np.concatenate([*lists("a"), docs[far]]), np.concatenate([*lists("b"), lead[far]])]), axis=0)
-    return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
+    return make
 
 
-def _picked(batch: pa.RecordBatch, ids: IdFilter, inside: bool) -> pa.RecordBatch:
-    """The rows whose doc_id the filter may hold, or the others; rows without id go with neither."""
+def _picked(batch: pa.RecordBatch, ids: IdFilter) -> pa.RecordBatch:
+    """The rows whose doc_id the filter may hold."""
     batch = batch.filter(batch.column("doc_id").is_valid())
-    return batch.filter(pa.array(ids.may_hold(np.asarray(batch.column("doc_id"))) == inside))
+    return batch.filter(pa.array(ids.may_hold(np.asarray(batch.column("doc_id")))))
 
 
-def _only(ids):
-    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield _picked(batch, ids.value, True)
-
-    return stream
+def _small(batches: Iterator[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
 
 
 def _members(rule: Rule, active):
@@ -196,8 +161,8 @@ def _members(rule: Rule, active):
     names = ["doc_id", "part", "size", "data"]
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            batch, rows = _picked(batch, active.value, True), []
+        for batch in _small(batches):
+            batch, rows = _picked(batch, active.value), []
             for i, s in zip(batch.column("doc_id").to_pylist(), hash_sets(raw(batch.column("text")), rule.n)):
                 at = np.concatenate([[0], np.searchsorted(s, np.array([(k << 64) // PARTS for k in range(1, PARTS)], np.uint64)), [len(s)]])
                 rows.append((i, -1, len(s), parity(s)))
@@ -213,30 +178,32 @@ def _overlap(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("a", "b", "one", "two")), pa.array(both, pa.int64())], names=["a", "b", "one", "two", "both"])
 
 
-def verified(pairs: DataFrame, members: DataFrame, rule: Rule) -> DataFrame:
-    """The pairs (a, b) that are similar: overlaps by fragment, added up."""
-    side = lambda doc, size, data: members.where("part >= 0").selectExpr(f"doc_id AS {doc}", "part", f"size AS {size}", f"data AS {data}")
-    wide = pairs.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))))
-    rows = wide.join(side("a", "one", "x"), ["a", "part"]).join(side("b", "two", "y"), ["b", "part"]).select("a", "b", "one", "two", "x", "y")
-    counted = rows.mapInArrow(_overlap, "a long, b long, one long, two long, both long").groupBy("a", "b", "one", "two").agg(F.sum("both").alias("both"))
-    return counted.where(100 * F.col("both") >= rule.percent * (F.col("one") + F.col("two") - F.col("both"))).select("a", "b").distinct()
+def _apart(rule: Rule):
+    """Pairs that the bitmaps leave possible."""
 
+    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            on = np.zeros(batch.num_rows, bool)
+            one, two = np.asarray(batch.column("one")), np.asarray(batch.column("two"))
+            most = rule.most_apart(one, two)
+            for i, (x, y) in enumerate(zip(batch.column("x").to_pylist(), batch.column("y").to_pylist())):
+                x, y = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
+                short = min(len(x), len(y))
+                on[i] = abs(int(one[i]) - int(two[i])) <= most[i] and np.bitwise_count(folded(x, short) ^ folded(y, short)).sum() <= most[i]
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(on))
 
-def _rows_of_keys(rule: Rule):
-    """(doc_id, key) of documents whose fragments are laid together again."""
+    return stream
 
-    def make(table: pa.Table) -> pa.Table:
-        table = table.sort_by([("doc_id", "ascending"), ("part", "ascending")])
-        ids, keys = np.asarray(table.column("doc_id")), []
-        parts = [np.frombuffer(x, np.uint64) for x in table.column("data").to_pylist()]
-        starts = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
-        out = []
-        for a, b in zip(starts, [*starts[1:], len(ids)]):
-            keys.append(fragment_keys(np.unique(np.concatenate(parts[a:b])), rule))
-            out.append(np.full(len(keys[-1]), ids[a], np.int64))
-        return pa.table({"doc_id": np.concatenate(out), "key": np.concatenate(keys).view(np.int64)})
 
-    return make
+def verified(spark: SparkSession, pairs: DataFrame, members: DataFrame, rule: Rule) -> DataFrame:
+    """The pairs (a, b) that are similar: bitmaps first, then overlaps by fragment, added up."""
+    side = lambda parts, doc, size, data: members.where(parts).selectExpr(f"doc_id AS {doc}", "part", f"size AS {size}", f"data AS {data}")
+    maps = pairs.join(side("part = -1", "a", "one", "x").drop("part"), "a").join(side("part = -1", "b", "two", "y").drop("part"), "b")
+    near = cut(spark, maps.select("a", "b", "one", "two", "x", "y").mapInArrow(_apart(rule), "a long, b long").distinct(), "near")
+    wide = near.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))))
+    rows = wide.join(side("part >= 0", "a", "one", "x"), ["a", "part"]).join(side("part >= 0", "b", "two", "y"), ["b", "part"]).select("a", "b", "one", "two", "x", "y")
+    counted = rows.mapInArrow(_overlap, "a long, b long, one long, two long, both long").groupBy("a", "b", "one", "two").agg(F.sum("both").alias("both"))
+    return counted.where(100 * F.col("both") >= rule.percent * (F.col("one") + F.col("two") - F.col("both"))).select("a", "b").distinct()
 
 
 def _compare(rule: Rule):
@@ -268,11 +235,8 @@ def _compare(rule: Rule):
     return make
 
 
-def crossing(members: DataFrame, parts: DataFrame, rule: Rule) -> DataFrame:
+def crossing(keyed: DataFrame, members: DataFrame, parts: DataFrame, rule: Rule) -> DataFrame:
     """Pairs left to count: a common key, different components, and no proof of difference."""
-    sets = members.where("part >= 0")
-    n = sets.count()
-    keyed = sets.withColumn("bin", F.pmod(F.xxhash64("doc_id"), F.lit(max(1, n // (PARTS * 2000))))).groupBy("bin").applyInArrow(_rows_of_keys(rule), "doc_id long, key long").distinct()
     owned = keyed.join(parts.withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     open_keys = owned.groupBy("key").agg(F.count(F.lit(1)).alias("docs"), F.min("component").alias("x"), F.max("component").alias("y")).where("docs > 1 AND x < y").select("key", "docs")
     rows = owned.join(open_keys, "key")
@@ -290,29 +254,26 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     """One row a document: doc_id, n_shingles, class_id (equal sets), n_links (of its class), component_id."""
     rule = Rule(n, percent)
     docs = documents(docs)
-    sets = cut(spark, docs.mapInArrow(_sketch(rule), "doc_id long, n_shingles long, hi long, lo long, keys binary"), "sets")
+    batches = ex.batch_count(docs)
+    dealt = ex.hashed_batches(docs, batches)
+    asked = dealt.groupBy("batch").applyInArrow(_ask(rule, ex.shard_bits(batches)), "batch int, shard int, keys binary, counts binary")
+    told = asked.groupBy("shard").applyInArrow(_frequencies, "batch int, shard int, counts binary")
+    sets = cut(spark, dealt.groupBy("batch").cogroup(told.groupBy("batch")).applyInArrow(_prefixes(rule), SETS), "sets")
     filled = sets.where("n_shingles > 0")
-    classes = cut(spark, filled.groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("copies")), "classes")
-    copies = cut(spark, filled.select("doc_id", "hi", "lo").join(classes.where("copies > 1"), ["hi", "lo"]).where("doc_id > class_id").select("doc_id").distinct(), "copies")
-    amount = int(sets.agg(F.sum(F.octet_length("keys"))).first()[0] or 0) // 8
-    bits = max(0, math.ceil(math.log2(max(1, amount / SHARD_KEYS))))
-    # only documents that may be copies are shuffled to find out
-    maybe_copy, keyed = idfilter.build(spark, copies, "doc_id"), filled.select("doc_id", "keys")
-    unsure = keyed.mapInArrow(_only(maybe_copy), keyed.schema).join(copies, "doc_id", "left_anti")
-    kind = "shard int, keys binary, docs binary, a binary, b binary"
-    sent = keyed.mapInArrow(_send(bits, maybe_copy), kind).unionByName(unsure.mapInArrow(_send(bits), kind))
-    pairs = cut(spark, sent.groupBy("shard").applyInArrow(_star, "a long, b long").distinct(), "pairs")
+    classes = cut(spark, filled.groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id")), "classes")
+    heads = filled.where(F.size("prefix") > 0).join(classes, ["hi", "lo"]).where("doc_id = class_id").select("doc_id", F.explode("prefix").alias("key")).distinct()
+    heads = cut(spark, heads, "prefixes")
+    first = heads.groupBy("key").agg(F.min("doc_id").alias("b"), F.count(F.lit(1)).alias("docs")).where("docs > 1").select("key", "b")
+    pairs = cut(spark, heads.join(first, "key").where("doc_id > b").select(F.col("doc_id").alias("a"), "b").distinct(), "pairs")
     active = idfilter.build(spark, pairs.selectExpr("a AS doc_id").unionByName(pairs.selectExpr("b AS doc_id")).distinct(), "doc_id")
     members = cut(spark, docs.mapInArrow(_members(rule, active), "doc_id long, part int, size long, data binary"), "members")
-    links = cut(spark, verified(pairs, members, rule), "links")
-    first = components(spark, links)
-    rest = crossing(members, first, rule).join(pairs, ["a", "b"], "left_anti")
-    more = cut(spark, verified(rest, members, rule), "links")
-    every = links.unionByName(more)
+    links = cut(spark, verified(spark, pairs, members, rule), "links")
+    rest = crossing(heads, members, components(spark, links), rule).join(pairs, ["a", "b"], "left_anti")
+    every = links.unionByName(cut(spark, verified(spark, rest, members, rule), "links"))
     final = components(spark, every)
-    degree = every.selectExpr("a AS class_id").unionByName(every.selectExpr("b AS class_id")).groupBy("class_id").agg(F.count(F.lit(1)).alias("n_links"))
     drop(spark, members)
-    out = sets.select("doc_id", "n_shingles", "hi", "lo").join(classes.select("hi", "lo", "class_id"), ["hi", "lo"], "left")
+    degree = every.selectExpr("a AS class_id").unionByName(every.selectExpr("b AS class_id")).groupBy("class_id").agg(F.count(F.lit(1)).alias("n_links"))
+    out = sets.select("doc_id", "n_shingles", "hi", "lo").join(classes, ["hi", "lo"], "left")
     out = out.withColumn("class_id", F.when(F.col("n_shingles") > 0, F.col("class_id")).otherwise(F.col("doc_id")))
     out = out.join(degree, "class_id", "left").join(final.withColumnRenamed("id", "class_id").withColumnRenamed("component", "component_id"), "class_id", "left")
     return out.select("doc_id", "n_shingles", "class_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), F.coalesce("component_id", "class_id").alias("component_id"))
