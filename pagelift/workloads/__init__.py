@@ -4,9 +4,9 @@ from __future__ import annotations
 
 
 def _registries():
-    from pagelift.workloads import scans, tpch
+    from pagelift.workloads import relational, scans, tpch
 
-    return (scans.REG, tpch.REG)
+    return (scans.REG, tpch.REG, relational.REG)
 
 
 def queries() -> dict:
