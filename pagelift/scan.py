@@ -105,7 +105,7 @@ def build_index(spark: SparkSession, path: str, column: str, pages_per_range: in
         summaries[r["r"]] = (low, high, r["n"] == 0, 0 < r["n"] < r["all"])
     for i in range(max(0, total - unsummarised_tail), total):
         summaries[i] = None
-    at = index_path or f"{path.rstrip('/')}/_index_{column}"
+    at = index_path or f"{path.rstrip('/')}/index_{column}.brin"
     plan.write_bytes(at, brin.write(summaries, storage[column], pages_per_range, null_flags))
     return at
 

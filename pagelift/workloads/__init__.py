@@ -4,9 +4,9 @@ from __future__ import annotations
 
 
 def _registries():
-    from pagelift.workloads import relational, scans, tpch
+    from pagelift.workloads import functions, relational, scans, tpch
 
-    return (scans.REG, tpch.REG, relational.REG)
+    return (scans.REG, tpch.REG, relational.REG, functions.REG)
 
 
 def queries() -> dict:

@@ -65,7 +65,7 @@ def ensure(spark: SparkSession, sf_dir: str, label: str, kind: str, make, spec:
         draft = f"{path}.{uuid.uuid4().hex[:8]}"
         scan.write(make(), kind, draft, spec, pk=pk, cluster_by=cluster_by, **options)
         if index:
-            scan.build_index(spark, draft, **index, index_path=f"{draft}/_index")
+            scan.build_index(spark, draft, **index, index_path=f"{draft}/index.brin")
         fs, at = plan.file_system(draft)
         try:
             fs.move(at, plan.file_system(path)[1])

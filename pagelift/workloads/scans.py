@@ -218,7 +218,7 @@ for _k in BOTH:
 def indexed(spark, d, table, column, pages_per_range=8, frame=None, label=None, tail=0, cluster=(), spec=None, **read):
     rows = frame if frame is not None else fx.table(spark, d, table)
     path = fx.ensure(spark, d, label or f"{table}-{column}", "pageheap", lambda: rows if cluster else rows.coalesce(1), spec or fx.SPECS[table], cluster_by=cluster, index={"column": column, "pages_per_range": pages_per_range, "unsummarised_tail": tail}, recipe=label or "")
-    return path, scan.scan(spark, "pageheap", path, index_path=f"{path}/_index", **read)
+    return path, scan.scan(spark, "pageheap", path, index_path=f"{path}/index.brin", **read)
 
 
 EV = "SELECT * FROM events"
@@ -266,7 +266,7 @@ def prune_metrics(spark, d):
     path, _ = indexed(spark, d, "events", "ts")
     rows = []
     for label, text in (("all", "ts:timestamp::"), ("week", "ts:timestamp:2024-01-05:2024-01-12"), ("none", "ts:timestamp:1990-01-01:1990-01-02")):
-        m = scan.metrics(path, index_path=f"{path}/_index", range=text)
+        m = scan.metrics(path, index_path=f"{path}/index.brin", range=text)
         rows.append((label, m["ranges_total"], m["ranges_kept"], m["pages_total"], m["pages_read"], m["bytes_read"]))
     return spark.createDataFrame(rows, "predicate string, ranges_total long, ranges_kept long, pages_total long, pages_read long, bytes_read long")
 
@@ -279,7 +279,7 @@ def prune_distributed(spark, d):
     path, _ = indexed(spark, d, "events", "ts")
     storage = StorageSchema.parse(fx.SPECS["events"])
     pages = sum(s.pages for s in plan.list_segments(path))
-    ranges = brin.load(plan.read_bytes(f"{path}/_index"), storage["ts"], pages)
+    ranges = brin.load(plan.read_bytes(f"{path}/index.brin"), storage["ts"], pages)
     low, high = (float(reader_of("timestamp")(x)) for x in ("2024-01-05", "2024-01-09"))
     kept = plan.prune_distributed(plan.range_table(spark, ranges), (F.col("vmax") >= low) & (F.col("vmin") <= high), ranges.pages_per_range)
     whole = scan.scan(spark, "pageheap", path, with_page=True)
