@@ -144,7 +144,7 @@ def st_late_drop(spark, d):
     path, at = f"{tails.place(spark)}/late", tails.place(spark)
     scan.register(spark)
     df = fx.table(spark, d, "events")
-    for part in (df.where("event_id % 10 <> 0"), df.where("event_id % 10 = 0")):
+    for part in (df.where("event_id % 10 BETWEEN 1 AND 8"), df.where("event_id % 10 = 9"), df.where("event_id % 10 = 0")):
         scan.write(part.coalesce(1), "pageheap", path, fx.SPECS["events"], mode="append")
         done = tails.finish(tails.windowed(tails.tail(spark, path), "ts", "10 minutes", F.window("ts", "1 day").alias("w")), at=at)
     return bounded(done)
