@@ -4,11 +4,12 @@ from __future__ import annotations
 
 import math
 from dataclasses import asdict, dataclass, field
+from decimal import Decimal
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-NUMERIC = ("short", "integer", "long", "float", "double", "decimal", "byte")
+WHOLE, REAL = ("byte", "short", "integer", "long"), ("float", "double", "decimal")
 
 
 @dataclass
@@ -28,7 +29,9 @@ def truth(df: DataFrame) -> GroundTruth:
     for f in df.schema.fields:
         c, kind = F.col(f"`{f.name}`"), f.dataType.typeName()
         wanted.append(F.count(c).alias(f"{f.name}|count"))
-        if kind in NUMERIC:
+        if kind in WHOLE:
+            wanted += [F.min(c).cast("long").alias(f"{f.name}|min"), F.max(c).cast("long").alias(f"{f.name}|max"), F.sum(c.cast("decimal(38,0)")).alias(f"{f.name}|sum")]
+        elif kind in REAL:
             d = c.cast("double")
             wanted += [F.min(d).alias(f"{f.name}|min"), F.max(d).alias(f"{f.name}|max"), F.sum(d).alias(f"{f.name}|sum")]
         elif kind in ("date", "timestamp", "timestamp_ntz"):
@@ -41,7 +44,7 @@ def truth(df: DataFrame) -> GroundTruth:
     out = GroundTruth(row.pop("__rows"))
     for key, value in row.items():
         name, _, what = key.rpartition("|")
-        out.columns.setdefault(name, {})[what] = value
+        out.columns.setdefault(name, {})[what] = int(value) if isinstance(value, Decimal) else value
     return out
 
 
