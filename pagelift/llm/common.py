@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import atexit
-import os
+import gc
 import tempfile
 import uuid
 
@@ -53,6 +53,12 @@ def drop(spark: SparkSession, df: DataFrame) -> None:
         return
 
 
+def release(spark: SparkSession) -> None:
+    """Let the driver collect its garbage, so that shuffle files of finished steps leave the executors' disks."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def text_bytes(df: DataFrame, col: str = "text") -> tuple[int, int]:
     """Rows and text bytes of the whole table: one aggregate over one column."""
     n, b = df.agg(F.count(F.lit(1)), F.sum(F.octet_length(col))).first()
@@ -109,7 +115,3 @@ def pair_hash(left: np.ndarray, right: np.ndarray) -> np.ndarray:
 def crc_mod(col: str, n: int):
     """crc32(col as text) mod n, as a Column."""
     return F.pmod(F.crc32(F.col(col).cast("string").cast("binary")), F.lit(n).cast("long"))
-
-
-def session_temp() -> str:
-    return os.environ.get("TMPDIR", tempfile.gettempdir())

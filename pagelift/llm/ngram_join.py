@@ -7,7 +7,7 @@ N-grams have one global order: rare ones first (by document frequency), then by
 2. Two sets of the wanted similarity share an n-gram among the first few of both in the global order (its prefix, as long
    as the number of n-grams that may differ, and one).  N-grams of one document only can't be shared, so a text whose
    prefix is all its own has no partner, however many others hold the same passages.
-3. Candidates first join each document to the smallest one that shares a prefix n-gram.
+3. Each document is first compared with one partner, the smallest one that shares a prefix n-gram.
 4. The order is cut into fragments, vertically, across all documents; overlaps are counted fragment by fragment and added
    up per pair.  Pairs that the sets' parity bitmaps prove too different are not counted.
 5. Prefix n-grams whose documents lie in several components after that are compared in full: pairs in different
@@ -31,11 +31,12 @@ from pyspark.sql import functions as F
 
 from pagelift.llm import exchange as ex
 from pagelift.llm import idfilter
-from pagelift.llm.common import WordIds, cut, documents, drop, mix, pair_hash, raw
+from pagelift.llm.common import WordIds, cut, documents, drop, mix, pair_hash, raw, release
 from pagelift.llm.components import components
 from pagelift.llm.idfilter import IdFilter
 
 PARTS = 4  # fragments for counting
+FEW = 16  # pairs for two components that are tried first
 BLOCK = 1024  # documents of one key that are compared with as many others at once
 
 
@@ -206,15 +207,16 @@ def verified(spark: SparkSession, pairs: DataFrame, members: DataFrame, rule: Ru
     return counted.where(100 * F.col("both") >= rule.percent * (F.col("one") + F.col("two") - F.col("both"))).select("a", "b").distinct()
 
 
-def _compare(rule: Rule):
-    """Pairs in different components that the bitmaps can't tell apart, over all keys of a bin."""
+def _compare(rule: Rule, few: int | None):
+    """Pairs in different components that the bitmaps can't tell apart, over all keys of a bin; with few, only so many of
+    the closest for each two components, and a mark where there are more."""
 
     def make(table: pa.Table) -> pa.Table:
         table = table.sort_by([("key", "ascending"), ("low", "ascending"), ("high", "ascending")])
         c = {n: np.asarray(table.column(n)) for n in ("key", "low", "high", "block", "doc_id", "size", "component")}
         maps = [np.frombuffer(x, np.uint8) for x in table.column("data").to_pylist()]
         new = np.r_[True, (c["key"][1:] != c["key"][:-1]) | (c["low"][1:] != c["low"][:-1]) | (c["high"][1:] != c["high"][:-1])]
-        starts, found = np.flatnonzero(new), [np.zeros((0, 2), np.int64)]
+        starts, found = np.flatnonzero(new), [np.zeros((0, 5), np.int64)]
         for a, b in zip(starts, [*starts[1:], len(new)]):
             short = min(len(m) for m in maps[a:b])
             bits = np.vstack([folded(m, short) for m in maps[a:b]])
@@ -223,19 +225,26 @@ def _compare(rule: Rule):
             left = np.flatnonzero(block == low)
             right = left if low == high else np.flatnonzero(block == high)
             for i in left:
-                far = np.bitwise_count(bits[right] ^ bits[i]).sum(axis=1)
+                far = np.bitwise_count(bits[right] ^ bits[i]).sum(axis=1).astype(np.int64)
                 near = (far <= rule.most_apart(size[right], size[i])) & (comp[right] != comp[i]) & (ids[right] != ids[i])
                 near &= (ids[right] < ids[i]) if low == high else True
                 if near.any():
-                    x = ids[right[near]]
-                    found.append(np.column_stack([np.maximum(x, ids[i]), np.minimum(x, ids[i])]))
-        pairs = np.unique(np.concatenate(found), axis=0)
-        return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
+                    x, y = ids[right[near]], comp[right[near]]
+                    found.append(np.column_stack([np.minimum(y, comp[i]), np.maximum(y, comp[i]), far[near], np.maximum(x, ids[i]), np.minimum(x, ids[i])]))
+        pairs = np.unique(np.concatenate(found), axis=0)  # by components, then distance
+        more = np.zeros(len(pairs), bool)
+        if few is not None and len(pairs):
+            first = np.r_[True, (pairs[1:, :2] != pairs[:-1, :2]).any(axis=1)]
+            at = np.flatnonzero(first)
+            size = np.diff(np.r_[at, len(pairs)])
+            kept = np.arange(len(pairs)) - np.repeat(at, size) < few
+            more, pairs = np.repeat(size > few, size)[kept], pairs[kept]
+        return pa.table({"a": pairs[:, 3], "b": pairs[:, 4], "more": pa.array(more)})
 
     return make
 
 
-def crossing(keyed: DataFrame, members: DataFrame, parts: DataFrame, rule: Rule) -> DataFrame:
+def crossing(keyed: DataFrame, members: DataFrame, parts: DataFrame, rule: Rule, few: int | None) -> DataFrame:
     """Pairs left to count: a common key, different components, and no proof of difference."""
     owned = keyed.join(parts.withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     open_keys = owned.groupBy("key").agg(F.count(F.lit(1)).alias("docs"), F.min("component").alias("x"), F.max("component").alias("y")).where("docs > 1 AND x < y").select("key", "docs")
@@ -247,7 +256,28 @@ def crossing(keyed: DataFrame, members: DataFrame, parts: DataFrame, rule: Rule)
     bins = max(1, rows.count() // 20_000)
     # a key's block pair is one unit of work; small keys share a bin
     packed = rows.withColumn("bin", F.pmod(F.xxhash64("key", "low", "high"), F.lit(bins))).join(maps, "doc_id")
-    return packed.groupBy("bin").applyInArrow(_compare(rule), "a long, b long").distinct()
+    pairs = packed.groupBy("bin").applyInArrow(_compare(rule, few), "a long, b long, more boolean")
+    return pairs.groupBy("a", "b").agg(F.bool_or("more").alias("more"))
+
+
+def more_links(spark: SparkSession, keyed: DataFrame, members: DataFrame, links: DataFrame, tested: DataFrame, rule: Rule) -> DataFrame:
+    """links, and what else it takes to connect all that is similar.
+
+    The first pass lists a few of the closest untested pairs for any two components that share keys; components that they
+    connect need no more.  Those that a longer list might still connect get all their pairs in the second pass.
+    """
+    for few in (FEW, None):
+        parts = components(spark, links)
+        found = cut(spark, crossing(keyed, members, parts, rule, few).join(tested, ["a", "b"], "left_anti"), "candidates")
+        if found.isEmpty():
+            break
+        new = cut(spark, verified(spark, found.select("a", "b").distinct(), members, rule), "links")
+        tested = tested.unionByName(found.select("a", "b")).distinct()
+        links = links.unionByName(new)
+        release(spark)
+        if few is None or found.where("more").isEmpty():
+            break
+    return links
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: int = 90) -> DataFrame:
@@ -264,14 +294,15 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     heads = filled.where(F.size("prefix") > 0).join(classes, ["hi", "lo"]).where("doc_id = class_id").select("doc_id", F.explode("prefix").alias("key")).distinct()
     heads = cut(spark, heads, "prefixes")
     first = heads.groupBy("key").agg(F.min("doc_id").alias("b"), F.count(F.lit(1)).alias("docs")).where("docs > 1").select("key", "b")
-    pairs = cut(spark, heads.join(first, "key").where("doc_id > b").select(F.col("doc_id").alias("a"), "b").distinct(), "pairs")
-    active = idfilter.build(spark, pairs.selectExpr("a AS doc_id").unionByName(pairs.selectExpr("b AS doc_id")).distinct(), "doc_id")
+    near = cut(spark, heads.join(first, "key"), "keys")  # the keys of several documents
+    pairs = cut(spark, near.groupBy("doc_id").agg(F.min("b").alias("b")).where("doc_id > b").select(F.col("doc_id").alias("a"), "b"), "pairs")
+    active = idfilter.build(spark, near.select("doc_id").distinct(), "doc_id")
     members = cut(spark, docs.mapInArrow(_members(rule, active), "doc_id long, part int, size long, data binary"), "members")
     links = cut(spark, verified(spark, pairs, members, rule), "links")
-    rest = crossing(heads, members, components(spark, links), rule).join(pairs, ["a", "b"], "left_anti")
-    every = links.unionByName(cut(spark, verified(spark, rest, members, rule), "links"))
+    every = more_links(spark, near.select("doc_id", "key"), members, links, pairs, rule)
     final = components(spark, every)
     drop(spark, members)
+    release(spark)
     degree = every.selectExpr("a AS class_id").unionByName(every.selectExpr("b AS class_id")).groupBy("class_id").agg(F.count(F.lit(1)).alias("n_links"))
     out = sets.select("doc_id", "n_shingles", "hi", "lo").join(classes, ["hi", "lo"], "left")
     out = out.withColumn("class_id", F.when(F.col("n_shingles") > 0, F.col("class_id")).otherwise(F.col("doc_id")))
