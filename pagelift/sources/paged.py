@@ -72,14 +72,22 @@ class PagedReader(DataSourceReader):
             out += plan.list_segments(path)
         return out
 
+    def split_bytes(self, segments) -> int:
+        """Bytes a task reads: about a thousandth of the input within bounds, so that small inputs still use many cores
+        and 100 TB make a hundred thousand tasks."""
+        given = self.options.get("split_bytes")
+        return int(given) if given else min(1 << 30, max(4 << 20, sum(s.size for s in segments) // 1024))
+
     def plan(self) -> tuple[list[plan.PageRun], dict]:
-        splits = plan.split_pages(self.segments(), self.page_size, int(self.options.get("split_bytes", 128 << 20)))
+        segments = self.segments()
+        self.target = self.split_bytes(segments)
+        splits = plan.split_pages(segments, self.page_size, self.target)
         total = sum(s.count for s in splits)
         return splits, {"ranges_total": 0, "ranges_kept": 0, "pages_total": total, "pages_read": total}
 
     def partitions(self):
         runs, _ = self.plan()
-        target = max(1, int(self.options.get("split_bytes", 128 << 20)) // self.page_size)
+        target = max(1, self.target // self.page_size)
         parts, held, size = [], [], 0
         for r in runs:  # runs left by pruning can be short: several make one task
             if held and size + r.count > target:
@@ -404,7 +412,8 @@ class HeapStream(DataSourceStreamReader):
         return {"pages": sum(s.pages for s in self.batch.segments())}
 
     def partitions(self, start, end):
-        splits = plan.split_pages(self.batch.segments(), heap.PAGE, int(self.batch.options.get("split_bytes", 128 << 20)))
+        segments = self.batch.segments()
+        splits = plan.split_pages(segments, heap.PAGE, self.batch.split_bytes(segments))
         return [Part([r]) for r in plan.clip(splits, [(start["pages"], end["pages"] - start["pages"])], 1)] or [Part([])]
 
     def read(self, partition):
