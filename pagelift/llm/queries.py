@@ -70,6 +70,33 @@ def queries() -> dict[str, Query]:
     return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op3_benchmark_decontamination, op4_ngram_jaccard_join, op5_token_counts, op6_exact_top_k, op7_license_scan, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
 
 
+OP4_SQL = r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents
+), sets AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 3 THEN [array_to_string(w, ' ')]
+    ELSE list_distinct(list_transform(range(1, len(w) - 1), lambda i: array_to_string(w[i:i + 2], ' '))) END AS s FROM words
+), classed AS (
+  SELECT doc_id, len(s) AS n, s, CASE WHEN len(s) = 0 THEN doc_id ELSE min(doc_id) OVER (PARTITION BY md5(array_to_string(list_sort(s), chr(10)))) END AS class_id FROM sets
+), grams AS (
+  SELECT doc_id, n, unnest(s) AS g FROM classed WHERE doc_id = class_id
+), counted AS (
+  SELECT a.doc_id AS x, b.doc_id AS y, any_value(a.n) AS nx, any_value(b.n) AS ny, count(*) AS c FROM grams a JOIN grams b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2
+), links AS (
+  SELECT x, y FROM counted WHERE 100 * c >= 90 * (nx + ny - c)
+), both_ways AS (
+  SELECT x, y FROM links UNION ALL SELECT y, x FROM links
+), reach AS (
+  SELECT class_id AS a, class_id AS b FROM classed UNION SELECT r.a, e.y FROM reach r JOIN both_ways e ON e.x = r.b
+), component AS (
+  SELECT a, min(b) AS component_id FROM reach GROUP BY a
+), degree AS (
+  SELECT x, count(*) AS n FROM both_ways GROUP BY x
+)
+SELECT c.doc_id, CAST(c.n AS BIGINT) AS n_shingles, c.class_id, CAST(coalesce(d.n, 0) AS BIGINT) AS n_links, k.component_id
+FROM classed c JOIN component k ON k.a = c.class_id LEFT JOIN degree d ON d.x = c.class_id
+"""
+
 OP6_SQL = """
 WITH v AS (
   SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT)) AS q FROM embeddings
@@ -121,4 +148,4 @@ FROM words w LEFT JOIN kept k ON k.doc_id = w.doc_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_exact_top_k": OP6_SQL, "op8_line_dedup": OP8_SQL, "op10_substring_dedup": OP10_SQL}
+    return {"op4_ngram_jaccard_join": OP4_SQL, "op6_exact_top_k": OP6_SQL, "op8_line_dedup": OP8_SQL, "op10_substring_dedup": OP10_SQL}
