@@ -24,11 +24,16 @@ from pyspark.sql.functions import pandas_udf
 from pagelift.llm.common import BATCH_BYTES, text_bytes
 
 #: Shards of the hash space: a power of two, so that a shard is a run of a sorted hash vector.
-MAX_SHARDS = 1 << 16
+MAX_SHARDS = 1 << 17
+#: Most text in a batch; a worker needs some twenty times this.
+MOST_BYTES = 64 << 20
 
 
-def batch_count(docs: DataFrame, target: int = BATCH_BYTES, multiple: int = 1) -> int:
+def batch_count(docs: DataFrame, target: int | None = None, multiple: int = 1) -> int:
+    """Batches grow with the root of the corpus (6 MB of text at 1 GB, 64 MB from 100 GB on), so that what one of them
+    sends to one shard doesn't shrink to a few bytes as both grow in number."""
     n, size = text_bytes(docs)
+    target = target or min(MOST_BYTES, max(BATCH_BYTES, int(200 * math.sqrt(size))))
     wanted = max(1, math.ceil(size / target), math.ceil(n / 200_000))
     return multiple * math.ceil(wanted / multiple)
 
