@@ -10,6 +10,7 @@ from __future__ import annotations
 import json
 import os
 import uuid
+import zlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -105,6 +106,7 @@ class PagedReader(DataSourceReader):
         """(number of the first page in the file, pages) in large reads."""
         fs, at = plan.file_system(run.path)
         per = int(self.options.get("pages_per_read", 256))
+        share = float(self.options.get("sample_pages", 1))
         with fs.open_input_file(at) as f:
             if str(self.options.get("snapshot", "strict")) == "strict" and run.size and f.size() != run.size:
                 raise heap.PageError(f"{run.path} changed after the scan was planned")
@@ -113,6 +115,9 @@ class PagedReader(DataSourceReader):
             f.seek(run.first * self.page_size)
             for first in range(run.first, run.first + run.count, per):
                 n = min(per, run.first + run.count - first)
+                if share < 1 and zlib.crc32(f"{os.path.basename(run.path)}:{first}".encode()) >= share * (1 << 32):
+                    f.seek((first + n) * self.page_size)  # not in the sample, which is the same each time
+                    continue
                 raw = f.read(n * self.page_size)
                 if len(raw) != n * self.page_size:
                     raise heap.PageError(f"{run.path} ends within a page")

@@ -103,6 +103,13 @@ def src_jdbc(spark, d):
     return jdbc_lineitem(spark, d, fetchsize=10_000)
 
 
+@REG.query("src_jdbc_partitioned", "SELECT * FROM lineitem")
+def src_jdbc_partitioned(spark, d):
+    from pagelift.workloads.scans import REG as SCANS
+
+    return SCANS.queries["jdbc_partitioned"](spark, d)
+
+
 for _k in ("pageheap", "pagetree"):
 
     def _view(spark, d, kind=_k):
@@ -313,6 +320,19 @@ def emb_norm(spark, d):
     return _vectors(spark, d).select("vec_id", F.round(F.sqrt(F.aggregate(F.col("embedding"), F.lit(0.0), lambda a, x: a + x.cast("double") * x)), 4).alias("norm"))
 
 
+@REG.query("emb_cosine_top1", """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT)) AS q FROM embeddings),
+s AS (SELECT a.vec_id, b.vec_id AS nearest, CAST(list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2])) AS BIGINT) AS score FROM v a JOIN v b ON a.vec_id IN (0, 100, 200, 300, 400) AND a.vec_id <> b.vec_id)
+SELECT vec_id, arg_min(nearest, (-score, nearest)) AS nearest, max(score) AS score FROM s GROUP BY vec_id""")
+def emb_cosine_top1(spark, d):
+    """Nearest other vectors of five given ones, by whole-number inner products of the unit vectors: the queries are a
+    broadcast block of five rows against all rows."""
+    v = _vectors(spark, d).select("vec_id", F.transform("embedding", lambda x: F.floor(64 * x.cast("double"))).alias("q"))
+    asked = v.where("vec_id IN (0, 100, 200, 300, 400)").select(F.col("vec_id").alias("k"), F.col("q").alias("p"))
+    score = F.aggregate(F.zip_with("p", "q", lambda a, b: a * b), F.lit(0).cast("long"), lambda a, x: a + x)
+    pairs = v.join(F.broadcast(asked), F.col("k") != F.col("vec_id")).select(F.col("k"), "vec_id", score.alias("score"))
+    return pairs.groupBy("k").agg(F.min_by("vec_id", F.struct(-F.col("score"), "vec_id")).alias("nearest"), F.max("score").alias("score")).withColumnRenamed("k", "vec_id")
+
+
 @REG.query("emb_label_counts", "SELECT label, count(*) AS n FROM embeddings GROUP BY label")
 def emb_label_counts(spark, d):
     return _vectors(spark, d).groupBy("label").agg(F.count(F.lit(1)).alias("n"))

@@ -260,6 +260,12 @@ REG.add("tree_key_bounds", lambda s, d: scan.scan(s, "pagetree", fx.base(s, d, "
 REG.add("brin_no_prune_baseline", lambda s, d: indexed(s, d, "orders", "o_orderkey", range="o_orderkey:int8:12000:", prune=False)[1].where("o_orderkey >= 12000"), "SELECT * FROM orders WHERE o_orderkey >= 12000")
 
 
+@q("sample_pages")
+def sample_pages(spark, d):
+    """A deterministic tenth of the blocks, for a cheap profile."""
+    return scan.scan(spark, "pageheap", fx.base(spark, d, "lineitem", "pageheap"), sample_pages=0.1, pages_per_read=4)
+
+
 @q("prune_metrics")
 def prune_metrics(spark, d):
     """Planned ranges and pages of three predicates."""
