@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagelift.llm.common import cut
+from pagelift.llm.common import cut, thrifty
 
 #: The usual one-line notices, by SPDX identifier.
 TEMPLATES = {
@@ -60,7 +60,7 @@ def passages(text: str | None) -> Iterator[list[str]]:
 
 def _frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     known = frozenset(VOCABULARY)
-    for batch in batches:
+    for batch in thrifty(batches):
         n: Counter = Counter()
         total = 0
         for text in batch.column("text").to_pylist():
@@ -117,7 +117,7 @@ def detect(spark: SparkSession, files: DataFrame) -> DataFrame:
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         matcher = Matcher(counts)
-        for batch in batches:
+        for batch in thrifty(batches):
             found = [matcher.best(t) for t in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("path"), pa.array([x[0] for x in found], pa.string()), pa.array([x[1] for x in found], pa.float64())], names=["doc_id", "path", "own", "score"])
 

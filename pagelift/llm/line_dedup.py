@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagelift.llm.common import cut, documents, raw
+from pagelift.llm.common import cut, documents, raw, thrifty
 
 SHARD_KEYS = 1 << 16  # keys a filter is planned for
 FILTER_BYTES = 64 << 20  # most that is broadcast
@@ -180,7 +180,7 @@ def _probe(min_chars: int, shards: int, sent):
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         filters = {s: _restore(*x) for s, x in sent.value.items()} if sent else None
-        for batch in batches:
+        for batch in thrifty(batches):
             rows, hi, lo = [], [], []
             for row, text in zip(batch.column("row").to_pylist(), raw(batch.column("text"))):
                 for key in {k for line in (text or b"").split(b"\n") if (k := line_key(line, min_chars)) is not None}:
@@ -202,7 +202,7 @@ def _probe(min_chars: int, shards: int, sent):
 
 def _rewrite(min_chars: int, digest: bool, columns: list[str]):
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in thrifty(batches):
             total, gone, kept = [], [], []
             for text, drop in zip(raw(batch.column("text")), batch.column("drop").to_pylist()):
                 lines = (text or b"").split(b"\n")

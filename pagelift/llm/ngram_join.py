@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from pagelift.llm import exchange as ex
 from pagelift.llm import idfilter
-from pagelift.llm.common import WordIds, cut, documents, drop, mix, pair_hash, raw, release
+from pagelift.llm.common import WordIds, cut, documents, drop, mix, pair_hash, raw, release, thrifty
 from pagelift.llm.components import components
 from pagelift.llm.idfilter import IdFilter
 
@@ -151,18 +151,12 @@ def _picked(batch: pa.RecordBatch, ids: IdFilter) -> pa.RecordBatch:
     return batch.filter(pa.array(ids.may_hold(np.asarray(batch.column("doc_id")))))
 
 
-def _small(batches: Iterator[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for at in range(0, batch.num_rows, rows):
-            yield batch.slice(at, rows)
-
-
 def _members(rule: Rule, active):
     """Fragments of the sets of documents that may be active, with the set's size; fragment -1 holds the bitmap."""
     names = ["doc_id", "part", "size", "data"]
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in _small(batches):
+        for batch in thrifty(batches):
             batch, rows = _picked(batch, active.value), []
             for i, s in zip(batch.column("doc_id").to_pylist(), hash_sets(raw(batch.column("text")), rule.n)):
                 at = np.concatenate([[0], np.searchsorted(s, np.array([(k << 64) // PARTS for k in range(1, PARTS)], np.uint64)), [len(s)]])

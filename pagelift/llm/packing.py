@@ -22,9 +22,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from pagelift.llm.common import cut, documents, raw
+from pagelift.llm.common import cut, documents, raw, thrifty
 
-MAX_CACHED = 300_000  # runs a worker remembers of each kind; then that memory starts anew
+MAX_CACHED = 150_000  # runs a worker remembers of each kind; then that memory starts anew
 #: Runs of unaccented or Latin-1 letters and of plain signs: the vocabulary's rules cut a run between the two only.
 LETTERS_SIGNS = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*)([.,!?;:#$%&*|]*)")
 
@@ -99,7 +99,7 @@ def encode_pieces(path: str, capacity: int, end_id: int):
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = word_bytes(path)
-        for batch in batches:
+        for batch in thrifty(batches):
             rows = []
             for i, r, text in zip(batch.column("doc_id").to_pylist(), batch.column("row").to_pylist(), raw(batch.column("text"))):
                 ids = b"".join(map(words.__getitem__, (text or b"").translate(SPACES).split(b" "))) + end

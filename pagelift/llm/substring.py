@@ -49,7 +49,7 @@ def window_hashes(tokens: np.ndarray, width: int) -> np.ndarray:
 
 def batch_windows(table: pa.Table, width: int):
     """The batch's documents in order, their words, and hash and word position of every window."""
-    table = table.sort_by([("doc_id", "ascending"), ("text", "ascending")]) if table.num_rows else table
+    table = table.sort_by([("doc_id", "ascending"), ("text", "ascending")], null_placement="at_start") if table.num_rows else table
     ids, texts, parts = WordIds(), [], []
     for text in raw(table.column("text")):
         words = text.split() if text else []

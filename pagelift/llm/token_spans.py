@@ -24,10 +24,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagelift.llm.common import documents
+from pagelift.llm.common import documents, thrifty
 from pagelift.llm.packing import byte_letters
 
-MAX_CACHED = 200_000
+MAX_CACHED = 100_000
 #: A space at most, letters, signs: the byte-level rules cut such a run between letters and signs only.
 LETTERS_SIGNS = re.compile("( ?)([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,!?;:#$%&*|]*)")
 UNSAFE = re.compile(r" \s|\s ")
@@ -130,7 +130,7 @@ def by_section(docs: DataFrame, vocabulary: str, starts_of=line_starts) -> DataF
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         runs = run_spans(vocabulary)
-        for batch in batches:
+        for batch in thrifty(batches):
             out: list[list] = [[] for _ in range(6)]
             for i, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
                 text = text or ""
@@ -154,7 +154,7 @@ def by_field(docs: DataFrame, fields: list[str], vocabulary: str, joint: str = "
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         runs = run_spans(vocabulary)
-        for batch in batches:
+        for batch in thrifty(batches):
             ids, names, counts, crossing = [], [], [], []
             for i, t, size in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), batch.column("sizes").to_pylist()):
                 ends = np.cumsum(size)

@@ -127,6 +127,22 @@ def test_empty_tables(spark, none):
     assert licenses.scan(spark, none.withColumn("path", F.lit("a/b"))).count() == 0
 
 
+def test_null_ids(spark):
+    """Rows without id are kept, and come first in order."""
+    text = " ".join(f"w{i}" for i in range(30))
+    frame = spark.createDataFrame([(None, text), (5, text), (2, None), (None, None)], "doc_id long, text string")
+    labels = spark.createDataFrame([(None, 1), (5, 0), (2, 1)], "doc_id long, quality int")
+    assert lm_score.score(spark, frame, lm_score.held_out_column()).count() == 4
+    assert quality.score(spark, frame, labels).count() == 4
+    assert ngram_join.near_duplicates(spark, frame).count() == 4
+    assert line_dedup.dedup(spark, frame).count() == 4
+    assert packing.pack_documents(spark, frame).count() == 4
+    assert {(r.doc_id, r.n_removed) for r in substring.remove_repeats(frame).collect()} == {(None, 0), (5, 30), (2, 0)}
+    assert decontaminate.overlaps(spark, frame, spark.createDataFrame([(None, text), (1, text)], "item_id long, text string")).count() >= 1
+    assert topk.top_k(spark.createDataFrame([(None, [1.0]), (20, [1.0]), (3, [2.0])], "vec_id long, embedding array<float>"), F.col("vec_id") % 20 == 0).count() == 1
+    assert licenses.scan(spark, frame.withColumn("path", F.lit(None).cast("string"))).count() == 4
+
+
 def test_quality(spark, rows, docs):
     rng = np.random.default_rng(2)
     many = [(i, " ".join(rng.choice(["alpha", "beta", "gamma"], 20)) + ("!! ### $$$" * 8 if i % 3 == 0 else ".")) for i in range(300)]
