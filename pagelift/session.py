@@ -21,9 +21,15 @@ def _files():
                 yield full, os.path.relpath(full, os.path.dirname(ROOT))
 
 
+#: Rows of an Arrow batch at most: rows here hold whole documents, and both JVM and worker keep batches in memory.
+BATCH_ROWS = 2000
+
+
 def ship(spark: SparkSession) -> SparkSession:
     """Send the package to the executors once a Spark context, as they may not see this file system."""
-    sc = spark.sparkContext
+    sc, rows = spark.sparkContext, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if int(spark.conf.get(rows, "10000")) > BATCH_ROWS:
+        spark.conf.set(rows, str(BATCH_ROWS))
     if getattr(sc, "_pagelift_shipped", False):
         return spark
     digest = hashlib.sha256()
@@ -35,6 +41,9 @@ def ship(spark: SparkSession) -> SparkSession:
         for full, name in files:
             z.write(full, name)
     sc.addPyFile(path)
+    # processes that plan sources on this machine get no added files, but this path
+    known = sc.environment.get("PYTHONPATH")
+    sc.environment["PYTHONPATH"] = os.pathsep.join([os.path.dirname(ROOT), *([known] if known else [])])
     sc._pagelift_shipped = True
     return spark
 
