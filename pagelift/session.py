@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
 import hashlib
 import os
 import tempfile
+import uuid
 import zipfile
 
 from pyspark.sql import SparkSession
@@ -48,6 +50,23 @@ def ship(spark: SparkSession) -> SparkSession:
     return spark
 
 
+def scratch(spark: SparkSession, label: str) -> str:
+    """A new folder in the shared one, for output that lasts as long as this process."""
+    path = f"{shared_dir(spark)}/{label}/{uuid.uuid4().hex}"
+    atexit.register(_remove, path)
+    return path
+
+
+def _remove(path: str) -> None:
+    from pyarrow import fs
+
+    try:
+        system, at = fs.FileSystem.from_uri(path) if "://" in path or path.startswith("file:") else (fs.LocalFileSystem(), path)
+        system.delete_dir(at)
+    except (OSError, ValueError):
+        return  # never written, or in a store that only Spark reaches
+
+
 def shared_dir(spark: SparkSession) -> str:
     """A folder that all executors see: the session's checkpoint folder; only without one, this machine's own."""
     found = spark.conf.get("spark.checkpoint.dir", None)

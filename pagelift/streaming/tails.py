@@ -6,15 +6,13 @@ what is there now, into Parquet, and gives the result as a table.
 
 from __future__ import annotations
 
-import uuid
-
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from pagelift import scan
-from pagelift.session import shared_dir
+from pagelift.session import scratch
 
 
 def tail(spark: SparkSession, path: str, **options) -> DataFrame:
@@ -26,7 +24,7 @@ def tail(spark: SparkSession, path: str, **options) -> DataFrame:
 
 
 def place(spark: SparkSession) -> str:
-    return f"{shared_dir(spark)}/streams/{uuid.uuid4().hex}"
+    return scratch(spark, "streams")
 
 
 def finish(stream: DataFrame, mode: str = "append", at: str | None = None) -> DataFrame:

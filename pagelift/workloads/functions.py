@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import functions as F
 
 from pagelift import scan
@@ -175,7 +173,7 @@ def st_join_stream(spark, d):
 
 @REG.query("st_foreach_batch", "SELECT event_id, event_type FROM events")
 def st_foreach_batch(spark, d):
-    at = f"{tails.place(spark)}/{uuid.uuid4().hex}"
+    at = tails.place(spark)
 
     def keep(batch, number):
         batch.select("event_id", "event_type").write.mode("overwrite").parquet(f"{at}/out/batch={number}")

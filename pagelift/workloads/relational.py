@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from pagelift import scan
 from pagelift.operators import ranges
-from pagelift.session import shared_dir
+from pagelift.session import scratch
 from pagelift.workloads import fixtures as fx
 from pagelift.workloads.registry import Registry
 
@@ -41,7 +41,7 @@ def many(prefix: str, texts: dict[str, str | tuple[str, str]]) -> None:
 
 def through(fmt: str, table: str = "orders", **options):
     def run(spark, d):
-        path = f"{shared_dir(spark)}/sink/{uuid.uuid4().hex}"
+        path = scratch(spark, "sink")
         df = fx.direct(spark, d, table, "pageheap")
         df.write.format(fmt).options(**options).save(path)
         return spark.read.schema(df.schema).format(fmt).options(**options).load(path)
@@ -58,14 +58,14 @@ for _f in ("parquet", "csv", "json"):
 
 @REG.query("sink_parquet_partitioned", "SELECT o_orderkey, o_totalprice, o_orderpriority FROM orders")
 def sink_parquet_partitioned(spark, d):
-    path = f"{shared_dir(spark)}/sink/{uuid.uuid4().hex}"
+    path = scratch(spark, "sink")
     fx.direct(spark, d, "orders", "pageheap").select("o_orderkey", "o_totalprice", "o_orderpriority").repartition("o_orderpriority").write.partitionBy("o_orderpriority").parquet(path)
     return spark.read.parquet(path)
 
 
 def paged_sink(kind):
     def run(spark, d):
-        path = f"{shared_dir(spark)}/sink/{uuid.uuid4().hex}"
+        path = scratch(spark, "sink")
         scan.write(fx.direct(spark, d, "orders", "pageheap"), kind, path, fx.SPECS["orders"], pk=("o_orderkey",) if kind == "pagetree" else ())
         return scan.scan(spark, kind, path)
 
@@ -79,7 +79,7 @@ for _k in ("pageheap", "pagetree"):
 @REG.query("sink_modes", "SELECT * FROM nation UNION ALL SELECT * FROM nation")
 def sink_modes(spark, d):
     """Overwrite, then append to a relation."""
-    path = f"{shared_dir(spark)}/sink/{uuid.uuid4().hex}"
+    path = scratch(spark, "sink")
     df = fx.table(spark, d, "nation")
     for mode in ("append", "overwrite", "append"):
         scan.write(df, "pageheap", path, fx.SPECS["nation"], mode=mode)

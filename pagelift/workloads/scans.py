@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -11,7 +9,7 @@ from pagelift import scan, wire
 from pagelift.formats import brin
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
-from pagelift.session import shared_dir
+from pagelift.session import scratch
 from pagelift.workloads import fixtures as fx
 from pagelift.workloads.registry import Registry
 
@@ -23,7 +21,7 @@ SHORT = {"pageheap": "heap", "pagetree": "tree"}
 
 def reread(spark: SparkSession, df: DataFrame) -> DataFrame:
     """Extract to Parquet and read that."""
-    path = f"{shared_dir(spark)}/etl/{uuid.uuid4().hex}"
+    path = scratch(spark, "etl")
     df.write.parquet(path)
     return spark.read.parquet(path)
 

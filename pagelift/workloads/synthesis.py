@@ -2,12 +2,10 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import functions as F
 
 from pagelift import measure, scan
-from pagelift.session import shared_dir
+from pagelift.session import scratch
 from pagelift.synth import deploy, loop
 from pagelift.synth.coder import FaultyCoder
 from pagelift.synth.study import study
@@ -102,7 +100,7 @@ def synth_stubborn(spark, d):
 def synth_resume(spark, d):
     """A spent budget leaves a checkpoint; a second run goes on from it."""
     scan.register(spark)
-    at = f"{shared_dir(spark)}/synth/{uuid.uuid4().hex}/checkpoint.json"
+    at = f"{scratch(spark, 'synth')}/checkpoint.json"
     j, coder = job(spark, d, "orders", "pageheap"), FaultyCoder(("syntax", "crash"))
     one = loop.run(spark, j, loop.SynthConfig(coder=coder), n_max=2, checkpoint=at)
     two = loop.run(spark, j, loop.SynthConfig(coder=coder), n_max=2, resume=at)
