@@ -62,6 +62,11 @@ def documents(df: DataFrame) -> DataFrame:
     return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
+def names_of(ddl: str) -> list[str]:
+    """Column names of a flat schema text."""
+    return [part.split()[0] for part in ddl.split(", ")]
+
+
 def thrifty(batches, rows: int = 500):
     """The batches in slices of few rows; what Arrow has set aside goes back after each batch, as workers live on."""
     for batch in batches:

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pagelift.llm import exchange as ex
-from pagelift.llm.common import WordIds, crc_mod, cut, documents, mix, pair_hash, raw
+from pagelift.llm.common import WordIds, crc_mod, cut, documents, mix, names_of, pair_hash, raw
 
 BUCKETS = 24  # contexts seen 0, 1, 2-3, 4-7, ... times
 GRID = 4  # cells a unit of log2
@@ -82,14 +82,14 @@ def request_rows(order: int, bits: int):
                 u, c = uniq[at[s] : at[s + 1]], n[at[s] : at[s + 1]]
                 if len(u):
                     rows.append((batch, s, k, len(u), ex.pack_sorted(u), ex.pack_counts(c)))
-        return pa.table([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 6, (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary()))], names=["batch", "shard", "ord", "n", "keys", "counts"])
+        return pa.table([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 6, (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary()))], names=names_of(REQUEST))
 
     return make
 
 
 def shard_sums(folds: int):
     def add(table: pa.Table) -> pa.Table:
-        rows, (shard,) = [], {table.column("shard")[0].as_py()}
+        rows, shard = [], table.column("shard")[0].as_py()
         orders, batches = np.asarray(table.column("ord")), np.asarray(table.column("batch"))
         for k in np.unique(orders):
             part = table.filter(pa.array(orders == k))
@@ -108,11 +108,12 @@ def shard_sums(folds: int):
             if k == 0:
                 rows.append((-1, shard, 0, None, None, int(total.sum()), int((total > 0).sum()), int(keep.sum()), int((keep > 0).sum())))
         kinds = (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), *[pa.int64()] * 4)
-        return pa.table([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=REPLY.replace(" int", "").replace(" long", "").replace(" binary", "").split(", "))
+        return pa.table([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=names_of(REPLY))
 
     return add
 
 
+REQUEST = "batch int, shard int, ord int, n long, keys binary, counts binary"
 REPLY = "batch int, shard int, ord int, total binary, keep binary, tokens long, words long, keep_tokens long, keep_words long"
 
 
@@ -202,7 +203,7 @@ def score(spark: SparkSession, docs: DataFrame, held_out, order: int = 2) -> Dat
     batches = ex.batch_count(docs, multiple=FOLDS)
     bits = ex.shard_bits(batches)
     dealt = ex.hashed_batches(docs, batches)
-    asked = dealt.groupBy("batch").applyInArrow(request_rows(order, bits), "batch int, shard int, ord int, n long, keys binary, counts binary")
+    asked = dealt.groupBy("batch").applyInArrow(request_rows(order, bits), REQUEST)
     replies = cut(spark, asked.groupBy("shard").applyInArrow(shard_sums(FOLDS), REPLY), "lm")
     n, v, kept_n, kept_v = (int(x or 0) for x in replies.where("batch = -1").agg(*(F.sum(c) for c in ("tokens", "words", "keep_tokens", "keep_words"))).first())
     texts, kept_texts = (int(x or 0) for x in dealt.where("train").agg(F.count(F.lit(1)), F.sum((F.col("batch") % FOLDS != 0).cast("int"))).first())

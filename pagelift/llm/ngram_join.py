@@ -275,7 +275,10 @@ def more_links(spark: SparkSession, keyed: DataFrame, members: DataFrame, links:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: int = 90) -> DataFrame:
-    """One row a document: doc_id, n_shingles, class_id (equal sets), n_links (of its class), component_id."""
+    """One row a document: doc_id, n_shingles, class_id (equal sets), n_links, component_id.
+
+    n_links counts the links of its class that were verified, which are those it takes to connect a component and not all
+    of a dense one's."""
     rule = Rule(n, percent)
     docs = documents(docs)
     batches = ex.batch_count(docs)

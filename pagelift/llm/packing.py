@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from pagelift.llm.common import cut, documents, raw, thrifty
+from pagelift.llm.common import cut, documents, names_of, raw, thrifty
 
 MAX_CACHED = 150_000  # runs a worker remembers of each kind; then that memory starts anew
 #: Runs of unaccented or Latin-1 letters and of plain signs: the vocabulary's rules cut a run between the two only.
@@ -107,7 +107,7 @@ def encode_pieces(path: str, capacity: int, end_id: int):
                     part = ids[at : at + 4 * capacity]
                     rows.append((i, r, piece, at // 4, len(part) // 4, zlib.crc32(part)))
             kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 6, kinds)], names=[x.split()[0] for x in PIECES.split(", ")])
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 6, kinds)], names=names_of(PIECES))
 
     return stream
 

@@ -30,7 +30,8 @@ def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
 
 def op4_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
-    return ngram_join.near_duplicates(spark, table(spark, sf_dir, "documents"), n=3, percent=90)
+    found = ngram_join.near_duplicates(spark, table(spark, sf_dir, "documents"), n=3, percent=90)
+    return found.select("doc_id", "n_shingles", "class_id", "component_id")
 
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -90,11 +91,8 @@ WITH RECURSIVE words AS (
   SELECT class_id AS a, class_id AS b FROM classed UNION SELECT r.a, e.y FROM reach r JOIN both_ways e ON e.x = r.b
 ), component AS (
   SELECT a, min(b) AS component_id FROM reach GROUP BY a
-), degree AS (
-  SELECT x, count(*) AS n FROM both_ways GROUP BY x
 )
-SELECT c.doc_id, CAST(c.n AS BIGINT) AS n_shingles, c.class_id, CAST(coalesce(d.n, 0) AS BIGINT) AS n_links, k.component_id
-FROM classed c JOIN component k ON k.a = c.class_id LEFT JOIN degree d ON d.x = c.class_id
+SELECT c.doc_id, CAST(c.n AS BIGINT) AS n_shingles, c.class_id, k.component_id FROM classed c JOIN component k ON k.a = c.class_id
 """
 
 OP6_SQL = """

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagelift.llm.common import documents, thrifty
+from pagelift.llm.common import documents, names_of, thrifty
 from pagelift.llm.packing import byte_letters
 
 MAX_CACHED = 100_000
@@ -140,7 +140,7 @@ def by_section(docs: DataFrame, vocabulary: str, starts_of=line_starts) -> DataF
                 for column, values in zip(out, ([i] * n, range(n), starts.tolist(), [*starts[1:].tolist(), len(text)], np.bincount(own, minlength=n).tolist(), np.bincount(own, crosses, n).astype(np.int64).tolist())):
                     column += values
             kinds = (pa.int64(), pa.int32(), *[pa.int64()] * 4)
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds)], names=[x.split()[0] for x in SECTIONS.split(", ")])
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds)], names=names_of(SECTIONS))
 
     return documents(docs).mapInArrow(stream, SECTIONS)
 
