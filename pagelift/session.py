@@ -30,7 +30,7 @@ BATCH_ROWS = 2000
 def ship(spark: SparkSession) -> SparkSession:
     """Send the package to the executors once a Spark context, as they may not see this file system."""
     sc, rows = spark.sparkContext, "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if int(spark.conf.get(rows, "10000")) > BATCH_ROWS:
+    if not 0 < int(spark.conf.get(rows, "10000")) <= BATCH_ROWS:
         spark.conf.set(rows, str(BATCH_ROWS))
     if getattr(sc, "_pagelift_shipped", False):
         return spark
