@@ -6,7 +6,8 @@ sorted and so are joined as intervals by binary search.  A token over a boundary
 of its characters, the earlier one on a tie; `n_crossing` says how many of a section's tokens reach outside it.
 
 Encoding works on runs between single spaces, which the byte-level rules never look across; a worker remembers the
-spans of runs.  Texts with other white-space runs are encoded whole.
+spans of runs.  Texts with other white-space runs are encoded whole.  Where no run reaches over a line's end, the runs'
+spans are joined to the lines' instead of the tokens' one by one.
 
 Defined results: a null text is one empty section without tokens; every section gives a row, empty ones too; rows that
 share an id give their sections each; an empty table gives an empty result.
@@ -28,6 +29,7 @@ from pagelift.llm.common import documents, names_of, thrifty
 from pagelift.llm.packing import byte_letters
 
 MAX_CACHED = 100_000
+MAX_COUNTED = 400_000  # runs of which only the number of tokens is kept
 #: A space at most, letters, signs: the byte-level rules cut such a run between letters and signs only.
 LETTERS_SIGNS = re.compile("( ?)([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,!?;:#$%&*|]*)")
 UNSAFE = re.compile(r" \s|\s ")
@@ -98,6 +100,49 @@ class RunSpans(dict):
         return out + np.repeat(at, [len(p) >> 2 for p in parts])[:, None]
 
 
+class RunCounts(dict):
+    """Run -> number of its tokens when the given prefix stands before it."""
+
+    def __init__(self, spans: RunSpans, prefix: str):
+        super().__init__()
+        self.spans, self.prefix = spans, prefix
+
+    def _pieces(self, text: str) -> int | None:
+        """By the model alone, for letters and signs."""
+        found = LETTERS_SIGNS.fullmatch(text) if self.spans.short and len(text) < 64 else None
+        if found is None:
+            return None
+        n, model, alphabet = 0, self.spans.model, self.spans.to_alphabet
+        for piece in (found[1] + found[2], found[3]):
+            if piece:
+                n += len(model.tokenize(piece.encode().decode("latin-1").translate(alphabet)))
+        return n
+
+    def __missing__(self, run: str) -> int:
+        text = self.prefix + run
+        n = self._pieces(text)
+        if n is None:
+            n = len(self.spans.offsets(text)) if text else 0
+        if len(self) >= MAX_COUNTED:
+            self.clear()
+        self[run] = n
+        return n
+
+
+#: White space but a space or a line feed; the ASCII ones also one by one, as that is faster to look for.
+OTHER_SPACE = re.compile(r"[^\S \n]")
+ASCII_SPACES = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f"
+JOINED = ("  ", " \n", "\n ", "\n\n")
+
+
+def plain(text: str) -> bool:
+    """Are all runs of white space single spaces or single line feeds?  Then no token reaches over a line's end: a line
+    feed is a token of its own, and each run between is encoded by itself."""
+    if any(x in text for x in JOINED):
+        return False
+    return not any(x in text for x in ASCII_SPACES) if text.isascii() else OTHER_SPACE.search(text) is None
+
+
 _RUNS: dict[str, RunSpans] = {}
 
 
@@ -128,12 +173,24 @@ def line_starts(text: str) -> np.ndarray:
 def by_section(docs: DataFrame, vocabulary: str, starts_of=line_starts) -> DataFrame:
     """One row a section of every document."""
 
+    by_lines = starts_of is line_starts
+
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         runs = run_spans(vocabulary)
+        first, later = RunCounts(runs, ""), RunCounts(runs, " ")
         for batch in thrifty(batches):
             out: list[list] = [[] for _ in range(6)]
             for i, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
                 text = text or ""
+                if by_lines and plain(text):  # every token's span lies within its run's, and every run's within a line's
+                    lines, at = text.split("\n"), 0
+                    for k, line in enumerate(lines):
+                        words, end = line.split(" "), at + len(line) + (k + 1 < len(lines))
+                        tokens = first[words[0]] + sum(map(later.__getitem__, words[1:])) + (k + 1 < len(lines))
+                        for column, v in zip(out, (i, k, at, end, tokens, 0)):
+                            column.append(v)
+                        at = end
+                    continue
                 starts = starts_of(text)
                 own, crosses = owners(runs.spans(text) if text else np.zeros((0, 2), np.int64), starts)
                 n = len(starts)
