@@ -13,18 +13,19 @@ documents; an empty table packs into nothing.
 from __future__ import annotations
 
 import re
+import sys
 import zlib
+from array import array
 from collections import defaultdict
 from collections.abc import Iterator
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pagelift.llm.common import cut, documents, names_of, raw, thrifty
 
-MAX_CACHED = 150_000  # runs a worker remembers of each kind; then that memory starts anew
+MAX_CACHED = 250_000  # runs a worker remembers of each kind; then that memory starts anew
 #: Runs of unaccented or Latin-1 letters and of plain signs: the vocabulary's rules cut a run between the two only.
 LETTERS_SIGNS = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*)([.,!?;:#$%&*|]*)")
 
@@ -36,6 +37,14 @@ def byte_letters() -> dict[int, str]:
     return {b: chr(256 + i) for i, b in enumerate(rest)}
 
 
+def little(ids: list[int]) -> bytes:
+    """Unsigned 32-bit little-endian."""
+    out = array("I", ids)
+    if sys.byteorder != "little":
+        out.byteswap()
+    return out.tobytes()
+
+
 class WordBytes(dict):
     """Run of non-space bytes -> its ids as little-endian bytes.  Encoding a run alone gives what it gives in context,
     as the vocabulary drops white space and no rule looks across it.  Runs of letters and signs skip the tokenizer's
@@ -53,13 +62,13 @@ class WordBytes(dict):
         self.short = all(self._pieces(w) == self._encoded(w) for w in self.TRIAL)
 
     def _encoded(self, text: str) -> bytes:
-        return np.array(self.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        return little(self.encode(text, add_special_tokens=False).ids)
 
     def _piece(self, piece: str) -> bytes:
         out = self.letters.get(piece)
         if out is None:
-            tokens = self.model.tokenize(piece.encode().decode("latin-1").translate(self.to_alphabet))
-            out = np.array([t.id for t in tokens], "<u4").tobytes()
+            shown = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.to_alphabet)
+            out = little([t.id for t in self.model.tokenize(shown)])
             if len(self.letters) >= MAX_CACHED:
                 self.letters.clear()
             self.letters[piece] = out
@@ -95,7 +104,7 @@ PIECES = "doc_id long, row long, piece int, start long, length long, ids_crc32 l
 
 
 def encode_pieces(path: str, capacity: int, end_id: int):
-    end = np.array([end_id], "<u4").tobytes()
+    end = little([end_id])
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = word_bytes(path)
