@@ -10,6 +10,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
@@ -136,22 +137,13 @@ def profile(df: DataFrame) -> DataFrame:
 
     def reduce(table: pa.Table) -> pa.Table:
         v = table.column("v")
-        low, high = pa.compute.min(v), pa.compute.max(v)
-        return pa.table({"name": table.column("name")[:1], "n": pa.array([pa.compute.sum(table.column("n")).as_py()]), "ndv": pa.array([table.num_rows]), "low": pa.array([low.as_py()], pa.string()), "high": pa.array([high.as_py()], pa.string())})
+        low, high = pc.min(v), pc.max(v)
+        return pa.table({"name": table.column("name")[:1], "n": pa.array([pc.sum(table.column("n")).as_py()]), "ndv": pa.array([table.num_rows]), "low": pa.array([low.as_py()], pa.string()), "high": pa.array([high.as_py()], pa.string())})
 
-    parts = distinct.withColumn("salt", F.pmod(F.xxhash64("v"), F.lit(16))).groupBy("name", "salt").applyInArrow(_with_compute(reduce), fold)
+    parts = distinct.withColumn("salt", F.pmod(F.xxhash64("v"), F.lit(16))).groupBy("name", "salt").applyInArrow(reduce, fold)
     return parts.groupBy("name").agg(F.sum("n").alias("n"), F.sum("ndv").alias("ndv"), F.min("low").alias("low"), F.max("high").alias("high"))
 
 
-def _with_compute(f):
-    def run(table: pa.Table) -> pa.Table:
-        import pyarrow.compute  # noqa: F401
-
-        return f(table)
-
-    return run
-
-
 @udtf(returnType="page int, lower int, upper int, special int, pointers int, normal int")
 class PageInspect:
     """Headers of the heap pages in a binary value."""

@@ -15,6 +15,8 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql.datasource import (
     DataSource,
     DataSourceArrowWriter,
@@ -267,7 +269,7 @@ class PagedWriter(DataSourceArrowWriter):
                 continue
             column = batch.column(c.name).cast(pa.binary())
             ids = np.zeros(batch.num_rows, np.int64)
-            sizes = np.array(pa.compute.binary_length(column).fill_null(0))
+            sizes = np.array(pc.binary_length(column).fill_null(0))
             for i in np.flatnonzero(sizes > OVERFLOW_AT):
                 state["values"] += 1
                 ids[i] = state["values"]
@@ -278,9 +280,6 @@ class PagedWriter(DataSourceArrowWriter):
         return out
 
     def write(self, iterator):
-        import pyarrow.compute  # noqa: F401
-        from pyspark import TaskContext
-
         part = TaskContext.get().partitionId()
         name = f"part-{part:05d}-{self.attempt}-{uuid.uuid4().hex[:6]}"
         state = {"values": part * 1_000_000, "chunks": [], "page": self.first_page(), "row": 1 + (part << 32)}
