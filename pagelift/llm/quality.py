@@ -189,7 +189,11 @@ def fit(x: np.ndarray, y: np.ndarray, rounds: int = 250, rate: float = 0.08, bin
 def learn(feats: DataFrame, labels: DataFrame, train, max_rows: int = 20_000) -> AdditiveModel:
     """Fit on at most max_rows labelled rows of those where the Column train holds."""
     marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("y in (0, 1)")
-    rows = feats.where(train).select("doc_id", "x").join(marks, "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_rows).select("x", "y").toPandas()
+    labelled = feats.where(train).select("doc_id", "x").join(marks, "doc_id")
+    n = labelled.count()
+    if n > max_rows:  # a share by hash first, so that tasks send the driver about max_rows rows together
+        labelled = labelled.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < F.lit(int((1 << 30) * 1.1 * max_rows / n)))
+    rows = labelled.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_rows).select("x", "y").toPandas()
     x = np.array(rows["x"].tolist(), float).reshape(len(rows), len(FEATURES))
     return fit(x, rows["y"].to_numpy(float))
 
