@@ -411,6 +411,23 @@ def test_licenses(spark):
     assert got[4].license_dir == "a/b/c" and got[2].license_dir == "a"
 
 
+def test_license_lines_hold_other_words_in_corpora_of_any_size(spark, monkeypatch):
+    lines = ["This file is licensed under the Apache License, Version 2.0", "Copyright 2020 Jane Doe. Released under the MIT License.", " ".join(f"r{i}" for i in range(45)) + " released under the MIT License by " + " ".join(f"v{i}" for i in range(45)), "Released by Qfoo under the MIT License"]
+    want = ["Apache-2.0", "MIT", "MIT", "MIT", "MIT", None]
+    wrapped = "Permission is hereby granted, free of charge, to any\nperson obtaining a copy\nof this software"
+    for fill in (60, 6000):
+        rows = [(i, f"a{i}/x.txt", t) for i, t in enumerate(lines)] + [(4, "b/LICENSE", wrapped), (5, "c/x.txt", "the license of the version is under a tree of words")]
+        rows += [(100 + i, f"d/{i}.txt", f"the word of n{i} and n{i + 1} is by and under a tree") for i in range(fill)]
+        frame = spark.createDataFrame(rows, "doc_id long, path string, text string")
+        got = []
+        for common in (1, licenses.COMMON):  # nearly all frequencies by the join, or few
+            monkeypatch.setattr(licenses, "COMMON", common)
+            got.append({r.doc_id: (r.own, r.score) for r in licenses.detect(spark, frame).collect()})
+        assert [got[0][i][0] for i in range(6)] == want and all(x[0] is None for i, x in got[0].items() if i > 4)
+        assert {i: x[0] for i, x in got[0].items()} == {i: x[0] for i, x in got[1].items()}
+        assert all(got[0][i][1] == pytest.approx(got[1][i][1]) for i in range(5))
+
+
 def test_pipeline(spark, sf_dir):
     import corpus_pipeline
 
