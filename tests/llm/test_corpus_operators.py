@@ -397,6 +397,27 @@ def test_decontamination(spark, docs):
     assert set(got) == {(100, 1), (101, 1), (103, 3)}
 
 
+def test_masks_fit_every_region_that_counts():
+    from itertools import combinations
+
+    sets = [sum(1 << k for k in mask) for mask in decontaminate.MASKS]
+    for n in range(decontaminate.SPAN, 2 * decontaminate.SPAN):
+        for gone in combinations(range(n), n // 5):
+            left = sum(1 << i for i in range(n) if i not in gone)
+            assert any((left >> at) & s == s and at + s.bit_length() <= n for s in sets for at in range(n))
+
+
+def test_decontamination_finds_pieces_and_scattered_changes(spark):
+    item = [f"q{i}" for i in range(59)]
+    other = lambda t, gone: " ".join(f"z{i}" if i in gone else w for i, w in enumerate(t))
+    small = [f"s{i}" for i in range(15)]
+    texts = [(1, "a b " + other(item, range(25, 45))), (2, other(item, range(4, 59, 5))), (3, "a " + other(small, (5, 7, 9)) + " b"), (4, other(item, range(0, 59, 3))), (5, "a " + other([f"t{i}" for i in range(10)], (0, 9)) + " b")]
+    frame = spark.createDataFrame(texts, "doc_id long, text string")
+    bench = spark.createDataFrame([(1, " ".join(item)), (2, " ".join(small)), (3, " ".join(f"t{i}" for i in range(10)))], "item_id long, text string")
+    got = {(r.doc_id, r.item_id): (r.start, r.length, r.matched) for r in decontaminate.overlaps(spark, frame, bench).collect()}
+    assert got == {(1, 1): (2, 25, 25), (2, 1): (0, 59, 48), (3, 2): (1, 15, 12), (5, 3): (1, 10, 8)}
+
+
 def test_decontamination_runs_no_python(spark, docs):
     bench = spark.createDataFrame([(1, "a b c d e f g h i j k l")], "item_id long, text string")
     plan = decontaminate.overlaps(spark, docs, bench)._jdf.queryExecution().toString()
