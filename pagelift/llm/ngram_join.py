@@ -7,12 +7,16 @@ N-grams have one global order: rare ones first (by document frequency), then by
 2. Two sets of the wanted similarity share an n-gram among the first few of both in the global order (its prefix, as long
    as the number of n-grams that may differ, and one).  N-grams of one document only can't be shared, so a text whose
    prefix is all its own has no partner, however many others hold the same passages.
-3. Each document is first compared with one partner, the smallest one that shares a prefix n-gram.
-4. The order is cut into fragments, vertically, across all documents; overlaps are counted fragment by fragment and added
-   up per pair.  Pairs that the sets' parity bitmaps prove too different are not counted.
-5. Prefix n-grams whose documents lie in several components after that are compared in full: pairs in different
-   components that the bitmaps can't tell apart are counted as in 4.  No link can be missed, and no group is expanded
-   into all its pairs.
+3. Pairs of a key of at most HOT documents are listed, each once.  Those that the sets' parity bitmaps don't prove too
+   different are counted: sets are cut by ranges of the hash into fragments, overlaps are counted fragment by fragment and
+   added up per pair.
+4. Documents of more frequent keys form groups, which are compared in blocks, block by block as separate tasks: bitmaps
+   first, then overlaps, as a matrix product where many pairs are left.  A task returns each document's number of links
+   and the links that connect its documents, so a dense group makes no row a pair.  Groups that are only loosely held
+   together are compared key by key.  A pair belongs to step 3 if it shares a key of that step, and to its first common
+   key otherwise, so each is counted once.
+
+So all similar pairs of different sets are counted, and n_links is the true number.
 
 Defined results: texts with fewer words than n are one n-gram, their whole sequence; texts without words have no n-grams
 and link with nothing, each its own component; rows that share an id are one document for links; an empty table gives an
@@ -36,8 +40,10 @@ from pagelift.llm.components import components
 from pagelift.llm.idfilter import IdFilter
 
 PARTS = 4  # fragments for counting
-FEW = 16  # pairs for two components that are tried first
-BLOCK = 1024  # documents of one key that are compared with as many others at once
+HOT = 32  # documents of a key whose pairs are listed
+BLOCK = 512  # documents that are compared with as many others at once
+FEW = 20_000  # pairs of two blocks that are counted one by one
+WIDE = 4096  # n-grams of a matrix product
 
 
 class Rule:
@@ -201,84 +207,118 @@ def verified(spark: SparkSession, pairs: DataFrame, members: DataFrame, rule: Ru
     return counted.where(100 * F.col("both") >= rule.percent * (F.col("one") + F.col("two") - F.col("both"))).select("a", "b").distinct()
 
 
-def _compare(rule: Rule, few: int | None):
-    """Pairs in different components that the bitmaps can't tell apart, over all keys of a bin; with few, only so many of
-    the closest for each two components, and a mark where there are more."""
+def _whole(rule: Rule, active):
+    """Sets of the documents that may be active."""
+
+    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in thrifty(batches):
+            batch = _picked(batch, active.value)
+            sets = hash_sets(raw(batch.column("text")), rule.n)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["doc_id", "data"])
+
+    return stream
+
+
+def similar(left: list[np.ndarray], right: list[np.ndarray], open_: np.ndarray, rule: Rule) -> np.ndarray:
+    """Which of the open pairs of two lists of sets are similar."""
+    one, two = (np.array([len(s) for s in x], np.int64) for x in (left, right))
+    open_ = open_ & (one[:, None] > 0) & (two[None, :] > 0)
+    maps = [np.frombuffer(parity(s), np.uint8) for s in (*left, *right)]
+    bits = np.vstack([folded(m, min(map(len, maps))) for m in maps])
+    for i in range(len(left)):
+        open_[i] &= np.bitwise_count(bits[len(left) :] ^ bits[i]).sum(axis=1) <= rule.most_apart(one[i], two)
+    both = np.zeros(open_.shape, np.int64)
+    if open_.sum() <= FEW:
+        for i, j in zip(*np.nonzero(open_)):
+            both[i, j] = len(np.intersect1d(left[i], right[j], assume_unique=True))
+    else:
+        common = np.intersect1d(np.concatenate(left), np.concatenate(right))
+
+        def places(sets):
+            at = [np.searchsorted(common, s) for s in sets]
+            return [x[common[np.minimum(x, len(common) - 1)] == s] for x, s in zip(at, sets)] if len(common) else []
+
+        x, y = places(left), places(right)
+        for low in range(0, len(common), WIDE):
+            u, v = (np.zeros((len(rows), WIDE), np.float32) for rows in (x, y))
+            for m, rows in ((u, x), (v, y)):
+                for i, at in enumerate(rows):
+                    m[i, at[np.searchsorted(at, low) : np.searchsorted(at, low + WIDE)] - low] = 1
+            both += np.rint(u @ v.T).astype(np.int64)
+    return open_ & (100 * both >= rule.percent * (one[:, None] + two[None, :] - both))
+
+
+def _blocks(rule: Rule):
+    """Links of two blocks: (a, null, n) for a document's number, (a, b, 0) for those that connect the blocks' documents."""
 
     def make(table: pa.Table) -> pa.Table:
-        table = table.sort_by([("key", "ascending"), ("low", "ascending"), ("high", "ascending")])
-        c = {n: np.asarray(table.column(n)) for n in ("key", "low", "high", "block", "doc_id", "size", "component")}
-        maps = [np.frombuffer(x, np.uint8) for x in table.column("data").to_pylist()]
-        new = np.r_[True, (c["key"][1:] != c["key"][:-1]) | (c["low"][1:] != c["low"][:-1]) | (c["high"][1:] != c["high"][:-1])]
-        starts, found = np.flatnonzero(new), [np.zeros((0, 5), np.int64)]
-        for a, b in zip(starts, [*starts[1:], len(new)]):
-            short = min(len(m) for m in maps[a:b])
-            bits = np.vstack([folded(m, short) for m in maps[a:b]])
-            size, comp, ids, block = (c[n][a:b] for n in ("size", "component", "doc_id", "block"))
-            low, high = c["low"][a], c["high"][a]
-            left = np.flatnonzero(block == low)
-            right = left if low == high else np.flatnonzero(block == high)
-            for i in left:
-                far = np.bitwise_count(bits[right] ^ bits[i]).sum(axis=1).astype(np.int64)
-                near = (far <= rule.most_apart(size[right], size[i])) & (comp[right] != comp[i]) & (ids[right] != ids[i])
-                near &= (ids[right] < ids[i]) if low == high else True
-                if near.any():
-                    x, y = ids[right[near]], comp[right[near]]
-                    found.append(np.column_stack([np.minimum(y, comp[i]), np.maximum(y, comp[i]), far[near], np.maximum(x, ids[i]), np.minimum(x, ids[i])]))
-        pairs = np.unique(np.concatenate(found), axis=0)  # by components, then distance
-        more = np.zeros(len(pairs), bool)
-        if few is not None and len(pairs):
-            first = np.r_[True, (pairs[1:, :2] != pairs[:-1, :2]).any(axis=1)]
-            at = np.flatnonzero(first)
-            size = np.diff(np.r_[at, len(pairs)])
-            kept = np.arange(len(pairs)) - np.repeat(at, size) < few
-            more, pairs = np.repeat(size > few, size)[kept], pairs[kept]
-        return pa.table({"a": pairs[:, 3], "b": pairs[:, 4], "more": pa.array(more)})
+        table = table.sort_by("doc_id")
+        ids, block = np.asarray(table.column("doc_id")), np.asarray(table.column("block"))
+        low, high, key = (table.column(c)[0].as_py() for c in ("low", "high", "key"))
+        sets = [np.frombuffer(x, np.uint64) for x in table.column("data").to_pylist()]
+        cold, hot = ([frozenset(x or ()) for x in table.column(c).to_pylist()] for c in ("cold", "hot"))
+        left = np.flatnonzero(block == low)
+        right = left if low == high else np.flatnonzero(block == high)
+        if not len(left) or not len(right):
+            return pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64()), "n": pa.array([], pa.int64())})
+        open_ = ids[left][:, None] != ids[right][None, :]
+        by_cold: dict[int, list[int]] = {}
+        for j, k in enumerate(right):
+            for c in cold[k]:
+                by_cold.setdefault(c, []).append(j)
+        for i, k in enumerate(left):
+            for c in cold[k]:
+                open_[i, by_cold.get(c, [])] = False
+        if key is not None:
+            for i, j in zip(*np.nonzero(open_)):
+                open_[i, j] = min(hot[left[i]] & hot[right[j]], default=None) == key
+        found = similar([sets[k] for k in left], [sets[k] for k in right], open_, rule)
+        # several texts of an id are one document
+        names, at = np.unique(ids, return_inverse=True)
+        linked = np.zeros((len(names), len(names)), bool)
+        i, j = np.nonzero(found)
+        linked[at[left[i]], at[right[j]]] = linked[at[right[j]], at[left[i]]] = True
+        degree, group, links = linked.sum(axis=1), np.arange(len(names)), []
+        for i in range(len(names)):
+            near = np.flatnonzero(linked[i])
+            other, first = np.unique(group[near], return_index=True)
+            for g, j in zip(other, near[first]):
+                if g != group[i]:
+                    links.append((int(names[i]), int(names[j])))
+            group[np.isin(group, other)] = group[i]
+        some = np.flatnonzero(degree)
+        a = [*names[some].tolist(), *(x[0] for x in links)]
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array([None] * len(some) + [x[1] for x in links], pa.int64()), "n": pa.array([*degree[some].tolist(), *[0] * len(links)], pa.int64())})
 
     return make
 
 
-def crossing(keyed: DataFrame, members: DataFrame, parts: DataFrame, rule: Rule, few: int | None) -> DataFrame:
-    """Pairs left to count: a common key, different components, and no proof of difference."""
-    owned = keyed.join(parts.withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-    open_keys = owned.groupBy("key").agg(F.count(F.lit(1)).alias("docs"), F.min("component").alias("x"), F.max("component").alias("y")).where("docs > 1 AND x < y").select("key", "docs")
-    rows = owned.join(open_keys, "key")
-    blocks = F.ceil(F.col("docs") / BLOCK).cast("int")
-    rows = rows.withColumn("block", F.pmod(F.xxhash64("doc_id"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+def hot_links(spark: SparkSession, docs: DataFrame, keyed: DataFrame, rule: Rule) -> DataFrame:
+    """a, b, n as of _blocks, over the pairs of frequent keys; keyed has doc_id, key, b (the key's smallest id) and docs."""
+    frequent = keyed.where(F.col("docs") > HOT)
+    parts = components(spark, frequent.selectExpr("doc_id AS a", "b").where("a <> b"), "groups").withColumnRenamed("id", "doc_id").withColumnRenamed("component", "unit")
+    blocks = lambda n: F.ceil(F.col(n) / BLOCK)
+    # a group's documents travel once for each block of the group, or once for each key and block of the key
+    members = parts.groupBy("unit").agg(F.count(F.lit(1)).alias("size"))
+    by_key = frequent.join(parts, "doc_id").groupBy("unit").agg(F.sum(blocks("docs")).alias("cost"))
+    groups = cut(spark, members.join(by_key, "unit").select("unit", "size", (F.col("size") * blocks("size") <= F.col("cost")).alias("together")), "groups")
+    owned = parts.join(groups, "unit")
+    rows = owned.where("together").selectExpr("doc_id", "unit", "CAST(NULL AS long) AS key", "size AS docs")
+    loose = owned.where("NOT together").select("doc_id", "unit")
+    rows = rows.unionByName(frequent.join(loose, "doc_id").select("doc_id", "unit", "key", "docs"))
+    n = blocks("docs").cast("int")
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("doc_id"), n).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), n - 1)))
     rows = rows.withColumn("low", F.least("block", "other")).withColumn("high", F.greatest("block", "other"))
-    maps = members.where("part = -1").select("doc_id", "size", "data")
-    bins = max(1, rows.count() // 20_000)
-    # a key's block pair is one unit of work; small keys share a bin
-    packed = rows.withColumn("bin", F.pmod(F.xxhash64("key", "low", "high"), F.lit(bins))).join(maps, "doc_id")
-    pairs = packed.groupBy("bin").applyInArrow(_compare(rule, few), "a long, b long, more boolean")
-    return pairs.groupBy("a", "b").agg(F.bool_or("more").alias("more"))
-
-
-def more_links(spark: SparkSession, keyed: DataFrame, members: DataFrame, links: DataFrame, tested: DataFrame, rule: Rule) -> DataFrame:
-    """links, and what else it takes to connect all that is similar.
-
-    The first pass lists a few of the closest untested pairs for any two components that share keys; components that they
-    connect need no more.  Those that a longer list might still connect get all their pairs in the second pass.
-    """
-    for few in (FEW, None):
-        parts = components(spark, links)
-        found = cut(spark, crossing(keyed, members, parts, rule, few).join(tested, ["a", "b"], "left_anti"), "candidates")
-        if found.isEmpty():
-            break
-        new = cut(spark, verified(spark, found.select("a", "b").distinct(), members, rule), "links")
-        tested = tested.unionByName(found.select("a", "b")).distinct()
-        links = links.unionByName(new)
-        release(spark)
-        if few is None or found.where("more").isEmpty():
-            break
-    return links
+    some = cut(spark, keyed.join(parts.select("doc_id"), "doc_id", "left_semi").groupBy("doc_id").agg(F.collect_set(F.when(F.col("docs") <= HOT, F.col("key"))).alias("cold"), F.collect_set(F.when(F.col("docs") > HOT, F.col("key"))).alias("hot")), "frequent")
+    active = idfilter.build(spark, some.select("doc_id"), "doc_id")
+    sets = docs.mapInArrow(_whole(rule, active), "doc_id long, data binary")
+    packed = rows.join(sets.join(some, "doc_id"), "doc_id")
+    return cut(spark, packed.groupBy("unit", "key", "low", "high").applyInArrow(_blocks(rule), "a long, b long, n long"), "hot")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: int = 90) -> DataFrame:
-    """One row a document: doc_id, n_shingles, class_id (equal sets), n_links, component_id.
-
-    n_links counts the links of its class that were verified, which are those it takes to connect a component and not all
-    of a dense one's."""
+    """One row a document: doc_id, n_shingles, class_id (equal sets), n_links, component_id; n_links counts the classes that
+    the document's class is similar to."""
     rule = Rule(n, percent)
     docs = documents(docs)
     batches = ex.batch_count(docs)
@@ -290,17 +330,22 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     classes = cut(spark, filled.groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id")), "classes")
     heads = filled.where(F.size("prefix") > 0).join(classes, ["hi", "lo"]).where("doc_id = class_id").select("doc_id", F.explode("prefix").alias("key")).distinct()
     heads = cut(spark, heads, "prefixes")
-    first = heads.groupBy("key").agg(F.min("doc_id").alias("b"), F.count(F.lit(1)).alias("docs")).where("docs > 1").select("key", "b")
+    first = heads.groupBy("key").agg(F.min("doc_id").alias("b"), F.count(F.lit(1)).alias("docs")).where("docs > 1")
     near = cut(spark, heads.join(first, "key"), "keys")  # the keys of several documents
-    pairs = cut(spark, near.groupBy("doc_id").agg(F.min("b").alias("b")).where("doc_id > b").select(F.col("doc_id").alias("a"), "b"), "pairs")
-    active = idfilter.build(spark, near.select("doc_id").distinct(), "doc_id")
+    listed = near.where(F.col("docs") <= HOT).select("key", "doc_id")
+    pairs = listed.selectExpr("key", "doc_id AS a").join(listed.selectExpr("key", "doc_id AS b"), "key").where("a > b").select("a", "b").distinct()
+    pairs = cut(spark, pairs, "pairs")
+    active = idfilter.build(spark, listed.select("doc_id").distinct(), "doc_id")
     members = cut(spark, docs.mapInArrow(_members(rule, active), "doc_id long, part int, size long, data binary"), "members")
     links = cut(spark, verified(spark, pairs, members, rule), "links")
-    every = more_links(spark, near.select("doc_id", "key"), members, links, pairs, rule)
-    final = components(spark, every)
     drop(spark, members)
+    drop(spark, pairs)
+    release(spark)
+    hot = hot_links(spark, docs, near, rule)
+    final = components(spark, links.unionByName(hot.where("b IS NOT NULL").select("a", "b")))
     release(spark)
-    degree = every.selectExpr("a AS class_id").unionByName(every.selectExpr("b AS class_id")).groupBy("class_id").agg(F.count(F.lit(1)).alias("n_links"))
+    ends = links.selectExpr("a AS class_id", "1L AS n").unionByName(links.selectExpr("b AS class_id", "1L AS n")).unionByName(hot.where("b IS NULL").selectExpr("a AS class_id", "n"))
+    degree = ends.groupBy("class_id").agg(F.sum("n").alias("n_links"))
     out = sets.select("doc_id", "n_shingles", "hi", "lo").join(classes, ["hi", "lo"], "left")
     out = out.withColumn("class_id", F.when(F.col("n_shingles") > 0, F.col("class_id")).otherwise(F.col("doc_id")))
     out = out.join(degree, "class_id", "left").join(final.withColumnRenamed("id", "class_id").withColumnRenamed("component", "component_id"), "class_id", "left")

@@ -223,6 +223,35 @@ def test_many_near_copies_below_the_threshold_are_told_apart(spark):
     assert {r.doc_id: r.component_id for r in ngram_join.near_duplicates(spark, frame, 3, 80).collect()} == want
 
 
+@pytest.mark.parametrize("bounds", [{}, {"HOT": 3, "BLOCK": 7}])
+def test_every_link_counts(spark, monkeypatch, bounds):
+    for name, value in bounds.items():
+        monkeypatch.setattr(ngram_join, name, value)
+    rows = []
+    for k in range(50):  # all similar to each other and all different, and a loose group of five
+        t = [f"t{i}" for i in range(200)]
+        t[4 * k % 200] = f"u{k}"
+        rows.append((k, " ".join(t)))
+    rows += [(100 + k, " ".join([*(f"s{i}" for i in range(6 * k, 150 + 6 * k))])) for k in range(5)]
+    rows += [(200, rows[0][1])]  # an exact copy
+    sets = {i: {tuple(t.split()[k : k + 3]) for k in range(len(t.split()) - 2)} for i, t in rows[:-1]}
+    want = {i: sum(i != j and 100 * len(x & y) >= 90 * len(x | y) for j, y in sets.items()) for i, x in sets.items()}
+    want[200] = want[0]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    got = ngram_join.near_duplicates(spark, frame, 3, 90).collect()
+    assert {r.doc_id: r.n_links for r in got} == want and want[0] == 49 and want[101] == 2
+
+
+def test_matrix_counts_what_sets_count(monkeypatch):
+    rng = np.random.default_rng(10)
+    sets = [np.unique(rng.choice(100, 95)).astype(np.uint64) for _ in range(20)]
+    rule, open_ = ngram_join.Rule(3, 60), np.ones((20, 20), bool)
+    one = ngram_join.similar(sets, sets, open_, rule)
+    monkeypatch.setattr(ngram_join, "FEW", 0)
+    monkeypatch.setattr(ngram_join, "WIDE", 16)
+    assert (one == ngram_join.similar(sets, sets, open_, rule)).all() and one.any() and not one.all()
+
+
 def test_components(spark):
     links = [(i, i + 1) for i in range(40, 60)] + [(1, 2), (2, 1), (5, 5), (9, 7), (9, 8)]
     got = {r.id: r.component for r in components(spark, spark.createDataFrame(links, "a long, b long")).collect()}
