@@ -198,97 +198,6 @@ def learn(feats: DataFrame, labels: DataFrame, train, max_rows: int = 20_000) ->
     return fit(x, rows["y"].to_numpy(float))
 
 
-def score(self, x: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.margin(x), -30, 30)))
-
-
-def _edges(v: np.ndarray, bins: int) -> np.ndarray:
-    return np.unique(np.quantile(v, np.linspace(0, 1, bins + 1)[1:-1])) if len(v) else np.array([])
-
-
-def _leaf(g, h, reg):
-    return -g / (h + reg)
-
-
-def shallow_tree(g: np.ndarray, h: np.ndarray, depth: int, reg: float, least: float) -> np.ndarray:
-    """Values of the bins under a tree of the given depth that is fitted to summed gradients."""
-    out = np.full(len(g), _leaf(g.sum(), h.sum(), reg))
-    if depth and len(g) > 1:
-        gl, hl = np.cumsum(g)[:-1], np.cumsum(h)[:-1]
-        gr, hr = g.sum() - gl, h.sum() - hl
-        gain = np.where((hl >= least) & (hr >= least), gl**2 / (hl + reg) + gr**2 / (hr + reg), -1)
-        k = int(gain.argmax())
-        if gain[k] > g.sum() ** 2 / (h.sum() + reg) + 1e-9:
-            out[: k + 1] = shallow_tree(g[: k + 1], h[: k + 1], depth - 1, reg, least)
-            out[k + 1 :] = shallow_tree(g[k + 1 :], h[k + 1 :], depth - 1, reg, least)
-    return out
-
-
-def pair_tree(g: np.ndarray, h: np.ndarray, reg: float, least: float) -> tuple[np.ndarray, float]:
-    """Best cut along one axis, then along the other on each side; with the gain."""
-    best, gain = np.zeros_like(g), 0.0
-    for turned in (False, True):
-        gg, hh = (g.T, h.T) if turned else (g, h)
-        for k in range(1, gg.shape[0]):
-            out = np.empty_like(gg)
-            for side in (slice(0, k), slice(k, None)):
-                out[side] = shallow_tree(gg[side].sum(axis=0), hh[side].sum(axis=0), 1, reg, least)
-            now = -float((gg * out + hh * out**2 / 2).sum())
-            if now > gain:
-                best, gain = (out.T if turned else out).copy(), now
-    return best, gain
-
-
-def fit(x: np.ndarray, y: np.ndarray, rounds: int = 250, rate: float = 0.08, bins: int = 64, coarse: int = 6, n_pairs: int = 6, pair_rounds: int = 40, reg: float = 2.0, least: float = 1.5) -> AdditiveModel:
-    mean = (y.sum() + 0.5) / (len(y) + 1)
-    model = AdditiveModel(base=math.log(mean / (1 - mean)))
-    if len(y) == 0 or y.min() == y.max():
-        return model
-    d = x.shape[1]
-    model.edges, model.coarse = [_edges(x[:, j], bins) for j in range(d)], [_edges(x[:, j], coarse) for j in range(d)]
-    at = [np.searchsorted(e, x[:, j], side="right") for j, e in enumerate(model.edges)]
-    model.tables = [np.zeros(len(e) + 1) for e in model.edges]
-    margin = np.full(len(y), model.base)
-
-    def slope():
-        p = 1 / (1 + np.exp(-margin))
-        return p - y, np.maximum(p * (1 - p), 1e-6)
-
-    for _ in range(rounds):
-        for j in range(d):
-            if not len(model.edges[j]):
-                continue
-            g, h = slope()
-            n = len(model.tables[j])
-            step = rate * shallow_tree(np.bincount(at[j], g, n), np.bincount(at[j], h, n), 2, reg, least)
-            model.tables[j] += step
-            margin += step[at[j]]
-    low = [np.searchsorted(e, x[:, j], side="right") for j, e in enumerate(model.coarse)]
-    size = [len(e) + 1 for e in model.coarse]
-
-    def cells(a, b, v):
-        return np.bincount(low[a] * size[b] + low[b], v, size[a] * size[b]).reshape(size[a], size[b])
-
-    g, h = slope()
-    ranked = sorted(((pair_tree(cells(a, b, g), cells(a, b, h), reg, least)[1], a, b) for a, b in combinations(range(d), 2)), reverse=True)
-    model.pairs = [(a, b, np.zeros((size[a], size[b]))) for gain, a, b in ranked[:n_pairs] if gain > 0]
-    for _ in range(pair_rounds):
-        for a, b, table in model.pairs:
-            g, h = slope()
-            step = rate * pair_tree(cells(a, b, g), cells(a, b, h), reg, least)[0]
-            table += step
-            margin += step[low[a], low[b]]
-    return model
-
-
-def learn(feats: DataFrame, labels: DataFrame, train, max_rows: int = 20_000) -> AdditiveModel:
-    """Fit on at most max_rows labelled rows of those where the Column train holds."""
-    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("y in (0, 1)")
-    rows = feats.where(train).select("doc_id", "x").join(marks, "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_rows).select("x", "y").toPandas()
-    x = np.array(rows["x"].tolist(), float).reshape(len(rows), len(FEATURES))
-    return fit(x, rows["y"].to_numpy(float))
-
-
 def apply(model: AdditiveModel, feats: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """feats without x, with score and predicted."""
     keep = [c for c in feats.columns if c != "x"]
