@@ -5,13 +5,13 @@ cycle: each step fits a shallow tree to the gradient on one feature's bins and a
 Then the pairs with the largest gain on what is left get two-way tables, boosted in a cycle as well.  A score is the
 logistic of a sum of table entries, so scoring is a bin search and an addition a feature, over whole vectors.
 
-One pass over the texts makes the features, which are a few numbers a document; labels are joined to those, not to
-texts.  The model is fitted on the driver on at most `max_rows` labelled rows, chosen by hash of the id: this bound is a
-parameter and the only sample.  All documents are scored.
+The model is fitted on the driver on at most `max_rows` labels, chosen by hash of the id before any text is read: this
+bound is a parameter and the only sample.  The chosen documents' features make the model; then one pass over all texts
+computes features and scores together, so no text is shuffled and no feature table is written.
 
-Defined results: a null text is an empty one and is scored; rows that share an id are scored each; a document with
-several labels counts once a label; with no label, or labels of one kind, the score is the labels' smoothed mean
-(0.5 without labels).
+Defined results: a null text is an empty one and is scored; rows that share an id are scored each, and the smallest of
+their texts is learned from; a document with several labels counts once a label; labels of no document count nothing;
+with no label, or labels of one kind, the score is the labels' smoothed mean (0.5 without labels).
 """
 
 from __future__ import annotations
@@ -69,19 +69,16 @@ def features(text: bytes | None) -> list[float]:
     ]
 
 
-def feature_table(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, the carried columns, and x: the features."""
+def feature_table(docs: DataFrame) -> DataFrame:
+    """doc_id and x: the features."""
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in thrifty(batches):
             flat = np.array([features(t) for t in raw(batch.column("text"))], np.float64).ravel()
             x = pa.FixedSizeListArray.from_arrays(pa.array(flat), len(FEATURES)).cast(pa.list_(pa.float64()))
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), x], names=[*keep, "x"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), x], names=["doc_id", "x"])
 
-    keep = ["doc_id", *carry]
-    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *carry, F.col("text").cast("string").alias("text"))
-    kinds = ", ".join(f"`{c}` {base.schema[c].dataType.simpleString()}" for c in keep)
-    return base.mapInArrow(stream, f"{kinds}, x array<double>")
+    return documents(docs).mapInArrow(stream, "doc_id long, x array<double>")
 
 
 @dataclass
@@ -186,50 +183,59 @@ def fit(x: np.ndarray, y: np.ndarray, rounds: int = 250, rate: float = 0.08, bin
     return model
 
 
-def learn(feats: DataFrame, labels: DataFrame, train, max_rows: int = 20_000) -> AdditiveModel:
-    """Fit on at most max_rows labelled rows of those where the Column train holds."""
-    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("y in (0, 1)")
-    labelled = feats.where(train).select("doc_id", "x").join(marks, "doc_id")
-    n = labelled.count()
-    if n > max_rows:  # a share by hash first, so that tasks send the driver about max_rows rows together
-        labelled = labelled.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < F.lit(int((1 << 30) * 1.1 * max_rows / n)))
-    rows = labelled.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_rows).select("x", "y").toPandas()
+def sampled(docs: DataFrame, labels: DataFrame, train, max_rows: int) -> DataFrame:
+    """doc_id, y: at most max_rows labels, by hash of the id, of documents where the Column train holds.  Ids only, no texts."""
+    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("y in (0, 1)").where(train)
+    marks = marks.join(docs.select("doc_id"), "doc_id", "left_semi")
+    n = marks.count()
+    if n > max_rows:  # a share by hash first, so that tasks hand on about max_rows rows together
+        marks = marks.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < F.lit(int((1 << 30) * 1.1 * max_rows / n)))
+    return marks.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_rows)
+
+
+def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, train, max_rows: int = 20_000) -> AdditiveModel:
+    """Fit on at most max_rows labels of documents where the Column train holds; only their texts get features here."""
+    docs = documents(docs)
+    chosen = cut(spark, sampled(docs, labels, train, max_rows), "labelled")
+    texts = docs.join(F.broadcast(chosen.select("doc_id").distinct()), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"))
+    rows = feature_table(texts).join(F.broadcast(chosen), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", "y").select("x", "y").toPandas()
     x = np.array(rows["x"].tolist(), float).reshape(len(rows), len(FEATURES))
     return fit(x, rows["y"].to_numpy(float))
 
 
-def apply(model: AdditiveModel, feats: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """feats without x, with score and predicted."""
-    keep = [c for c in feats.columns if c != "x"]
+def scores_of(model: AdditiveModel, batch: pa.RecordBatch) -> np.ndarray:
+    """The scores of a batch's texts."""
+    x = np.array([features(t) for t in raw(batch.column("text"))], float).reshape(batch.num_rows, len(FEATURES))
+    return model.score(x)
 
-    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in thrifty(batches):
-            x = np.asarray(batch.column("x").flatten()).reshape(batch.num_rows, len(FEATURES))
-            s = model.score(x)
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(s), pa.array((s >= threshold).astype(np.int32))], names=[*keep, "score", "predicted"])
 
-    kinds = ", ".join(f"`{c}` {feats.schema[c].dataType.simpleString()}" for c in keep)
-    return feats.mapInArrow(stream, f"{kinds}, score double, predicted int")
+def trained_on(doc_id: str = "doc_id"):
+    """Ids that may be learned from: crc32 of the id mod 5 is not 0."""
+    return ~F.coalesce(crc_mod(doc_id, 5) == 0, F.lit(False))
 
 
-def score(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_rows: int = 20_000) -> DataFrame:
+def score(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_rows: int = 20_000, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, held_out, score, predicted; rows whose crc32(doc_id) mod 5 is 0 are held out."""
-    feats = cut(spark, feature_table(documents(docs)), "features").withColumn("held_out", F.coalesce(crc_mod("doc_id", 5) == 0, F.lit(False)))
-    model = learn(feats, labels, ~F.col("held_out"), max_rows)
-    return apply(model, feats).select("doc_id", "held_out", "score", "predicted")
+    docs = documents(docs)
+    model = learn(spark, docs, labels, trained_on(), max_rows)
+
+    def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in thrifty(batches):
+            s = scores_of(model, batch)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(s), pa.array((s >= threshold).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
+
+    return docs.select("doc_id", (~trained_on()).alias("held_out"), "text").mapInArrow(stream, "doc_id long, held_out boolean, score double, predicted int")
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_rows: int = 20_000, threshold: float = THRESHOLD) -> DataFrame:
     """The rows of docs, all columns, that the classifier doesn't reject; fitted on the labelled rows that aren't held out.
 
-    Texts are scored where they are read, so none is shuffled.
+    Texts are scored where they are read, so none is shuffled and each has its features computed once.
     """
-    feats = cut(spark, feature_table(documents(docs)), "features")
-    model = learn(feats, labels, ~F.coalesce(crc_mod("doc_id", 5) == 0, F.lit(False)), max_rows)
+    model = learn(spark, docs, labels, trained_on(), max_rows)
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in thrifty(batches):
-            x = np.array([features(t) for t in raw(batch.column("text"))], float).reshape(batch.num_rows, len(FEATURES))
-            yield batch.filter(pa.array(model.score(x) >= threshold))
+            yield batch.filter(pa.array(scores_of(model, batch) >= threshold))
 
     return docs.mapInArrow(stream, docs.schema)
