@@ -6,7 +6,10 @@ batches sent and answers each batch with one number an item, in the order of the
 batch then reads its documents again and finds the answer to each of its occurrences by position.
 
 * an item that occurs millions of times reaches its shard once a batch, so no shard has a hot key;
-* batches and shards are sized from the measured text, so no task grows with the corpus;
+* there are as many shards as batches, both sized from the measured text, so no task grows with the corpus: a shard takes
+  in about what one batch holds, whatever their number;
+* a batch sends a row to those shards only that it has items for, so there are never more rows than items, and what is
+  sent stays in proportion to the corpus even where rows get as small as one item;
 * answers carry no hashes, and documents cross the network as compressed text, never as item rows.
 """
 
@@ -17,14 +20,12 @@ import math
 import numpy as np
 import pandas as pd
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
-from pagelift.llm.common import BATCH_BYTES, text_bytes
+from pagelift.llm.common import BATCH_BYTES, cut, drop, text_bytes
 
-#: Shards of the hash space: a power of two, so that a shard is a run of a sorted hash vector.
-MAX_SHARDS = 1 << 17
 #: Most text in a batch; a worker needs some twenty times this.
 MOST_BYTES = 64 << 20
 
@@ -39,28 +40,45 @@ def batch_count(docs: DataFrame, target: int | None = None, multiple: int = 1) -
 
 
 def shard_bits(batches: int) -> int:
-    """As many shards as batches: each then takes in about what one batch holds."""
-    return min(int(math.log2(MAX_SHARDS)), max(0, math.ceil(math.log2(max(1, batches)))))
+    """Shards are a power of two, so that each is a run of a sorted hash vector: as many as batches, or up to twice."""
+    return max(0, math.ceil(math.log2(max(1, batches))))
 
 
 def hashed_batches(docs: DataFrame, batches: int) -> DataFrame:
-    return docs.withColumn("batch", F.pmod(F.xxhash64("doc_id"), F.lit(batches)).cast("int"))
-
-
-def ordered_batches(docs: DataFrame, batches: int) -> tuple[DataFrame, int]:
-    """Batches that are runs of doc_id: a smaller batch number holds smaller ids.  Null ids go to batch 0."""
-    if batches > 1:
-        cuts = docs.approxQuantile("doc_id", [i / batches for i in range(1, batches)], 0.1 / batches)
-        bounds = np.unique(np.array(cuts, dtype=np.int64))
-    else:
-        bounds = np.array([], dtype=np.int64)
+    """By id and text, so that rows without id, or of one id, spread too."""
+    return docs.withColumn("batch", F.pmod(F.xxhash64("doc_id", "text"), F.lit(batches)).cast("int"))
+
+
+#: Ids whose running sum of bytes one task makes.
+RANGE_IDS = 1_000_000
+
+
+def ordered_batches(spark: SparkSession, docs: DataFrame, batches: int) -> tuple[DataFrame, int]:
+    """Batches that are runs of doc_id with about equal text bytes: a smaller batch number holds smaller ids.  Null ids go
+    to batch 0; rows of one id stay together.
+
+    The running sum of bytes over all ids, in order, is made range by range; from it come the batches' first ids, 8 bytes
+    for the 6 to 64 MB of text of a batch.
+    """
+    if batches == 1:
+        return docs.withColumn("batch", F.lit(0)), 1
+    sizes = docs.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 1).alias("size"))
+    sizes = cut(spark, sizes, "sizes")
+    n, total = (int(x or 0) for x in sizes.agg(F.count(F.lit(1)), F.sum("size")).first())
+    ranged = cut(spark, sizes.repartitionByRange(max(1, math.ceil(n / RANGE_IDS)), "doc_id").withColumn("part", F.spark_partition_id()), "ranges")
+    drop(spark, sizes)
+    parts = ranged.groupBy("part").agg(F.sum("size").alias("bytes"))
+    before = parts.select("part", (F.sum("bytes").over(Window.orderBy("part")) - F.col("bytes")).alias("before"))  # a row for RANGE_IDS ids
+    within = F.sum("size").over(Window.partitionBy("part").orderBy("doc_id")) - F.col("size")
+    placed = ranged.withColumn("within", within).join(F.broadcast(before), "part").select("doc_id", F.floor((F.col("before") + F.col("within")) / max(1, math.ceil(total / batches))).alias("batch"))
+    firsts = placed.groupBy("batch").agg(F.min("doc_id").alias("first")).orderBy("batch").toArrow()
+    bounds = firsts.column("first").to_numpy()[1:]
 
     @pandas_udf("int")
     def batch_of(ids: pd.Series) -> pd.Series:
-        at = np.searchsorted(bounds, ids.fillna(np.iinfo(np.int64).min).to_numpy(dtype=np.int64), side="right")
-        return pd.Series(at.astype(np.int32))
+        return pd.Series(np.searchsorted(bounds, ids.to_numpy(), side="right").astype(np.int32))
 
-    return docs.withColumn("batch", batch_of("doc_id")), len(bounds) + 1
+    return docs.withColumn("batch", batch_of(F.coalesce("doc_id", F.lit(np.iinfo(np.int64).min)))), len(bounds) + 1
 
 
 def pack_sorted(values: np.ndarray) -> bytes:

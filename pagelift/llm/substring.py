@@ -127,7 +127,8 @@ def kept_digests(docs: pa.Table, texts: list, bounds: np.ndarray, keep: np.ndarr
 
 def remove_repeats(docs: DataFrame, window: int = 20, digest: bool = False) -> DataFrame:
     """One row a document: its words, how many went, and what is left (its text, or with digest its SHA-256)."""
-    docs, batches = ex.ordered_batches(documents(docs), ex.batch_count(documents(docs)))
+    docs = documents(docs)
+    docs, batches = ex.ordered_batches(docs.sparkSession, docs, ex.batch_count(docs))
     bits = ex.shard_bits(batches)
     asked = docs.groupBy("batch").applyInArrow(ask(window, bits), "batch int, shard int, keys binary")
     told = asked.groupBy("shard").applyInArrow(earlier, "batch int, shard int, seen binary, n long")
