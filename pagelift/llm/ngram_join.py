@@ -3,13 +3,14 @@
 N-grams have one global order: rare ones first (by document frequency), then by hash.
 
 1. Every text becomes its set of n-gram hashes; document frequencies come back through the batch-to-shard exchange.
-   Equal sets form a class; only its smallest document goes on.
+   Equal sets form a class; only its smallest document goes on.  The global order of all shared n-grams is cut into
+   fragments of about equal weight, at pivots (frequency, hash) that follow from a histogram of the frequencies; each set
+   is cut at the pivots.
 2. Two sets of the wanted similarity share an n-gram among the first few of both in the global order (its prefix, as long
    as the number of n-grams that may differ, and one).  N-grams of one document only can't be shared, so a text whose
    prefix is all its own has no partner, however many others hold the same passages.
 3. Pairs of a key of at most HOT documents are listed, each once.  Those that the sets' parity bitmaps don't prove too
-   different are counted: sets are cut by ranges of the hash into fragments, overlaps are counted fragment by fragment and
-   added up per pair.
+   different are counted: every fragment counts the pair's overlap in it by itself, and the counts are added up per pair.
 4. Documents of more frequent keys form groups, which are compared in blocks, block by block as separate tasks: bitmaps
    first, then overlaps, as a matrix product where many pairs are left.  A task returns each document's number of links
    and the links that connect its documents, so a dense group makes no row a pair.  Groups that are only loosely held
@@ -35,11 +36,11 @@ from pyspark.sql import functions as F
 
 from pagelift.llm import exchange as ex
 from pagelift.llm import idfilter
-from pagelift.llm.common import WordIds, cut, documents, drop, mix, pair_hash, raw, release, thrifty
+from pagelift.llm.common import WordIds, cut, documents, drop, mix, names_of, pair_hash, raw, release, thrifty
 from pagelift.llm.components import components
 from pagelift.llm.idfilter import IdFilter
 
-PARTS = 4  # fragments for counting
+PARTS = 4  # fragments of the global order
 HOT = 32  # documents of a key whose pairs are listed
 BLOCK = 512  # documents that are compared with as many others at once
 FEW = 20_000  # pairs of two blocks that are counted one by one
@@ -117,36 +118,77 @@ def _ask(rule: Rule, bits: int):
     return make
 
 
+def cell_of(df: np.ndarray) -> np.ndarray:
+    """Cells of a histogram of frequencies: one a frequency up to 256, then sixteen for each doubling."""
+    return np.where(df <= 256, df, 128 + np.floor(16 * np.log2(np.maximum(df, 1)))).astype(np.int64)
+
+
+TOLD = "batch int, shard int, counts binary, cell long, weight long"
+
+
 def _frequencies(table: pa.Table) -> pa.Table:
-    """Document frequencies of each batch's n-grams in a shard, in the batch's order."""
+    """Document frequencies of each batch's n-grams in a shard, in the batch's order; and a histogram of the shared ones:
+    the number of their places in documents by cells of the frequency, as batch -1."""
     shard, owner = table.column("shard")[0].as_py(), table.column("batch").to_pylist()
     vectors = [ex.unpack_sorted(x) for x in table.column("keys").to_pylist()]
     at = np.concatenate([[0], np.cumsum([len(v) for v in vectors])]).astype(np.int64)
     _, inv = np.unique(np.concatenate(vectors), return_inverse=True)
     df = np.bincount(inv, weights=np.concatenate([ex.unpack_counts(x) for x in table.column("counts").to_pylist()])).astype(np.int64)
-    return pa.table({"batch": pa.array(owner, pa.int32()), "shard": pa.array([shard] * len(owner), pa.int32()), "counts": pa.array([ex.pack_counts(df[inv[a:b]]) for a, b in zip(at, at[1:])], pa.binary())})
+    shared = df[df > 1]
+    cells, which = np.unique(cell_of(shared), return_inverse=True)
+    weight = np.bincount(which, weights=shared, minlength=len(cells)).astype(np.int64)
+    counts = [ex.pack_counts(df[inv[a:b]]) for a, b in zip(at, at[1:])]
+    n, m = len(owner), len(cells)
+    columns = (owner + [-1] * m, [shard] * (n + m), counts + [None] * m, [None] * n + cells.tolist(), [None] * n + weight.tolist())
+    return pa.table([pa.array(c, t) for c, t in zip(columns, (pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.int64()))], names=names_of(TOLD))
+
+
+def pivots(histogram: list[tuple[int, int]], parts: int) -> list[tuple[int, int]]:
+    """Places (frequency, hash) that cut the global order into parts of about equal weight.  Within a frequency the order
+    is by hash, and hashes are even, so a share of a cell is a share of the hash space."""
+    total, before, out = sum(n for _, n in histogram), 0, []
+    for cell, n in sorted(histogram):
+        while len(out) < parts - 1 and before + n > total * (len(out) + 1) / parts:
+            share = (total * (len(out) + 1) / parts - before) / n
+            out.append((cell, int(share * 2.0**64)) if cell <= 256 else (int(np.ceil(2 ** ((cell - 128) / 16))), 0))
+        before += n
+    return out
+
 
+def fragments(keys: np.ndarray, df: np.ndarray, cuts: list[tuple[int, int]]) -> list[bytes]:
+    """A set's shared n-grams, cut at the pivots; within a fragment by hash."""
+    part = np.zeros(len(keys), np.int64)
+    for f, h in cuts:
+        part += (df > f) | ((df == f) & (keys >= np.uint64(min(h, (1 << 64) - 1))))
+    shared = df > 1
+    return [keys[shared & (part == k)].tobytes() for k in range(len(cuts) + 1)]
 
-SETS = "doc_id long, n_shingles long, hi long, lo long, prefix array<long>"
 
+SETS = "doc_id long, n_shingles long, hi long, lo long, prefix array<long>, own long, parts array<binary>"
+
+
+def _prefixes(rule: Rule, cuts: list[tuple[int, int]]):
+    """Of every text: size and digest of its set; of texts that may have a partner also the prefix, the number of n-grams
+    that no other document has, and the fragments of the others."""
 
-def _prefixes(rule: Rule):
     def make(key, docs, replies):
         sets, sizes, flat, owner = batch_sets(docs, rule)
         _, inv = np.unique(flat, return_inverse=True)
         found = [ex.unpack_counts(x) for x in replies.sort_by("shard").column("counts").to_pylist()]
         df = np.concatenate(found)[inv] if found else np.array([], np.int64)
-        need = rule.prefix(sizes)
-        shared = np.bincount(owner, df == 1, len(sets)) < need  # the others' prefixes are all their own
+        need, own = rule.prefix(sizes), np.bincount(owner, df == 1, len(sets)).astype(np.int64)
         ends = np.cumsum(sizes)
         prefix: list = [[]] * len(sets)
-        for i in np.flatnonzero(shared & (sizes > 0)):
+        parts: list = [[]] * len(sets)
+        for i in np.flatnonzero((own < need) & (sizes > 0)):  # the others' prefixes are all their own
             s, f = sets[i], df[ends[i] - sizes[i] : ends[i]]
             first = np.lexsort((s, f))[: need[i]]
             prefix[i] = s[first[f[first] > 1]].view(np.int64).tolist()
+            parts[i] = fragments(s, f, cuts)
         d = [xxhash.xxh3_128_digest(s.tobytes()) for s in sets]
-        part = lambda a, b: [int.from_bytes(x[a:b], "big", signed=True) for x in d]
-        return pa.table({"doc_id": docs.column("doc_id"), "n_shingles": pa.array(sizes), "hi": pa.array(part(0, 8), pa.int64()), "lo": pa.array(part(8, 16), pa.int64()), "prefix": pa.array(prefix, pa.list_(pa.int64()))})
+        half = lambda a, b: [int.from_bytes(x[a:b], "big", signed=True) for x in d]
+        columns = (docs.column("doc_id"), pa.array(sizes), pa.array(half(0, 8), pa.int64()), pa.array(half(8, 16), pa.int64()), pa.array(prefix, pa.list_(pa.int64())), pa.array(own), pa.array(parts, pa.list_(pa.binary())))
+        return pa.table(list(columns), names=["doc_id", "n_shingles", "hi", "lo", "prefix", "own", "parts"])
 
     return make
 
@@ -157,18 +199,19 @@ def _picked(batch: pa.RecordBatch, ids: IdFilter) -> pa.RecordBatch:
     return batch.filter(pa.array(ids.may_hold(np.asarray(batch.column("doc_id")))))
 
 
-def _members(rule: Rule, active):
-    """Fragments of the sets of documents that may be active, with the set's size; fragment -1 holds the bitmap."""
-    names = ["doc_id", "part", "size", "data"]
+MEMBERS = "doc_id long, part int, size long, own long, data binary"
+
+
+def _members(active):
+    """Fragments of the sets of documents that may be active; fragment -1 holds the bitmap."""
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in thrifty(batches):
             batch, rows = _picked(batch, active.value), []
-            for i, s in zip(batch.column("doc_id").to_pylist(), hash_sets(raw(batch.column("text")), rule.n)):
-                at = np.concatenate([[0], np.searchsorted(s, np.array([(k << 64) // PARTS for k in range(1, PARTS)], np.uint64)), [len(s)]])
-                rows.append((i, -1, len(s), parity(s)))
-                rows += [(i, k, len(s), s[at[k] : at[k + 1]].tobytes()) for k in range(PARTS)]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 4, (pa.int64(), pa.int32(), pa.int64(), pa.binary()))], names=names)
+            for i, size, own, parts in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "n_shingles", "own", "parts"))):
+                rows.append((i, -1, size, own, parity(np.frombuffer(b"".join(parts), np.uint64))))
+                rows += [(i, k, size, own, data) for k, data in enumerate(parts) if data]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 5, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary()))], names=names_of(MEMBERS))
 
     return stream
 
@@ -180,17 +223,17 @@ def _overlap(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _apart(rule: Rule):
-    """Pairs that the bitmaps leave possible."""
+    """Pairs that the bitmaps leave possible; n-grams of one document only differ in any case."""
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             on = np.zeros(batch.num_rows, bool)
-            one, two = np.asarray(batch.column("one")), np.asarray(batch.column("two"))
-            most = rule.most_apart(one, two)
+            one, two, own = (np.asarray(batch.column(c)) for c in ("one", "two", "own"))
+            most = rule.most_apart(one, two) - own
             for i, (x, y) in enumerate(zip(batch.column("x").to_pylist(), batch.column("y").to_pylist())):
                 x, y = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
                 short = min(len(x), len(y))
-                on[i] = abs(int(one[i]) - int(two[i])) <= most[i] and np.bitwise_count(folded(x, short) ^ folded(y, short)).sum() <= most[i]
+                on[i] = abs(int(one[i]) - int(two[i])) <= most[i] + own[i] and np.bitwise_count(folded(x, short) ^ folded(y, short)).sum() <= most[i]
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(on))
 
     return stream
@@ -198,35 +241,36 @@ def _apart(rule: Rule):
 
 def verified(spark: SparkSession, pairs: DataFrame, members: DataFrame, rule: Rule) -> DataFrame:
     """The pairs (a, b) that are similar: bitmaps first, then overlaps by fragment, added up."""
-    side = lambda parts, doc, size, data: members.where(parts).selectExpr(f"doc_id AS {doc}", "part", f"size AS {size}", f"data AS {data}")
-    maps = pairs.join(side("part = -1", "a", "one", "x").drop("part"), "a").join(side("part = -1", "b", "two", "y").drop("part"), "b")
-    near = cut(spark, maps.select("a", "b", "one", "two", "x", "y").mapInArrow(_apart(rule), "a long, b long").distinct(), "near")
-    wide = near.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))))
-    rows = wide.join(side("part >= 0", "a", "one", "x"), ["a", "part"]).join(side("part >= 0", "b", "two", "y"), ["b", "part"]).select("a", "b", "one", "two", "x", "y")
+    side = lambda parts, doc, size, own, data: members.where(parts).selectExpr(f"doc_id AS {doc}", "part", f"size AS {size}", f"own AS {own}", f"data AS {data}")
+    maps = pairs.join(side("part = -1", "a", "one", "p", "x").drop("part"), "a").join(side("part = -1", "b", "two", "q", "y").drop("part"), "b")
+    near = cut(spark, maps.select("a", "b", "one", "two", (F.col("p") + F.col("q")).alias("own"), "x", "y").mapInArrow(_apart(rule), "a long, b long").distinct(), "near")
+    left, right = side("part >= 0", "a", "one", "p", "x").drop("p"), side("part >= 0", "b", "two", "q", "y").drop("q")
+    rows = near.join(left, "a").join(right, ["b", "part"]).select("a", "b", "one", "two", "x", "y")
     counted = rows.mapInArrow(_overlap, "a long, b long, one long, two long, both long").groupBy("a", "b", "one", "two").agg(F.sum("both").alias("both"))
     return counted.where(100 * F.col("both") >= rule.percent * (F.col("one") + F.col("two") - F.col("both"))).select("a", "b").distinct()
 
 
-def _whole(rule: Rule, active):
-    """Sets of the documents that may be active."""
+def _whole(active):
+    """Shared n-grams of the documents that may be active."""
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in thrifty(batches):
             batch = _picked(batch, active.value)
-            sets = hash_sets(raw(batch.column("text")), rule.n)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["doc_id", "data"])
+            data = [np.sort(np.frombuffer(b"".join(p), np.uint64)).tobytes() for p in batch.column("parts").to_pylist()]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", "n_shingles", "own")), pa.array(data, pa.binary())], names=["doc_id", "size", "own", "data"])
 
     return stream
 
 
-def similar(left: list[np.ndarray], right: list[np.ndarray], open_: np.ndarray, rule: Rule) -> np.ndarray:
-    """Which of the open pairs of two lists of sets are similar."""
-    one, two = (np.array([len(s) for s in x], np.int64) for x in (left, right))
+def similar(left: list[np.ndarray], right: list[np.ndarray], open_: np.ndarray, rule: Rule, own: tuple | None = None) -> np.ndarray:
+    """Which of the open pairs of two lists of sets are similar.  own: how many members more each set has, of its own."""
+    own_left, own_right = own or (np.zeros(len(left), np.int64), np.zeros(len(right), np.int64))
+    one, two = (np.array([len(s) for s in x], np.int64) + n for x, n in ((left, own_left), (right, own_right)))
     open_ = open_ & (one[:, None] > 0) & (two[None, :] > 0)
     maps = [np.frombuffer(parity(s), np.uint8) for s in (*left, *right)]
     bits = np.vstack([folded(m, min(map(len, maps))) for m in maps])
     for i in range(len(left)):
-        open_[i] &= np.bitwise_count(bits[len(left) :] ^ bits[i]).sum(axis=1) <= rule.most_apart(one[i], two)
+        open_[i] &= np.bitwise_count(bits[len(left) :] ^ bits[i]).sum(axis=1) <= rule.most_apart(one[i], two) - own_left[i] - own_right
     both = np.zeros(open_.shape, np.int64)
     if open_.sum() <= FEW:
         for i, j in zip(*np.nonzero(open_)):
@@ -253,7 +297,7 @@ def _blocks(rule: Rule):
 
     def make(table: pa.Table) -> pa.Table:
         table = table.sort_by("doc_id")
-        ids, block = np.asarray(table.column("doc_id")), np.asarray(table.column("block"))
+        ids, block, own = (np.asarray(table.column(c)) for c in ("doc_id", "block", "own"))
         low, high, key = (table.column(c)[0].as_py() for c in ("low", "high", "key"))
         sets = [np.frombuffer(x, np.uint64) for x in table.column("data").to_pylist()]
         cold, hot = ([frozenset(x or ()) for x in table.column(c).to_pylist()] for c in ("cold", "hot"))
@@ -272,7 +316,7 @@ def _blocks(rule: Rule):
         if key is not None:
             for i, j in zip(*np.nonzero(open_)):
                 open_[i, j] = min(hot[left[i]] & hot[right[j]], default=None) == key
-        found = similar([sets[k] for k in left], [sets[k] for k in right], open_, rule)
+        found = similar([sets[k] for k in left], [sets[k] for k in right], open_, rule, (own[left], own[right]))
         # several texts of an id are one document
         names, at = np.unique(ids, return_inverse=True)
         linked = np.zeros((len(names), len(names)), bool)
@@ -293,7 +337,7 @@ def _blocks(rule: Rule):
     return make
 
 
-def hot_links(spark: SparkSession, docs: DataFrame, keyed: DataFrame, rule: Rule) -> DataFrame:
+def hot_links(spark: SparkSession, sets: DataFrame, keyed: DataFrame, rule: Rule) -> DataFrame:
     """a, b, n as of _blocks, over the pairs of frequent keys; keyed has doc_id, key, b (the key's smallest id) and docs."""
     frequent = keyed.where(F.col("docs") > HOT)
     parts = components(spark, frequent.selectExpr("doc_id AS a", "b").where("a <> b"), "groups").withColumnRenamed("id", "doc_id").withColumnRenamed("component", "unit")
@@ -311,8 +355,8 @@ def hot_links(spark: SparkSession, docs: DataFrame, keyed: DataFrame, rule: Rule
     rows = rows.withColumn("low", F.least("block", "other")).withColumn("high", F.greatest("block", "other"))
     some = cut(spark, keyed.join(parts.select("doc_id"), "doc_id", "left_semi").groupBy("doc_id").agg(F.collect_set(F.when(F.col("docs") <= HOT, F.col("key"))).alias("cold"), F.collect_set(F.when(F.col("docs") > HOT, F.col("key"))).alias("hot")), "frequent")
     active = idfilter.build(spark, some.select("doc_id"), "doc_id")
-    sets = docs.mapInArrow(_whole(rule, active), "doc_id long, data binary")
-    packed = rows.join(sets.join(some, "doc_id"), "doc_id")
+    whole = sets.mapInArrow(_whole(active), "doc_id long, size long, own long, data binary")
+    packed = rows.join(whole.join(some, "doc_id"), "doc_id")
     return cut(spark, packed.groupBy("unit", "key", "low", "high").applyInArrow(_blocks(rule), "a long, b long, n long"), "hot")
 
 
@@ -324,8 +368,13 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     batches = ex.batch_count(docs)
     dealt = ex.hashed_batches(docs, batches)
     asked = dealt.groupBy("batch").applyInArrow(_ask(rule, ex.shard_bits(batches)), "batch int, shard int, keys binary, counts binary")
-    told = asked.groupBy("shard").applyInArrow(_frequencies, "batch int, shard int, counts binary")
-    sets = cut(spark, dealt.groupBy("batch").cogroup(told.groupBy("batch")).applyInArrow(_prefixes(rule), SETS), "sets")
+    told = cut(spark, asked.groupBy("shard").applyInArrow(_frequencies, TOLD), "told")
+    histogram = told.where("batch = -1").groupBy("cell").agg(F.sum("weight").alias("n")).collect()  # some thousand cells at most
+    cuts = pivots([(r.cell, r.n) for r in histogram], PARTS)
+    answers = told.where("batch >= 0").select("batch", "shard", "counts")
+    sets = cut(spark, dealt.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(_prefixes(rule, cuts), SETS), "sets")
+    drop(spark, told)
+    release(spark)
     filled = sets.where("n_shingles > 0")
     classes = cut(spark, filled.groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id")), "classes")
     heads = filled.where(F.size("prefix") > 0).join(classes, ["hi", "lo"]).where("doc_id = class_id").select("doc_id", F.explode("prefix").alias("key")).distinct()
@@ -336,12 +385,13 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     pairs = listed.selectExpr("key", "doc_id AS a").join(listed.selectExpr("key", "doc_id AS b"), "key").where("a > b").select("a", "b").distinct()
     pairs = cut(spark, pairs, "pairs")
     active = idfilter.build(spark, listed.select("doc_id").distinct(), "doc_id")
-    members = cut(spark, docs.mapInArrow(_members(rule, active), "doc_id long, part int, size long, data binary"), "members")
+    partnered = sets.where(F.size("prefix") > 0).select("doc_id", "n_shingles", "own", "parts")
+    members = cut(spark, partnered.mapInArrow(_members(active), MEMBERS), "members")
     links = cut(spark, verified(spark, pairs, members, rule), "links")
     drop(spark, members)
     drop(spark, pairs)
     release(spark)
-    hot = hot_links(spark, docs, near, rule)
+    hot = hot_links(spark, partnered, near, rule)
     final = components(spark, links.unionByName(hot.where("b IS NOT NULL").select("a", "b")))
     release(spark)
     ends = links.selectExpr("a AS class_id", "1L AS n").unionByName(links.selectExpr("b AS class_id", "1L AS n")).unionByName(hot.where("b IS NULL").selectExpr("a AS class_id", "n"))
