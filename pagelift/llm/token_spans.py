@@ -5,9 +5,11 @@ fields that are laid end to end).  Tokens come with their character offsets; tok
 sorted and so are joined as intervals by binary search.  A token over a boundary belongs to the section that holds most
 of its characters, the earlier one on a tie; `n_crossing` says how many of a section's tokens reach outside it.
 
-Encoding works on runs between single spaces, which the byte-level rules never look across; a worker remembers the
-spans of runs.  Texts with other white-space runs are encoded whole.  Where no run reaches over a line's end, the runs'
-spans are joined to the lines' instead of the tokens' one by one.
+Encoding works on runs that the byte-level rules never look across: a worker remembers the token spans of runs, and a
+document's spans are those of its runs, moved to their places.  Where all white space is single spaces and line feeds,
+runs are words with the space before them, and line feeds; in other texts they are what lies between single spaces; texts
+with white space next to a space are encoded whole.  Spans and sections of all documents of a slice are laid end to end
+and joined at once.
 
 Defined results: a null text is one empty section without tokens; every section gives a row, empty ones too; rows that
 share an id give their sections each; an empty table gives an empty result.
@@ -26,10 +28,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pagelift.llm.common import documents, names_of, thrifty
-from pagelift.llm.packing import byte_letters
+from pagelift.llm.packing import byte_letters, declared
 
 MAX_CACHED = 100_000
-MAX_COUNTED = 400_000  # runs of which only the number of tokens is kept
+#: What a vocabulary file declares whose rules cut a run of letters and signs between the two only, and
+#: turn each byte into a letter of the alphabet.
+FRONT_END = {"normalizer": None, "pre_tokenizer": {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": True}, "end_of_word_suffix": None}
 #: A space at most, letters, signs: the byte-level rules cut such a run between letters and signs only.
 LETTERS_SIGNS = re.compile("( ?)([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,!?;:#$%&*|]*)")
 UNSAFE = re.compile(r" \s|\s ")
@@ -46,7 +50,7 @@ class RunSpans(dict):
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.model, self.to_alphabet = self.tokenizer.model, byte_letters()
-        self.short = all(self._short(r) == self._long(r) for r in (" the", "Straße", " ÉTÉ,", "niño...", " a|", "Hé###"))
+        self.short = declared(path) == FRONT_END
 
     def offsets(self, text: str) -> np.ndarray:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).offsets, np.int64).reshape(-1, 2)
@@ -86,47 +90,34 @@ class RunSpans(dict):
         self[run] = out
         return out
 
-    def spans(self, text: str) -> np.ndarray:
-        """Start and end characters of the tokens of a whole text."""
+    def runs(self, text: str) -> list[str] | None:
+        """The text cut into runs that are encoded by themselves; None if it has to be encoded whole."""
+        if plain(text):
+            return text.replace(" ", "\0 ").replace("\n", "\0\n\0").split("\0")
         if UNSAFE.search(text):
-            return self.offsets(text)
-        runs = text.split(" ")
-        if max(map(len, runs)) >= 1 << 15:
-            return self.offsets(text)
-        runs[1:] = [" " + r for r in runs[1:]]
-        parts = list(map(self.__getitem__, runs))
-        at = np.cumsum([0, *map(len, runs)])[:-1]
-        out = np.frombuffer(b"".join(parts), "<u2").astype(np.int64).reshape(-1, 2)
-        return out + np.repeat(at, [len(p) >> 2 for p in parts])[:, None]
-
-
-class RunCounts(dict):
-    """Run -> number of its tokens when the given prefix stands before it."""
-
-    def __init__(self, spans: RunSpans, prefix: str):
-        super().__init__()
-        self.spans, self.prefix = spans, prefix
-
-    def _pieces(self, text: str) -> int | None:
-        """By the model alone, for letters and signs."""
-        found = LETTERS_SIGNS.fullmatch(text) if self.spans.short and len(text) < 64 else None
-        if found is None:
             return None
-        n, model, alphabet = 0, self.spans.model, self.spans.to_alphabet
-        for piece in (found[1] + found[2], found[3]):
-            if piece:
-                n += len(model.tokenize(piece.encode().decode("latin-1").translate(alphabet)))
-        return n
-
-    def __missing__(self, run: str) -> int:
-        text = self.prefix + run
-        n = self._pieces(text)
-        if n is None:
-            n = len(self.spans.offsets(text)) if text else 0
-        if len(self) >= MAX_COUNTED:
-            self.clear()
-        self[run] = n
-        return n
+        first, *rest = text.split(" ")
+        return [first, *(" " + r for r in rest)]
+
+    def spans(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Start and end characters of the tokens of whole texts that are laid end to end, and where each text begins."""
+        starts = np.cumsum([0, *map(len, texts)])
+        parts, sizes, out = [], [], []
+        for text, at in zip(texts, starts.tolist()):
+            runs = self.runs(text) if text else []
+            if runs is None or max(map(len, runs), default=0) >= 1 << 15:
+                out.append(self.offsets(text) + at)
+                parts.append(b"")
+                sizes.append(len(text))
+                continue
+            parts += map(self.__getitem__, runs)
+            sizes += map(len, runs)
+        at = np.cumsum([0, *sizes])[:-1]
+        known = np.frombuffer(b"".join(parts), "<u2").astype(np.int64).reshape(-1, 2)
+        known = known + np.repeat(at, [len(p) >> 2 for p in parts])[:, None] if parts else known
+        if out:
+            known = np.concatenate([known, *out])
+        return known, starts
 
 
 #: White space but a space or a line feed; the ASCII ones also one by one, as that is faster to look for.
@@ -136,9 +127,9 @@ JOINED = ("  ", " \n", "\n ", "\n\n")
 
 
 def plain(text: str) -> bool:
-    """Are all runs of white space single spaces or single line feeds?  Then no token reaches over a line's end: a line
-    feed is a token of its own, and each run between is encoded by itself."""
-    if any(x in text for x in JOINED):
+    """Are all runs of white space single spaces or single line feeds?  Then a line feed is a token of its own, and each
+    word is encoded by itself, with the space before it."""
+    if "\0" in text or any(x in text for x in JOINED):
         return False
     return not any(x in text for x in ASCII_SPACES) if text.isascii() else OTHER_SPACE.search(text) is None
 
@@ -170,34 +161,31 @@ def line_starts(text: str) -> np.ndarray:
     return np.array([0, *cuts], np.int64)
 
 
+def counted(runs: RunSpans, texts: list[str], starts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Tokens and crossing tokens of all sections of some texts; starts: where each text's sections begin in it."""
+    spans, at = runs.spans(texts)
+    own, crosses = owners(spans, np.concatenate([s + a for s, a in zip(starts, at)]) if texts else np.zeros(0, np.int64))
+    n = sum(map(len, starts))
+    return np.bincount(own, minlength=n), np.bincount(own[crosses], minlength=n)
+
+
 def by_section(docs: DataFrame, vocabulary: str, starts_of=line_starts) -> DataFrame:
     """One row a section of every document."""
 
-    by_lines = starts_of is line_starts
-
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         runs = run_spans(vocabulary)
-        first, later = RunCounts(runs, ""), RunCounts(runs, " ")
         for batch in thrifty(batches):
-            out: list[list] = [[] for _ in range(6)]
-            for i, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
-                text = text or ""
-                if by_lines and plain(text):  # every token's span lies within its run's, and every run's within a line's
-                    lines, at = text.split("\n"), 0
-                    for k, line in enumerate(lines):
-                        words, end = line.split(" "), at + len(line) + (k + 1 < len(lines))
-                        tokens = first[words[0]] + sum(map(later.__getitem__, words[1:])) + (k + 1 < len(lines))
-                        for column, v in zip(out, (i, k, at, end, tokens, 0)):
-                            column.append(v)
-                        at = end
-                    continue
-                starts = starts_of(text)
-                own, crosses = owners(runs.spans(text) if text else np.zeros((0, 2), np.int64), starts)
-                n = len(starts)
-                for column, values in zip(out, ([i] * n, range(n), starts.tolist(), [*starts[1:].tolist(), len(text)], np.bincount(own, minlength=n).tolist(), np.bincount(own, crosses, n).astype(np.int64).tolist())):
-                    column += values
-            kinds = (pa.int64(), pa.int32(), *[pa.int64()] * 4)
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds)], names=names_of(SECTIONS))
+            texts = [t or "" for t in batch.column("text").to_pylist()]
+            starts = [starts_of(t) for t in texts]
+            tokens, crossing = counted(runs, texts, starts)
+            each = np.array([len(x) for x in starts], np.int64)
+            flat = np.concatenate(starts) if starts else np.zeros(0, np.int64)
+            ends = np.append(flat[1:], 0)
+            ends[np.cumsum(each) - 1] = [len(t) for t in texts]
+            section = np.arange(len(flat)) - np.repeat(np.cumsum(each) - each, each)
+            ids = batch.column("doc_id").take(pa.array(np.repeat(np.arange(len(texts)), each)))
+            columns = [ids, *(pa.array(c, t) for c, t in zip((section, flat, ends, tokens, crossing), (pa.int32(), *[pa.int64()] * 4)))]
+            yield pa.RecordBatch.from_arrays(columns, names=names_of(SECTIONS))
 
     return documents(docs).mapInArrow(stream, SECTIONS)
 
@@ -205,21 +193,17 @@ def by_section(docs: DataFrame, vocabulary: str, starts_of=line_starts) -> DataF
 def by_field(docs: DataFrame, fields: list[str], vocabulary: str, joint: str = "\n") -> DataFrame:
     """Tokens of each named field: the fields are laid end to end with `joint` between them and encoded as one text; a
     joint belongs to the field before it.  Null fields are empty."""
-    text = F.concat(*[x for f in fields for x in (F.coalesce(F.col(f), F.lit("")), F.lit(joint))][:-1])
-    sizes = [F.char_length(F.coalesce(F.col(f), F.lit(""))) + (len(joint) if f != fields[-1] else 0) for f in fields]
+    parts = [F.coalesce(F.col(f"`{f}`").cast("string"), F.lit("")) for f in fields]
+    text = F.concat(*[x for part in parts for x in (part, F.lit(joint))][:-1])
+    sizes = [F.char_length(part) + (len(joint) if f != fields[-1] else 0) for f, part in zip(fields, parts)]
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.array(*[s.cast("long") for s in sizes]).alias("sizes"))
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         runs = run_spans(vocabulary)
         for batch in thrifty(batches):
-            ids, names, counts, crossing = [], [], [], []
-            for i, t, size in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), batch.column("sizes").to_pylist()):
-                ends = np.cumsum(size)
-                own, crosses = owners(runs.spans(t) if t else np.zeros((0, 2), np.int64), np.concatenate([[0], ends[:-1]]).astype(np.int64))
-                ids += [i] * len(fields)
-                names += fields
-                counts += np.bincount(own, minlength=len(fields)).tolist()
-                crossing += np.bincount(own, crosses, len(fields)).astype(np.int64).tolist()
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(names, pa.string()), pa.array(counts, pa.int64()), pa.array(crossing, pa.int64())], names=["doc_id", "field", "n_tokens", "n_crossing"])
+            starts = [np.cumsum([0, *size[:-1]]).astype(np.int64) for size in batch.column("sizes").to_pylist()]
+            tokens, crossing = counted(runs, batch.column("text").to_pylist(), starts)
+            ids = batch.column("doc_id").take(pa.array(np.repeat(np.arange(batch.num_rows), len(fields))))
+            yield pa.RecordBatch.from_arrays([ids, pa.array(fields * batch.num_rows, pa.string()), pa.array(tokens, pa.int64()), pa.array(crossing, pa.int64())], names=["doc_id", "field", "n_tokens", "n_crossing"])
 
     return base.mapInArrow(stream, "doc_id long, field string, n_tokens long, n_crossing long")
