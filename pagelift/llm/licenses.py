@@ -213,7 +213,7 @@ def inherit(found: DataFrame) -> DataFrame:
     parts = F.split("path", "/")
     base = found.withColumn("dir", F.array_join(F.slice(parts, 1, F.greatest(F.size(parts) - 1, F.lit(0))), "/")).withColumn("name", F.lower(F.regexp_replace(F.element_at(parts, -1), r"\..*$", "")))
     stated = base.where(F.col("name").isin(*NAMES) & F.col("own").isNotNull())
-    licensed = stated.groupBy("dir").agg(F.max_by(F.struct("own", "score"), F.struct("score", F.lit(0) - F.ascii("own"))).alias("l")).select(F.col("dir").alias("license_dir"), F.col("l.own").alias("license"))
+    licensed = stated.groupBy("dir").agg(F.min_by("own", F.struct(-F.col("score"), "own")).alias("license")).select(F.col("dir").alias("license_dir"), "license")
     levels = F.split("dir", "/")
     up = F.concat(F.array(F.lit("")), F.transform(F.sequence(F.lit(1), F.size(levels)), lambda i: F.array_join(F.slice(levels, F.lit(1), i), "/")))
     above = base.where("dir IS NOT NULL").select("dir").distinct().select("dir", F.posexplode(up).alias("depth", "license_dir"))
