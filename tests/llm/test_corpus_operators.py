@@ -125,6 +125,9 @@ def test_empty_tables(spark, none):
     assert decontaminate.overlaps(spark, none, spark.createDataFrame([], "item_id long, text string")).count() == 0
     assert topk.top_k(spark.createDataFrame([], "vec_id long, embedding array<float>"), F.lit(True)).count() == 0
     assert licenses.scan(spark, none.withColumn("path", F.lit("a/b"))).count() == 0
+    import public_tokenizers
+
+    assert token_spans.by_section(none, public_tokenizers.path("byte_bpe_50k.json")).count() == 0
 
 
 def test_null_ids(spark):
@@ -141,6 +144,10 @@ def test_null_ids(spark):
     assert decontaminate.overlaps(spark, frame, spark.createDataFrame([(None, text), (1, text)], "item_id long, text string")).count() >= 1
     assert topk.top_k(spark.createDataFrame([(None, [1.0]), (20, [1.0]), (3, [2.0])], "vec_id long, embedding array<float>"), F.col("vec_id") % 20 == 0).count() == 1
     assert licenses.scan(spark, frame.withColumn("path", F.lit(None).cast("string"))).count() == 4
+    import public_tokenizers
+
+    sections = token_spans.by_section(frame, public_tokenizers.path("byte_bpe_50k.json")).collect()
+    assert Counter((r.doc_id, r.n_tokens) for r in sections) == Counter([(None, next(r.n_tokens for r in sections if r.doc_id == 5)), (5, next(r.n_tokens for r in sections if r.doc_id == 5)), (2, 0), (None, 0)])
 
 
 def test_quality(spark, rows, docs):
@@ -242,6 +249,24 @@ def test_every_link_counts(spark, monkeypatch, bounds):
     assert {r.doc_id: r.n_links for r in got} == want and want[0] == 49 and want[101] == 2
 
 
+def test_pivots_cut_the_global_order():
+    """Fragments hold every shared n-gram once, in order, and about as many places each."""
+    rng = np.random.default_rng(12)
+    keys = np.unique(rng.integers(0, 1 << 63, 20_000).astype(np.uint64) * np.uint64(2))
+    df = np.where(rng.random(len(keys)) < 0.7, rng.integers(1, 4, len(keys)), rng.integers(2, 3000, len(keys)))
+    shared = df > 1
+    cells, which = np.unique(ngram_join.cell_of(df[shared]), return_inverse=True)
+    cuts = ngram_join.pivots(list(zip(cells.tolist(), np.bincount(which, df[shared]).astype(int).tolist())), 4)
+    parts = [np.frombuffer(x, np.uint64) for x in ngram_join.fragments(keys, df, cuts)]
+    assert len(parts) == 4 and sorted(np.concatenate(parts).tolist()) == keys[shared].tolist()
+    place = dict(zip(keys.tolist(), df.tolist()))
+    ends = [(min((place[k], k) for k in p.tolist()), max((place[k], k) for k in p.tolist())) for p in parts]
+    assert all(a[1] < b[0] for a, b in zip(ends, ends[1:]))
+    weight = [sum(place[k] for k in p.tolist()) for p in parts]
+    assert max(weight) < 1.3 * min(weight)
+    assert ngram_join.pivots([], 4) == [] and ngram_join.fragments(keys[:0], df[:0], cuts) == [b""] * 4
+
+
 def test_matrix_counts_what_sets_count(monkeypatch):
     rng = np.random.default_rng(10)
     sets = [np.unique(rng.choice(100, 95)).astype(np.uint64) for _ in range(20)]
@@ -276,11 +301,59 @@ def test_lines(spark, docs, rows):
 
 
 def test_line_deletions_are_reversible(spark, docs):
-    before = line_dedup.LineState(spark).insert(docs)
+    before = line_dedup.LineState(spark, least=4).insert(docs)
     more = docs.where("doc_id > 40").withColumn("doc_id", F.col("doc_id") + 1000)
-    after = before.insert(more).delete(more)
+    between = before.insert(more)
+    after = between.delete(more)
     as_set = lambda s: {tuple(r) for r in s.counts.collect()}
-    assert as_set(before) == as_set(after) and as_set(before) != as_set(before.insert(more))
+    assert as_set(before) == as_set(after) != as_set(between)
+
+    def held(state):
+        """Frequent keys by the exact counts; they must be in the filters, and hardly others."""
+        hot = np.array(sorted((h, lo) for h, lo, n in as_set(state) if n >= state.least), np.int64).reshape(-1, 2)
+        cold = np.array(sorted((h, lo) for h, lo, n in as_set(state) if n < state.least), np.int64).reshape(-1, 2)
+        known = line_dedup.Frequent(state.shards, state.sent_filters(), True, None)
+        assert known.may_hold(hot[:, 0], hot[:, 1]).all() and known.may_hold(cold[:, 0], cold[:, 1]).sum() <= 0.05 * len(cold)
+        assert state.frequent == len(hot)
+        return {tuple(x) for x in hot.tolist()}
+
+    assert held(before) == held(after) and held(before) < held(between)
+    gone = after.delete(docs)
+    assert as_set(gone) == set() and held(gone) == set()
+
+
+def test_filters_are_updated_in_place(spark):
+    """While the number of frequent keys has not doubled, filters take insertions and deletions."""
+    text = lambda a, b: "\n".join(f"line {i}" for i in range(a, b))
+    frame = lambda a, b, n=2: spark.createDataFrame([(i, text(a, b)) for i in range(n)], "doc_id long, text string")
+    state = line_dedup.LineState(spark, least=2).insert(frame(0, 100))
+    more = state.insert(frame(100, 150)).delete(frame(0, 60, 1))
+    assert (more.built_for, more.frequent) == (100, 90)
+    known = line_dedup.Frequent(more.shards, more.sent_filters(), True, None)
+    keys = [line_dedup.halves(f"line {i}".encode()) for i in range(150)]
+    may = known.may_hold(*(np.array(x, np.int64) for x in zip(*keys)))
+    assert may[60:].all() and may[:60].mean() < 0.05
+    left = line_dedup.drop_lines(more, frame(0, 150, 1)).collect()[0]
+    assert left.n_dropped == 90 and left.kept_text == text(0, 60)
+
+
+@pytest.mark.parametrize("bounds", [{"EXACT_KEYS": 0}, {"EXACT_KEYS": 0, "FILTER_BYTES": 0, "SHARD_KEYS": 1}])
+def test_lines_beyond_the_broadcast_bounds(spark, docs, monkeypatch, bounds):
+    want = Counter(map(tuple, line_dedup.dedup(spark, docs, least=4).collect()))
+    for name, value in bounds.items():
+        monkeypatch.setattr(line_dedup, name, value)
+    assert Counter(map(tuple, line_dedup.dedup(spark, docs, least=4).collect())) == want
+
+
+@pytest.mark.parametrize("few", [True, False])
+def test_line_stage_keeps_columns_of_any_name(spark, monkeypatch, few):
+    if not few:
+        monkeypatch.setattr(line_dedup, "EXACT_KEYS", 0)
+    names = ["doc", "row", "drop", "n_lines", "hi", "refs", "kept_text", "a.b"]
+    frame = spark.createDataFrame([(i, "same line\nown %d" % i, *(f"{n}{i}" for n in names)) for i in range(12)] + [(99, None, *names), (None, "", *names)], ["doc_id", "text", *names])
+    got = line_dedup.rewrite(spark, frame)
+    assert got.columns == frame.columns
+    assert Counter(tuple(r) for r in got.collect()) == Counter((r[0], f"own {r[0]}" if r[0] is not None and r[0] < 99 else "", *r[2:]) for r in frame.collect())
 
 
 def test_cuckoo_filter():
@@ -372,7 +445,10 @@ def test_reference_removal(spark, docs, rows):
         substring.remove_reference(spark, docs, reference, max_words=3)
 
 
-def test_top_k(spark):
+@pytest.mark.parametrize("bounds", [{}, {"SHARD_ROWS": 40, "WAVE_BYTES": 700}])
+def test_top_k(spark, monkeypatch, bounds):
+    for name, value in bounds.items():
+        monkeypatch.setattr(topk, name, value)
     rng = np.random.default_rng(8)
     v = [(i, [float(x) for x in rng.normal(0, 0.2, 16)]) for i in range(300)]
     v += [(300 + i, v[0][1]) for i in range(30)] + [(400, None), (401, [1.0, None]), (402, [float("nan")] * 16), (403, [float("inf")] * 16), (420, [1e6] * 16), (421, [-3e7, 2.0])]
@@ -387,6 +463,13 @@ def test_top_k(spark):
     assert {(r.query_id, r["rank"]): (r.vec_id, r.score) for r in got} == want
 
 
+def test_top_k_of_repeated_ids(spark):
+    """Rows that share an id are queries each; none of them is the others' candidate, and each can be a candidate twice."""
+    frame = spark.createDataFrame([(20, [1.0, 0.0]), (20, [0.0, 1.0]), (3, [1.0, 0.5]), (3, [1.0, 0.5]), (4, [0.0, 2.0])], "vec_id long, embedding array<double>")
+    got = Counter(tuple(r) for r in topk.top_k(frame, F.col("vec_id") % 20 == 0, 2).collect())
+    assert got == Counter([(20, 1, 3, 4096), (20, 2, 3, 4096), (20, 1, 4, 8192), (20, 2, 3, 2048)])
+
+
 def test_token_sections(spark, docs, rows):
     import public_tokenizers
     from tokenizers import Tokenizer
@@ -415,6 +498,22 @@ def test_token_sections(spark, docs, rows):
             assert r.n == len(tok.encode(dict(odd)[r.doc_id] + "\ns", add_special_tokens=False).ids)
 
 
+def test_batches_are_runs_of_ids_with_equal_bytes(spark):
+    """Ids near 2^62 that differ by one, very unequal texts, null ids."""
+    base = 1 << 62
+    rows = [(base + i, "x" * (20_000 if i % 97 == 0 else 100)) for i in range(2000)] + [(None, "y"), (-base, None)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    dealt, n = exchange.ordered_batches(spark, frame, 20)
+    got = dealt.selectExpr("doc_id", "batch", "coalesce(length(text), 0) AS size").collect()
+    by = sorted((r.doc_id, r.batch) for r in got if r.doc_id is not None)
+    assert [b for _, b in by] == sorted(b for _, b in by) and {r.batch for r in got} == set(range(n)) and n >= 18
+    assert {r.batch for r in got if r.doc_id is None} == {0}
+    size = Counter()
+    for r in got:
+        size[r.batch] += r.size
+    assert max(size.values()) < sum(size.values()) / 20 + 20_101
+
+
 def test_decontamination(spark, docs):
     item = " ".join(f"q{i}" for i in range(25))
     changed = item.replace("q5", "zz").replace("q15", "zz")
