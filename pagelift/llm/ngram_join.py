@@ -369,6 +369,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     dealt = ex.hashed_batches(docs, batches)
     asked = dealt.groupBy("batch").applyInArrow(_ask(rule, ex.shard_bits(batches)), "batch int, shard int, keys binary, counts binary")
     told = cut(spark, asked.groupBy("shard").applyInArrow(_frequencies, TOLD), "told")
+    del asked
+    release(spark)  # what was asked leaves the disks before texts are read again
     histogram = told.where("batch = -1").groupBy("cell").agg(F.sum("weight").alias("n")).collect()  # some thousand cells at most
     cuts = pivots([(r.cell, r.n) for r in histogram], PARTS)
     answers = told.where("batch >= 0").select("batch", "shard", "counts")
