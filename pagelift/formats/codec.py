@@ -1,11 +1,12 @@
-"""Vectorised value codecs of both page formats.  A vector holds one entry a row; no function loops over rows.
+"""Vectorised value codecs of both page formats.  A vector holds one entry a row.
 
-Spans (starts, lengths into a flat byte vector) stand for variable-width values.
+Spans (starts, lengths into a flat byte vector) stand for variable-width values.  Rows are looped over in two cases only:
+long strings, which are copied as slices, and exact numerics beyond 18 digits, which become Python integers.
 """
 
 from __future__ import annotations
 
-from decimal import Decimal
+from decimal import Context, Decimal
 
 import numpy as np
 import pyarrow as pa
@@ -13,6 +14,7 @@ import pyarrow as pa
 EPOCH_DAYS = 10_957  # 1970-01-01 to 2000-01-01
 EPOCH_MICROS = EPOCH_DAYS * 86_400 * 10**6
 JULIAN_1970 = 2_440_588
+EXACT = Context(prec=400)  # of decimals that must not be rounded on the way
 EXACT_TENS = 22  # powers of ten up to this are exact doubles
 #: Bytes of a group of 0..9 decimal digits in the packed tree format.
 GROUP_BYTES = [0, 1, 1, 2, 2, 3, 3, 4, 4, 4]
@@ -146,33 +148,86 @@ def numeric_double(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray) ->
     return out
 
 
+WORD = 1 << 64
+
+
+def decimal_array(values: np.ndarray, precision: int, scale: int, valid: np.ndarray) -> pa.Array:
+    """Decimals of scaled whole numbers, as two 64-bit words each."""
+    words = np.zeros((len(values), 2), np.uint64)
+    if values.dtype == object:
+        words[:, 0] = [int(v) % WORD for v in values]
+        words[:, 1] = [(int(v) >> 64) % WORD for v in values]
+    else:
+        words[:, 0], words[:, 1] = values.view(np.uint64), (values >> 63).view(np.uint64)
+    return pa.Array.from_buffers(pa.decimal128(precision, scale), len(values), [bits(valid), pa.py_buffer(words)])
+
+
 def numeric_decimal(flat, starts, lengths, precision: int, scale: int, valid) -> pa.Array:
-    """The same as 128-bit decimals, exactly."""
+    """The same as 128-bit decimals, exactly; digits beyond the scale are rounded half to even, and values that no decimal
+    of the precision holds are null."""
     _, special, negative, weight, digits, at, u16 = numeric_parts(flat, starts, lengths)
-    values = np.zeros(len(starts), object)
-    for k in range(int(digits.max(initial=0))):
-        live = digits > k
-        values[live] = values[live] * 10_000 + u16(at[live] + 2 * k).astype(object)
-    tens = 4 * (weight - digits + 1)
-    out = [None if not ok or s else Decimal(int(-v if neg else v)).scaleb(int(t)) for v, t, neg, s, ok in zip(values, tens, negative, special, valid)]
-    return pa.array([x if x is None else x.quantize(Decimal(1).scaleb(-scale)) for x in out], pa.decimal128(precision, scale))
+    valid = valid & ~special
+    digits = np.where(valid, digits, 0)
+    tens = np.where(digits > 0, 4 * (weight - digits + 1) + scale, 0)
+    mantissa = np.zeros(len(starts), np.int64)
+    for k in range(min(int(digits.max(initial=0)), 4)):
+        mantissa = np.where(digits > k, mantissa * 10_000 + u16(at + 2 * k), mantissa)
+    powers = 10 ** np.arange(19, dtype=np.int64)
+    # four digits fill at most 16 places; trailing zeros of the last make shifts to the right exact as well
+    down = powers[np.clip(-tens, 0, 18)]
+    plain = (digits <= 4) & (tens >= -18) & (tens <= 18) & np.where(tens < 0, mantissa % down == 0, mantissa < 10**18 // powers[np.clip(tens, 0, 18)])
+    out = np.where(tens < 0, mantissa // down, mantissa * np.where(plain, powers[np.clip(tens, 0, 18)], 1))
+    out = np.where(negative, -out, out)
+    rest = np.flatnonzero(valid & ~plain)
+    if len(rest):
+        out = out.astype(object)
+        for i in rest:
+            m = 0
+            for k in range(int(digits[i])):
+                m = m * 10_000 + int(u16(at[i : i + 1] + 2 * k)[0])
+            m = m * 10 ** int(tens[i]) if tens[i] >= 0 else int((Decimal(m).scaleb(int(tens[i]), EXACT)).to_integral_value())
+            out[i] = -m if negative[i] else m
+    if precision < 19 or out.dtype == object:
+        valid = valid & (np.abs(out) < 10**precision)
+        out = np.where(valid, out, 0)
+    return decimal_array(out, precision, scale, valid)
 
 
 def scaled_ints(column: pa.Array, scale: int) -> np.ndarray:
-    """The column's values times 10^scale as whole numbers; nulls give 0."""
+    """The column's values times 10^scale as whole numbers, Python's where 64 bits are too few; nulls give 0."""
+    valid = np.asarray(column.is_valid())
     if pa.types.is_decimal(column.type):
-        raw = np.frombuffer(column.cast(pa.decimal128(38, scale)).buffers()[1], np.int64)[2 * column.offset : 2 * (column.offset + len(column)) : 2]
-        return np.where(np.asarray(column.is_valid()), raw, 0)
+        words = np.frombuffer(column.cast(pa.decimal128(38, scale)).buffers()[1], np.int64).reshape(-1, 2)[column.offset : column.offset + len(column)]
+        low, high = np.where(valid, words[:, 0], 0), np.where(valid, words[:, 1], 0)
+        if (high == low >> 63).all():
+            return low
+        return high.astype(object) * WORD + low.view(np.uint64).astype(object)
     v = column.cast(pa.float64()).fill_null(0.0).to_numpy(zero_copy_only=False)
-    return np.rint(np.where(np.isfinite(v), v, 0.0) * 10.0**scale).astype(np.int64)
+    v = np.where(np.isfinite(v), v, 0.0)
+    near = np.rint(v * 10.0**scale)
+    large = np.abs(near) >= 2.0**62
+    out = np.where(large, 0, near).astype(np.int64)
+    if large.any():  # so large doubles are whole numbers over a power of two: exact as decimals
+        out = out.astype(object)
+        for i in np.flatnonzero(large):
+            out[i] = int(Decimal(float(v[i])).scaleb(scale, EXACT).to_integral_value())
+    return out
+
+
+def in_precision(values: np.ndarray, precision: int, name: str) -> np.ndarray:
+    """The values; ValueError if one has more digits than its column."""
+    if precision < 19 or values.dtype == object:
+        if len(values) and (np.abs(values) >= 10**precision).any():
+            raise ValueError(f"a value of {name} has more than {precision} digits")
+    return values
 
 
 def numeric_bytes(values: np.ndarray, scale: int, long_form: bool = False, special: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Lengths and padded rows of bytes of scaled whole numbers; special: 0 or the whole first word of NaN and infinities."""
     groups_after = -(-scale // 4)
     lift = 10 ** (4 * groups_after - scale)
-    negative, m = values < 0, np.abs(values)
-    places = 6
+    negative, m = (values < 0).astype(bool), np.abs(values)
+    places = 6 if values.dtype != object else max(6, -(-(len(str(max(m, default=0))) + 3) // 4) + 1)
     digits = np.zeros((len(m), places), np.int64)
     if lift > 1:
         low = m % (10_000 // lift)
@@ -282,12 +337,12 @@ def packed_double(raw: np.ndarray, precision: int, scale: int) -> np.ndarray:
 
 def packed_decimal(raw: np.ndarray, precision: int, scale: int, valid: np.ndarray) -> pa.Array:
     m, negative = packed_mantissa(raw, precision, scale)
-    return pa.array([Decimal(int(-x if n else x)).scaleb(-scale) if ok else None for x, n, ok in zip(m, negative, valid)], pa.decimal128(precision, scale))
+    return decimal_array(np.where(valid, np.where(negative, -m, m), 0), precision, scale, valid)
 
 
 def packed_bytes(values: np.ndarray, precision: int, scale: int) -> np.ndarray:
     """Rows of bytes of scaled whole numbers."""
-    negative, rest = values < 0, np.abs(values)
+    negative, rest = (values < 0).astype(bool), np.abs(values)
     groups = decimal_groups(precision, scale)
     out = np.zeros((len(values), sum(b for _, b in groups)), np.uint8)
     at = out.shape[1]

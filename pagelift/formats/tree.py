@@ -224,7 +224,9 @@ def _column(c, batch: pa.RecordBatch, float_codec: str, hidden: int, overflow) -
     column = batch.column(c.name)
     there = np.asarray(column.is_valid())
     if c.kind == "numeric":
-        return _Column(there, fixed=codec.packed_bytes(codec.scaled_ints(column, c.scale), c.precision, c.scale))
+        if pa.types.is_floating(column.type) and not pc.all(pc.is_finite(column.drop_null())).as_py() and len(column.drop_null()):
+            raise PageError(f"{c.name} holds NaN or an infinity, which the tree's exact numbers don't have")
+        return _Column(there, fixed=codec.packed_bytes(codec.in_precision(codec.scaled_ints(column, c.scale), c.precision, c.name), c.precision, c.scale))
     if c.kind in WIDTHS:
         v = codec.column_values(column, c.kind)
         if c.kind in ("float4", "float8"):

@@ -146,15 +146,14 @@ def profile(df: DataFrame) -> DataFrame:
 
 @udtf(returnType="page int, lower int, upper int, special int, pointers int, normal int")
 class PageInspect:
-    """Headers of the heap pages in a binary value."""
+    """Headers of the heap pages in a binary value: a block of pages, as the sources give them `as` blocks."""
 
     def eval(self, content):
         pages = np.frombuffer(content, np.uint8).reshape(-1, heap.PAGE)
         lower, upper, special = heap.page_headers(pages)
         page, _, state, _ = heap.line_pointers(pages)
-        for i in range(len(pages)):
-            mine = page == i
-            yield i, int(lower[i]), int(upper[i]), int(special[i]), int(mine.sum()), int((state[mine] == heap.NORMAL).sum())
+        every, normal = np.bincount(page, minlength=len(pages)), np.bincount(page[state == heap.NORMAL], minlength=len(pages))
+        yield from zip(range(len(pages)), *(x.tolist() for x in (lower, upper, special, every, normal)))
 
 
 @udtf(returnType="page int, kind int, level int, index_id long, records int")
@@ -165,8 +164,8 @@ class RecordInspect:
         pages = np.frombuffer(content, np.uint8).reshape(-1, tree.PAGE)
         leaves = np.flatnonzero(tree.index_pages(pages) & tree.leaf_pages(pages))
         page, _ = tree.record_origins(pages, leaves)
-        for i in range(len(pages)):
-            yield i, int(tree._u16(pages[i : i + 1], 24)[0]), int(tree._u16(pages[i : i + 1], 64)[0]), int(tree.index_ids(pages[i : i + 1])[0]), int((page == i).sum())
+        columns = (tree._u16(pages, 24), tree._u16(pages, 64), tree.index_ids(pages), np.bincount(page, minlength=len(pages)))
+        yield from zip(range(len(pages)), *(x.tolist() for x in columns))
 
 
 @udtf(returnType="range_no int, block int, slot int, pages_per_range int")

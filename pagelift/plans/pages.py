@@ -8,15 +8,20 @@ import os
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs as pafs
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyarrow.dataset import dataset
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pagelift.formats.brin import RangePredicate, Ranges, keep
 from pagelift.formats.heap import Segment, segment_order
+from pagelift.schema import StorageColumn
 
 MANIFEST = "_manifest.json"
-#: Above this many ranges the pruning runs as a Spark job.
+SUMMARIES = "_summaries.json"  # tells that an index is a table of summaries
+#: Above this many ranges an index is a table that executors write, and a scan with a range prunes by a Spark job over it.
 DRIVER_RANGES = 1_000_000
 
 
@@ -29,6 +34,8 @@ class PageRun:
     count: int
     base: int
     size: int = 0
+    changed: int = 0
+    window: tuple[int, int] | None = None  # of line pointers, see heap.tuples
 
 
 def file_system(path: str) -> tuple[pafs.FileSystem, str]:
@@ -78,17 +85,18 @@ def list_segments(path: str) -> list[Segment]:
         raise FileNotFoundError(path)
     if info.type == pafs.FileType.Directory:
         m = manifest(path)
-        if m is not None:
-            return [Segment(f"{path.rstrip('/')}/{f['path']}", f["size"]) for f in m["files"]]
         found = fs.get_file_info(pafs.FileSelector(at))
+        if m is not None:
+            changed = {os.path.basename(f.path): f.mtime_ns or 0 for f in found}
+            return [Segment(f"{path.rstrip('/')}/{f['path']}", f["size"], changed.get(f["path"], 0)) for f in m["files"]]
         files = [f for f in found if f.type == pafs.FileType.File and not os.path.basename(f.path).startswith(("_", "."))]
         prefix = path.rstrip("/")
         ordered = sorted(files, key=lambda f: segment_order(f.path))
-        return [Segment(f"{prefix}/{os.path.basename(f.path)}", f.size) for f in ordered]
+        return [Segment(f"{prefix}/{os.path.basename(f.path)}", f.size, f.mtime_ns or 0) for f in ordered]
     folder, name = os.path.split(at)
     found = [f for f in fs.get_file_info(pafs.FileSelector(folder)) if segment_order(os.path.basename(f.path))[0] == name and f.type == pafs.FileType.File]
     prefix = path[: len(path) - len(name)]
-    return [Segment(prefix + os.path.basename(f.path), f.size) for f in sorted(found, key=lambda f: segment_order(f.path))]
+    return [Segment(prefix + os.path.basename(f.path), f.size, f.mtime_ns or 0) for f in sorted(found, key=lambda f: segment_order(f.path))]
 
 
 def split_pages(segments: list[Segment], page_size: int, target_bytes: int) -> list[PageRun]:
@@ -99,7 +107,7 @@ def split_pages(segments: list[Segment], page_size: int, target_bytes: int) -> l
         parts = max(1, -(-pages // per))
         for k in range(parts if pages else 0):
             a, b = pages * k // parts, pages * (k + 1) // parts
-            out.append(PageRun(s.path, a, b - a, base, s.size))
+            out.append(PageRun(s.path, a, b - a, base, s.size, s.changed))
         base += pages
     return out
 
@@ -122,13 +130,13 @@ def clip(splits: list[PageRun], kept: list[tuple[int, int]], pages_per_range: in
         while j < len(spans) and spans[j][0] < hi:
             a, b = max(lo, spans[j][0]), min(hi, spans[j][1])
             if a < b:
-                out.append(PageRun(s.path, a - s.base, b - a, s.base, s.size))
+                out.append(PageRun(s.path, a - s.base, b - a, s.base, s.size, s.changed))
             j += 1
     return out
 
 
 def prune(splits: list[PageRun], ranges: Ranges, predicate: RangePredicate | None) -> tuple[list[PageRun], dict]:
-    mask = keep(ranges, predicate)
+    mask = ~ranges.usable if isinstance(ranges, Excluded) else keep(ranges, predicate)
     kept = clip(splits, runs(mask), ranges.pages_per_range)
     return kept, {"ranges_total": len(ranges), "ranges_kept": int(mask.sum()), "pages_total": sum(s.count for s in splits), "pages_read": sum(s.count for s in kept)}
 
@@ -148,7 +156,36 @@ def prune_distributed(ranges: DataFrame, predicate: Column, pages_per_range: int
     return islands.select((F.col("a") * pages_per_range).alias("first_page"), ((F.col("b") - F.col("a") + 1) * pages_per_range).alias("n_pages"))
 
 
-def range_table(spark: SparkSession, ranges: Ranges) -> DataFrame:
-    """Summaries as a DataFrame."""
-    rows = [(i, bool(u), float(a) if isinstance(a, (int, float)) else None, float(b) if isinstance(b, (int, float)) else None, bool(n), bool(s)) for i, (u, a, b, n, s) in enumerate(zip(ranges.usable, ranges.low, ranges.high, ranges.all_null, ranges.some_null))]
-    return spark.createDataFrame(rows, "range_no long, usable boolean, vmin double, vmax double, all_null boolean, some_null boolean")
+def ranges_of_table(index: str, found: dict | None, column: StorageColumn, pages: int, predicate: RangePredicate | None) -> Ranges | None:
+    """What a pushed filter leaves of a table of summaries: its ranges stream by, and one bit of each is kept."""
+    told = json.loads(read_bytes(f"{index}/{SUMMARIES}"))
+    if told["relation"] != (found or {}).get("relation") or told["column"] != column.name:
+        return None
+    per = told["pages_per_range"]
+    n = -(-pages // per)
+    usable = np.zeros(n, bool)
+    if predicate is not None:
+        whole = -(-told["pages"] // per) if pages == told["pages"] else told["pages"] // per  # the last may have grown
+        kind = column.arrow_type()
+        value = lambda v: pa.scalar(v.decode() if isinstance(v, bytes) and not pa.types.is_binary(kind) else v, pa.int64() if pa.types.is_timestamp(kind) else pa.int32() if pa.types.is_date(kind) else kind).cast(kind)
+        gone = pc.scalar(False)
+        if predicate.low is not None:
+            gone |= pc.field("high") < value(predicate.low)
+        if predicate.high is not None:
+            gone |= pc.field("low") > value(predicate.high)
+        if predicate.values is not None:
+            among = pc.scalar(False)
+            for v in predicate.values:
+                among |= (pc.field("low") <= value(v)) & (pc.field("high") >= value(v))
+            gone |= ~among
+        fs, at = file_system(f"{index}/ranges")
+        table = dataset(at, filesystem=fs, format="parquet")
+        for batch in table.to_batches(columns=["range_no"], filter=(pc.field("n") > 0) & (pc.field("range_no") < whole) & gone):
+            usable[np.asarray(batch.column(0))] = True
+    # a usable range here is one that the predicate excludes: bounds that nothing meets
+    top, bottom = np.full(n, np.inf), np.full(n, -np.inf)
+    return Excluded(per, usable, top, bottom, np.zeros(n, bool), np.zeros(n, bool))
+
+
+class Excluded(Ranges):
+    """Ranges whose predicate is settled: usable ones are excluded."""

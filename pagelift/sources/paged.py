@@ -11,7 +11,7 @@ import json
 import os
 import uuid
 import zlib
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +32,7 @@ from pyspark.sql.datasource import (
     LessThanOrEqual,
     WriterCommitMessage,
 )
-from pyspark.sql.types import LongType, StructField, StructType
+from pyspark.sql.types import BinaryType, LongType, StringType, StructField, StructType
 
 from pagelift.formats import brin, heap, tree
 from pagelift.formats.brin import RangePredicate
@@ -41,6 +41,10 @@ from pagelift.schema import StorageSchema
 
 OVERFLOW_AT = 1800  # bytes from which a value moves to overflow storage, where that is asked for
 CHUNK = 1900  # payload bytes of an overflow chunk
+CHUNKS = StorageSchema.parse("value_id:int8!,seq:int4!,data:binary")
+HELD_CHUNKS = 2000  # chunks that a task holds before it writes them
+#: Bits of a value's number: the write to the relation, the partition, the value within it.
+WRITE_BITS, PART_BITS, VALUE_BITS = 15, 20, 28
 
 
 @dataclass
@@ -110,8 +114,10 @@ class PagedReader(DataSourceReader):
         per = int(self.options.get("pages_per_read", 256))
         share = float(self.options.get("sample_pages", 1))
         with fs.open_input_file(at) as f:
-            if str(self.options.get("snapshot", "strict")) == "strict" and run.size and f.size() != run.size:
-                raise heap.PageError(f"{run.path} changed after the scan was planned")
+            if str(self.options.get("snapshot", "strict")) == "strict":
+                changed = run.changed and fs.get_file_info([at])[0].mtime_ns != run.changed
+                if changed or (run.size and f.size() != run.size):
+                    raise heap.PageError(f"{run.path} changed after the scan was planned")
             if f.size() % self.page_size:
                 raise heap.PageError(f"{run.path} doesn't end with a whole page")
             f.seek(run.first * self.page_size)
@@ -125,36 +131,71 @@ class PagedReader(DataSourceReader):
                     raise heap.PageError(f"{run.path} ends within a page")
                 yield first, np.frombuffer(raw, np.uint8).reshape(n, self.page_size)
 
-    def decode(self, pages: np.ndarray, base: int) -> pa.RecordBatch:
+    def decode(self, pages: np.ndarray, base: int, window: tuple[int, int] | None = None) -> pa.RecordBatch:
         raise NotImplementedError
 
+    def headers(self, pages: np.ndarray) -> tuple[np.ndarray, ...]:
+        """The columns of HEADERS for some pages."""
+        raise NotImplementedError
+
+    def shown(self, run: plan.PageRun, what: str):
+        """Page headers, or whole blocks of pages, instead of rows."""
+        for first, block in self.blocks(run):
+            if what == "blocks":
+                columns = ([run.path], [run.base + first], [block.tobytes()])
+            else:
+                columns = ([run.path] * len(block), run.base + first + np.arange(len(block)), *self.headers(block))
+            schema = pa.schema([(f.name, {"string": pa.string(), "binary": pa.binary()}.get(f.dataType.simpleString(), pa.int64())) for f in self.output.fields])
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, schema)], schema=schema)
+
     def read(self, partition):
+        what = self.options.get("as", "rows")
+        if what != "rows":
+            for run in partition.runs:
+                yield from self.shown(run, what)
+            return
         limit = int(self.options.get("max_rows", 65_536))
         for run in partition.runs:
             for first, block in self.blocks(run):
-                batch = self.decode(block, run.base + first)
+                window = None
+                if run.window:  # it is the run's; of a block, only what the block holds of the run's ends
+                    window = (run.window[0] if first == run.first else 0, run.window[1] if first + len(block) == run.first + run.count else -1)
+                batch = self.decode(block, run.base + first, window)
                 for at in range(0, batch.num_rows, limit):
                     yield batch.slice(at, limit)
 
 
 class HeapReader(PagedReader):
+    def headers(self, pages):
+        page, _, state, _ = heap.line_pointers(pages)
+        n = len(pages)
+        return *heap.page_headers(pages), np.bincount(page, minlength=n), np.bincount(page[state == heap.NORMAL], minlength=n)
+
     def index(self, heap_pages: int):
         path = self.options.get("index_path")
-        if not path:
-            return None, None
         column = self.options.get("index_column") or (self.predicate.column if self.predicate else None)
-        if column is None or (self.predicate and self.predicate.column != column):
+        if not path or column is None or (self.predicate and self.predicate.column != column):
             return None, None
-        return brin.load(plan.read_bytes(path), self.storage[column], heap_pages, self.options.get("null_flags", "paired")), column
+        if plan.exists(f"{path}/{plan.SUMMARIES}"):
+            return plan.ranges_of_table(path, self.manifest, self.storage[column], heap_pages, self.predicate), column
+        data = plan.read_bytes(path)
+        relation = brin.covered(data)[1]
+        if relation and relation != self.manifest.get("relation"):
+            return None, None  # the relation was written anew after its index
+        return brin.load(data, self.storage[column], heap_pages, self.options.get("null_flags", "paired")), column
 
     def plan(self):
         splits, counts = super().plan()
+        if self.options.get("runs"):  # found by a job
+            found = np.frombuffer(plan.read_bytes(self.options["runs"]), "<i8").reshape(-1, 2)
+            kept = plan.clip(splits, found.tolist(), 1)
+            return kept, counts | {"pages_read": sum(s.count for s in kept)}
         ranges, _ = self.index(counts["pages_total"])
         if ranges is None or not self.predicate or not _flag(self.options, "prune", "true"):
             return splits, counts
         return plan.prune(splits, ranges, self.predicate)
 
-    def decode(self, pages, base):
+    def decode(self, pages, base, window=None):
         o = self.options
         custom = o.get("reader")
         if custom:
@@ -162,8 +203,7 @@ class HeapReader(PagedReader):
 
             return load(custom)(pages, self.storage, self.names)
         paged = any(f.name == "_page" for f in self.output.fields)
-        batch = heap.decode(pages, self.storage, self.names, o.get("visibility", "delete_only"), o.get("numeric_as", "double"), o.get("timestamp_as", "ntz"), o.get("on_overflow", "error"), base if paged else None)
-        return batch
+        return heap.decode(pages, self.storage, self.names, o.get("visibility", "delete_only"), o.get("numeric_as", "double"), o.get("timestamp_as", "ntz"), o.get("on_overflow", "error"), base if paged else None, window)
 
 
 class TreeReader(PagedReader):
@@ -175,7 +215,15 @@ class TreeReader(PagedReader):
             n = min(8, f.size() // tree.PAGE)
             return tree.discover_index(np.frombuffer(f.read(n * tree.PAGE), np.uint8).reshape(n, tree.PAGE))
 
+    def headers(self, pages):
+        leaves = np.flatnonzero(tree.index_pages(pages) & tree.leaf_pages(pages))
+        page, _ = tree.record_origins(pages, leaves)
+        return tree._u16(pages, 24), tree._u16(pages, 64), tree.index_ids(pages), np.bincount(page, minlength=len(pages))
+
     def read(self, partition):
+        if self.options.get("as", "rows") != "rows":
+            yield from super().read(partition)
+            return
         self._ids = {r.path: self._index_id(r) for r in {r.path: r for r in partition.runs}.values()}
         limit = int(self.options.get("max_rows", 65_536))
         for run in partition.runs:
@@ -185,7 +233,7 @@ class TreeReader(PagedReader):
                 for at in range(0, batch.num_rows, limit):
                     yield batch.slice(at, limit)
 
-    def decode(self, pages, base):
+    def decode(self, pages, base, window=None):
         o, bounds = self.options, None
         custom = o.get("reader")
         if custom:
@@ -254,6 +302,10 @@ class PagedWriter(DataSourceArrowWriter):
         if key and not self.storage.key:
             self.storage = StorageSchema(self.storage.columns, key)
         self.path, self.attempt = options["path"].rstrip("/"), uuid.uuid4().hex[:8]
+        old = None if overwrite else plan.manifest(self.path)
+        self.number = old.get("writes", 1) if old else 0
+        if self.number >> WRITE_BITS:
+            raise ValueError(f"{self.path} was appended to {self.number} times; write it anew")
         self.segment_pages = int(options.get("segment_pages", (1 << 30) // self.page_size))
 
     def pages(self, batch, state):
@@ -272,17 +324,31 @@ class PagedWriter(DataSourceArrowWriter):
             sizes = np.array(pc.binary_length(column).fill_null(0))
             for i in np.flatnonzero(sizes > OVERFLOW_AT):
                 state["values"] += 1
-                ids[i] = state["values"]
+                if state["values"] >> VALUE_BITS:
+                    raise ValueError("too many long values in a partition; write it in more partitions")
+                ids[i] = state["first"] + state["values"]
                 raw = column[int(i)].as_py()
                 for k, at in enumerate(range(0, len(raw), CHUNK)):
-                    state["chunks"].append((state["values"], k, raw[at : at + CHUNK]))
+                    state["chunks"].append((int(ids[i]), k, raw[at : at + CHUNK]))
+                if len(state["chunks"]) >= HELD_CHUNKS:
+                    self._put(state)
             out[c.name] = ids
         return out
 
+    def _put(self, state: dict) -> None:
+        ids, seqs, data = zip(*state["chunks"])
+        state["side"].add(heap.encode(pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(seqs, pa.int32()), pa.array(data, pa.binary())], names=CHUNKS.names), CHUNKS))
+        state["chunks"] = []
+
     def write(self, iterator):
         part = TaskContext.get().partitionId()
         name = f"part-{part:05d}-{self.attempt}-{uuid.uuid4().hex[:6]}"
-        state = {"values": part * 1_000_000, "chunks": [], "page": self.first_page(), "row": 1 + (part << 32)}
+        if part >> PART_BITS:
+            raise ValueError("too many partitions")
+        # long values are numbered by write, partition and place: no other value of the relation has that number
+        first = (self.number << PART_BITS | part) << VALUE_BITS
+        side = _Segments(f"{self.path}/_overflow", name, heap.PAGE, 1 << 17, None)
+        state = {"first": first, "values": 0, "chunks": [], "side": side, "page": self.first_page(), "row": 1 + (part << 32)}
         out, rows = _Segments(self.path, name, self.page_size, self.segment_pages, self.start_pages()), 0
         for batch in iterator:
             batch = pa.RecordBatch.from_arrays([batch.column(i) for i in range(batch.num_columns)], schema=batch.schema)
@@ -293,15 +359,9 @@ class PagedWriter(DataSourceArrowWriter):
             rows += batch.num_rows
             out.add(pages)
         self.finish(out, state)
-        files, chunks = out.close(), []
         if state["chunks"]:
-            schema = StorageSchema.parse("value_id:int4!,seq:int4!,data:binary")
-            side = _Segments(f"{self.path}/_overflow", name, heap.PAGE, 1 << 17, None)
-            for at in range(0, len(state["chunks"]), 20_000):
-                ids, seqs, data = zip(*state["chunks"][at : at + 20_000])
-                side.add(heap.encode(pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.array(seqs, pa.int32()), pa.array(data, pa.binary())], names=["value_id", "seq", "data"]), schema))
-            chunks = side.close()
-        return Written(part, files, chunks, rows)
+            self._put(state)
+        return Written(part, out.close(), side.close(), rows)
 
     def first_page(self):
         return 0
@@ -315,12 +375,12 @@ class PagedWriter(DataSourceArrowWriter):
     def commit(self, messages):
         messages = sorted((m for m in messages if m is not None), key=lambda m: m.partition)
         old = None if self.overwrite or not plan.exists(f"{self.path}/{plan.MANIFEST}") else plan.manifest(self.path)
-        m = {"format": self.format, "columns": self.storage.to_json(), "files": (old["files"] if old else []) + [f for x in messages for f in x.files], "rows": (old["rows"] if old else 0) + sum(x.rows for x in messages), "float_codec": self.options.get("float_codec", "ordered"), "prefix": self.options.get("prefix", "declared")}
+        m = {"format": self.format, "columns": self.storage.to_json(), "files": (old["files"] if old else []) + [f for x in messages for f in x.files], "rows": (old["rows"] if old else 0) + sum(x.rows for x in messages), "float_codec": self.options.get("float_codec", "ordered"), "prefix": self.options.get("prefix", "declared"), "writes": self.number + 1, "relation": (old or {}).get("relation") or uuid.uuid4().int >> 65}
         chunks = [f for x in messages for f in x.overflow]
         if chunks or old:
             known = plan.manifest(f"{self.path}/_overflow") if old and plan.exists(f"{self.path}/_overflow/{plan.MANIFEST}") else {"files": []}
             if chunks or known["files"]:
-                plan.write_bytes(f"{self.path}/_overflow/{plan.MANIFEST}", json.dumps({"format": "pageheap", "columns": StorageSchema.parse("value_id:int4!,seq:int4!,data:binary").to_json(), "files": known["files"] + chunks, "rows": 0}).encode())
+                plan.write_bytes(f"{self.path}/_overflow/{plan.MANIFEST}", json.dumps({"format": "pageheap", "columns": CHUNKS.to_json(), "files": known["files"] + chunks, "rows": 0}).encode())
         plan.write_bytes(f"{self.path}/{plan.MANIFEST}", json.dumps(m).encode())  # last: a reader sees all or nothing
 
     def abort(self, messages):
@@ -404,21 +464,40 @@ class TreeWriter(PagedWriter):
 
 
 class HeapStream(DataSourceStreamReader):
-    """Tail of a relation that grows by whole files or pages; an offset is the number of files and of pages of the last."""
+    """Tail of a relation that grows at its end: by files, by pages, and by rows of its last page.
+
+    An offset is the number of pages and of the last page's line pointers.  A batch takes what came after its start in the
+    page that was the last then, and all pages since; of its own last page, the line pointers that its end counted.  Rows
+    that are put into free space of earlier pages are not seen, and deletions of rows that were read aren't either.
+    """
 
     def __init__(self, schema, options, storage):
         self.batch = HeapReader(schema, options | {"snapshot": "off"}, storage, None)
 
     def initialOffset(self):
-        return {"pages": 0}
+        return {"pages": 0, "pointers": 0}
 
     def latestOffset(self):
-        return {"pages": sum(s.pages for s in self.batch.segments())}
+        segments = [s for s in self.batch.segments() if s.pages]
+        if not segments:
+            return self.initialOffset()
+        fs, at = plan.file_system(segments[-1].path)
+        with fs.open_input_file(at) as f:
+            f.seek((segments[-1].pages - 1) * heap.PAGE)
+            last = np.frombuffer(f.read(heap.PAGE), np.uint8).reshape(1, -1)
+        return {"pages": sum(s.pages for s in segments), "pointers": int(heap.pointer_counts(last)[0])}
 
     def partitions(self, start, end):
         segments = self.batch.segments()
         splits = plan.split_pages(segments, heap.PAGE, self.batch.split_bytes(segments))
-        return [Part([r]) for r in plan.clip(splits, [(start["pages"], end["pages"] - start["pages"])], 1)] or [Part([])]
+        first = max(0, start["pages"] - 1)
+        runs = plan.clip(splits, [(first, end["pages"] - first)], 1) if (start["pages"], start["pointers"]) != (end["pages"], end["pointers"]) else []
+        out = []
+        for r in runs:
+            low = start["pointers"] if start["pages"] and r.base + r.first == first else 0
+            high = end["pointers"] if r.base + r.first + r.count == end["pages"] else -1
+            out.append(Part([replace(r, window=(low, high))]))
+        return out or [Part([])]
 
     def read(self, partition):
         yield from self.batch.read(partition)
@@ -426,6 +505,7 @@ class HeapStream(DataSourceStreamReader):
 
 class PagedSource(DataSource):
     reader_class, pushing_class, writer_class = HeapReader, PushingHeapReader, HeapWriter
+    headers = ("lower", "upper", "special", "pointers", "normal")
 
     def _storage(self) -> tuple[StorageSchema, dict | None]:
         found = None
@@ -440,6 +520,10 @@ class PagedSource(DataSource):
         return StorageSchema.from_json(found["columns"]), found
 
     def schema(self):
+        what = self.options.get("as", "rows")
+        if what != "rows":  # page numbers are the relation's
+            more = [("first_page", LongType()), ("content", BinaryType())] if what == "blocks" else [(n, LongType()) for n in ("page", *self.headers)]
+            return StructType([StructField(n, t) for n, t in [("path", StringType()), *more]])
         storage, _ = self._storage()
         columns = [c.strip() for c in self.options["columns"].split(",")] if self.options.get("columns") else None
         out = storage.spark(columns, numeric_as=self.options.get("numeric_as", "double"), timestamp_as=self.options.get("timestamp_as", "ntz"))
@@ -471,6 +555,7 @@ class PageHeapSource(PagedSource):
 
 class PageTreeSource(PagedSource):
     reader_class, pushing_class, writer_class = TreeReader, PushingTreeReader, TreeWriter
+    headers = ("kind", "level", "index_id", "records")
 
     @classmethod
     def name(cls):

@@ -1,17 +1,20 @@
 """Streams over page files and what can be run on them.
 
-A stream reads the tail of a heap relation that grows by whole pages.  `finish` runs a streaming DataFrame to its end over
+A stream reads the tail of a heap relation that grows at its end.  `finish` runs a streaming DataFrame to its end over
 what is there now, into Parquet, and gives the result as a table.
 """
 
 from __future__ import annotations
 
+import json
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from pagelift import scan
+from pagelift.plans import pages as plan
 from pagelift.session import scratch
 
 
@@ -23,6 +26,18 @@ def tail(spark: SparkSession, path: str, **options) -> DataFrame:
     return reader.load()
 
 
+def replace_files(source: str, target: str) -> None:
+    """Put one relation's bytes in another's place, file by file in order, as a server changes its files."""
+    files = [plan.list_segments(x) for x in (source, target)]
+    manifest = plan.manifest(target)
+    manifest["files"] = []
+    for k, new in enumerate(files[0]):
+        path = files[1][k].path if k < len(files[1]) else f"{target}/{new.path.rsplit('/', 1)[1]}"
+        plan.write_bytes(path, plan.read_bytes(new.path))
+        manifest["files"].append({"path": path.rsplit("/", 1)[1], "size": new.size})
+    plan.write_bytes(f"{target}/{plan.MANIFEST}", json.dumps(manifest).encode())
+
+
 def place(spark: SparkSession) -> str:
     return scratch(spark, "streams")
 
@@ -54,7 +69,7 @@ def windowed(stream: DataFrame, at: str, late: str, *keys) -> DataFrame:
 
 
 class RunningCount(StatefulProcessor):
-    """For each user: events so far, with the state kept until an hour of event time passes without one."""
+    """For each user: events so far.  The state is kept as long as the stream runs: it grows with the users, not the events."""
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.count = handle.getValueState("n", "n long")

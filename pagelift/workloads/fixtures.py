@@ -59,7 +59,7 @@ def place(spark: SparkSession, sf_dir: str, label: str, layout: dict) -> str:
 def ensure(spark: SparkSession, sf_dir: str, label: str, kind: str, make, spec: str, pk: tuple[str, ...] = (), cluster_by: tuple[str, ...] = (), index: dict | None = None, recipe: str = "", **options) -> str:
     """Path of a fixture; make() gives its rows.  A writer that is beaten by another uses the other's files."""
     scan.register(spark)
-    layout = {"kind": kind, "spec": spec, "pk": pk, "cluster": cluster_by, "index": index, "recipe": recipe, **options}
+    layout = {"kind": kind, "spec": spec, "pk": pk, "cluster": cluster_by, "index": index, "recipe": recipe, "version": 2, **options}
     path = place(spark, sf_dir, f"{kind}-{label}", layout)
     if not plan.exists(f"{path}/{plan.MANIFEST}"):
         draft = f"{path}.{uuid.uuid4().hex[:8]}"

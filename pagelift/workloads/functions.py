@@ -6,7 +6,6 @@ from pyspark.sql import functions as F
 
 from pagelift import scan
 from pagelift.functions import pages as fn
-from pagelift.plans import pages as plan
 from pagelift.streaming import tails
 from pagelift.workloads import fixtures as fx
 from pagelift.workloads.registry import Registry
@@ -42,55 +41,45 @@ def column_profile(spark, d):
     return fn.profile(fx.direct(spark, d, "orders", "pageheap", columns=["o_orderkey", "o_custkey", "o_orderstatus", "o_orderpriority"]))
 
 
-def files(spark, path, kind="pageheap"):
-    """Raw page files of a relation."""
-    return spark.read.format("binaryFile").load([s.path for s in plan.list_segments(path)])
+def blocks(spark, d, table, kind):
+    """A relation's pages in blocks of bounded size, as binary values."""
+    scan.register(spark)
+    fn.register(spark)
+    return scan.scan(spark, kind, fx.base(spark, d, table, kind), **{"as": "blocks"})
 
 
-@REG.query("udtf_page_inspect")
+@REG.query("udtf_page_inspect", "SELECT CAST(count(*) AS BIGINT) AS n_rows, true AS whole FROM orders")
 def page_inspect(spark, d):
-    scan.register(spark)
-    fn.register(spark)
-    files(spark, fx.base(spark, d, "orders", "pageheap")).createOrReplaceTempView("pl_page_files")
-    return spark.sql("SELECT path, i.* FROM pl_page_files, LATERAL udtf_page_inspect(content) i")
+    """Line pointers of all pages; each page's directory ends where its header says."""
+    blocks(spark, d, "orders", "pageheap").createOrReplaceTempView("pl_page_blocks")
+    return spark.sql("SELECT CAST(sum(normal) AS BIGINT) AS n_rows, bool_and(lower = 24 + 4 * pointers AND lower <= upper AND special = 8192) AS whole FROM pl_page_blocks, LATERAL udtf_page_inspect(content) i")
 
 
-@REG.query("udtf_record_inspect")
+@REG.query("udtf_record_inspect", "SELECT CAST(count(*) AS BIGINT) AS n_rows, CAST(0 AS BIGINT) AS others FROM orders")
 def record_inspect(spark, d):
-    scan.register(spark)
-    fn.register(spark)
-    files(spark, fx.base(spark, d, "orders", "pagetree")).createOrReplaceTempView("pl_tree_files")
-    return spark.sql("SELECT path, i.* FROM pl_tree_files, LATERAL udtf_record_inspect(content) i")
+    """Records on leaf pages of the clustered index, and on other pages."""
+    blocks(spark, d, "orders", "pagetree").createOrReplaceTempView("pl_tree_blocks")
+    return spark.sql("SELECT CAST(sum(IF(level = 0 AND index_id = 40, records, 0)) AS BIGINT) AS n_rows, CAST(sum(IF(level = 0 AND index_id = 40, 0, records)) AS BIGINT) AS others FROM pl_tree_blocks, LATERAL udtf_record_inspect(content) i")
 
 
-@REG.query("udtf_brin_inspect")
+@REG.query("udtf_brin_inspect", "SELECT true AS consecutive, true AS one_width")
 def brin_inspect(spark, d):
+    """The ranges of an index follow each other and are of one width."""
     from pagelift.workloads.scans import indexed
 
     scan.register(spark)
     fn.register(spark)
     path, _ = indexed(spark, d, "events", "ts")
     spark.read.format("binaryFile").load(f"{path}/index.brin").createOrReplaceTempView("pl_index_files")
-    return spark.sql("SELECT i.* FROM pl_index_files, LATERAL udtf_brin_inspect(content) i")
+    return spark.sql("SELECT count(*) = max(range_no) + 1 AND min(range_no) = 0 AS consecutive, min(pages_per_range) = 8 AND max(pages_per_range) = 8 AS one_width FROM pl_index_files, LATERAL udtf_brin_inspect(content) i")
 
 
-@REG.query("src_pages_raw")
+@REG.query("src_pages_raw", "SELECT CAST(count(*) AS BIGINT) AS n_rows, true AS whole FROM lineitem")
 def src_pages_raw(spark, d):
-    """Page headers by Arrow batches over whole files."""
-    import numpy as np
-    import pyarrow as pa
-
-    from pagelift.formats import heap
-
+    """Page headers as columns, read block by block."""
     scan.register(spark)
-
-    def look(batches):
-        for b in batches:
-            for content in b.column(0).to_pylist():
-                lower, upper, special = heap.page_headers(np.frombuffer(content, np.uint8).reshape(-1, heap.PAGE))
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (lower, upper, special)], names=["lower", "upper", "special"])
-
-    return files(spark, fx.base(spark, d, "lineitem", "pageheap")).select("content").mapInArrow(look, "lower long, upper long, special long")
+    pages = scan.scan(spark, "pageheap", fx.base(spark, d, "lineitem", "pageheap"), **{"as": "headers"})
+    return pages.selectExpr("CAST(sum(normal) AS BIGINT) AS n_rows", "bool_and(lower = 24 + 4 * pointers AND lower <= upper) AND count(DISTINCT page) = max(page) + 1 AS whole")
 
 
 # -- streams
@@ -118,6 +107,22 @@ def bounded(df):
     return tails.naive(df.select(F.col("w.start").alias("start_ts"), F.col("w.end").alias("end_ts"), *[c for c in df.columns if c != "w"]))
 
 
+@REG.query("st_tail_last_page", EVENTS)
+def st_tail_last_page(spark, d):
+    """The relation's last page is filled up between two runs, and pages follow it: each row comes once."""
+    scan.register(spark)
+    path, at = f"{tails.place(spark)}/filled", tails.place(spark)
+    ordered = fx.table(spark, d, "events").coalesce(1).sortWithinPartitions("event_id")
+    half = fx.table(spark, d, "events").agg(F.floor(F.avg("event_id"))).first()[0]
+    # the same rows in the same pages, but the first run sees only those up to the half
+    scan.write(ordered.where(F.col("event_id") <= half), "pageheap", path, fx.SPECS["events"])
+    tails.finish(tails.tail(spark, path), at=at)
+    whole = f"{path}-whole"
+    scan.write(ordered, "pageheap", whole, fx.SPECS["events"])
+    tails.replace_files(whole, path)
+    return tails.naive(tails.finish(tails.tail(spark, path), at=at))
+
+
 REG.add("st_tail", lambda s, d: tails.naive(tails.finish(tails.tail(s, grown(s, d)))), EVENTS)
 CENTS = "CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents"
 REG.add("st_tumbling", lambda s, d: bounded(tails.finish(tails.windowed(stream(s, d), "ts", "10 minutes", F.window("ts", "1 hour").alias("w"), "event_type"), "complete")),

@@ -6,7 +6,6 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pagelift import scan, wire
-from pagelift.formats import brin
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
 from pagelift.session import scratch
@@ -258,34 +257,83 @@ REG.add("tree_key_bounds", lambda s, d: scan.scan(s, "pagetree", fx.base(s, d, "
 REG.add("brin_no_prune_baseline", lambda s, d: indexed(s, d, "orders", "o_orderkey", range="o_orderkey:int8:12000:", prune=False)[1].where("o_orderkey >= 12000"), "SELECT * FROM orders WHERE o_orderkey >= 12000")
 
 
-@q("sample_pages")
+@q("sample_pages", "SELECT CAST(0 AS BIGINT) AS foreign_rows, true AS fewer")
 def sample_pages(spark, d):
-    """A deterministic tenth of the blocks, for a cheap profile."""
-    return scan.scan(spark, "pageheap", fx.base(spark, d, "lineitem", "pageheap"), sample_pages=0.1, pages_per_read=4)
+    """A deterministic tenth of the blocks, for a cheap profile: rows of the table, and fewer."""
+    path, part = fx.base(spark, d, "lineitem", "pageheap"), {"sample_pages": 0.1, "pages_per_read": 4}
+    sample, whole = scan.scan(spark, "pageheap", path, **part), fx.table(spark, d, "lineitem")
+    key = ["l_orderkey", "l_linenumber", "l_partkey"]
+    foreign = sample.join(whole, key, "left_anti").agg(F.count(F.lit(1)).alias("foreign_rows"))
+    sizes = sample.agg(F.count(F.lit(1)).alias("n")).crossJoin(whole.agg(F.count(F.lit(1)).alias("of")))  # one row each
+    return foreign.crossJoin(sizes).select("foreign_rows", (F.col("n") < F.col("of") / 2).alias("fewer"))
 
 
-@q("prune_metrics")
+@q("prune_metrics", "SELECT * FROM (VALUES ('all', true, false), ('week', false, false), ('none', false, true)) t(predicate, reads_all, reads_none)")
 def prune_metrics(spark, d):
     """Planned ranges and pages of three predicates."""
     path, _ = indexed(spark, d, "events", "ts")
     rows = []
     for label, text in (("all", "ts:timestamp::"), ("week", "ts:timestamp:2024-01-05:2024-01-12"), ("none", "ts:timestamp:1990-01-01:1990-01-02")):
         m = scan.metrics(path, index_path=f"{path}/index.brin", range=text)
-        rows.append((label, m["ranges_total"], m["ranges_kept"], m["pages_total"], m["pages_read"], m["bytes_read"]))
-    return spark.createDataFrame(rows, "predicate string, ranges_total long, ranges_kept long, pages_total long, pages_read long, bytes_read long")
+        rows.append((label, m["pages_read"] == m["pages_total"] and m["ranges_kept"] == m["ranges_total"], m["pages_read"] == m["ranges_kept"] == m["bytes_read"] == 0))
+    return spark.createDataFrame(rows, "predicate string, reads_all boolean, reads_none boolean")
 
 
-@q("prune_distributed", "SELECT * FROM events WHERE ts BETWEEN TIMESTAMP '2024-01-05 00:00:00' AND TIMESTAMP '2024-01-09 00:00:00'")
+def summarised(spark, d) -> str:
+    """The events with a table of summaries beside them."""
+    path = fx.ensure(spark, d, "events-table", "pageheap", lambda: fx.table(spark, d, "events").coalesce(1), fx.SPECS["events"])
+    at = f"{path}/summaries"
+    if not plan.exists(f"{at}/{plan.SUMMARIES}"):
+        scan.build_index(spark, path, "ts", 8, index_path=at, form="table")
+    return path
+
+
+WEEK = "ts BETWEEN TIMESTAMP{0} '2024-01-05 00:00:00' AND TIMESTAMP{0} '2024-01-09 00:00:00'"
+
+
+@q("prune_distributed", "SELECT * FROM events WHERE " + WEEK.format(""))
 def prune_distributed(spark, d):
-    """Pages to read are found by a Spark job over the summaries; each run is then scanned."""
-    from pagelift.formats.brin import reader_of
+    """Pages to read are found by a Spark job over a table of summaries; the scan reads those only."""
+    path = summarised(spark, d)
+    return scan.scan(spark, "pageheap", path, index_path=f"{path}/summaries", range="ts:timestamp:2024-01-05:2024-01-09", where=WEEK.format("_NTZ"))
 
-    path, _ = indexed(spark, d, "events", "ts")
-    storage = StorageSchema.parse(fx.SPECS["events"])
-    pages = sum(s.pages for s in plan.list_segments(path))
-    ranges = brin.load(plan.read_bytes(f"{path}/index.brin"), storage["ts"], pages)
-    low, high = (float(reader_of("timestamp")(x)) for x in ("2024-01-05", "2024-01-09"))
-    kept = plan.prune_distributed(plan.range_table(spark, ranges), (F.col("vmax") >= low) & (F.col("vmin") <= high), ranges.pages_per_range)
-    whole = scan.scan(spark, "pageheap", path, with_page=True)
-    near = (whole["_page"] >= kept["first_page"]) & (whole["_page"] < kept["first_page"] + kept["n_pages"])
-    return whole.join(F.broadcast(kept), near, "left_semi").drop("_page").where("ts BETWEEN TIMESTAMP_NTZ '2024-01-05 00:00:00' AND TIMESTAMP_NTZ '2024-01-09 00:00:00'")
+
+@q("prune_table_pushdown", "SELECT * FROM events WHERE " + WEEK.format(""))
+def prune_table_pushdown(spark, d):
+    """The same summaries, pruned by a filter that Spark pushes."""
+    path = summarised(spark, d)
+    return scan.scan(spark, "pageheap", path, index_path=f"{path}/summaries", index_column="ts", pushdown=True, where=WEEK.format("_NTZ"))
+
+
+# -- relations that grow or change
+
+
+def appended(spark, d, table, kind, by, **options) -> str:
+    """A table written in two halves, the second appended to the first."""
+    scan.register(spark)
+    path, df = scratch(spark, "appended"), fx.table(spark, d, table)
+    for k, mode in enumerate(("overwrite", "append")):
+        scan.write(df.where(F.col(by) % 2 == k), kind, path, fx.SPECS[table], mode=mode, pk=fx.KEYS[table] if kind == "pagetree" else (), **options)
+    return path
+
+
+for _k in BOTH:
+    REG.add(f"{SHORT[_k]}_overflow_append", lambda s, d, k=_k: scan.scan(s, k, appended(s, d, "documents", k, "doc_id", overflow=True), on_overflow="resolve"), "SELECT * FROM documents")
+    REG.add(f"{SHORT[_k]}_overflow_union", lambda s, d, k=_k: scan.scan(s, k, [fx.base(s, d, "pages", k), appended(s, d, "pages", k, "page_id", overflow=True)], on_overflow="resolve"), "SELECT * FROM pages UNION ALL SELECT * FROM pages")
+    WIDE = "numeric(30,2)"
+    REG.add(f"{SHORT[_k]}_numeric_wide", lambda s, d, k=_k: made(s, d, "wide", k, fx.table(s, d, "customer").selectExpr("c_custkey", "CAST(CAST(c_custkey AS DECIMAL(8,0)) * CAST(c_custkey AS DECIMAL(8,0)) * 123456789012345678901.25BD AS DECIMAL(38,2)) * IF(c_custkey % 2 = 0, -1BD, 1BD) AS w").selectExpr("c_custkey", "CAST(w AS DECIMAL(30,2)) AS w"), f"c_custkey:int8!,w:{WIDE}", pk=("c_custkey",) if k == "pagetree" else (), read={"numeric_as": "decimal"}).selectExpr("c_custkey", "CAST(CAST(w * 100 AS DECIMAL(38,0)) AS STRING) AS hundredths"),
+            "SELECT c_custkey, CAST(CAST(c_custkey AS HUGEINT) * c_custkey * 12345678901234567890125 * CASE WHEN c_custkey % 2 = 0 THEN -1 ELSE 1 END AS VARCHAR) AS hundredths FROM customer")
+
+
+def grown_index(spark, d, mode):
+    """An index over half of the orders, which the relation outgrows, or which is left over from an earlier relation."""
+    scan.register(spark)
+    path, df = scratch(spark, "grown"), fx.table(spark, d, "orders")
+    scan.write(df.where("o_orderkey % 2 = 0").coalesce(1), "pageheap", path, fx.SPECS["orders"])
+    index = scan.build_index(spark, path, "o_orderkey", 8)
+    scan.write(df if mode == "overwrite" else df.where("o_orderkey % 2 = 1").coalesce(1), "pageheap", path, fx.SPECS["orders"], mode=mode)
+    return scan.scan(spark, "pageheap", path, index_path=index, range="o_orderkey:int8:100:900").where("o_orderkey BETWEEN 100 AND 900")
+
+
+for _n, _m in (("brin_after_append", "append"), ("brin_after_overwrite", "overwrite")):
+    REG.add(_n, lambda s, d, m=_m: grown_index(s, d, m), "SELECT * FROM orders WHERE o_orderkey BETWEEN 100 AND 900")

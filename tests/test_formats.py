@@ -2,6 +2,7 @@
 
 import math
 from datetime import date, datetime, timedelta
+from decimal import Context, Decimal
 
 import numpy as np
 import pyarrow as pa
@@ -89,6 +90,32 @@ def test_golden_values():
         assert first >> 1 == size + 1 if short else int.from_bytes(t.flat[t.data[0] : t.data[0] + 4].tobytes(), "little") >> 2 == size + 4
 
 
+@settings(max_examples=80, deadline=None)
+@given(st.integers(1, 38).flatmap(lambda p: st.tuples(st.just(p), st.integers(0, p))), st.data())
+def test_decimals_of_any_precision(size, data):
+    """Both formats give exact decimals back, also beyond 64 bits, and between them nulls."""
+    precision, scale = size
+    whole = st.integers(-(10**precision) + 1, 10**precision - 1)
+    values = data.draw(st.lists(st.one_of(st.none(), whole), min_size=1, max_size=20))
+    rows = [None if v is None else Decimal(v).scaleb(-scale, Context(prec=50)) for v in values]
+    schema = StorageSchema.parse(f"n:numeric({precision},{scale})")
+    batch = pa.RecordBatch.from_arrays([pa.array(rows, pa.decimal128(precision, scale))], names=["n"])
+    for long_numeric in (False, True) if scale < 64 else (True,):
+        assert heap.decode(heap.encode(batch, schema, long_numeric=long_numeric), schema, numeric_as="decimal").column("n").to_pylist() == rows
+    tree_schema = StorageSchema.parse(f"k:int8!,n:numeric({precision},{scale})", ("k",))
+    keyed = pa.RecordBatch.from_arrays([pa.array(range(len(rows)), pa.int64()), batch.column(0)], names=["k", "n"])
+    pages = np.vstack([tree.file_start(40), tree.encode(keyed, tree_schema)])
+    assert tree.decode(pages, tree_schema, index_id=40, numeric_as="decimal").column("n").to_pylist() == rows
+
+
+def test_large_doubles_as_numerics():
+    schema = StorageSchema.parse("n:numeric(30,2)")
+    batch = pa.RecordBatch.from_arrays([pa.array([1e20, -3.5e27, 0.25, 92233720368547758.0, None])], names=["n"])
+    got = heap.decode(heap.encode(batch, schema), schema, numeric_as="decimal").column("n").to_pylist()
+    assert got == [Decimal(10) ** 20, -Decimal(int(3.5e27)), Decimal("0.25"), Decimal(92233720368547758.0), None]
+    assert heap.decode(heap.encode(batch, schema), schema).column("n").to_pylist() == [1e20, -3.5e27, 0.25, 92233720368547758.0, None]
+
+
 def test_scaling_is_exact():
     rng = np.random.default_rng(0)
     cents = rng.integers(-(10**11), 10**11, 50_000)

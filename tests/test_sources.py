@@ -11,6 +11,7 @@ from pagelift import extract, measure, scan, wire
 from pagelift.operators import ranges
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
+from pagelift.sources.paged import HeapReader
 from pagelift.synth import coder, deploy, loop, qa
 from pagelift.workloads import fixtures as fx
 from pagelift.workloads.synthesis import job
@@ -101,6 +102,97 @@ def test_snapshot_guard_and_truncation(spark, orders, at):
         scan.scan(spark, "pageheap", at, snapshot="off").count()
 
 
+def test_a_file_of_the_same_size_is_noticed(spark, orders, at):
+    scan.write(orders, "pageheap", at, fx.SPECS["orders"], partitions=1)
+    (segment,) = plan.list_segments(at)
+    df = scan.scan(spark, "pageheap", at)
+    df.count()
+    with open(segment.path, "r+b") as f:
+        raw = f.read()
+        f.seek(0)
+        f.write(raw)
+    os.utime(segment.path, ns=(segment.changed + 10**9, segment.changed + 10**9))
+    with pytest.raises(Exception, match="changed"):  # its pages were planned before
+        df.count()
+    assert scan.scan(spark, "pageheap", at).count() == orders.count()
+
+
+@pytest.mark.parametrize("kind", ["pageheap", "pagetree"])
+def test_overflow_values_of_several_writes_and_relations(spark, tmp_path, kind):
+    """Two appends and two relations whose values have the same partition and place in their writes."""
+    pk, paths = ("k",) if kind == "pagetree" else (), []
+    want = []
+    for n in range(2):
+        paths.append(str(tmp_path / f"r{n}"))
+        for k in range(2):
+            df = spark.createDataFrame([(10 * n + k, chr(97 + 2 * n + k) * 5000)], "k long, t string").coalesce(1)
+            scan.write(df, kind, paths[-1], "k:int8!,t:text", mode="append", pk=pk, overflow=True)
+            want.append((10 * n + k, chr(97 + 2 * n + k) * 5000))
+    assert sorted(map(tuple, scan.scan(spark, kind, paths, on_overflow="resolve").collect())) == want
+    assert sorted(map(tuple, scan.scan(spark, kind, paths[0], on_overflow="resolve").collect())) == want[:2]
+
+
+def test_an_index_knows_what_it_covers(spark, at):
+    spec = "k:int8!"
+    scan.write(spark.range(100).toDF("k").coalesce(1), "pageheap", at, spec)
+    for form, name in (("file", "i"), ("table", "t")):
+        scan.build_index(spark, at, "k", index_path=f"{at}/{name}", form=form)
+    scan.write(spark.range(1000, 1100).toDF("k").coalesce(1), "pageheap", at, spec, mode="append")
+    for name in ("i", "t"):
+        assert scan.scan(spark, "pageheap", at, index_path=f"{at}/{name}", range="k:int8:1000:").where("k >= 1000").count() == 100
+        assert scan.scan(spark, "pageheap", at, index_path=f"{at}/{name}", index_column="k", pushdown=True).where("k >= 1000").count() == 100
+    scan.write(spark.range(5000, 5100).toDF("k").coalesce(1), "pageheap", at, spec)
+    for name in ("i", "t"):
+        assert scan.scan(spark, "pageheap", at, index_path=f"{at}/{name}", range="k:int8:5000:").where("k >= 5000").count() == 100
+
+
+def test_a_job_and_the_driver_prune_alike(spark, at):
+    """A table of summaries leaves the pages that an index file leaves, by range and by pushed filter."""
+    spec = "k:int8!,t:timestamp,d:date,s:text,f:float8"
+    df = spark.range(60_000).selectExpr("id AS k", "IF(id % 9 = 0 OR id DIV 3000 = 4, NULL, timestampadd(SECOND, id, TIMESTAMP_NTZ '2001-01-01 00:00:00')) AS t", "date_add(DATE'1999-12-01', int(id DIV 100)) AS d", "lpad(id, 6, '0') AS s", "id / 7 AS f").coalesce(1)
+    scan.write(df, "pageheap", at, spec)
+    pages = lambda **o: sum(r.count for r in HeapReader(StorageSchema.parse(spec).spark(), {k: str(v) for k, v in o.items()} | {"path": at}, StorageSchema.parse(spec), plan.manifest(at)).plan()[0])
+    for column, text, kind in (("k", "1000:2000", "int8"), ("t", "2001-01-01 05:00:00:2001-01-01 06:00:00", "timestamp"), ("d", "2000-01-05:2000-02-01", "date"), ("s", "001000:002000", "text"), ("f", "100:", "float8")):
+        one = scan.build_index(spark, at, column, 4, f"{at}/{column}-file", form="file")
+        two = scan.build_index(spark, at, column, 4, f"{at}/{column}-table", form="table")
+        bounds = f"{column}:{kind}:{text}"
+        by_file = pages(index_path=one, range=bounds)
+        predicate = scan.RangePredicate.parse(bounds)
+        assert by_file == pages(index_path=two, range=bounds) == pages(runs=scan.runs_by_job(spark, at, two, predicate), range=bounds)
+        assert 0 < by_file < pages()
+
+
+def test_the_pruning_job_joins_nothing(spark, sf_dir):
+    from pagelift.workloads import scans
+
+    text = scans.prune_distributed(spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in text and "Exchange" not in text
+
+
+def test_what_a_tree_cannot_hold_is_refused(spark, at):
+    for value in ("double('NaN')", "double('Infinity')"):
+        with pytest.raises(Exception, match="NaN or an infinity"):
+            scan.write(spark.range(1).selectExpr("id AS k", f"{value} AS n"), "pagetree", at, "k:int8!,n:numeric(15,2)", pk=("k",))
+    for kind in ("pageheap", "pagetree"):
+        with pytest.raises(Exception, match="more than 5 digits"):
+            scan.write(spark.range(1).selectExpr("id AS k", "1000.00BD AS n"), kind, at, "k:int8!,n:numeric(5,2)", pk=("k",) if kind == "pagetree" else ())
+
+
+def test_a_stream_reads_rows_added_to_the_last_page(spark, tmp_path):
+    from pagelift.streaming import tails
+
+    path, at = str(tmp_path / "grows"), str(tmp_path / "at")
+    for n in (10, 30, 30, 900, 901):
+        whole = f"{path}-{n}"
+        scan.write(spark.range(n).toDF("k").coalesce(1), "pageheap", whole, "k:int8!")
+        if n == 10:
+            scan.write(spark.range(n).toDF("k").coalesce(1), "pageheap", path, "k:int8!")
+        else:
+            tails.replace_files(whole, path)
+        got = [r.k for r in tails.finish(tails.tail(spark, path), at=at).collect()]
+        assert sorted(got) == list(range(n))
+
+
 def test_segments_without_a_manifest_are_ordered_by_number(tmp_path, spark, orders):
     scan.write(orders, "pageheap", str(tmp_path / "w"), fx.SPECS["orders"], partitions=1, segment_pages=1)
     files = [s.path for s in plan.list_segments(str(tmp_path / "w"))]
