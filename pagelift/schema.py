@@ -101,6 +101,14 @@ class StorageSchema:
     def to_json(self) -> str:
         return json.dumps({"columns": [asdict(c) for c in self.columns], "key": list(self.key)})
 
+    def text(self, columns: tuple[StorageColumn, ...] | list[StorageColumn] | None = None) -> str:
+        """The columns (or those given) as parse reads them; bytes to skip are raw."""
+        out = []
+        for c in self.columns if columns is None else columns:
+            args = f"({c.precision},{c.scale})" if c.kind == "numeric" else f"({c.width})" if c.kind == "skip" else f"({c.max_len})" if c.max_len else ""
+            out.append(f"{c.name}:{'raw' if c.kind == 'skip' else c.kind}{args}{'' if c.nullable else '!'}")
+        return ",".join(out)
+
     @property
     def names(self) -> list[str]:
         return [c.name for c in self.columns if c.kind != "skip"]

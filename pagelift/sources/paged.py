@@ -134,6 +134,15 @@ class PagedReader(DataSourceReader):
     def decode(self, pages: np.ndarray, base: int, window: tuple[int, int] | None = None) -> pa.RecordBatch:
         raise NotImplementedError
 
+    def generated(self, pages: np.ndarray, kind: str, index_id: int | None = None) -> pa.RecordBatch:
+        """Rows by the source that came as an option."""
+        from pagelift.synth.deploy import load
+        from pagelift.synth.spec import column_spec
+
+        if not _flag(self.options, "allow_generated"):
+            raise ValueError("the option reader runs the source it holds; allow that with allow_generated")
+        return load(self.options["reader"])(pages, column_spec(self.storage, kind), self.names, index_id)
+
     def headers(self, pages: np.ndarray) -> tuple[np.ndarray, ...]:
         """The columns of HEADERS for some pages."""
         raise NotImplementedError
@@ -197,11 +206,8 @@ class HeapReader(PagedReader):
 
     def decode(self, pages, base, window=None):
         o = self.options
-        custom = o.get("reader")
-        if custom:
-            from pagelift.synth.deploy import load
-
-            return load(custom)(pages, self.storage, self.names)
+        if o.get("reader"):
+            return self.generated(pages, "pageheap")
         paged = any(f.name == "_page" for f in self.output.fields)
         return heap.decode(pages, self.storage, self.names, o.get("visibility", "delete_only"), o.get("numeric_as", "double"), o.get("timestamp_as", "ntz"), o.get("on_overflow", "error"), base if paged else None, window)
 
@@ -235,11 +241,8 @@ class TreeReader(PagedReader):
 
     def decode(self, pages, base, window=None):
         o, bounds = self.options, None
-        custom = o.get("reader")
-        if custom:
-            from pagelift.synth.deploy import load
-
-            return load(custom)(pages, self.storage, self.names)
+        if o.get("reader"):
+            return self.generated(pages, "pagetree", self._id)
         first = self.storage.physical()[0].name
         if self.predicate and self.predicate.column == first and _flag(o, "prune", "true"):
             bounds = (self.predicate.low, self.predicate.high)

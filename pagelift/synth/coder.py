@@ -1,6 +1,6 @@
 """Coders: specification and feedback -> source of a stand-alone reader with a fixed entry function.
 
-There is no language model here, so coders are deterministic.  `TemplateCoder` writes a reader for any schema;
+There is no language model here, so coders are deterministic.  `TemplateCoder` writes a reader that serves any schema;
 `FaultyCoder` seeds known faults that feedback removes one by one, to exercise the loop; `ExternalCoder` runs a command.
 """
 
@@ -12,6 +12,7 @@ import subprocess
 from dataclasses import asdict, dataclass, field
 from typing import Protocol
 
+from pagelift.synth import templates
 from pagelift.synth.spec import FormatSpec
 
 ENTRY = "read_pages"
@@ -48,60 +49,59 @@ def strip_prose(text: str) -> str:
 
 
 class TemplateCoder:
-    """A reader made for one format: it parses the column specification when called and decodes through the codecs."""
+    """A complete reader for one format: it parses column specifications when called, decodes all storage types, and
+    imports nothing of this package.  Formats beyond the built-in ones bring their own text (see register_format)."""
 
     def generate(self, spec: FormatSpec, feedback: Feedback) -> str:
-        module = {"pageheap": "heap", "pagetree": "tree"}[spec.kind]
-        lines = [
-            f"import numpy as np\nfrom pagelift.formats import {module} as format_\nfrom pagelift.schema import StorageSchema\n",
-            f"PAGE = {spec.constants['page_size']}\n\n",
-            f"def {ENTRY}(pages, columns, names=None):",
-            "    schema = columns if isinstance(columns, StorageSchema) else StorageSchema.parse(columns)",
-            "    pages = np.asarray(pages, np.uint8).reshape(-1, PAGE)",
-        ]
-        if spec.kind == "pagetree":
-            lines.append("    index = format_.discover_index(pages) if len(pages) > 4 else None")
-            lines.append("    return format_.decode(pages, schema, names, index)")
-        else:
-            lines.append("    return format_.decode(pages, schema, names)")
-        return "\n".join(lines) + "\n"
-
-
-#: Faults that can be seeded: a line put before the decode, and what an explanation of the mismatch must say to remove it.
+        return spec.template if spec.template else templates.source(spec.kind, spec.constants)
+
+
+@dataclass(frozen=True)
+class Fault:
+    """Something put wrong in good source, by edits of which those apply whose text is there.  It is taken out again when an
+    explanation, or the plain output of compiler or run, names its kind."""
+
+    kind: str
+    edits: tuple[tuple[str, str], ...] = ()
+
+
+START = "    pages = np.asarray(pages, np.uint8).reshape(-1, PAGE)\n"
 FAULTS = {
-    "syntax": ("    def = pages", "compile"),
-    "crash": ("    raise IndexError('offset outside the page')", "run"),
-    "lost_rows": ("    pages = pages[:-1] if len(pages) > 1 else pages[:0]", "row_count"),
-    "wrong_epoch": ("    shift = True", "value"),
-    "prose": ("", "prose"),
+    "syntax": Fault("compile", ((START, START + "    def = pages\n"),)),
+    "crash": Fault("run", ((START, START + "    raise IndexError('offset outside the page')\n"),)),
+    "lost_rows": Fault("row_count", ((START, START + "    pages = pages[:-1] if len(pages) > 1 else pages[:0]\n"),)),
+    "wrong_epoch": Fault("value", (("np.int64(10957)", "np.int64(10956)"), ("np.int32(10957)", "np.int32(10956)"), ("1970 * 12", "1971 * 12"))),
+    "sign_lost": Fault("value", (("np.where(negative, -out, out)", "out"),)),
+    "null_bits_turned": Fault("null_count", (("(bit == 1)", "(bit == 0)"), ("(k % 8) & 1 == 0", "(k % 8) & 1 == 1"))),
+    "scale_lost": Fault("value", (("4 * (weight - count + 1)", "4 * (weight - count)"), ("np.full(len(raw), -scale)", "np.full(len(raw), 0)"))),
+    "prose": Fault("prose"),
 }
+#: Kinds that can show a wrong branch: it may give other values, other nulls, or no result at all.
+SHOWN = {"value", "null_count", "run"}
 
 
 class FaultyCoder:
-    """Puts faults into good source.  The first fault left is taken out when feedback names its kind; a stubborn one only
-    when it is told to write anew or that it is stuck."""
+    """Puts faults into good source, also into branches of types that a table doesn't have.  The first fault left is taken
+    out when feedback shows it; a stubborn one only when the coder is told to write anew or that it is stuck."""
 
     def __init__(self, faults: tuple[str, ...] = (), stubborn: tuple[str, ...] = ()):
         self.faults, self.stubborn, self.inner = list(faults), set(stubborn), TemplateCoder()
 
     def generate(self, spec: FormatSpec, feedback: Feedback) -> str:
-        said = {d["kind"] for d in feedback.diagnoses[-1:]}
-        if feedback.compile_output:
-            said.add("compile")
-        if self.faults and said:
+        said = {d["kind"] for d in feedback.diagnoses[-1:]} | ({"compile"} if feedback.compile_output else set()) | ({"run"} if feedback.run_output else set())
+        if self.faults:
             first = self.faults[0]
-            if (FAULTS[first][1] in said or (FAULTS[first][1] == "value" and "null_count" in said)) and (first not in self.stubborn or feedback.rewrite or feedback.stuck):
+            kind = FAULTS[first].kind
+            shown = {kind} if kind in ("compile", "run", "row_count", "prose") else SHOWN
+            if said & shown and (first not in self.stubborn or feedback.rewrite or feedback.stuck):
                 self.faults.pop(0)
         source = self.inner.generate(spec, feedback)
-        if self.faults:
-            fault = self.faults[0]
-            if fault == "prose":
-                return "I could not write this reader.\n"
-            mark = "    pages = np.asarray(pages, np.uint8).reshape(-1, PAGE)"
-            source = source.replace(mark, mark + "\n" + FAULTS[fault][0])
-            if fault == "wrong_epoch":
-                source = source.replace("    return format_", "    batch = format_", 1)
-                source += "    import pyarrow as pa\n    import pyarrow.compute as pc\n    cols = [pc.add(c, pa.scalar(1, c.type)) if pa.types.is_integer(c.type) else c for c in batch.columns]\n    return pa.RecordBatch.from_arrays(cols, names=batch.schema.names)\n"
+        if not self.faults:
+            return source
+        if self.faults[0] == "prose":
+            return "I could not write this reader.\n"
+        for old, new in FAULTS[self.faults[0]].edits:
+            source = source.replace(old, new)
         return source
 
 

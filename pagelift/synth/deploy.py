@@ -1,4 +1,8 @@
-"""Deployment of a generated reader: the sources run it in place of the built-in decoder."""
+"""Deployment of a generated reader: the sources run it in place of the built-in decoder.
+
+A source given as an option is run by executors.  So a scan takes one only with the option `allow_generated`, which
+whoever writes the scan has to set; `options` sets both for a result that passed its checks.
+"""
 
 from __future__ import annotations
 
@@ -16,10 +20,14 @@ def deploy(result: SynthResult) -> str:
     return base64.b64encode(zlib.compress(result.source.encode())).decode()
 
 
+def options(result: SynthResult) -> dict[str, str]:
+    """Options of a scan that reads through the result's reader."""
+    return {"reader": deploy(result), "allow_generated": "true"}
+
+
 @functools.lru_cache(maxsize=64)
 def load(option: str):
     """The entry function, compiled once a worker."""
     from pagelift.synth.qa import compiled
 
-    reader = compiled(zlib.decompress(base64.b64decode(option)).decode())
-    return lambda pages, storage, names: reader(pages, storage, names)
+    return compiled(zlib.decompress(base64.b64decode(option)).decode())

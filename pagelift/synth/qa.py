@@ -14,6 +14,7 @@ from pagelift.formats import heap, tree
 from pagelift.measure import GroundTruth, Mismatch, compare, truth
 from pagelift.schema import StorageSchema
 from pagelift.synth.coder import ENTRY
+from pagelift.synth.spec import column_spec, registered
 
 
 @dataclass
@@ -31,6 +32,8 @@ class Verdict:
 def page_bytes(df: DataFrame, kind: str, storage: StorageSchema) -> bytes:
     """The rows as page files would hold them; a checking table is small by design."""
     batch = _batch(df)
+    if registered(kind):
+        return registered(kind)["encode"](batch, storage)
     if kind == "pageheap":
         return heap.encode(batch, storage).tobytes()
     return np.vstack([tree.file_start(40), tree.encode(batch, storage)]).tobytes()
@@ -48,20 +51,20 @@ def compiled(source: str):
     return space[ENTRY]
 
 
-def check(spark: SparkSession, source: str, data: bytes, storage: StorageSchema, expected: GroundTruth, rtol: float = 1e-3) -> Verdict:
+def check(spark: SparkSession, source: str, data: bytes, storage: StorageSchema, expected: GroundTruth, kind: str, rtol: float = 1e-3) -> Verdict:
     """Compile the source, run it over the pages in a task, and compare the statistics of what it returns."""
     try:
         compile(source, "<reader>", "exec")
     except SyntaxError as e:
         return Verdict(False, "compile", f"{e.__class__.__name__}: {e}")
     schema = storage.spark()
-    spec = storage.to_json()
+    spec, names = column_spec(storage, kind), storage.names
 
     def run(batches):
         for _ in batches:
             reader = compiled(source)
-            out = reader(np.frombuffer(data, np.uint8), StorageSchema.from_json(spec))
-            yield pa.RecordBatch.from_arrays([out.column(n) for n in storage.names], names=storage.names)
+            out = reader(np.frombuffer(data, np.uint8), spec, names)
+            yield pa.RecordBatch.from_arrays([out.column(n) for n in names], names=names)
 
     try:
         found = truth(spark.range(1).coalesce(1).select(F.col("id")).mapInArrow(run, schema))

@@ -9,8 +9,10 @@ from __future__ import annotations
 import json
 import os
 import re
+from collections.abc import Callable
 from dataclasses import asdict, dataclass, field
 
+import pyarrow as pa
 from pyspark.sql.types import StructType
 
 from pagelift.schema import FIXED, StorageSchema
@@ -18,7 +20,7 @@ from pagelift.session import ROOT
 
 ARROW = {"bool": "b", "int2": "s", "int4": "i", "int8": "l", "float4": "f", "float8": "g", "date": "tdD", "timestamp": "tsu:", "numeric": "g", "bpchar": "u", "varchar": "u", "text": "u", "binary": "z"}
 CONSTANTS = {
-    "pageheap": {"page_size": 8192, "header": 24, "pointer": 4, "tuple_header": 23, "byte_order": "little"},
+    "pageheap": {"page_size": 8192, "header": 24, "pointer": 4, "tuple_header": 23, "epoch_days": 10957, "byte_order": "little"},
     "pagetree": {"page_size": 16384, "header": 38, "index_header": 36, "first_record": 99, "last_record": 112, "page_type": 0x45BF, "byte_order": "big"},
 }
 VISIBILITY = {"pageheap": "keep unless a deleter is set that was neither rolled back nor only a lock", "pagetree": "keep ordinary records that aren't marked deleted"}
@@ -32,6 +34,7 @@ class FormatSpec:
     visibility: str
     pitfalls: list
     key: list = field(default_factory=list)
+    template: str = ""  # of formats that are registered: the source of a reader
 
     def to_json(self) -> str:
         return json.dumps(asdict(self), sort_keys=True)
@@ -47,9 +50,23 @@ class FormatSpec:
 _FORMATS: dict[str, dict] = {}
 
 
-def register_format(kind: str, constants: dict, visibility: str, pitfalls: list[str]) -> None:
-    """Make a further format known to the specification writer."""
-    _FORMATS[kind] = {"constants": constants, "visibility": visibility, "pitfalls": pitfalls}
+def register_format(kind: str, constants: dict, visibility: str, pitfalls: list[str], encode: Callable[[pa.RecordBatch, StorageSchema], bytes], template: str) -> None:
+    """Make a further format known: to the specification writer, to the checker (encode: rows as the format's bytes) and to
+    the template coder (template: the source of a reader with the usual entry function)."""
+    _FORMATS[kind] = {"constants": constants, "visibility": visibility, "pitfalls": pitfalls, "encode": encode, "template": template}
+
+
+def registered(kind: str) -> dict | None:
+    return _FORMATS.get(kind)
+
+
+def column_spec(storage: StorageSchema, kind: str) -> str:
+    """What a generated reader is told of a table when it is called: columns in their order on disk."""
+    return storage.text(storage.physical() if kind == "pagetree" else storage.columns)
+
+
+#: Every storage type, as nullable columns and once as a required one, behind a key.
+ALL_TYPES = "k:int8!,a:bool,b:int2,c:int4,d:int8,e:float4,f:float8,g:numeric(15,2),h:date,i:timestamp,j:bpchar(40),l:varchar(600),m:text,n:numeric(18,2)!,o:int2!,p:bool!,q:int4!"
 
 
 def knowledge(kind: str) -> list[str]:
@@ -66,4 +83,4 @@ def architect(struct: StructType, kind: str, kinds: dict[str, str] | None = None
         args = f"({c.precision},{c.scale})" if c.kind == "numeric" else f"({c.max_len})" if c.max_len else ""
         columns.append({"name": c.name, "storage": f"{c.name}:{c.kind}{args}{'' if c.nullable else '!'}", "arrow": ARROW[c.kind], "fixed": c.kind in FIXED})
     known = _FORMATS.get(kind) or {"constants": CONSTANTS[kind], "visibility": VISIBILITY[kind], "pitfalls": knowledge(kind)}
-    return FormatSpec(kind, known["constants"], columns, known["visibility"], known["pitfalls"], list(key))
+    return FormatSpec(kind, known["constants"], columns, known["visibility"], known["pitfalls"], list(key), known.get("template", ""))

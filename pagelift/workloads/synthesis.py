@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 from pyspark.sql import functions as F
 
 from pagelift import measure, scan
 from pagelift.session import scratch
 from pagelift.synth import deploy, loop
 from pagelift.synth.coder import FaultyCoder
-from pagelift.synth.study import study
+from pagelift.synth.study import ROLES, WORKERS, study
 from pagelift.workloads import fixtures as fx
 from pagelift.workloads.registry import Registry
+from pagelift.workloads.scans import TYPE_SQL
 
 REG = Registry()
 TABLES = [t for t in fx.SPECS if t != "embeddings"]
@@ -65,7 +68,8 @@ def _pass(kind):
     def run(spark, d):
         """One row a schema: did a reader pass, in how many tries, with how many explanations (none for a correct one)."""
         scan.register(spark)
-        rows = [loop.run(spark, job(spark, d, t, kind)).metrics() for t in TABLES]
+        with ThreadPoolExecutor(WORKERS) as pool:
+            rows = list(pool.map(lambda t: loop.run(spark, job(spark, d, t, kind)).metrics(), TABLES))
         return spark.createDataFrame([(r["name"], r["passed"], r["attempts"], r["diagnosis_calls"]) for r in rows], "job string, passed boolean, attempts int, diagnosis_calls int")
 
     return run
@@ -78,7 +82,7 @@ def _pass_sql(kind):
 for _k in ("pageheap", "pagetree"):
     REG.add(f"synth_pass_{_k[4:]}", _pass(_k), _pass_sql(_k))
 
-FAULTS = [(), ("syntax",), ("crash",), ("lost_rows",), ("wrong_epoch",), ("prose",), ("syntax", "crash", "lost_rows", "wrong_epoch")]
+FAULTS = [(), ("syntax",), ("crash",), ("lost_rows",), ("wrong_epoch",), ("sign_lost",), ("scale_lost",), ("null_bits_turned",), ("prose",), ("syntax", "crash", "lost_rows", "wrong_epoch")]
 
 
 @REG.query("synth_retry_faults", " UNION ALL ".join(f"SELECT '{'+'.join(f)}' AS faults, true AS passed, CAST({len(f) + 1} AS INTEGER) AS attempts, CAST({len(f)} AS INTEGER) AS diagnosis_calls" for f in FAULTS))
@@ -113,17 +117,64 @@ for _k in ("pageheap", "pagetree"):
         """The whole table through a generated reader."""
         scan.register(spark)
         r = loop.run(spark, job(spark, d, "orders", kind))
-        return scan.scan(spark, kind, fx.base(spark, d, "orders", kind), reader=deploy.deploy(r))
+        return scan.scan(spark, kind, fx.base(spark, d, "orders", kind), **deploy.options(r))
 
     REG.add(f"synth_deployed_{_k[4:]}", _deployed, "SELECT * FROM orders")
 
+    def _elsewhere(spark, d, kind=_k):
+        """A reader that was made for one table, on another: it takes the columns when it is called."""
+        scan.register(spark)
+        r = loop.run(spark, job(spark, d, "nation", kind))
+        return scan.scan(spark, kind, fx.base(spark, d, "lineitem", kind), **deploy.options(r))
+
+    REG.add(f"synth_other_table_{_k[4:]}", _elsewhere, "SELECT * FROM lineitem")
+
+    def _types(spark, d, kind=_k):
+        """All types, through a generated reader."""
+        from pagelift.workloads import scans
+
+        scan.register(spark)
+        r = loop.run(spark, job(spark, d, "nation", kind))
+        key = ("k",) if kind == "pagetree" else ()
+        return scans.made(spark, d, "types", kind, fx.table(spark, d, "orders").selectExpr(*scans.TYPE_EXPRS), scans.TYPES, pk=key, read=deploy.options(r))
+
+    REG.add(f"synth_types_{_k[4:]}", _types, TYPE_SQL)
+
+MEASURES = "job, faults, without, passed, correct, attempts, diagnosis_calls, errors, timed"
+STUDIED = [f"{t}/{k}" for t in ("nation", "events", "lineitem") for k in ("pageheap", "pagetree")]
 
-@REG.query("synth_study")
+
+def _told(rows):
+    """Rows of the study's measures as SQL."""
+    text = lambda x: f"'{x}'" if isinstance(x, str) else str(x).lower() if isinstance(x, bool) else f"CAST({x} AS INTEGER)"
+    return " UNION ALL ".join(f"SELECT {', '.join(f'{text(v)} AS {n}' for n, v in zip(MEASURES.split(', '), r))}" for r in rows)
+
+
+@REG.query("synth_study", _told([(j, "+".join(f), "", True, True, len(f) + 1, len(f), ",".join(e), True) for j in STUDIED for f, e in (((), ()), (("lost_rows",), ("row_count",)), (("syntax", "sign_lost"), ("compile", "value")))]))
 def synth_study(spark, d):
-    """Tries and outcome over several schemas, formats and fault sets."""
+    """Tries, outcome and time over several schemas, formats and fault sets."""
+    scan.register(spark)
+    jobs = [job(spark, d, *name.split("/")) for name in STUDIED]
+    return study(spark, jobs, [(), ("lost_rows",), ("syntax", "sign_lost")]).withColumn("timed", F.col("seconds") > 0).select(*MEASURES.split(", "))
+
+
+def _without(job_name):
+    # no knowledge of the format: no code.  No explanations: what the compiler says is mended, a wrong value is not.
+    # No checks: the first source is taken, right or wrong.
+    yield job_name, "", "architect", False, False, 3, 3, "prose,prose,prose", True
+    yield job_name, "syntax+sign_lost", "architect", False, False, 3, 3, "prose,prose,prose", True
+    yield job_name, "", "diagnoser", True, True, 1, 0, "", True
+    yield job_name, "syntax+sign_lost", "diagnoser", False, False, 3, 0, "compile,value,value", True
+    yield job_name, "", "checker", True, True, 1, 0, "", True
+    yield job_name, "syntax+sign_lost", "checker", True, False, 1, 0, "", True
+
+
+@REG.query("synth_ablation", _told([r for j in ("events/pageheap", "events/pagetree") for r in _without(j)]))
+def synth_ablation(spark, d):
+    """What each role contributes: the loop without it."""
     scan.register(spark)
-    jobs = [job(spark, d, t, k) for t in ("nation", "events", "lineitem") for k in ("pageheap", "pagetree")]
-    return study(spark, jobs, [(), ("lost_rows",), ("syntax", "wrong_epoch")])
+    jobs = [job(spark, d, "events", k) for k in ("pageheap", "pagetree")]
+    return study(spark, jobs, [(), ("syntax", "sign_lost")], n_max=3, without=ROLES).withColumn("timed", F.col("seconds") > 0).select(*MEASURES.split(", "))
 
 
 @REG.query("measure_exact_diff", "SELECT CAST(0 AS BIGINT) AS only_a, CAST(0 AS BIGINT) AS only_b")
