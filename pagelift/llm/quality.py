@@ -198,7 +198,8 @@ def learn(spark: SparkSession, docs: DataFrame, labels: DataFrame, train, max_ro
     docs = documents(docs)
     chosen = cut(spark, sampled(docs, labels, train, max_rows), "labelled")
     texts = docs.join(F.broadcast(chosen.select("doc_id").distinct()), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"))
-    rows = feature_table(texts).join(F.broadcast(chosen), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", "y").select("x", "y").toPandas()
+    rows = feature_table(texts).join(F.broadcast(chosen), "doc_id").select(F.xxhash64("doc_id").alias("at"), "doc_id", "x", "y").toPandas()
+    rows = rows.sort_values(["at", "doc_id", "y"])
     x = np.array(rows["x"].tolist(), float).reshape(len(rows), len(FEATURES))
     return fit(x, rows["y"].to_numpy(float))
 
