@@ -10,8 +10,11 @@ between two copied pieces costs neither of them.
 The masks hit every region that counts at a share of 0.8 or more: a longer region has a part of SPAN to 2 * SPAN - 1 words
 with that share, and they fit into every such part, wherever its differing words are (a test tries all).
 
-The benchmark's seeds are broadcast while their measured number is below a bound; beyond it the join shuffles by seed.
-Equal items are one item (the smallest id).  Items shorter than the span are matched by the hash of all their words.
+Items shorter than the span have masks of their own, of all their words, or of all but one where the share leaves one
+free: as long as the item, so they fit wherever the share does.
+
+The benchmark's seeds are broadcast while their measured number is below a bound; beyond it the join shuffles by seed, and
+the session's adaptive execution splits the seeds that many documents hold.  Equal items are one item (the smallest id).
 
 Defined results: null texts have no words; items without words match nothing; rows that share an id count as one
 document; a table without benchmark rows gives an empty result; further columns of either table are ignored.
@@ -19,6 +22,8 @@ document; a table without benchmark rows gives an empty result; further columns
 
 from __future__ import annotations
 
+from itertools import combinations
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,7 +40,17 @@ def word_hashes(text: Column) -> Column:
     return F.transform(words, lambda w: F.xxhash64(w))
 
 
-def places(rows: DataFrame, keys: list[str], short: list[int], words: str = "h") -> DataFrame:
+def short_masks(width: int, share: float) -> list[tuple[int, ...]]:
+    """Masks of an item of so few words: without each number of words that may differ."""
+    free = int((1000 - round(1000 * share)) * width // 1000)
+    return list(combinations(range(width), width - free))
+
+
+def short_seeds(width: int, share: float, word) -> list[Column]:
+    return [F.xxhash64(F.lit(100 + width), F.lit(m), *(word(k) for k in mask)) for m, mask in enumerate(short_masks(width, share))]
+
+
+def places(rows: DataFrame, keys: list[str], short: list[int], share: float, words: str = "h") -> DataFrame:
     """keys, pos, seed: the seeds of every place; also of every run of a length in short."""
     n = F.size(words)
     run = lambda width: F.arrays_zip(*[F.slice(words, k + 1, F.greatest(n - (width - 1), F.lit(0))).alias(f"w{k}") for k in range(width)])
@@ -48,7 +63,7 @@ def places(rows: DataFrame, keys: list[str], short: list[int], words: str = "h")
     out = spans.select(*keys, "pos", *masks).selectExpr(*keys, "pos", stacked).where("seed IS NOT NULL")
     for width in short:
         part = rows.select(*keys, F.posexplode(run(width)).alias("pos", "w"))
-        out = out.unionByName(part.select(*keys, "pos", F.xxhash64(F.lit(100 + width), *(word(k) for k in range(width))).alias("seed")))
+        out = out.unionByName(part.select(*keys, "pos", F.explode(F.array(*short_seeds(width, share, word))).alias("seed")))
     return out
 
 
@@ -74,13 +89,13 @@ def overlaps(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, share:
     items = items.groupBy("h").agg(F.min("item_id").alias("item_id"))
     short = sorted(r[0] for r in items.select(F.size("h").alias("n")).where(F.col("n") < SPAN).distinct().collect())  # at most SPAN - 1 lengths
     whole = items.withColumn("n", F.size("h"))
-    seeds = places(whole.where(F.col("n") >= SPAN), ["item_id"], [])
+    seeds = places(whole.where(F.col("n") >= SPAN), ["item_id"], [], share)
     for width in short:  # a short item is one run
-        seeds = seeds.unionByName(whole.where(F.col("n") == width).select("item_id", F.lit(0).alias("pos"), F.xxhash64(F.lit(100 + width), *(F.get("h", F.lit(k)) for k in range(width))).alias("seed")))
+        seeds = seeds.unionByName(whole.where(F.col("n") == width).select("item_id", F.lit(0).alias("pos"), F.explode(F.array(*short_seeds(width, share, lambda k: F.get("h", F.lit(k))))).alias("seed")))
     seeds = cut(spark, seeds.select("item_id", F.col("pos").alias("at"), "seed").distinct(), "seeds")
     held = F.broadcast(seeds) if seeds.count() <= MAX_BROADCAST_SEEDS else seeds
     tokens = docs.select("doc_id", word_hashes(F.col("text")).alias("h"))
-    hits = places(tokens, ["doc_id"], short).join(held, "seed")
+    hits = places(tokens, ["doc_id"], short, share).join(held, "seed")
     regions = cut(spark, hits.select("doc_id", "item_id", (F.col("pos") - F.col("at")).alias("shift")).distinct(), "regions")
     held_docs = docs.join(regions.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", word_hashes(F.col("text")).alias("h"))
     both = regions.join(held_docs, "doc_id").join(items.withColumnRenamed("h", "b"), "item_id")

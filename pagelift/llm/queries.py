@@ -70,6 +70,33 @@ def queries() -> dict[str, Query]:
     return {f.__name__: f for f in (op1_lm_scoring, op2_quality_classifier, op3_benchmark_decontamination, op4_ngram_jaccard_join, op5_token_counts, op6_exact_top_k, op7_license_scan, op8_line_dedup, op9_best_fit_packing, op10_substring_dedup)}
 
 
+OP3_SQL = r"""
+WITH doc_words AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\p{L}\p{N}]+'), lambda x: x <> '') AS w FROM documents
+), items AS (
+  SELECT min(item_id) AS item_id, w FROM (SELECT item_id, list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\p{L}\p{N}]+'), lambda x: x <> '') AS w FROM benchmark) WHERE len(w) > 0 GROUP BY w
+), d AS (
+  SELECT doc_id, len(w) AS doc_words, unnest(range(len(w))) AS i, unnest(w) AS word FROM doc_words
+), b AS (
+  SELECT item_id, len(w) AS n, unnest(range(len(w))) AS p, unnest(w) AS word FROM items
+), agree AS (
+  SELECT doc_id, item_id, i - p AS shift, doc_words, n, p FROM d JOIN b USING (word)
+), diagonal AS (
+  SELECT doc_id, item_id, shift, any_value(doc_words) AS doc_words, any_value(n) AS n, count(*) AS c, list_sort(list(p)) AS spots
+  FROM agree GROUP BY ALL HAVING 1000 * count(*) >= 800 * least(any_value(n), 10)
+), region AS (
+  SELECT doc_id, item_id, shift, n, c AS matched, 0 AS lead, n AS length FROM diagonal WHERE shift >= 0 AND shift + n <= doc_words AND 1000 * c >= 800 * n
+  UNION ALL
+  SELECT doc_id, item_id, shift, n, j - i + 1, spots[i], spots[j] - spots[i] + 1
+  FROM (SELECT *, unnest(range(1, c + 1)) AS i FROM diagonal WHERE NOT (shift >= 0 AND shift + n <= doc_words AND 1000 * c >= 800 * n)), LATERAL (SELECT unnest(range(i, c + 1)) AS j)
+  WHERE 1000 * (j - i + 1) >= 800 * (spots[j] - spots[i] + 1) AND (spots[j] - spots[i] + 1 >= 10 OR (spots[i] = 0 AND spots[j] = n - 1))
+), best AS (
+  SELECT doc_id, item_id, max((matched, -(shift + lead), length, n)) AS m
+  FROM (SELECT * FROM region QUALIFY row_number() OVER (PARTITION BY doc_id, item_id, shift ORDER BY matched DESC, lead, length DESC) = 1) GROUP BY 1, 2
+)
+SELECT doc_id, item_id, CAST(-m[2] AS BIGINT) AS start, CAST(m[3] AS BIGINT) AS length, CAST(m[1] AS BIGINT) AS matched, CAST(m[4] AS BIGINT) AS item_words FROM best
+"""
+
 OP4_SQL = r"""
 WITH RECURSIVE words AS (
   SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents
@@ -148,4 +175,4 @@ FROM words w LEFT JOIN kept k ON k.doc_id = w.doc_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_ngram_jaccard_join": OP4_SQL, "op6_exact_top_k": OP6_SQL, "op8_line_dedup": OP8_SQL, "op10_substring_dedup": OP10_SQL}
+    return {"op3_benchmark_decontamination": OP3_SQL, "op4_ngram_jaccard_join": OP4_SQL, "op6_exact_top_k": OP6_SQL, "op8_line_dedup": OP8_SQL, "op10_substring_dedup": OP10_SQL}
