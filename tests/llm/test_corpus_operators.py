@@ -107,6 +107,43 @@ def test_language_model_is_a_mixture_of_counts(spark, docs, rows):
     assert math.log10(min(p)) - 1e-9 <= got[0] <= math.log10(max(p)) + 1e-9
 
 
+@pytest.mark.parametrize("order", [1, 2, 3])
+def test_language_model_scores_by_brute_force(spark, docs, rows, order, monkeypatch):
+    """Every text's score under given mixture weights."""
+    rng = np.random.default_rng(order)
+    weights = rng.random((lm_score.BUCKETS, order + 1))
+    weights /= weights.sum(axis=1, keepdims=True)
+    monkeypatch.setattr(lm_score, "learn", lambda cells, order: weights)
+    held = {i for i, _ in rows if zlib.crc32(str(i).encode()) % 5 == 1}
+    counts, texts = Counter(), 0
+
+    def grams(t):
+        """For each token, the n-grams of all orders that end there; marks stand before the text."""
+        tokens = [*(("<", k) for k in range(order, 0, -1)), *words(t), None]
+        return [[tuple(tokens[at - k : at + 1]) for k in range(order)] for at in range(order, len(tokens))]
+
+    for i, t in rows:
+        if i not in held:
+            texts += 1
+            counts.update(g for place in grams(t) for g in place)
+    n = sum(c for g, c in counts.items() if len(g) == 1)
+    v = sum(len(g) == 1 for g in counts)
+    for r in lm_score.score(spark, docs, lm_score.held_out_column(), order).collect():
+        want = []
+        for t in {t for i, t in rows if i == r.doc_id}:
+            total = 0.0
+            for place in grams(t):
+                p, bucket = [(counts[place[0]] + 0.5) / (n + 0.5 * (v + 1)), counts[place[0]] / n], 0
+                for k in range(1, order):
+                    context = place[k][:-1]
+                    seen = texts if all(isinstance(x, tuple) for x in context) else counts[context]
+                    p.append(counts[place[k]] / seen if seen else 0.0)
+                    bucket = min(lm_score.BUCKETS - 1, math.ceil(math.log2(seen + 1)))
+                total += math.log10(float(weights[bucket] @ p))
+            want.append(total)
+        assert any(r.score == pytest.approx(x, rel=1e-9) for x in want)
+
+
 def test_weights_follow_the_events():
     cells = [([3, 4, 400, 0], 90), ([3, 4, 0, 400], 10)]
     w = lm_score.learn(cells, 2)
@@ -546,6 +583,55 @@ def test_decontamination_finds_pieces_and_scattered_changes(spark):
     assert got == {(1, 1): (2, 25, 25), (2, 1): (0, 59, 48), (3, 2): (1, 15, 12), (5, 3): (1, 10, 8)}
 
 
+def brute_overlaps(texts, items, share=0.8):
+    """All diagonals, all regions, without seeds."""
+    cut = lambda t: [w for w in re.split(r"[\W_]+", (t or "").lower()) if w]
+    first = {}
+    for i, t in sorted((i, t) for i, t in items if i is not None):
+        if cut(t):
+            first.setdefault(tuple(cut(t)), i)
+    out = {}
+    for d, t in texts:
+        w = cut(t)
+        for item, i in first.items():
+            best = None
+            for shift in range(-len(item) + 1, len(w)):
+                at = [p for p in range(len(item)) if 0 <= p + shift < len(w) and w[p + shift] == item[p]]
+                if not at:
+                    continue
+                if shift >= 0 and shift + len(item) <= len(w) and 1000 * len(at) >= 1000 * share * len(item):
+                    found = [(len(at), 0, len(item))]
+                else:
+                    found = [(y - x + 1, -at[x], at[y] - at[x] + 1) for x in range(len(at)) for y in range(x, len(at)) if 1000 * (y - x + 1) >= 1000 * share * (at[y] - at[x] + 1) and (at[y] - at[x] + 1 >= decontaminate.SPAN or (at[x] == 0 and at[y] == len(item) - 1))]
+                if found:
+                    m, f, n = max(found)
+                    best = max(best or (0, 0, 0), (m, -(shift - f), n))
+            if best:
+                out[(d, i)] = (-best[1], best[2], best[0])
+    return out
+
+
+def test_decontamination_by_brute_force(spark):
+    """Random pieces of items with random substitutions, short items and tiny vocabularies, against all diagonals."""
+    rng = np.random.default_rng(21)
+    items = [(k, " ".join(rng.choice([f"b{i}" for i in range(200)], n))) for k, n in enumerate((1, 2, 4, 5, 6, 9, 10, 12, 15, 30, 60))]
+    items += [(50, "x y x y x y x y x y x y"), (51, None), (52, " ... "), (53, items[8][1])]
+    texts = []
+    for d in range(120):
+        _, item = items[rng.integers(0, 11)]
+        t = item.split()
+        a = int(rng.integers(0, max(1, len(t) // 2)))
+        t = t[a : a + int(rng.integers(1, len(t) + 1))]
+        for j in rng.choice(len(t), int(rng.integers(0, len(t) // 3 + 1)), replace=False):
+            t[j] = f"z{j}"
+        texts.append((d, " ".join([*(f"l{i}" for i in range(rng.integers(0, 5))), *t, *(f"r{i}" for i in range(rng.integers(0, 5)))])))
+    texts += [(200, "x y x y x y x y x y x y x y y x y x y"), (201, None), (202, "")]
+    want = brute_overlaps(texts, items)
+    frame, bench = spark.createDataFrame(texts, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = {(r.doc_id, r.item_id): (r.start, r.length, r.matched) for r in decontaminate.overlaps(spark, frame, bench).collect()}
+    assert got == want and len(want) > 40
+
+
 def test_decontamination_runs_no_python(spark, docs):
     bench = spark.createDataFrame([(1, "a b c d e f g h i j k l")], "item_id long, text string")
     plan = decontaminate.overlaps(spark, docs, bench)._jdf.queryExecution().toString()
@@ -577,6 +663,137 @@ def test_license_lines_hold_other_words_in_corpora_of_any_size(spark, monkeypatc
         assert all(got[0][i][1] == pytest.approx(got[1][i][1]) for i in range(5))
 
 
+def test_licenses_by_brute_force(spark):
+    """Scores of random lines of licence words, by all windows the scan speaks of."""
+    rng = np.random.default_rng(31)
+    known = licenses.VOCABULARY
+    lines = []
+    for _ in range(150):
+        _, texts = list(licenses.TEMPLATES.items())[rng.integers(0, len(licenses.TEMPLATES))]
+        t = licenses.TERM.findall(texts[rng.integers(0, len(texts))].lower())
+        for _ in range(rng.integers(0, 4)):
+            t.insert(int(rng.integers(0, len(t) + 1)), str(rng.choice([*known, "foo", "bar", "baz"])))
+        lines.append(" ".join([*(f"p{i}" for i in range(rng.integers(0, 40))), *t, *(f"q{i}" for i in range(rng.integers(0, 3)))]))
+    rows = [(i, f"d/{i}.txt", t) for i, t in enumerate(lines)]
+    n, total = Counter(), 0
+    for _, _, t in rows:
+        for terms in licenses.passages(t):
+            total += 1
+            n.update(set(terms))
+
+    def cosine(a, b):
+        weigh = lambda terms: {t: (1 + math.log(c)) * licenses.weight(total, n[t]) for t, c in Counter(terms).items()}
+        x, y = weigh(a), weigh(b)
+        return sum(w * y.get(t, 0) for t, w in x.items()) / math.sqrt(sum(w * w for w in x.values()) * sum(w * w for w in y.values()))
+
+    got = {r.doc_id: (r.own, r.score) for r in licenses.detect(spark, spark.createDataFrame(rows, "doc_id long, path string, text string")).collect()}
+    for i, _, t in rows:
+        terms, best = t.split(), (0.0, "")
+        for name, texts in sorted(licenses.TEMPLATES.items()):
+            for text in texts:
+                template = licenses.TERM.findall(text.lower())
+                size = len(template)
+                windows = [terms] + [terms[a : a + licenses.WINDOW] for a in range(0, len(terms) - licenses.WINDOW + licenses.STEP, licenses.STEP) if len(terms) > licenses.WINDOW]
+                at = [k for k, x in enumerate(terms) if x in known]
+                windows += [terms[max(0, min(k, len(terms) - size)) :][:size] for k in at]
+                windows += [terms[a : b + 1] for a in at for b in at if size < b + 1 - a <= math.ceil(licenses.REACH * size)]
+                for w in windows:
+                    c = cosine(w, template)
+                    if c > best[0] + 1e-9:
+                        best = (c, name)
+        if abs(best[0] - licenses.THRESHOLD) < 1e-9:
+            continue
+        if best[0] < licenses.THRESHOLD:
+            assert got[i] == (None, None) or got[i][0] is None
+        else:
+            assert got[i][0] == best[1] and got[i][1] == pytest.approx(best[0])
+
+
+@pytest.mark.parametrize("turned", [False, True])
+def test_license_ties_do_not_depend_on_row_order(spark, turned):
+    """Two licence files of a directory with equal scores: the smaller name, also where the first letters are the same."""
+    found = [(1, "a/LICENSE", "MPL-2.0", 1.0), (2, "a/COPYING", "MIT", 1.0), (3, "a/x.txt", None, None)]
+    frame = spark.createDataFrame(found[::-1] if turned else found, "doc_id long, path string, own string, score double")
+    assert {r.doc_id: r.license for r in licenses.inherit(frame).collect()}[3] == "MIT"
+
+
+EXTRA = ("row", "drop", "n_lines", "batch", "score", "x", "seed", "key", "hi", "part")
+
+
+@pytest.fixture(scope="module")
+def small_corpus(spark, rows, tmp_path_factory):
+    """Nulls, empty and repeated texts, near copies, benchmark passages, and columns with the names of inner ones."""
+    at = str(tmp_path_factory.mktemp("corpus"))
+    item = " ".join(f"q{i}" for i in range(30))
+    more = [(70, "before " + item + " after"), (71, item.replace("q7", "zz")), (None, "no id at all"), (80, "b1 b2\nsame\nend"), (81, "b1 b2\nsame\nend")]
+    junk = [(200 + i, "!! ### $$$ " * (5 + i % 3) + f"j{i}") for i in range(30)]
+    good = [(300 + i, " ".join(f"g{(i * 7 + k) % 50}" for k in range(40)) + ".") for i in range(60)]
+    good += [(400 + k, good[k][1] + " " + item + " " + good[k + 3][1]) for k in range(2)]
+    data = [(i, t, "en", "s", len(t or ""), *([str(i)] * len(EXTRA))) for i, t in [*rows, *more, *junk, *good]]
+    spark.createDataFrame(data, "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"`{c}` string" for c in EXTRA)).write.parquet(f"{at}/documents.parquet")
+    spark.createDataFrame([(i, 0, 0) for i, _ in junk] + [(i, 1, 0) for i, _ in good], "doc_id long, quality int, toxic int").write.parquet(f"{at}/labels.parquet")
+    spark.createDataFrame([(1, item), (2, None)], "item_id long, text string").write.parquet(f"{at}/benchmark.parquet")
+    return at
+
+
+def test_pipeline_by_brute_force(spark, small_corpus):
+    import corpus_pipeline
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    from pagelift.llm.common import cut, table
+
+    docs = table(spark, small_corpus, "documents")
+    columns, before = docs.columns, [(r.doc_id, r.text) for r in docs.collect()]
+    after = {}
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        docs = cut(spark, stage(spark, docs, small_corpus), "test")
+        assert docs.columns == columns
+        held = docs.collect()
+        assert all(r[c] == str(r.doc_id) or r.doc_id is None for r in held for c in EXTRA) and all(r.n_chars == len(r.text or "") for r in held)
+        after[name] = [(r.doc_id, r.text) for r in held]
+    # quality: the model by the same labels, scored here
+    model = quality.learn(spark, table(spark, small_corpus, "documents"), table(spark, small_corpus, "labels"), quality.trained_on())
+    x = np.array([quality.features((t or "").encode()) for _, t in before])
+    want = Counter(d for d, s in zip(before, model.score(x)) if s >= quality.THRESHOLD)
+    assert Counter(after["quality classifier"]) == want and not any(200 <= (i or 0) < 300 for i, _ in want)
+    # lines
+    key = lambda line: re.sub(rb"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", b"", line).lower()
+    seen = Counter(k for _, t in after["quality classifier"] for k in {key(line) for line in (t or "").encode().split(b"\n")})
+    want = Counter((i, b"\n".join(line for line in (t or "").encode().split(b"\n") if not key(line) or seen[key(line)] < 10).decode()) for i, t in after["quality classifier"])
+    assert Counter(after["line dedup"]) == want
+    # near copies
+    some = [(i, t) for i, t in after["line dedup"] if i is not None]
+    component, _ = jaccard_components(some, 5, 80)
+    assert Counter(after["n-gram Jaccard join"]) == Counter(d for d in after["line dedup"] if d[0] is None or component[d[0]] == d[0])
+    assert len(after["n-gram Jaccard join"]) < len(after["line dedup"])
+    # benchmark
+    items = [(r.item_id, r.text) for r in table(spark, small_corpus, "benchmark").collect()]
+    gone = {d for d, _ in brute_overlaps([d for d in after["n-gram Jaccard join"] if d[0] is not None], items)}
+    assert Counter(after["benchmark decontamination"]) == Counter(d for d in after["n-gram Jaccard join"] if d[0] not in gone) and gone
+    # packing, of the whole run
+    tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    sizes = Counter()
+    for i, t in after["benchmark decontamination"]:
+        sizes[i] += len(tok.encode(t or "", add_special_tokens=False).ids) + 1
+    packed = Counter()
+    for r in corpus_pipeline.run(spark, small_corpus).collect():
+        packed[r.doc_id] += r.length
+    assert packed == sizes
+
+
+def test_stages_take_empty_tables(spark, small_corpus):
+    import corpus_pipeline
+
+    from pagelift.llm.common import table
+
+    none = table(spark, small_corpus, "documents").where("false")
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        got = stage(spark, none, small_corpus)
+        assert got.columns == none.columns and got.count() == 0
+    assert corpus_pipeline.STAGES[-1][1](spark, none, small_corpus).count() == 0
+
+
 def test_pipeline(spark, sf_dir):
     import corpus_pipeline
 
