@@ -4,7 +4,8 @@
 2. The histogram of lengths (at most `capacity` rows) is planned on the driver: best fit, longest first, over counts.
    Sequences that are filled alike are one group, so the plan's size depends on the capacity and not on the corpus.
 3. Documents take their slots by joining on (length, rank).  Ranks are counted within (length, bucket) and shifted by
-   the buckets' totals, so a length that a third of all pieces have is ranked by many tasks.
+   the buckets' totals.  A length has as many buckets as its count asks for, so one that a third of all pieces have is
+   ranked by many tasks of RANKED rows each.
 
 Defined results: a null text is empty and packs as the closing token alone; rows that share an id are separate
 documents; an empty table packs into nothing.
@@ -26,6 +27,8 @@ from pyspark.sql import functions as F
 
 from pagelift.llm.common import cut, documents, names_of, raw, thrifty
 
+RANKED = 10_000  # pieces of a length that one task ranks
+MOST_SLOTS = 1_000_000  # slots that are broadcast
 MAX_CACHED = 250_000  # runs a worker remembers of each kind; then that memory starts anew
 #: Runs of unaccented or Latin-1 letters and of plain signs: the vocabulary's rules cut a run between the two only.
 LETTERS_SIGNS = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*)([.,!?;:#$%&*|]*)")
@@ -188,18 +191,17 @@ def pack(spark: SparkSession, docs: DataFrame, vocabulary: str, capacity: int =
     docs = documents(docs).withColumn("row", F.xxhash64("doc_id", "text"))
     pieces = cut(spark, docs.mapInArrow(encode_pieces(vocabulary, capacity, end_id), PIECES), "pieces")
     counts = {r[0]: r[1] for r in pieces.groupBy("length").count().collect()}  # at most capacity rows
-    slots = spark.createDataFrame(plan(counts, capacity) or [(0, 0, 0, 0, 0)], "length long, first long, last long, base long, offset long")
-
-    total = sum(counts.values())
-    buckets = max(1, min(4096, total // 50_000))
-    keyed = pieces.withColumn("bucket", F.pmod(F.xxhash64("row", "piece"), F.lit(buckets)).cast("int"))
+    planned = plan(counts, capacity) or [(0, 0, 0, 0, 0)]
+    slots = spark.createDataFrame(planned, "length long, first long, last long, base long, offset long")
+    buckets = spark.createDataFrame([(k, -(-n // RANKED)) for k, n in counts.items()] or [(0, 1)], "length long, buckets long")
+    keyed = pieces.join(F.broadcast(buckets), "length").withColumn("bucket", F.pmod(F.xxhash64("row", "piece"), F.col("buckets"))).drop("buckets")
     sizes = keyed.groupBy("length", "bucket").count()
     shifts = sizes.withColumn("shift", F.sum("count").over(Window.partitionBy("length").orderBy("bucket")) - F.col("count")).drop("count")
     local = F.row_number().over(Window.partitionBy("length", "bucket").orderBy("doc_id", "row", "piece")) - 1
     ranked = keyed.withColumn("local", local).join(shifts, ["length", "bucket"]).withColumn("rank", F.col("local") + F.col("shift"))
     cond = (ranked["length"] == slots["length"]) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("last"))
-    # the slots are at most a few for each pair of lengths; beyond the check the join shuffles by length
-    side = F.broadcast(slots) if capacity <= 8192 else slots
+    # the slots are at most a few for each pair of lengths; beyond the bound the join shuffles by length
+    side = F.broadcast(slots) if len(planned) <= MOST_SLOTS else slots
     placed = ranked.join(side, cond).drop(slots["length"])
     return placed.select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("base") + F.col("rank") - F.col("first")).alias("sequence_id"), "offset")
 
