@@ -338,9 +338,10 @@ def file_start(index_id: int) -> np.ndarray:
     return np.vstack([page_frame(0, SPACE_HEADER), page_frame(1, ALLOCATION), page_frame(2, INODE), page_frame(ROOT, INDEX_PAGE, 1, index_id)])
 
 
-def decoy(number: int, index_id: int, rows: int = 20) -> np.ndarray:
-    """A leaf page of a secondary index, with records of its own shape, which a table scan must not read."""
-    page = page_frame(number, INDEX_PAGE, 0, index_id, rows + 2)
+def decoy(number: int, index_id: int, rows: int = 20, level: int = 0) -> np.ndarray:
+    """A page with records of a shape of their own, which a table scan must not read: a leaf of a secondary index, or, above
+    level 0, an interior page."""
+    page = page_frame(number, INDEX_PAGE, level, index_id, rows + 2)
     at, last = DATA, FIRST
     for k in range(rows):
         origin = at + 5

@@ -23,7 +23,9 @@ def _files():
                 yield full, os.path.relpath(full, os.path.dirname(ROOT))
 
 
-#: Rows of an Arrow batch at most: rows here hold whole documents, and both JVM and worker keep batches in memory.
+#: Rows of an Arrow batch at most: rows here hold whole documents, and both JVM and worker keep batches in memory.  This is
+#: the one setting of the caller's session that `ship` changes: it lowers it, as batches are cut when a plan runs and plans
+#: here are lazy.
 BATCH_ROWS = 2000
 
 
@@ -68,6 +70,9 @@ def _remove(path: str) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A folder that all executors see: the session's checkpoint folder; only without one, this machine's own."""
+    """A folder that all executors see: the session's checkpoint folder.  Without one, a local session takes this machine's
+    own, and a cluster is refused: its executors would write where nobody else reads."""
     found = spark.conf.get("spark.checkpoint.dir", None)
+    if not found and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     return (found or os.path.join(tempfile.gettempdir(), "pagelift")).rstrip("/")

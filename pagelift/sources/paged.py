@@ -464,6 +464,9 @@ class TreeWriter(PagedWriter):
     def finish(self, out, state):
         if _flag(self.options, "decoy_index") and out.out is not None:
             out.add(np.vstack([tree.decoy(state["page"] + k, 41) for k in range(2)]))
+        levels = int(self.options.get("interior_levels", 0))
+        if levels and out.out is not None:
+            out.add(np.vstack([tree.decoy(state["page"] + k, 40, level=k + 1) for k in range(levels)]))
 
 
 class HeapStream(DataSourceStreamReader):

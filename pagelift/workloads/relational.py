@@ -96,18 +96,23 @@ def sink_jdbc(spark, d):
     return r.select(*(F.col(c).alias(c.lower()) for c in r.columns))
 
 
-@REG.query("src_jdbc", "SELECT * FROM lineitem")
+@REG.query("src_jdbc", "SELECT l_linenumber, count(*) AS n, max(l_quantity) AS top FROM lineitem GROUP BY l_linenumber")
 def src_jdbc(spark, d):
+    """A query that the server runs: groups cross the protocol, not rows."""
     from pagelift.workloads.scans import jdbc_lineitem
 
-    return jdbc_lineitem(spark, d, fetchsize=10_000)
+    groups = '(SELECT "l_linenumber", COUNT(*) AS "n", MAX("l_quantity") AS "top" FROM lineitem GROUP BY "l_linenumber") t'
+    return jdbc_lineitem(spark, d, fetchsize=100, relation=groups).withColumn("n", F.col("n").cast("long"))
 
 
-@REG.query("src_jdbc_partitioned", "SELECT * FROM lineitem")
+@REG.query("src_jdbc_partitioned", "SELECT l_orderkey, l_linenumber FROM lineitem")
 def src_jdbc_partitioned(spark, d):
-    from pagelift.workloads.scans import REG as SCANS
+    """A connection for each of several given conditions."""
+    from pagelift.workloads.scans import jdbc_address
 
-    return SCANS.queries["jdbc_partitioned"](spark, d)
+    parts = ['"l_linenumber" <= 2', '"l_linenumber" BETWEEN 3 AND 4', '"l_linenumber" > 4']
+    r = spark.read.jdbc(jdbc_address(spark, d), "lineitem", predicates=parts, properties={"driver": "org.apache.derby.jdbc.EmbeddedDriver"})
+    return r.select("l_orderkey", "l_linenumber")
 
 
 for _k in ("pageheap", "pagetree"):
@@ -162,7 +167,7 @@ many("join", {
     "semi": ("SELECT o_orderkey FROM {orders} LEFT SEMI JOIN {lineitem} ON o_orderkey = l_orderkey", "SELECT o_orderkey FROM {orders} WHERE o_orderkey IN (SELECT l_orderkey FROM {lineitem})"),
     "anti": ("SELECT o_orderkey FROM {orders} LEFT ANTI JOIN {lineitem} ON o_orderkey = l_orderkey", "SELECT o_orderkey FROM {orders} WHERE o_orderkey NOT IN (SELECT l_orderkey FROM {lineitem})"),
     "cross": "SELECT a.r_name AS a, b.r_name AS b FROM {region} a CROSS JOIN {region} b",
-    "theta": "SELECT a.n_nationkey AS a, b.n_nationkey AS b FROM {nation} a JOIN {nation} b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey",
+    "theta": ("SELECT /*+ BROADCAST(r) */ s_suppkey, r_regionkey FROM {supplier} JOIN {region} r ON s_nationkey > 4 * r_regionkey AND s_nationkey < 4 * r_regionkey + 9", "SELECT s_suppkey, r_regionkey FROM {supplier} JOIN {region} r ON s_nationkey > 4 * r_regionkey AND s_nationkey < 4 * r_regionkey + 9"),
     "self": "SELECT a.n_name AS a, b.n_name AS b FROM {nation} a JOIN {nation} b ON a.n_regionkey = b.n_regionkey",
     "multiway": "SELECT r_name, count(*) AS n FROM {region} JOIN {nation} ON r_regionkey = n_regionkey JOIN {customer} ON c_nationkey = n_nationkey JOIN {orders} ON o_custkey = c_custkey JOIN {lineitem} ON l_orderkey = o_orderkey JOIN {part} ON p_partkey = l_partkey GROUP BY r_name",
 })
@@ -218,11 +223,11 @@ def agg_pivot(spark, d):
     return fx.direct(spark, d, "lineitem", "pageheap").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).count().fillna(0).toDF("l_linestatus", "a", "n", "r")
 
 
-@REG.query("agg_approx_distinct")
+@REG.query("agg_approx_distinct", "SELECT count(DISTINCT l_partkey) AS exact, true AS near FROM lineitem")
 def agg_approx_distinct(spark, d):
-    """The estimate beside the exact number, with its relative error."""
+    """The exact number, and whether the estimate is within three of its standard errors."""
     df = fx.direct(spark, d, "lineitem", "pageheap", columns=["l_partkey"])
-    return df.agg(F.approx_count_distinct("l_partkey", 0.02).alias("estimate"), F.count_distinct("l_partkey").alias("exact")).withColumn("error", F.abs(F.col("estimate") - F.col("exact")) / F.col("exact"))
+    return df.agg(F.approx_count_distinct("l_partkey", 0.02).alias("estimate"), F.count_distinct("l_partkey").alias("exact")).select("exact", (F.abs(F.col("estimate") - F.col("exact")) <= 0.06 * F.col("exact")).alias("near"))
 
 
 # -- windows
@@ -321,13 +326,13 @@ def emb_norm(spark, d):
 
 
 @REG.query("emb_cosine_top1", """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT)) AS q FROM embeddings),
-s AS (SELECT a.vec_id, b.vec_id AS nearest, CAST(list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2])) AS BIGINT) AS score FROM v a JOIN v b ON a.vec_id IN (0, 100, 200, 300, 400) AND a.vec_id <> b.vec_id)
+s AS (SELECT a.vec_id, b.vec_id AS nearest, CAST(list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2])) AS BIGINT) AS score FROM v a JOIN v b ON a.vec_id IN (SELECT min(vec_id) FROM embeddings GROUP BY label) AND a.vec_id <> b.vec_id)
 SELECT vec_id, arg_min(nearest, (-score, nearest)) AS nearest, max(score) AS score FROM s GROUP BY vec_id""")
 def emb_cosine_top1(spark, d):
-    """Nearest other vectors of five given ones, by whole-number inner products of the unit vectors: the queries are a
-    broadcast block of five rows against all rows."""
-    v = _vectors(spark, d).select("vec_id", F.transform("embedding", lambda x: F.floor(64 * x.cast("double"))).alias("q"))
-    asked = v.where("vec_id IN (0, 100, 200, 300, 400)").select(F.col("vec_id").alias("k"), F.col("q").alias("p"))
+    """Nearest other vectors of each label's first one, by whole-number inner products of the unit vectors: the queries
+    are a broadcast block of a row a label against all rows."""
+    v = _vectors(spark, d).select("vec_id", "label", F.transform("embedding", lambda x: F.floor(64 * x.cast("double"))).alias("q"))
+    asked = v.groupBy("label").agg(F.min_by(F.struct("vec_id", "q"), "vec_id").alias("f")).select(F.col("f.vec_id").alias("k"), F.col("f.q").alias("p"))
     score = F.aggregate(F.zip_with("p", "q", lambda a, b: a * b), F.lit(0).cast("long"), lambda a, x: a + x)
     pairs = v.join(F.broadcast(asked), F.col("k") != F.col("vec_id")).select(F.col("k"), "vec_id", score.alias("score"))
     return pairs.groupBy("k").agg(F.min_by("vec_id", F.struct(-F.col("score"), "vec_id")).alias("nearest"), F.max("score").alias("score")).withColumnRenamed("k", "vec_id")

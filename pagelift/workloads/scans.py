@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
+import pyarrow.parquet as pq
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagelift import scan, wire
+from pagelift import extract, scan, wire
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
 from pagelift.session import scratch
@@ -36,19 +38,24 @@ for _k in BOTH:
     REG.add(f"etl_{SHORT[_k]}_lineitem", _etl(_k), "SELECT * FROM lineitem")
 
 
-def jdbc_lineitem(spark: SparkSession, d: str, **how) -> DataFrame:
+def jdbc_address(spark: SparkSession, d: str) -> str:
+    """The embedded database, with the lineitem table in it."""
     name = "pl_" + fx.place(spark, d, "jdbc", {}).rsplit("/", 1)[1]
     url = wire.jdbc_url(name)
     done = getattr(spark, "_pagelift_jdbc", set())
     if url not in done:
         wire.load_jdbc(fx.table(spark, d, "lineitem"), name, "lineitem")
         spark._pagelift_jdbc = done | {url}
-    r = wire.jdbc(spark, url, "lineitem", **how)
+    return url
+
+
+def jdbc_lineitem(spark: SparkSession, d: str, relation: str = "lineitem", **how) -> DataFrame:
+    r = wire.jdbc(spark, jdbc_address(spark, d), relation, **how)
     return r.select(*(F.col(c).alias(c.lower()) for c in r.columns))
 
 
 REG.add("etl_jdbc_lineitem", lambda s, d: reread(s, jdbc_lineitem(s, d, fetchsize=10_000)), "SELECT * FROM lineitem")
-REG.add("jdbc_row_at_a_time", lambda s, d: jdbc_lineitem(s, d, fetchsize=1), "SELECT * FROM lineitem")
+REG.add("jdbc_row_at_a_time", lambda s, d: reread(s, jdbc_lineitem(s, d, fetchsize=1)), "SELECT * FROM lineitem")
 REG.add("jdbc_partitioned", lambda s, d: jdbc_lineitem(s, d, fetchsize=10_000, partition_column="L_ORDERKEY", bounds=wire.bounds(fx.table(s, d, "lineitem"), "l_orderkey")), "SELECT * FROM lineitem")
 REG.add("jdbc_server_filter", lambda s, d: jdbc_lineitem(s, d, fetchsize=10_000).where("l_quantity >= 40 AND l_suppkey < 20"), "SELECT * FROM lineitem WHERE l_quantity >= 40 AND l_suppkey < 20")
 
@@ -65,6 +72,22 @@ REG.add("etl_wire_binary_lineitem", lambda s, d: reread(s, wire_lineitem(s, d, F
 REG.add("etl_wire_text_lineitem", lambda s, d: reread(s, wire_lineitem(s, d, True)), "SELECT * FROM lineitem")
 
 
+@q("etl_rows_one_client", "SELECT * FROM lineitem")
+def etl_rows_one_client(spark, d):
+    """One client that takes rows of the text protocol one by one, as a database's own connector does: each becomes a tuple
+    of values, then part of a batch, then of a Parquet file."""
+    wire_lineitem(spark, d, True)
+    schema = pa.schema([(c.name, c.arrow_type()) for c in StorageSchema.parse(fx.SPECS["lineitem"]).columns])
+    parts = extract.row_batches(fx.place(spark, d, "wire-text", {}), fx.SPECS["lineitem"], text=True)
+    at = f"{scratch(spark, 'etl')}/rows.parquet"
+    fs, path = plan.file_system(at)
+    fs.create_dir(path.rsplit("/", 1)[0], recursive=True)
+    with fs.open_output_stream(path) as out, pq.ParquetWriter(out, schema) as w:
+        for batch in parts:
+            w.write_batch(batch)
+    return spark.read.schema(StorageSchema.parse(fx.SPECS["lineitem"]).spark()).parquet(at)
+
+
 @q("access_compare", "SELECT CAST(count(*) AS BIGINT) AS n_rows, CAST(0 AS BIGINT) AS only_direct, CAST(0 AS BIGINT) AS only_protocol FROM lineitem")
 def access_compare(spark, d):
     """Rows of the direct scans that the protocol doesn't give, and the other way round: none."""
@@ -171,10 +194,21 @@ REG.add("heap_aborted_insert_hint", lambda s, d: marked(s, d, "aborted", 4, "ins
 REG.add("tree_deleted", lambda s, d: marked(s, d, "deleted", 1, kind="pagetree"), LIVE)
 REG.add("heap_dead_pointers", lambda s, d: made(s, d, "dead", "pageheap", fx.table(s, d, "nation"), fx.SPECS["nation"], dead_pointers=3), "SELECT * FROM nation")
 REG.add("heap_multi_segment", lambda s, d: made(s, d, "segments", "pageheap", fx.table(s, d, "lineitem"), fx.SPECS["lineitem"], segment_pages=64, read={"split_bytes": 1 << 18}), "SELECT * FROM lineitem")
-REG.add("tree_nonleaf_skipped", lambda s, d: made(s, d, "interior", "pagetree", fx.table(s, d, "orders"), fx.SPECS["orders"], pk=("o_orderkey",)), "SELECT * FROM orders")
+REG.add("tree_nonleaf_skipped", lambda s, d: made(s, d, "interior", "pagetree", fx.table(s, d, "orders"), fx.SPECS["orders"], pk=("o_orderkey",), interior_levels=3), "SELECT * FROM orders")
 REG.add("tree_decoy_index", lambda s, d: made(s, d, "decoy", "pagetree", fx.table(s, d, "orders"), fx.SPECS["orders"], pk=("o_orderkey",), decoy_index=True), "SELECT * FROM orders")
-REG.add("tree_hidden_pk", lambda s, d: made(s, d, "hidden-pk", "pagetree", fx.table(s, d, "orders"), fx.SPECS["orders"], pk=("o_orderkey",)).select("o_custkey", "o_orderkey"), "SELECT o_custkey, o_orderkey FROM orders")
-REG.add("tree_hidden_nopk", lambda s, d: made(s, d, "hidden-nopk", "pagetree", fx.table(s, d, "lineitem"), fx.SPECS["lineitem"]), "SELECT * FROM lineitem")
+
+
+def spelled_out(spark, d, table, hidden):
+    """A tree whose columns the user gives in their order on disk, with the hidden bytes as raw ones."""
+    key, spec = fx.KEYS[table], fx.SPECS[table]
+    columns = StorageSchema.parse(spec, key)
+    text = ",".join(columns.text([c]) for c in columns.physical())
+    assert f"_hidden:raw({hidden})!" in text
+    return scan.scan(spark, "pagetree", fx.base(spark, d, table, "pagetree"), columns_spec=text)
+
+
+REG.add("tree_hidden_pk", lambda s, d: spelled_out(s, d, "orders", 13), "SELECT * FROM orders")
+REG.add("tree_hidden_nopk", lambda s, d: spelled_out(s, d, "lineitem", 19), "SELECT * FROM lineitem")
 
 # -- numbers and dates at their edges
 
