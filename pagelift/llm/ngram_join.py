@@ -4,8 +4,9 @@ N-grams have one global order: rare ones first (by document frequency), then by
 
 1. Every text becomes its set of n-gram hashes; document frequencies come back through the batch-to-shard exchange.
    Equal sets form a class; only its smallest document goes on.  The global order of all shared n-grams is cut into
-   fragments of about equal weight, at pivots (frequency, hash) that follow from a histogram of the frequencies; each set
-   is cut at the pivots.
+   fragments of about equal weight, at pivots (frequency, hash); each set is cut at the pivots.  They follow from the
+   frequencies in shard 0, which are those of an even part of all hashes, and go to every batch with the answers, so
+   texts are shuffled once; where the pivots lie changes the sizes of fragments and no result.
 2. Two sets of the wanted similarity share an n-gram among the first few of both in the global order (its prefix, as long
    as the number of n-grams that may differ, and one).  N-grams of one document only can't be shared, so a text whose
    prefix is all its own has no partner, however many others hold the same passages.
@@ -26,6 +27,7 @@ empty result.
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import numpy as np
@@ -123,24 +125,25 @@ def cell_of(df: np.ndarray) -> np.ndarray:
     return np.where(df <= 256, df, 128 + np.floor(16 * np.log2(np.maximum(df, 1)))).astype(np.int64)
 
 
-TOLD = "batch int, shard int, counts binary, cell long, weight long"
-
+def _frequencies(batches: int):
+    def make(table: pa.Table) -> pa.Table:
+        """Document frequencies of each batch's n-grams in a shard, in the batch's order; shard 0 also tells every batch the
+        pivots, as shard -1."""
+        shard, owner = table.column("shard")[0].as_py(), table.column("batch").to_pylist()
+        vectors = [ex.unpack_sorted(x) for x in table.column("keys").to_pylist()]
+        at = np.concatenate([[0], np.cumsum([len(v) for v in vectors])]).astype(np.int64)
+        _, inv = np.unique(np.concatenate(vectors), return_inverse=True)
+        df = np.bincount(inv, weights=np.concatenate([ex.unpack_counts(x) for x in table.column("counts").to_pylist()])).astype(np.int64)
+        counts, shards = [ex.pack_counts(df[inv[a:b]]) for a, b in zip(at, at[1:])], [shard] * len(owner)
+        if shard == 0:
+            shared = df[df > 1]
+            cells, which = np.unique(cell_of(shared), return_inverse=True)
+            weight = np.bincount(which, weights=shared, minlength=len(cells)).astype(np.int64)
+            told = json.dumps(pivots(list(zip(cells.tolist(), weight.tolist())), PARTS)).encode()
+            owner, counts, shards = owner + list(range(batches)), counts + [told] * batches, shards + [-1] * batches
+        return pa.table([pa.array(c, t) for c, t in zip((owner, shards, counts), (pa.int32(), pa.int32(), pa.binary()))], names=["batch", "shard", "counts"])
 
-def _frequencies(table: pa.Table) -> pa.Table:
-    """Document frequencies of each batch's n-grams in a shard, in the batch's order; and a histogram of the shared ones:
-    the number of their places in documents by cells of the frequency, as batch -1."""
-    shard, owner = table.column("shard")[0].as_py(), table.column("batch").to_pylist()
-    vectors = [ex.unpack_sorted(x) for x in table.column("keys").to_pylist()]
-    at = np.concatenate([[0], np.cumsum([len(v) for v in vectors])]).astype(np.int64)
-    _, inv = np.unique(np.concatenate(vectors), return_inverse=True)
-    df = np.bincount(inv, weights=np.concatenate([ex.unpack_counts(x) for x in table.column("counts").to_pylist()])).astype(np.int64)
-    shared = df[df > 1]
-    cells, which = np.unique(cell_of(shared), return_inverse=True)
-    weight = np.bincount(which, weights=shared, minlength=len(cells)).astype(np.int64)
-    counts = [ex.pack_counts(df[inv[a:b]]) for a, b in zip(at, at[1:])]
-    n, m = len(owner), len(cells)
-    columns = (owner + [-1] * m, [shard] * (n + m), counts + [None] * m, [None] * n + cells.tolist(), [None] * n + weight.tolist())
-    return pa.table([pa.array(c, t) for c, t in zip(columns, (pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.int64()))], names=names_of(TOLD))
+    return make
 
 
 def pivots(histogram: list[tuple[int, int]], parts: int) -> list[tuple[int, int]]:
@@ -167,14 +170,17 @@ def fragments(keys: np.ndarray, df: np.ndarray, cuts: list[tuple[int, int]]) ->
 SETS = "doc_id long, n_shingles long, hi long, lo long, prefix array<long>, own long, parts array<binary>"
 
 
-def _prefixes(rule: Rule, cuts: list[tuple[int, int]]):
+def _prefixes(rule: Rule):
     """Of every text: size and digest of its set; of texts that may have a partner also the prefix, the number of n-grams
     that no other document has, and the fragments of the others."""
 
     def make(key, docs, replies):
         sets, sizes, flat, owner = batch_sets(docs, rule)
         _, inv = np.unique(flat, return_inverse=True)
-        found = [ex.unpack_counts(x) for x in replies.sort_by("shard").column("counts").to_pylist()]
+        replies = replies.sort_by("shard")
+        told = [(s, x) for s, x in zip(replies.column("shard").to_pylist(), replies.column("counts").to_pylist())]
+        cuts = next((json.loads(x) for s, x in told if s < 0), [])
+        found = [ex.unpack_counts(x) for s, x in told if s >= 0]
         df = np.concatenate(found)[inv] if found else np.array([], np.int64)
         need, own = rule.prefix(sizes), np.bincount(owner, df == 1, len(sets)).astype(np.int64)
         ends = np.cumsum(sizes)
@@ -368,15 +374,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     batches = ex.batch_count(docs)
     dealt = ex.hashed_batches(docs, batches)
     asked = dealt.groupBy("batch").applyInArrow(_ask(rule, ex.shard_bits(batches)), "batch int, shard int, keys binary, counts binary")
-    told = cut(spark, asked.groupBy("shard").applyInArrow(_frequencies, TOLD), "told")
-    del asked
-    release(spark)  # what was asked leaves the disks before texts are read again
-    histogram = told.where("batch = -1").groupBy("cell").agg(F.sum("weight").alias("n")).collect()  # some thousand cells at most
-    cuts = pivots([(r.cell, r.n) for r in histogram], PARTS)
-    answers = told.where("batch >= 0").select("batch", "shard", "counts")
-    sets = cut(spark, dealt.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(_prefixes(rule, cuts), SETS), "sets")
-    drop(spark, told)
-    release(spark)
+    told = asked.groupBy("shard").applyInArrow(_frequencies(batches), "batch int, shard int, counts binary")
+    sets = cut(spark, dealt.groupBy("batch").cogroup(told.groupBy("batch")).applyInArrow(_prefixes(rule), SETS), "sets")
     filled = sets.where("n_shingles > 0")
     classes = cut(spark, filled.groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id")), "classes")
     heads = filled.where(F.size("prefix") > 0).join(classes, ["hi", "lo"]).where("doc_id = class_id").select("doc_id", F.explode("prefix").alias("key")).distinct()
