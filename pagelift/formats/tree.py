@@ -6,6 +6,7 @@ page.  After that the records of all pages are decoded together, one column at a
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -18,11 +19,15 @@ from pagelift.schema import StorageSchema
 
 PAGE = 16_384
 #: Fixed values of the page format.
-INDEX_PAGE, SPACE_HEADER, ALLOCATION, INODE = 0x45BF, 8, 5, 3
+INDEX_PAGE, SPACE_HEADER, ALLOCATION, INODE, LONG_VALUE = 0x45BF, 8, 5, 3, 10
 FIRST, LAST, DATA = 99, 112, 120
 DELETED = 0x20
 ROOT = 3  # page of the clustered index's root
 TRAILER = 8
+PAGE_HEADER = 38
+POINTER = 20  # space, page, offset in it, and length of a value that is kept on pages of its own
+PART = PAGE - PAGE_HEADER - 8 - TRAILER  # bytes of a value on a page
+NO_PAGE = 0xFFFFFFFF
 WIDTHS = {"bool": 1, "int2": 2, "int4": 4, "int8": 8, "float4": 4, "float8": 8, "date": 3, "timestamp": 8}
 
 
@@ -110,8 +115,9 @@ def key_bounds(pages: np.ndarray, leaves: np.ndarray, width: int) -> tuple[np.nd
     return np.where(empty, none.max, key[np.minimum(first, len(key) - 1)]), np.where(empty, none.min, key[np.maximum(last, 0)])
 
 
-def decode(pages: np.ndarray, schema: StorageSchema, columns: list[str] | None = None, index_id: int | None = None, numeric_as: str = "double", timestamp_as: str = "ntz", float_codec: str = "ordered", prefix: str = "declared", key_range: tuple[int | None, int | None] | None = None, on_overflow: str = "error", page_base: int | None = None) -> pa.RecordBatch:
-    """Live records of the clustered index's leaf pages.  key_range skips pages by the bounds of their leading key."""
+def decode(pages: np.ndarray, schema: StorageSchema, columns: list[str] | None = None, index_id: int | None = None, numeric_as: str = "double", timestamp_as: str = "ntz", float_codec: str = "ordered", prefix: str = "declared", key_range: tuple[int | None, int | None] | None = None, on_overflow: str = "error", page_base: int | None = None, fetch: Callable[[int, int], bytes] | None = None) -> pa.RecordBatch:
+    """Live records of the clustered index's leaf pages.  key_range skips pages by the bounds of their leading key; fetch
+    gives the bytes of a value on pages of its own, by first page and length."""
     leaves = clustered_leaves(pages, index_id)
     order = schema.physical()
     if key_range is not None and order[0].kind in ("int2", "int4", "int8") and len(leaves):
@@ -168,19 +174,14 @@ def decode(pages: np.ndarray, schema: StorageSchema, columns: list[str] | None =
                 if on_overflow == "error":
                     raise PageError(f"column {c.name} has overflow values; read it with on_overflow null or resolve")
                 valid = there & ~away
-                if on_overflow == "resolve":
-                    at_id = np.where(away, cursor + length - 8, 0)
-                    ids = np.ascontiguousarray(codec.take(flat, at_id, 8)).view(">u8").ravel().astype(np.int64)
-                    out[f"__overflow_{c.name}"] = codec.fixed_array(pa.int64(), np.where(away, ids, 0), away)
             text = np.where(valid, length, 0)
             out[c.name] = codec.span_array(kind, flat, cursor, codec.rstrip_spans(flat, cursor, text) if c.kind == "bpchar" else text, valid)
+            if away.any() and on_overflow == "resolve":
+                at = (cursor + length - POINTER)[away]
+                first, size = (np.ascontiguousarray(codec.take(flat, at + k, w)).view(f">u{w}").ravel().tolist() for k, w in ((4, 4), (12, 8)))
+                out[c.name] = pc.replace_with_mask(out[c.name], pa.array(away), pa.array([fetch(p, n) for p, n in zip(first, size)], pa.binary()).cast(kind))
         cursor = cursor + length
     names, arrays = list(wanted), [out[c] for c in wanted]
-    if on_overflow == "resolve":
-        for c in wanted:
-            if schema[c].is_text or schema[c].kind == "binary":
-                names.append(f"__overflow_{c}")
-                arrays.append(out.get(f"__overflow_{c}", pa.nulls(n, pa.int64())))
     if page_base is not None:
         names.append("_page")
         arrays.append(pa.array(page + page_base, pa.int64()))
@@ -238,11 +239,12 @@ def _column(c, batch: pa.RecordBatch, float_codec: str, hidden: int, overflow) -
         column = pc.utf8_rpad(column.cast(pa.string()), c.max_len, " ")
     flat, starts, lengths = codec.text_spans(column)
     if overflow and c.name in overflow:
-        ids = overflow[c.name]
-        pointer = np.zeros((n, 20), np.uint8)
-        pointer[:, 12:] = np.ascontiguousarray(ids.astype(">u8")).view(np.uint8).reshape(n, 8)
-        away = ids > 0
-        return _Column(there, flat=np.concatenate([flat, pointer.ravel()]), starts=np.where(away, len(flat) + 20 * np.arange(n), starts), lengths=np.where(away, 20, lengths), away=away)
+        first = overflow[c.name]
+        pointer = np.zeros((n, POINTER), np.uint8)
+        for at, values, width in ((4, first, 4), (8, np.full(n, PAGE_HEADER), 4), (12, lengths, 8)):
+            pointer[:, at : at + width] = np.ascontiguousarray(values.astype(f">u{width}")).view(np.uint8).reshape(n, width)
+        away = first > 0
+        return _Column(there, flat=np.concatenate([flat, pointer.ravel()]), starts=np.where(away, len(flat) + POINTER * np.arange(n), starts), lengths=np.where(away, POINTER, lengths), away=away)
     return _Column(there, flat=flat, starts=starts, lengths=lengths)
 
 
@@ -333,6 +335,37 @@ def encode(batch: pa.RecordBatch, schema: StorageSchema, first_page: int = ROOT
     return pages
 
 
+def value_pages(value: bytes, first: int) -> np.ndarray:
+    """The chain of pages that holds a long value, from page number first on."""
+    count = -(-len(value) // PART)
+    out = np.vstack([page_frame(first + k, LONG_VALUE) for k in range(count)])
+    for k in range(count):
+        part = value[k * PART : (k + 1) * PART]
+        head = len(part).to_bytes(4, "big") + (first + k + 1 if k + 1 < count else NO_PAGE).to_bytes(4, "big")
+        out[k, PAGE_HEADER : PAGE_HEADER + 8 + len(part)] = np.frombuffer(head + part, np.uint8)
+    return out
+
+
+def chained(read: Callable[[int, int], bytes], first: int, length: int) -> bytes:
+    """A long value; read gives the bytes of some pages in a row.  Chains that lie in a row are read at once."""
+    out, have, page = [], 0, first
+    while have < length:
+        raw = read(page, -(-(length - have) // PART))
+        for at in range(0, len(raw), PAGE):
+            size, following = (int.from_bytes(raw[at + PAGE_HEADER + k : at + PAGE_HEADER + k + 4], "big") for k in (0, 4))
+            if int.from_bytes(raw[at + 24 : at + 26], "big") != LONG_VALUE or not 0 < size <= PART:
+                raise PageError(f"page {page} holds no part of a long value")
+            out.append(raw[at + PAGE_HEADER + 8 : at + PAGE_HEADER + 8 + size])
+            have += size
+            if following != page + 1:
+                page = following
+                break
+            page = following
+        if have < length and page == NO_PAGE:
+            raise PageError("a long value's pages end before its length")
+    return b"".join(out)[:length]
+
+
 def file_start(index_id: int) -> np.ndarray:
     """The first pages of a file: space header, allocation map, inodes, and the clustered root, which is an interior page."""
     return np.vstack([page_frame(0, SPACE_HEADER), page_frame(1, ALLOCATION), page_frame(2, INODE), page_frame(ROOT, INDEX_PAGE, 1, index_id)])

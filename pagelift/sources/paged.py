@@ -233,7 +233,7 @@ class TreeReader(PagedReader):
         self._ids = {r.path: self._index_id(r) for r in {r.path: r for r in partition.runs}.values()}
         limit = int(self.options.get("max_rows", 65_536))
         for run in partition.runs:
-            self._id = self._ids[run.path]
+            self._id, self._path, self._side = self._ids[run.path], run.path, None
             for first, block in self.blocks(run):
                 batch = self.decode(block, run.base + first)
                 for at in range(0, batch.num_rows, limit):
@@ -247,7 +247,20 @@ class TreeReader(PagedReader):
         if self.predicate and self.predicate.column == first and _flag(o, "prune", "true"):
             bounds = (self.predicate.low, self.predicate.high)
         paged = any(f.name == "_page" for f in self.output.fields)
-        return tree.decode(pages, self.storage, self.names, self._id, o.get("numeric_as", "double"), o.get("timestamp_as", "ntz"), o.get("float_codec", self.manifest.get("float_codec", "ordered")), o.get("prefix", self.manifest.get("prefix", "declared")), bounds, o.get("on_overflow", "error"), base if paged else None)
+        return tree.decode(pages, self.storage, self.names, self._id, o.get("numeric_as", "double"), o.get("timestamp_as", "ntz"), o.get("float_codec", self.manifest.get("float_codec", "ordered")), o.get("prefix", self.manifest.get("prefix", "declared")), bounds, o.get("on_overflow", "error"), base if paged else None, self._fetch)
+
+    def _fetch(self, first: int, length: int) -> bytes:
+        """A value on pages of its own, of the file that is being read."""
+        if self._side is None or self._side[0] != self._path:
+            fs, at = plan.file_system(self._path)
+            self._side = (self._path, fs.open_input_file(at))
+        f = self._side[1]
+
+        def read(page: int, count: int) -> bytes:
+            f.seek(page * tree.PAGE)
+            return f.read(count * tree.PAGE)
+
+        return tree.chained(read, first, length)
 
 
 class _Pushing:
@@ -314,29 +327,31 @@ class PagedWriter(DataSourceArrowWriter):
     def pages(self, batch, state):
         raise NotImplementedError
 
-    def _moved(self, batch: pa.RecordBatch, state: dict):
-        """Value ids of long values, whose chunks go to a relation of their own."""
+    def _moved(self, batch: pa.RecordBatch, state: dict, out: _Segments) -> dict[str, np.ndarray] | None:
+        """For each column that can have long values, where each row's is kept; 0: in the row."""
         if self.options.get("overflow", "false") != "true":
             return None
-        out = {}
+        moved = {}
         for c in self.storage.columns:
-            if not (c.is_text or c.kind == "binary"):
+            if not (c.is_text and not 0 < c.max_len <= 255 or c.kind == "binary"):
                 continue
             column = batch.column(c.name).cast(pa.binary())
-            ids = np.zeros(batch.num_rows, np.int64)
+            moved[c.name] = np.zeros(batch.num_rows, np.int64)
             sizes = np.array(pc.binary_length(column).fill_null(0))
-            for i in np.flatnonzero(sizes > OVERFLOW_AT):
-                state["values"] += 1
-                if state["values"] >> VALUE_BITS:
-                    raise ValueError("too many long values in a partition; write it in more partitions")
-                ids[i] = state["first"] + state["values"]
-                raw = column[int(i)].as_py()
-                for k, at in enumerate(range(0, len(raw), CHUNK)):
-                    state["chunks"].append((int(ids[i]), k, raw[at : at + CHUNK]))
-                if len(state["chunks"]) >= HELD_CHUNKS:
-                    self._put(state)
-            out[c.name] = ids
-        return out
+            for i in np.flatnonzero(sizes > OVERFLOW_AT).tolist():
+                moved[c.name][i] = self._away(column[i].as_py(), state, out)
+        return moved
+
+    def _away(self, value: bytes, state: dict, out: _Segments) -> int:
+        """Keep a long value as chunks in a relation of its own; its number."""
+        state["values"] += 1
+        if state["values"] >> VALUE_BITS:
+            raise ValueError("too many long values in a partition; write it in more partitions")
+        number = state["first"] + state["values"]
+        state["chunks"] += [(number, k, value[at : at + CHUNK]) for k, at in enumerate(range(0, len(value), CHUNK))]
+        if len(state["chunks"]) >= HELD_CHUNKS:
+            self._put(state)
+        return number
 
     def _put(self, state: dict) -> None:
         ids, seqs, data = zip(*state["chunks"])
@@ -355,7 +370,7 @@ class PagedWriter(DataSourceArrowWriter):
         out, rows = _Segments(self.path, name, self.page_size, self.segment_pages, self.start_pages()), 0
         for batch in iterator:
             batch = pa.RecordBatch.from_arrays([batch.column(i) for i in range(batch.num_columns)], schema=batch.schema)
-            moved = self._moved(batch, state)
+            moved = self._moved(batch, state, out)
             pages = self.pages(batch, moved, state)
             state["page"] += len(pages)
             state["row"] += batch.num_rows
@@ -457,6 +472,13 @@ class TreeWriter(PagedWriter):
     def start_pages(self):
         return tree.file_start(40)
 
+    def _away(self, value, state, out):
+        """Keep a long value on a chain of pages of the file; the first one's number."""
+        pages, first = tree.value_pages(value, state["page"]), state["page"]
+        state["page"] += len(pages)
+        out.add(pages)
+        return first
+
     def pages(self, batch, moved, state):
         o = self.options
         return tree.encode(batch, self.storage, state["page"], 40, o.get("float_codec", "ordered"), o.get("prefix", "declared"), int(o.get("fill_factor", 94)), state["row"], moved)
@@ -534,8 +556,8 @@ class PagedSource(DataSource):
         columns = [c.strip() for c in self.options["columns"].split(",")] if self.options.get("columns") else None
         out = storage.spark(columns, numeric_as=self.options.get("numeric_as", "double"), timestamp_as=self.options.get("timestamp_as", "ntz"))
         names = columns or storage.names
-        if self.options.get("on_overflow") == "resolve":
-            long_ones = [n for n in names if (storage[n].kind not in ("numeric",) and (storage[n].is_text or storage[n].kind == "binary")) or (self.reader_class is HeapReader and storage[n].kind == "numeric")]
+        if self.options.get("on_overflow") == "resolve" and self.reader_class is HeapReader:  # a tree's reader finds them itself
+            long_ones = [n for n in names if storage[n].is_text or storage[n].kind in ("binary", "numeric")]
             out = StructType(out.fields + [StructField(f"__overflow_{n}", LongType()) for n in long_ones])
         if _flag(self.options, "with_page"):
             out = StructType(out.fields + [StructField("_page", LongType())])
