@@ -5,11 +5,11 @@ fields that are laid end to end).  Tokens come with their character offsets; tok
 sorted and so are joined as intervals by binary search.  A token over a boundary belongs to the section that holds most
 of its characters, the earlier one on a tie; `n_crossing` says how many of a section's tokens reach outside it.
 
-Encoding works on runs that the byte-level rules never look across: a worker remembers the token spans of runs, and a
-document's spans are those of its runs, moved to their places.  Where all white space is single spaces and line feeds,
-runs are words with the space before them, and line feeds; in other texts they are what lies between single spaces; texts
-with white space next to a space are encoded whole.  Spans and sections of all documents of a slice are laid end to end
-and joined at once.
+Encoding works on runs that the byte-level rules never look across: a worker remembers how many bytes each token of a run
+has.  A text's tokens cover its bytes without gaps, so running sums of these are the tokens' offsets, and the bytes'
+characters turn them into character spans.  Where all white space is single spaces and line feeds, runs are words with the
+space before them, and line feeds; in other texts they are what lies between single spaces; texts with white space next to
+a space are encoded whole.  Spans and sections of all documents of a slice are laid end to end and joined at once.
 
 Defined results: a null text is one empty section without tokens; every section gives a row, empty ones too; rows that
 share an id give their sections each; an empty table gives an empty result.
@@ -20,7 +20,6 @@ from __future__ import annotations
 import re
 from array import array
 from collections.abc import Iterator
-from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +29,7 @@ from pyspark.sql import functions as F
 from pagelift.llm.common import documents, names_of, thrifty
 from pagelift.llm.packing import byte_letters, declared
 
-MAX_CACHED = 100_000
+MAX_CACHED = 150_000  # runs of a generation that a worker remembers; it keeps two
 #: What a vocabulary file declares whose rules cut a run of letters and signs between the two only, and
 #: turn each byte into a letter of the alphabet.
 FRONT_END = {"normalizer": None, "pre_tokenizer": {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": True}, "end_of_word_suffix": None}
@@ -40,8 +39,8 @@ UNSAFE = re.compile(r" \s|\s ")
 SECTIONS = "doc_id long, section int, start long, end long, n_tokens long, n_crossing long"
 
 
-class RunSpans(dict):
-    """Run (with the space before it, if any) -> start and end characters of its tokens, as unsigned 16-bit pairs."""
+class RunLengths(dict):
+    """Run (with the space before it, if any) -> bytes of its tokens, one unsigned number each."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -49,45 +48,37 @@ class RunSpans(dict):
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.model, self.to_alphabet = self.tokenizer.model, byte_letters()
+        self.tokenize, self.to_alphabet, self.old = self.tokenizer.model.tokenize, byte_letters(), {}
+        self.code = "B" if max(map(len, self.tokenizer.get_vocab())) < 256 else "H"
         self.short = declared(path) == FRONT_END
 
-    def offsets(self, text: str) -> np.ndarray:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).offsets, np.int64).reshape(-1, 2)
-
-    def _long(self, run: str) -> bytes:
-        return self.offsets(run).astype("<u2").tobytes()
+    def _long(self, text: str) -> bytes:
+        """By the tokenizer; tokens are written in a letter a byte."""
+        return array(self.code, map(len, self.tokenizer.encode(text, add_special_tokens=False).tokens)).tobytes()
 
     def _short(self, run: str) -> bytes | None:
         """By the model alone, without the tokenizer's front end; a run's tokens are those of its letters and its signs."""
         found = LETTERS_SIGNS.fullmatch(run)
         if found is None:
             return None
-        out, at = array("H"), 0
-        for piece in (found[1] + found[2], found[3]):
-            if not piece:
-                continue
-            data = piece.encode()
-            places = list(accumulate([len(t.value) for t in self.model.tokenize(data.decode("latin-1").translate(self.to_alphabet))], initial=0))
-            if len(data) == len(piece):
-                for k in range(len(places) - 1):
-                    out.append(at + places[k])
-                    out.append(at + places[k + 1])
-            else:  # bytes to the characters they lie in
-                char = [c - 1 for c in accumulate((b & 0xC0) != 0x80 for b in data)]
-                for k in range(len(places) - 1):
-                    out.append(at + char[places[k]])
-                    out.append(at + char[places[k + 1] - 1] + 1)
-            at += len(piece)
-        return out.tobytes()
+        letters = found[1] + found[2]
+        letters = letters.replace(" ", "\u0120") if letters.isascii() else letters.encode().decode("latin-1").translate(self.to_alphabet)
+        out = [len(t.value) for t in self.tokenize(letters)]
+        if found[3]:
+            out += [len(t.value) for t in self.tokenize(found[3])]
+        return array(self.code, out).tobytes()
 
     def __missing__(self, run: str) -> bytes:
-        out = self._short(run) if self.short and len(run) < 64 else None
+        out = self.old.get(run)
+        if out is None and self.short and len(run) < 64:
+            out = self._short(run)
         if out is None:
-            out = self._long(run)
+            out = self._long(run) if run else b""
         if len(self) >= MAX_CACHED:
+            self.old = dict(self)
             self.clear()
-        self[run] = out
+        if len(run) < 64:
+            self[run] = out
         return out
 
     def runs(self, text: str) -> list[str] | None:
@@ -101,23 +92,21 @@ class RunSpans(dict):
 
     def spans(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Start and end characters of the tokens of whole texts that are laid end to end, and where each text begins."""
-        starts = np.cumsum([0, *map(len, texts)])
-        parts, sizes, out = [], [], []
-        for text, at in zip(texts, starts.tolist()):
+        parts: list[bytes] = []
+        for text in texts:
             runs = self.runs(text) if text else []
-            if runs is None or max(map(len, runs), default=0) >= 1 << 15:
-                out.append(self.offsets(text) + at)
-                parts.append(b"")
-                sizes.append(len(text))
-                continue
-            parts += map(self.__getitem__, runs)
-            sizes += map(len, runs)
-        at = np.cumsum([0, *sizes])[:-1]
-        known = np.frombuffer(b"".join(parts), "<u2").astype(np.int64).reshape(-1, 2)
-        known = known + np.repeat(at, [len(p) >> 2 for p in parts])[:, None] if parts else known
-        if out:
-            known = np.concatenate([known, *out])
-        return known, starts
+            if runs is None:
+                parts.append(self._long(text))
+            else:
+                parts += map(self.__getitem__, runs)
+        sizes = np.frombuffer(b"".join(parts), np.uint8 if self.code == "B" else np.uint16)
+        ends = np.cumsum(sizes, dtype=np.int64)
+        spans = np.column_stack([ends - sizes, ends])
+        if not all(map(str.isascii, texts)):  # bytes to the characters they lie in
+            data = np.frombuffer("".join(texts).encode(), np.uint8)
+            char = np.cumsum((data & 0xC0) != 0x80)
+            spans = np.column_stack([char[spans[:, 0]] - 1, char[spans[:, 1] - 1]])
+        return spans, np.cumsum([0, *map(len, texts)])
 
 
 #: White space but a space or a line feed; the ASCII ones also one by one, as that is faster to look for.
@@ -134,12 +123,12 @@ def plain(text: str) -> bool:
     return not any(x in text for x in ASCII_SPACES) if text.isascii() else OTHER_SPACE.search(text) is None
 
 
-_RUNS: dict[str, RunSpans] = {}
+_RUNS: dict[str, RunLengths] = {}
 
 
-def run_spans(path: str) -> RunSpans:
+def run_lengths(path: str) -> RunLengths:
     if path not in _RUNS:
-        _RUNS[path] = RunSpans(path)
+        _RUNS[path] = RunLengths(path)
     return _RUNS[path]
 
 
@@ -161,7 +150,7 @@ def line_starts(text: str) -> np.ndarray:
     return np.array([0, *cuts], np.int64)
 
 
-def counted(runs: RunSpans, texts: list[str], starts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+def counted(runs: RunLengths, texts: list[str], starts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """Tokens and crossing tokens of all sections of some texts; starts: where each text's sections begin in it."""
     spans, at = runs.spans(texts)
     own, crosses = owners(spans, np.concatenate([s + a for s, a in zip(starts, at)]) if texts else np.zeros(0, np.int64))
@@ -173,7 +162,7 @@ def by_section(docs: DataFrame, vocabulary: str, starts_of=line_starts) -> DataF
     """One row a section of every document."""
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        runs = run_spans(vocabulary)
+        runs = run_lengths(vocabulary)
         for batch in thrifty(batches):
             texts = [t or "" for t in batch.column("text").to_pylist()]
             starts = [starts_of(t) for t in texts]
@@ -199,7 +188,7 @@ def by_field(docs: DataFrame, fields: list[str], vocabulary: str, joint: str = "
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.array(*[s.cast("long") for s in sizes]).alias("sizes"))
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        runs = run_spans(vocabulary)
+        runs = run_lengths(vocabulary)
         for batch in thrifty(batches):
             starts = [np.cumsum([0, *size[:-1]]).astype(np.int64) for size in batch.column("sizes").to_pylist()]
             tokens, crossing = counted(runs, batch.column("text").to_pylist(), starts)
