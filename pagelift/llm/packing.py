@@ -29,8 +29,9 @@ from pagelift.llm.common import cut, documents, names_of, raw, thrifty
 
 RANKED = 10_000  # pieces of a length that one task ranks
 MOST_SLOTS = 1_000_000  # slots that are broadcast
-MAX_CACHED = 250_000  # runs a worker remembers of each kind; then that memory starts anew
+MAX_CACHED = 200_000  # runs of a generation that a worker remembers; it keeps two
 #: Runs of unaccented or Latin-1 letters and of plain signs: the vocabulary's rules cut a run between the two only.
+SIGNS = b".,!?;:#$%&*|"
 LETTERS_SIGNS = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*)([.,!?;:#$%&*|]*)")
 
 
@@ -74,33 +75,40 @@ class WordBytes(dict):
 
         super().__init__()
         tokenizer = Tokenizer.from_file(path)
-        self.encode, self.model, self.letters = tokenizer.encode, tokenizer.model, {}
+        self.encode, self.tokenize, self.old = tokenizer.encode, tokenizer.model.tokenize, {}
         self.to_alphabet = byte_letters()
         self.short = declared(path) == FRONT_END
 
     def _encoded(self, text: str) -> bytes:
         return little(self.encode(text, add_special_tokens=False).ids)
 
-    def _piece(self, piece: str) -> bytes:
-        out = self.letters.get(piece)
-        if out is None:
-            shown = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.to_alphabet)
-            out = little([t.id for t in self.model.tokenize(shown)])
-            if len(self.letters) >= MAX_CACHED:
-                self.letters.clear()
-            self.letters[piece] = out
-        return out
+    def _model(self, piece: str) -> bytes:
+        return little([t.id for t in self.tokenize(piece)])
 
-    def _pieces(self, text: str) -> bytes | None:
+    def _pieces(self, word: bytes) -> bytes | None:
+        """Letters, then signs, by the model alone; both as words of their own, which are remembered."""
+        if word.isalpha():  # of ASCII letters
+            low = word.lower()
+            return self[low] if low != word else self._model(word.decode())
+        if word[:-1].isalpha() and word[-1] in SIGNS:
+            return self[word[:-1]] + self[word[-1:]]
+        text = word.decode()
         found = LETTERS_SIGNS.fullmatch(text)
-        return None if found is None else b"".join(self._piece(p) for p in (found[1].lower(), found[2]) if p)
+        if found is None:
+            return None
+        letters, signs = found[1].lower(), found[2]
+        if not letters.isascii():
+            letters = letters.encode().decode("latin-1").translate(self.to_alphabet)
+        return (self._model(letters) if letters else b"") + (self._model(signs) if signs else b"")
 
     def __missing__(self, word: bytes) -> bytes:
-        text = word.decode()
-        out = self._pieces(text) if self.short and len(word) <= 64 else None
+        out = self.old.get(word)
+        if out is None and self.short and len(word) <= 64:
+            out = self._pieces(word)
         if out is None:
-            out = self._encoded(text) if word else b""
+            out = self._encoded(word.decode()) if word else b""
         if len(self) >= MAX_CACHED:
+            self.old = dict(self)
             self.clear()
         if len(word) <= 64:
             self[word] = out
