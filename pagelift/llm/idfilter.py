@@ -1,4 +1,5 @@
-"""A Bloom filter over ids, of a fixed largest size, to keep rows from a shuffle that surely have no partner in it."""
+"""A Bloom filter over ids, of a fixed largest size, to keep rows from a shuffle that surely have no partner in it; beyond
+that size a join by id does the same."""
 
 from __future__ import annotations
 
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 
 from pagelift.llm.common import mix
 
-MOST_BITS = 1 << 29  # 64 MB; beyond, the filter lets more through but stays right
+MOST_BITS = 1 << 29  # 64 MB, for 33 million ids
 CHUNK = 1 << 16
 HASHES = 4
 
@@ -31,10 +32,17 @@ class IdFilter:
         return ((self.data[at >> 3] >> (at & 7)) & 1).reshape(HASHES, -1).all(axis=0)
 
 
-def build(spark: SparkSession, ids: DataFrame, column: str):
-    """A broadcast IdFilter of a column of ids: each task marks its own bitmap, chunks are joined by OR."""
+def narrowed(spark: SparkSession, rows: DataFrame, ids: DataFrame, column: str):
+    """rows, and a broadcast IdFilter to be applied to them; where the ids are too many for one, the rows of these ids, and
+    None."""
     n = ids.count()
-    bits = min(MOST_BITS, 1 << max(16, (16 * n - 1).bit_length()))
+    if 16 * n > MOST_BITS:
+        return rows.join(ids, column, "left_semi"), None
+    return rows, _build(spark, ids, column, 1 << max(16, (16 * n - 1).bit_length()))
+
+
+def _build(spark: SparkSession, ids: DataFrame, column: str, bits: int):
+    """A broadcast IdFilter of a column of ids: each task marks its own bitmap, chunks are joined by OR."""
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         data = np.zeros(bits >> 3, np.uint8)

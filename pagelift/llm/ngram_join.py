@@ -40,7 +40,6 @@ from pagelift.llm import exchange as ex
 from pagelift.llm import idfilter
 from pagelift.llm.common import WordIds, cut, documents, drop, mix, names_of, pair_hash, raw, release, thrifty
 from pagelift.llm.components import components
-from pagelift.llm.idfilter import IdFilter
 
 PARTS = 4  # fragments of the global order
 HOT = 32  # documents of a key whose pairs are listed
@@ -199,10 +198,10 @@ def _prefixes(rule: Rule):
     return make
 
 
-def _picked(batch: pa.RecordBatch, ids: IdFilter) -> pa.RecordBatch:
-    """The rows whose doc_id the filter may hold."""
+def _picked(batch: pa.RecordBatch, sent) -> pa.RecordBatch:
+    """The rows whose doc_id the broadcast IdFilter, if there is one, may hold."""
     batch = batch.filter(batch.column("doc_id").is_valid())
-    return batch.filter(pa.array(ids.may_hold(np.asarray(batch.column("doc_id")))))
+    return batch if sent is None else batch.filter(pa.array(sent.value.may_hold(np.asarray(batch.column("doc_id")))))
 
 
 MEMBERS = "doc_id long, part int, size long, own long, data binary"
@@ -213,7 +212,7 @@ def _members(active):
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in thrifty(batches):
-            batch, rows = _picked(batch, active.value), []
+            batch, rows = _picked(batch, active), []
             for i, size, own, parts in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "n_shingles", "own", "parts"))):
                 rows.append((i, -1, size, own, parity(np.frombuffer(b"".join(parts), np.uint64))))
                 rows += [(i, k, size, own, data) for k, data in enumerate(parts) if data]
@@ -261,7 +260,7 @@ def _whole(active):
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in thrifty(batches):
-            batch = _picked(batch, active.value)
+            batch = _picked(batch, active)
             data = [np.sort(np.frombuffer(b"".join(p), np.uint64)).tobytes() for p in batch.column("parts").to_pylist()]
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", "n_shingles", "own")), pa.array(data, pa.binary())], names=["doc_id", "size", "own", "data"])
 
@@ -360,7 +359,7 @@ def hot_links(spark: SparkSession, sets: DataFrame, keyed: DataFrame, rule: Rule
     rows = rows.withColumn("block", F.pmod(F.xxhash64("doc_id"), n).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), n - 1)))
     rows = rows.withColumn("low", F.least("block", "other")).withColumn("high", F.greatest("block", "other"))
     some = cut(spark, keyed.join(parts.select("doc_id"), "doc_id", "left_semi").groupBy("doc_id").agg(F.collect_set(F.when(F.col("docs") <= HOT, F.col("key"))).alias("cold"), F.collect_set(F.when(F.col("docs") > HOT, F.col("key"))).alias("hot")), "frequent")
-    active = idfilter.build(spark, some.select("doc_id"), "doc_id")
+    sets, active = idfilter.narrowed(spark, sets, some.select("doc_id"), "doc_id")
     whole = sets.mapInArrow(_whole(active), "doc_id long, size long, own long, data binary")
     packed = rows.join(whole.join(some, "doc_id"), "doc_id")
     return cut(spark, packed.groupBy("unit", "key", "low", "high").applyInArrow(_blocks(rule), "a long, b long, n long"), "hot")
@@ -385,9 +384,9 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, n: int = 3, percent: i
     listed = near.where(F.col("docs") <= HOT).select("key", "doc_id")
     pairs = listed.selectExpr("key", "doc_id AS a").join(listed.selectExpr("key", "doc_id AS b"), "key").where("a > b").select("a", "b").distinct()
     pairs = cut(spark, pairs, "pairs")
-    active = idfilter.build(spark, listed.select("doc_id").distinct(), "doc_id")
     partnered = sets.where(F.size("prefix") > 0).select("doc_id", "n_shingles", "own", "parts")
-    members = cut(spark, partnered.mapInArrow(_members(active), MEMBERS), "members")
+    paired, active = idfilter.narrowed(spark, partnered, listed.select("doc_id").distinct(), "doc_id")
+    members = cut(spark, paired.mapInArrow(_members(active), MEMBERS), "members")
     links = cut(spark, verified(spark, pairs, members, rule), "links")
     drop(spark, members)
     drop(spark, pairs)

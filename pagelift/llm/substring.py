@@ -7,9 +7,9 @@ Two forms:
   square of the corpus.  Windows are compared through the batch-to-shard exchange instead: batches are runs of doc_id,
   each sends the sorted set of its window hashes, and a shard answers one bit a window, "an earlier batch has it".
   Within a batch the first place is known by position.
-* `remove_reference` (matching against a given reference of bounded size, such as one shard of known texts): suffix
-  automata of the reference shards are broadcast, documents are streamed through them for matching statistics, and
-  the maximal spans of at least `window` words go.
+* `remove_reference` (matching against a given reference, such as a collection of known texts): executors build suffix
+  automata of its shards, which are broadcast in waves of bounded size; documents are streamed through them for matching
+  statistics, and the maximal spans of at least `window` words go.
 
 Order is (doc_id, then text among rows that share an id, then place); null ids come first.  Defined results: null
 text has no words; a text shorter than the window keeps all; the last words of an empty result give the empty text.
@@ -23,9 +23,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from pagelift.llm import exchange as ex
-from pagelift.llm.common import WordIds, documents, mix, pair_hash, raw
+from pagelift.llm.common import WordIds, cut, documents, mix, names_of, pair_hash, raw, thrifty
 
 KEPT = "doc_id long, n_words long, n_removed long, kept_text string"
 
@@ -180,58 +181,152 @@ class SuffixAutomaton:
             p = link[p]
         return new
 
-    def matching(self, words) -> list[int]:
-        """For each place, the length of the longest run ending there that the reference contains."""
-        at, have, out = 0, 0, []
-        for w in words:
-            while at and w not in self.next[at]:
-                at = self.link[at]
-                have = self.size[at]
-            if w in self.next[at]:
-                at, have = self.next[at][w], have + 1
-            out.append(have)
+    def packed(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """As sorted vectors, at most some 60 bytes a word: word hashes, transitions (state and word number in one, and
+        target), suffix links and lengths."""
+        words = np.unique(np.array([w for t in self.next for w in t], np.uint64))
+        count = np.array([len(t) for t in self.next], np.int64)
+        flat = np.array([w for t in self.next for w in t], np.uint64)
+        keys = np.repeat(np.arange(len(count)), count).astype(np.uint64) << np.uint64(32) | np.searchsorted(words, flat).astype(np.uint64)
+        to = np.array([q for t in self.next for q in t.values()], np.int32)
+        by = np.argsort(keys)
+        return words, keys[by], to[by], np.array(self.link, np.int32), np.array(self.size, np.int32)
+
+
+class PackedAutomaton:
+    """Matching statistics of many texts at once: all texts take a step together."""
+
+    def __init__(self, words: np.ndarray, keys: np.ndarray, to: np.ndarray, link: np.ndarray, size: np.ndarray):
+        self.words, self.keys, self.to, self.link, self.size = words, keys, to, link, size
+
+    def _target(self, state: np.ndarray, word: np.ndarray) -> np.ndarray:
+        """Where a word leads from a state, or -1."""
+        wanted = state.astype(np.uint64) << np.uint64(32) | word.astype(np.uint64)
+        at = np.minimum(np.searchsorted(self.keys, wanted), len(self.keys) - 1)
+        return np.where(self.keys[at] == wanted, self.to[at], -1)
+
+    def matching(self, tokens: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+        """For each place of texts that are laid end to end, the length of the longest run ending there that the reference
+        contains."""
+        out = np.zeros(len(tokens), np.int64)
+        if not len(self.keys):
+            return out
+        number = np.minimum(np.searchsorted(self.words, tokens), len(self.words) - 1)
+        known = self.words[number] == tokens
+        length = np.diff(bounds)
+        order = np.argsort(-length, kind="stable")  # texts that end drop off the end
+        first, length = bounds[:-1][order], length[order]
+        state, have = np.zeros(len(order), np.int64), np.zeros(len(order), np.int64)
+        for step in range(int(length[0]) if len(length) else 0):
+            live = int(np.searchsorted(-length, -step, "left"))
+            at = first[:live] + step
+            state, have = state[:live], have[:live]
+            state[~known[at]] = have[~known[at]] = 0
+            open_ = np.flatnonzero(known[at])
+            while len(open_):
+                target = self._target(state[open_], number[at[open_]])
+                on = target >= 0
+                moved = open_[on]
+                have[moved] += 1
+                state[moved] = target[on]
+                open_ = open_[~on]
+                have[open_[state[open_] == 0]] = 0
+                open_ = open_[state[open_] > 0]
+                state[open_] = self.link[state[open_]]
+                have[open_] = self.size[state[open_]]
+            out[at] = have
         return out
 
 
-def covered(lengths: list[int], window: int) -> list[bool]:
+def covered(lengths: np.ndarray, bounds: np.ndarray, window: int) -> np.ndarray:
     """Places inside a match of at least window words."""
-    out, reach = [False] * len(lengths), len(lengths)
-    for i in range(len(lengths) - 1, -1, -1):
-        if lengths[i] >= window:
-            reach = min(reach, i - lengths[i] + 1)
-        out[i] = reach <= i
-    return out
-
-
-def remove_reference(spark: SparkSession, docs: DataFrame, reference: DataFrame, window: int = 20, max_words: int = 2_000_000, shard_words: int = 250_000) -> DataFrame:
-    """Remove spans of at least window words that the reference has.  A reference of more than max_words is refused."""
-    docs, reference = documents(docs), reference.select("text").dropna()
-    texts, total = [], 0
-    for row in reference.toLocalIterator():
-        words = row[0].encode().split()
-        total += len(words)
-        if total > max_words:
-            raise ValueError(f"the reference has more than {max_words} words; use remove_repeats or raise max_words")
-        texts.append(words)
-    shards, part = [], []
-    for words in texts:
-        part += [*words, None]
-        if len(part) >= shard_words:
-            shards.append(SuffixAutomaton(part))
-            part = []
-    if part:
-        shards.append(SuffixAutomaton(part))
-    sent = spark.sparkContext.broadcast(shards)
+    drop = np.zeros(len(lengths) + 1, np.int64)
+    ends = np.flatnonzero(lengths >= window)
+    np.add.at(drop, ends - lengths[ends] + 1, 1)
+    np.add.at(drop, ends + 1, -1)
+    return np.cumsum(drop)[:-1] > 0
+
+
+SHARD_WORDS = 250_000  # words of a reference shard: its automaton is built by one task, in some 100 MB
+WAVE_BYTES = 64 << 20  # of automata that are broadcast at once
+SHARDS = "shard long, words binary, keys binary, to binary, link binary, size binary"
+
+
+def _automaton(table: pa.Table) -> pa.Table:
+    """The automaton of a shard's texts."""
+    words: list = []
+    for text in raw(table.column("text")):
+        words += [*hashed(text)[1].tolist(), None]
+    columns = [pa.array([x.tobytes()], pa.binary()) for x in SuffixAutomaton(words).packed()]
+    return pa.table([table.column("shard")[:1].combine_chunks(), *columns], names=names_of(SHARDS))
+
+
+def hashed(text: bytes | None) -> tuple[list[bytes], np.ndarray]:
+    """Words of a text and their hashes."""
+    ids, words = WordIds(), text.split() if text else []
+    codes = ids.code(words)
+    return words, ids.table()[codes] if len(codes) else np.array([], np.uint64)
+
+
+def _restored(row) -> PackedAutomaton:
+    return PackedAutomaton(*(np.frombuffer(row[k], t) for k, t in zip(("words", "keys", "to", "link", "size"), ("<u8", "<u8", "<i4", "<i4", "<i4"))))
+
+
+def _spans(sent, window: int):
+    """row and spans (first word, end) of the words that some automaton of the wave covers."""
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = []
-            for i, text in zip(batch.column("doc_id").to_pylist(), raw(batch.column("text"))):
-                words = text.split() if text else []
-                gone = [False] * len(words)
-                for shard in sent.value:
-                    gone = [a or b for a, b in zip(gone, covered(shard.matching(words), window))]
-                rows.append((i, len(words), sum(gone), b" ".join(w for w, g in zip(words, gone) if not g).decode()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 4, (pa.int64(), pa.int64(), pa.int64(), pa.string()))], names=["doc_id", "n_words", "n_removed", "kept_text"])
-
-    return docs.mapInArrow(stream, KEPT)
+        automata = [PackedAutomaton(*x) for x in sent.value]
+        for batch in thrifty(batches):
+            tokens = [hashed(t)[1] for t in raw(batch.column("text"))]
+            bounds = np.concatenate([[0], np.cumsum([len(t) for t in tokens])]).astype(np.int64)
+            flat = np.concatenate(tokens) if tokens else np.array([], np.uint64)
+            gone = np.zeros(len(flat), bool)
+            for a in automata:
+                gone |= covered(a.matching(flat, bounds), bounds, window)
+            found = [np.flatnonzero(np.diff(gone[a:b].astype(np.int8), prepend=0, append=0)).reshape(-1, 2).tolist() for a, b in zip(bounds, bounds[1:])]
+            some = [i for i, x in enumerate(found) if x]
+            yield pa.RecordBatch.from_arrays([batch.column("row").take(pa.array(some, pa.int64())), pa.array([found[i] for i in some], pa.list_(pa.list_(pa.int64())))], names=["row", "spans"])
+
+    return stream
+
+
+def _cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in thrifty(batches):
+        rows = []
+        for i, text, waves in zip(*(batch.column(c).to_pylist() if c != "text" else raw(batch.column(c)) for c in ("doc_id", "text", "spans"))):
+            words = text.split() if text else []
+            keep = np.ones(len(words), bool)
+            for first, end in (s for wave in waves or () for s in wave):
+                keep[first:end] = False
+            rows.append((i, len(words), int((~keep).sum()), b" ".join(w for w, k in zip(words, keep.tolist()) if k).decode()))
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 4, (pa.int64(), pa.int64(), pa.int64(), pa.string()))], names=names_of(KEPT))
+
+
+def remove_reference(spark: SparkSession, docs: DataFrame, reference: DataFrame, window: int = 20) -> DataFrame:
+    """Remove the maximal spans of at least window words that a text of the reference has.
+
+    Executors build an automaton for each shard of reference texts (a text stays whole).  As many as fit into WAVE_BYTES are
+    broadcast at once and all documents are streamed through them; a larger reference takes more waves, a pass over the
+    documents each.  What the waves cover is put together by document.
+    """
+    docs = documents(docs).withColumn("row", F.xxhash64("doc_id", "text"))
+    texts = reference.select(F.col("text").cast("string").alias("text")).where("text IS NOT NULL").withColumn("n", F.size(F.split("text", r"\s+")))
+    total = texts.agg(F.sum("n")).first()[0] or 0
+    shards = max(1, -(-total // SHARD_WORDS))
+    built = texts.select("text", F.pmod(F.xxhash64("text"), F.lit(shards)).alias("shard")).groupBy("shard").applyInArrow(_automaton, SHARDS)
+    built = cut(spark, built, "automata")
+    sizes = built.select("shard", sum((F.length(c) for c in ("words", "keys", "to", "link", "size")), F.lit(0)).alias("bytes")).orderBy("shard").collect()  # a row a shard
+    found, wave, held = None, [], 0
+    for k, (shard, size) in enumerate(sizes):
+        wave.append(shard)
+        held += size
+        if k + 1 == len(sizes) or held + sizes[k + 1][1] > WAVE_BYTES:
+            rows = built.where(F.col("shard").isin(wave)).collect()
+            sent = spark.sparkContext.broadcast([(a.words, a.keys, a.to, a.link, a.size) for a in map(_restored, rows)])
+            part = cut(spark, docs.select("row", "text").mapInArrow(_spans(sent, window), "row long, spans array<array<long>>"), "spans")
+            found, wave, held = part if found is None else found.unionByName(part), [], 0
+    if found is None:
+        found = spark.createDataFrame([], "row long, spans array<array<long>>")
+    gathered = found.distinct().groupBy("row").agg(F.collect_list("spans").alias("spans"))
+    return docs.join(gathered, "row", "left").select("doc_id", "text", "spans").mapInArrow(_cut_out, KEPT)

@@ -286,6 +286,16 @@ def test_every_link_counts(spark, monkeypatch, bounds):
     assert {r.doc_id: r.n_links for r in got} == want and want[0] == 49 and want[101] == 2
 
 
+def test_ngram_join_beyond_the_filter(spark, docs, rows, monkeypatch):
+    """Where the ids are too many for a filter, a join does its work."""
+    from pagelift.llm import idfilter
+
+    monkeypatch.setattr(idfilter, "MOST_BITS", 0)
+    monkeypatch.setattr(ngram_join, "HOT", 3)
+    want, _ = jaccard_components(rows, 3, 90)
+    assert {r.doc_id: r.component_id for r in ngram_join.near_duplicates(spark, docs, 3, 90).collect()} == want
+
+
 def test_pivots_cut_the_global_order():
     """Fragments hold every shared n-gram once, in order, and about as many places each."""
     rng = np.random.default_rng(12)
@@ -468,18 +478,34 @@ def test_suffix_automaton():
         text = [int(x) for x in rng.integers(0, 3, 50)]
         have = {tuple(r[a:b]) for r in ref for a in range(len(r)) for b in range(a + 1, len(r) + 1)}
         want = [max((n for n in range(e + 2) if n == 0 or tuple(text[e + 1 - n : e + 1]) in have), default=0) for e in range(len(text))]
-        assert auto.matching(text) == want
+        packed = substring.PackedAutomaton(*auto.packed())
+        more = [int(x) for x in rng.integers(0, 4, 7)]
+        tokens, bounds = np.array([*more, *text, *text[:20]], np.uint64), np.array([0, 7, 57, 57, 77], np.int64)
+        got = packed.matching(tokens, bounds)
+        assert got[7:57].tolist() == want and got[57:].tolist() == want[:20]
         for window in (2, 5):
             cover = [any(want[e] >= window and e - want[e] < i <= e for e in range(len(text))) for i in range(len(text))]
-            assert substring.covered(want, window) == cover
+            assert substring.covered(got, bounds, window)[7:57].tolist() == cover
 
 
-def test_reference_removal(spark, docs, rows):
-    reference = spark.createDataFrame([(" ".join(f"p{i}" for i in range(30)), 1), (None, 2)], "text string, doc_id int")
-    got = {r.doc_id: r for r in substring.remove_reference(spark, docs, reference, 20, shard_words=10).collect()}
-    assert got[5].n_removed == 30 and got[7].kept_text == "pre post" and got[0].n_words == 0 and got[6].n_removed == 0
-    with pytest.raises(ValueError):
-        substring.remove_reference(spark, docs, reference, max_words=3)
+@pytest.mark.parametrize("bounds", [{}, {"SHARD_WORDS": 40, "WAVE_BYTES": 1}])
+def test_reference_removal(spark, docs, rows, monkeypatch, bounds):
+    """One wave of one automaton, or a wave for each of several; against all windows."""
+    for name, value in bounds.items():
+        monkeypatch.setattr(substring, name, value)
+    texts = [" ".join(f"p{i}" for i in range(30)), rows[61][1], rows[62][1], rows[20][1], None, ""]
+    reference = spark.createDataFrame([(t, 1) for t in texts], "text string, doc_id int")
+    have = {tuple(w[k : k + 20]) for w in (words(t, False) for t in texts) for k in range(len(w) - 19)}
+    want = Counter()
+    for i, t in rows:
+        w = words(t, False)
+        gone = {j for k in range(len(w) - 19) if tuple(w[k : k + 20]) in have for j in range(k, k + 20)}
+        want[(i, len(w), len(gone), b" ".join(x for j, x in enumerate(w) if j not in gone).decode())] += 1
+    got = substring.remove_reference(spark, docs, reference, 20).collect()
+    assert Counter(map(tuple, got)) == want
+    assert {r.doc_id: r for r in got}[7].kept_text == "pre post"
+    none = reference.where("false")
+    assert all(r.n_removed == 0 for r in substring.remove_reference(spark, docs, none).collect())
 
 
 @pytest.mark.parametrize("bounds", [{}, {"SHARD_ROWS": 40, "WAVE_BYTES": 700}])
