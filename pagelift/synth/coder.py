@@ -105,6 +105,11 @@ class FaultyCoder:
         return source
 
 
+def ask(command: list[str], request: dict, timeout: int) -> str:
+    """What a command answers to a request that it gets as JSON on its input."""
+    return subprocess.run(command, input=json.dumps(request), capture_output=True, text=True, timeout=timeout, check=True).stdout
+
+
 class ExternalCoder:
     """Runs a command that gets specification and feedback as JSON on its input and answers with source."""
 
@@ -112,5 +117,4 @@ class ExternalCoder:
         self.command, self.timeout = command, timeout
 
     def generate(self, spec: FormatSpec, feedback: Feedback) -> str:
-        data = json.dumps({"spec": json.loads(spec.to_json()), "feedback": json.loads(feedback.to_json())})
-        return subprocess.run(self.command, input=data, capture_output=True, text=True, timeout=self.timeout, check=True).stdout
+        return ask(self.command, {"spec": json.loads(spec.to_json()), "feedback": json.loads(feedback.to_json())}, self.timeout)

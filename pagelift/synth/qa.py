@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
+import json
 import traceback
-from dataclasses import dataclass, field
+from dataclasses import asdict, dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -13,7 +14,7 @@ from pyspark.sql import functions as F
 from pagelift.formats import heap, tree
 from pagelift.measure import GroundTruth, Mismatch, compare, truth
 from pagelift.schema import StorageSchema
-from pagelift.synth.coder import ENTRY
+from pagelift.synth.coder import ENTRY, ask
 from pagelift.synth.spec import column_spec, registered
 
 
@@ -101,3 +102,17 @@ class RuleDiagnoser:
             kinds = sorted({storage[c].kind for c in columns})
             text = f"{first.what} of {first.column} is {first.got}, not {first.expected}; storage types concerned: {', '.join(kinds)}"
         return Diagnosis(first.kind, text, columns, fixed)
+
+
+class ExternalDiagnoser:
+    """Runs a command that gets verdict and history as JSON on its input and answers with a diagnosis as JSON.  Like the
+    rules, it is asked about failures only."""
+
+    def __init__(self, command: list[str], timeout: int = 600):
+        self.command, self.timeout, self.calls = command, timeout, 0
+
+    def explain(self, verdict: Verdict, history: list[Diagnosis], storage: StorageSchema) -> Diagnosis:
+        self.calls += 1
+        request = {"stage": verdict.stage, "output": verdict.output, "errors": [asdict(e) for e in verdict.errors], "history": [asdict(d) for d in history], "columns": storage.text()}
+        told = json.loads(ask(self.command, json.loads(json.dumps(request, default=str)), self.timeout))
+        return Diagnosis(told.get("kind") or verdict.kind, told.get("text", ""), told.get("columns", []), told.get("fixed", []))

@@ -9,6 +9,7 @@ from __future__ import annotations
 import json
 import os
 import re
+import subprocess
 from collections.abc import Callable
 from dataclasses import asdict, dataclass, field
 
@@ -84,3 +85,16 @@ def architect(struct: StructType, kind: str, kinds: dict[str, str] | None = None
         columns.append({"name": c.name, "storage": f"{c.name}:{c.kind}{args}{'' if c.nullable else '!'}", "arrow": ARROW[c.kind], "fixed": c.kind in FIXED})
     known = _FORMATS.get(kind) or {"constants": CONSTANTS[kind], "visibility": VISIBILITY[kind], "pitfalls": knowledge(kind)}
     return FormatSpec(kind, known["constants"], columns, known["visibility"], known["pitfalls"], list(key), known.get("template", ""))
+
+
+class ExternalArchitect:
+    """Runs a command that gets the built-in specification of a schema as JSON on its input and answers with the one to be
+    used."""
+
+    def __init__(self, command: list[str], timeout: int = 600):
+        self.command, self.timeout = command, timeout
+
+    def __call__(self, struct: StructType, kind: str, kinds: dict[str, str] | None = None, key: tuple[str, ...] = ()) -> FormatSpec:
+        request = architect(struct, kind, kinds, key).to_json()
+        done = subprocess.run(self.command, input=request, capture_output=True, text=True, timeout=self.timeout, check=True)
+        return FormatSpec.from_json(done.stdout)

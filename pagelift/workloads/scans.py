@@ -88,6 +88,22 @@ def etl_rows_one_client(spark, d):
     return spark.read.schema(StorageSchema.parse(fx.SPECS["lineitem"]).spark()).parquet(at)
 
 
+def _consumed(kind, consumer):
+    def run(spark, d):
+        """One process from pages to Parquet, by a consumer other than Spark."""
+        at = f"{scratch(spark, 'etl')}/{consumer}.parquet"
+        plan.write_bytes(f"{at}.place", b"")  # makes the folder
+        extract.etl(extract.batches(fx.base(spark, d, "lineitem", kind), kind), consumer, plan.file_system(at)[1])
+        return spark.read.schema(StorageSchema.parse(fx.SPECS["lineitem"]).spark()).parquet(at)
+
+    return run
+
+
+for _k in BOTH:
+    for _c in ("pyarrow", "duckdb"):
+        REG.add(f"etl_{SHORT[_k]}_{_c}", _consumed(_k, _c), "SELECT * FROM lineitem")
+
+
 @q("access_compare", "SELECT CAST(count(*) AS BIGINT) AS n_rows, CAST(0 AS BIGINT) AS only_direct, CAST(0 AS BIGINT) AS only_protocol FROM lineitem")
 def access_compare(spark, d):
     """Rows of the direct scans that the protocol doesn't give, and the other way round: none."""

@@ -300,6 +300,44 @@ def test_generated_readers_stand_alone(spark, sf_dir, kind):
     assert scan.scan(spark, kind, path, **deploy.options(r)).count() == 25
 
 
+def test_roles_as_commands(spark, tmp_path):
+    """Each role by a command of its own, from the command line; the diagnoser is asked when something is wrong."""
+    import sys
+
+    from pagelift.synth import __main__ as cli
+    from pagelift.synth import templates
+    from pagelift.synth.spec import CONSTANTS
+
+    good, log = tmp_path / "good.txt", tmp_path / "log"
+    good.write_text(templates.source("pageheap", CONSTANTS["pageheap"]))
+    role = lambda name, body: f"{sys.executable} -c \"import sys, json; x = json.load(sys.stdin); open(r'{log}', 'a').write('{name} '); {body}\""
+    code = role("coder", f"t = open(r'{good}').read(); print('Here you are.' if not x['feedback']['diagnoses'] else t)")
+    arguments = ["--columns", "k:int8!,t:text,n:numeric(12,2)", "--kind", "pageheap", "--out", str(tmp_path / "reader.py"), "--rows", "20"]
+    roles = ["--architect", role("architect", "print(json.dumps(x))"), "--coder", code, "--diagnoser", role("diagnoser", "print(json.dumps({'kind': 'prose', 'text': 'write code'}))")]
+    assert cli.main([*arguments, *roles], spark) == 0
+    assert log.read_text().split() == ["architect", "coder", "diagnoser", "coder"] and (tmp_path / "reader.py").read_text() == good.read_text()
+    checkpoint = str(tmp_path / "c.json")
+    assert cli.main([*arguments, "--coder", role("coder", "print('no')"), "--budget", "2", "--checkpoint", checkpoint], spark) == 1
+    assert cli.main([*arguments, "--resume", checkpoint], spark) == 0
+
+
+def test_extraction_reads_every_byte_once(spark, orders, tmp_path):
+    for kind in ("pageheap", "pagetree"):
+        at, spent = str(tmp_path / kind), {}
+        scan.write(orders, kind, at, fx.SPECS["orders"], pk=("o_orderkey",) if kind == "pagetree" else ())
+        assert sum(b.num_rows for b in extract.batches(at, kind, times=spent)) == orders.count()
+        assert spent["bytes"] == sum(s.size for s in plan.list_segments(at))
+
+
+def test_large_indexes_become_tables_by_themselves(spark, at, monkeypatch):
+    scan.write(spark.range(20_000).toDF("k").coalesce(1), "pageheap", at, "k:int8!")
+    assert os.path.isfile(scan.build_index(spark, at, "k", 1, f"{at}/small"))
+    monkeypatch.setattr(plan, "DRIVER_RANGES", 5)
+    assert os.path.isdir(scan.build_index(spark, at, "k", 1, f"{at}/large"))
+    df = scan.scan(spark, "pageheap", at, index_path=f"{at}/large", range="k:int8:50:60", with_page=True)
+    assert df.select("_page").distinct().count() == 1 and df.where("k BETWEEN 50 AND 60").count() == 11
+
+
 def test_a_further_format(spark, sf_dir):
     """Comma-separated lines as a format: registered with its encoder and the text of a reader."""
     import pyarrow as pa
