@@ -83,3 +83,42 @@ class RunningCount(StatefulProcessor):
 
     def close(self) -> None:
         pass
+
+
+class IdleSessions(StatefulProcessor):
+    """For each user: sessions that end when nothing comes for a while, given out once they have ended.
+
+    A later row tells the end of a session, or an event-time timer does: the watermark has passed its last row by the gap.
+    Then the user's state goes, so the state grows with the users that are active, not with all.
+    """
+
+    def __init__(self, gap_micros: int):
+        self.gap = gap_micros
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle, self.open = handle, handle.getValueState("open", "first long, last long, n long")
+
+    def _told(self, key, sessions: list[tuple[int, int, int]]) -> pd.DataFrame:
+        return pd.DataFrame([(key[0], *x) for x in sessions], columns=["user_id", "first", "last", "n"])
+
+    def handleInputRows(self, key, rows, timerValues):
+        held = self.open.get() if self.open.exists() else None
+        done = []
+        for at in sorted(int(x) for pdf in rows for x in pdf["micros"]):
+            if held is not None and at - held[1] >= self.gap:
+                done.append(tuple(held))
+                held = None
+            held = (at, at, 1) if held is None else (min(held[0], at), max(held[1], at), held[2] + 1)
+        for timer in list(self.handle.listTimers()):
+            self.handle.deleteTimer(timer)
+        self.open.update(held)
+        self.handle.registerTimer((held[1] + self.gap) // 1000)
+        yield self._told(key, done)
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
+        held = self.open.get()
+        self.open.clear()
+        yield self._told(key, [tuple(held)])
+
+    def close(self) -> None:
+        pass

@@ -153,16 +153,40 @@ def st_late_drop(spark, d):
     return bounded(done)
 
 
-@REG.query("st_stateful", "SELECT user_id, count(*) AS n FROM events GROUP BY user_id")
-def st_stateful(spark, d):
+def with_state(spark, query, at=None):
+    """Run a stateful query with the state store that it needs."""
     key = "spark.sql.streaming.stateStore.providerClass"
     old = spark.conf.get(key, None)
     spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
-        out = stream(spark, d).groupBy("user_id").transformWithStateInPandas(tails.RunningCount(), "user_id long, n long", "Append", "None")
-        done = tails.finish(out)
+        return tails.finish(query, at=at)
     finally:
         spark.conf.set(key, old) if old else spark.conf.unset(key)
+
+
+IDLE = """WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 2 HOUR THEN 0 ELSE 1 END AS fresh FROM events),
+s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS sid FROM g),
+e AS (SELECT user_id, epoch_us(min(ts)) AS "first", epoch_us(max(ts)) AS "last", count(*) AS n FROM s GROUP BY user_id, sid)
+SELECT * FROM e WHERE "last" < (SELECT epoch_us(max(ts)) FROM events WHERE event_id < (SELECT max(event_id) FROM events)) - 7200000000 - 600000000 OR "last" < (SELECT max(o."last") FROM e o WHERE o.user_id = e.user_id)"""
+
+
+@REG.query("st_idle_sessions", IDLE)
+def st_idle_sessions(spark, d):
+    """Sessions that a timer or a later row has ended; those that may go on stay in the state."""
+    scan.register(spark)
+    path, at = f"{tails.place(spark)}/idle", tails.place(spark)
+    df = fx.table(spark, d, "events")
+    top = df.agg(F.max("event_id")).first()[0]
+    for part in (df.where(F.col("event_id") < top), df.where(F.col("event_id") == top)):  # the first run's watermark ends sessions in the second
+        scan.write(part.coalesce(1), "pageheap", path, fx.SPECS["events"], mode="append")
+        rows = tails.tail(spark, path).withWatermark("ts", "10 minutes").select("user_id", "ts", F.unix_micros("ts").alias("micros"))
+        out = with_state(spark, rows.groupBy("user_id").transformWithStateInPandas(tails.IdleSessions(7_200_000_000), "user_id long, first long, last long, n long", "Append", "EventTime"), at)
+    return out
+
+
+@REG.query("st_stateful", "SELECT user_id, count(*) AS n FROM events GROUP BY user_id")
+def st_stateful(spark, d):
+    done = with_state(spark, stream(spark, d).groupBy("user_id").transformWithStateInPandas(tails.RunningCount(), "user_id long, n long", "Append", "None"))
     return done.groupBy("user_id").agg(F.max("n").alias("n"))
 
 
