@@ -49,36 +49,47 @@ def hashed_batches(docs: DataFrame, batches: int) -> DataFrame:
     return docs.withColumn("batch", F.pmod(F.xxhash64("doc_id", "text"), F.lit(batches)).cast("int"))
 
 
-#: Ids whose running sum of bytes one task makes.
-RANGE_IDS = 1_000_000
+#: Documents whose running sum of bytes one task makes.
+RANGE_ROWS = 1_000_000
+NO_ID = np.iinfo(np.int64).min
 
 
 def ordered_batches(spark: SparkSession, docs: DataFrame, batches: int) -> tuple[DataFrame, int]:
-    """Batches that are runs of doc_id with about equal text bytes: a smaller batch number holds smaller ids.  Null ids go
-    to batch 0; rows of one id stay together.
+    """Batches that are runs in the order of doc_id, null ids first, and of a hash of the text (the added column `spot`)
+    among rows that share an id; so rows without id, or of one id, spread too.  All have about equal text bytes.
 
-    The running sum of bytes over all ids, in order, is made range by range; from it come the batches' first ids, 8 bytes
-    for the 6 to 64 MB of text of a batch.
+    The running sum of bytes, in order, is made range by range; from it come the batches' first places, 16 bytes for the 6
+    to 64 MB of text of a batch.
     """
+    docs = docs.withColumn("spot", F.xxhash64("text"))
     if batches == 1:
         return docs.withColumn("batch", F.lit(0)), 1
-    sizes = docs.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 1).alias("size"))
-    sizes = cut(spark, sizes, "sizes")
+    known = docs.select(F.coalesce("doc_id", F.lit(NO_ID)).alias("id"), "spot", (F.coalesce(F.octet_length("text"), F.lit(0)) + 1).alias("size"))
+    sizes = cut(spark, known.groupBy("id", "spot").agg(F.sum("size").alias("size")), "sizes")
     n, total = (int(x or 0) for x in sizes.agg(F.count(F.lit(1)), F.sum("size")).first())
-    ranged = cut(spark, sizes.repartitionByRange(max(1, math.ceil(n / RANGE_IDS)), "doc_id").withColumn("part", F.spark_partition_id()), "ranges")
+    ranged = cut(spark, sizes.repartitionByRange(max(1, math.ceil(n / RANGE_ROWS)), "id", "spot").withColumn("part", F.spark_partition_id()), "ranges")
     drop(spark, sizes)
     parts = ranged.groupBy("part").agg(F.sum("size").alias("bytes"))
-    before = parts.select("part", (F.sum("bytes").over(Window.orderBy("part")) - F.col("bytes")).alias("before"))  # a row for RANGE_IDS ids
-    within = F.sum("size").over(Window.partitionBy("part").orderBy("doc_id")) - F.col("size")
-    placed = ranged.withColumn("within", within).join(F.broadcast(before), "part").select("doc_id", F.floor((F.col("before") + F.col("within")) / max(1, math.ceil(total / batches))).alias("batch"))
-    firsts = placed.groupBy("batch").agg(F.min("doc_id").alias("first")).orderBy("batch").toArrow()
-    bounds = firsts.column("first").to_numpy()[1:]
+    before = parts.select("part", (F.sum("bytes").over(Window.orderBy("part")) - F.col("bytes")).alias("before"))  # a row for RANGE_ROWS documents
+    within = F.sum("size").over(Window.partitionBy("part").orderBy("id", "spot")) - F.col("size")
+    placed = ranged.withColumn("within", within).join(F.broadcast(before), "part").select("id", "spot", F.floor((F.col("before") + F.col("within")) / max(1, math.ceil(total / batches))).alias("batch"))
+    firsts = placed.groupBy("batch").agg(F.min(F.struct("id", "spot")).alias("f")).orderBy("batch").select("f.id", "f.spot").toArrow()
+    ids, spots = (firsts.column(c).to_numpy()[1:] for c in ("id", "spot"))
 
     @pandas_udf("int")
-    def batch_of(ids: pd.Series) -> pd.Series:
-        return pd.Series(np.searchsorted(bounds, ids.to_numpy(), side="right").astype(np.int32))
+    def batch_of(id_: pd.Series, spot: pd.Series) -> pd.Series:
+        return pd.Series(place(ids, spots, id_.to_numpy(), spot.to_numpy()).astype(np.int32))
 
-    return docs.withColumn("batch", batch_of(F.coalesce("doc_id", F.lit(np.iinfo(np.int64).min)))), len(bounds) + 1
+    return docs.withColumn("batch", batch_of(F.coalesce("doc_id", F.lit(NO_ID)), "spot")), len(ids) + 1
+
+
+def place(ids: np.ndarray, spots: np.ndarray, id_: np.ndarray, spot: np.ndarray) -> np.ndarray:
+    """How many of the sorted pairs (ids, spots) are not beyond each pair (id_, spot)."""
+    low, high = np.searchsorted(ids, id_, "left"), np.searchsorted(ids, id_, "right")
+    for a in np.unique(low[low < high]):  # ids at which several batches meet
+        mine = np.flatnonzero((low == a) & (low < high))
+        high[mine] = a + np.searchsorted(spots[a : high[mine[0]]], spot[mine], "right")
+    return high
 
 
 def pack_sorted(values: np.ndarray) -> bytes:

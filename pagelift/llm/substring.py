@@ -11,8 +11,8 @@ Two forms:
   automata of its shards, which are broadcast in waves of bounded size; documents are streamed through them for matching
   statistics, and the maximal spans of at least `window` words go.
 
-Order is (doc_id, then text among rows that share an id, then place); null ids come first.  Defined results: null
-text has no words; a text shorter than the window keeps all; the last words of an empty result give the empty text.
+Order is (doc_id, then a hash of the text among rows that share an id, then place); null ids come first.  Defined
+results: null text has no words; a text shorter than the window keeps all; the last words of an empty result give the empty text.
 """
 
 from __future__ import annotations
@@ -50,7 +50,7 @@ def window_hashes(tokens: np.ndarray, width: int) -> np.ndarray:
 
 def batch_windows(table: pa.Table, width: int):
     """The batch's documents in order, their words, and hash and word position of every window."""
-    table = table.sort_by([("doc_id", "ascending"), ("text", "ascending")], null_placement="at_start") if table.num_rows else table
+    table = table.sort_by([("doc_id", "ascending"), ("spot", "ascending"), ("text", "ascending")], null_placement="at_start") if table.num_rows else table
     ids, texts, parts = WordIds(), [], []
     for text in raw(table.column("text")):
         words = text.split() if text else []

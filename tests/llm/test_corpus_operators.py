@@ -561,6 +561,21 @@ def test_token_sections(spark, docs, rows):
             assert r.n == len(tok.encode(dict(odd)[r.doc_id] + "\ns", add_special_tokens=False).ids)
 
 
+def test_words_repeat_across_rows_without_id(spark, monkeypatch):
+    """Rows that share an id, or have none, lie in several batches: each window stays once."""
+    monkeypatch.setattr(exchange, "BATCH_BYTES", 400)
+    monkeypatch.setattr(exchange, "MOST_BYTES", 400)
+    texts = [" ".join(f"w{(k * 13 + j) % 60}" for j in range(30 + k % 9)) for k in range(90)]
+    frame = spark.createDataFrame([(None if k % 3 == 0 else 5 if k % 3 == 1 else k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    got = substring.remove_repeats(frame, 5).collect()
+    # what is kept starts each window of the corpus once: all texts are cyclic, 60 windows in all
+    seen = {tuple((t.split() * 2)[k : k + 5]) for t in texts for k in range(len(t.split()) - 4)}
+    assert sum(r.n_words for r in got) == sum(len(t.split()) for t in texts)
+    kept = [r.kept_text.split() for r in got if r.n_removed < r.n_words]
+    left = Counter(tuple(w[k : k + 5]) for w in kept for k in range(len(w) - 4))
+    assert len(got) == 90 and len(kept) < 10 and set(left) <= seen and max(left.values()) == 1
+
+
 def test_batches_are_runs_of_ids_with_equal_bytes(spark):
     """Ids near 2^62 that differ by one, very unequal texts, null ids."""
     base = 1 << 62
@@ -571,6 +586,11 @@ def test_batches_are_runs_of_ids_with_equal_bytes(spark):
     by = sorted((r.doc_id, r.batch) for r in got if r.doc_id is not None)
     assert [b for _, b in by] == sorted(b for _, b in by) and {r.batch for r in got} == set(range(n)) and n >= 18
     assert {r.batch for r in got if r.doc_id is None} == {0}
+    hot = spark.createDataFrame([(None if i % 3 else 7, f"{i} " * 300) for i in range(900)] + [(k, "a " * 300) for k in range(300)], "doc_id long, text string")
+    dealt, n = exchange.ordered_batches(spark, hot, 12)
+    rows = dealt.selectExpr("coalesce(doc_id, -1) AS i", "spot", "batch").collect()
+    assert [r.batch for r in sorted(rows, key=lambda r: (r.i, r.spot))] == sorted(r.batch for r in rows)
+    assert max(Counter(r.batch for r in rows).values()) < 2 * 1200 / 12 and n >= 11
     size = Counter()
     for r in got:
         size[r.batch] += r.size
