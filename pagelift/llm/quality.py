@@ -186,7 +186,8 @@ def fit(x: np.ndarray, y: np.ndarray, rounds: int = 250, rate: float = 0.08, bin
 def sampled(docs: DataFrame, labels: DataFrame, train, max_rows: int) -> DataFrame:
     """doc_id, y: at most max_rows labels, by hash of the id, of documents where the Column train holds.  Ids only, no texts."""
     marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("y in (0, 1)").where(train)
-    marks = marks.join(docs.select("doc_id"), "doc_id", "left_semi")
+    present = docs.select("doc_id").join(marks.select("doc_id"), "doc_id", "left_semi").distinct()  # few labels are broadcast to the ids
+    marks = marks.join(present, "doc_id", "left_semi")
     n = marks.count()
     if n > max_rows:  # a share by hash first, so that tasks hand on about max_rows rows together
         marks = marks.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < F.lit(int((1 << 30) * 1.1 * max_rows / n)))
