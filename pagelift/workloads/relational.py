@@ -156,7 +156,6 @@ many("flt", {
 
 # -- joins
 
-OL = "{orders} JOIN {lineitem} ON o_orderkey = l_orderkey"
 for _n, _h in (("hash_inner", "SHUFFLE_HASH(l)"), ("sort_merge", "MERGE(l)")):
     sql(f"join_{_n}", f"SELECT /*+ {_h} */ o_orderkey, l_partkey, l_linenumber FROM {{orders}} o JOIN {{lineitem}} l ON o_orderkey = l_orderkey", "SELECT o_orderkey, l_partkey, l_linenumber FROM {orders} o JOIN {lineitem} l ON o_orderkey = l_orderkey")
 many("join", {

@@ -12,7 +12,7 @@ from pagelift.operators import ranges
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
 from pagelift.sources.paged import HeapReader
-from pagelift.synth import coder, deploy, loop, qa
+from pagelift.synth import coder, deploy, loop
 from pagelift.workloads import fixtures as fx
 from pagelift.workloads.synthesis import job
 
