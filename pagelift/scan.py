@@ -15,17 +15,18 @@ from pagelift.formats.brin import RangePredicate
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
 from pagelift.session import scratch, ship
-from pagelift.sources.paged import HeapReader, PageHeapSource, PageTreeSource, TreeReader
+from pagelift.sources.paged import HeapReader, PageCellSource, PageHeapSource, PageTreeSource, TreeReader
 
 PUSHDOWN = "spark.sql.python.filterPushdown.enabled"
 
 
 def register(spark: SparkSession) -> SparkSession:
-    """Make both sources known to a session, once."""
+    """Make the sources known to a session, once."""
     if not getattr(spark, "_pagelift_sources", False):
         ship(spark)
         spark.dataSource.register(PageHeapSource)
         spark.dataSource.register(PageTreeSource)
+        spark.dataSource.register(PageCellSource)
         spark._pagelift_sources = True
     return spark
 
@@ -48,7 +49,7 @@ def scan(spark: SparkSession, kind: str, path: str | list[str], columns: list[st
     if columns:
         reader = reader.option("columns", ",".join(columns))
     df = reader.load()
-    if options.get("on_overflow") == "resolve":
+    if options.get("on_overflow") == "resolve" and kind == "pageheap":
         df = resolve(spark, df, path)
     return df.where(where) if where else df
 

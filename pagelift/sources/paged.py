@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import json
 import os
+import re
 import uuid
 import zlib
 from dataclasses import dataclass, replace
@@ -34,7 +35,7 @@ from pyspark.sql.datasource import (
 )
 from pyspark.sql.types import BinaryType, LongType, StringType, StructField, StructType
 
-from pagelift.formats import brin, heap, tree
+from pagelift.formats import brin, cell, heap, tree
 from pagelift.formats.brin import RangePredicate
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
@@ -263,6 +264,89 @@ class TreeReader(PagedReader):
         return tree.chained(read, first, length)
 
 
+class CellReader(PagedReader):
+    """Of SQLite 3 database files, one or several with the same table."""
+
+    def __init__(self, schema, options, storage, found, lay: cell.Layout):
+        super().__init__(schema, options, storage, found)
+        self.layout, self.page_size = lay, lay.page
+
+    def plan(self):
+        """Runs of leaf pages of the table's tree, which is found through its interior pages."""
+        segments, runs, total = self.segments(), [], 0
+        self.target, per = self.split_bytes(segments), max(1, self.split_bytes(segments) // self.page_size)
+        for s in segments:
+            total += s.size // self.page_size
+            numbers = tree_pages(s.path, self.options["table"], self.layout) - 1
+            for part in np.split(numbers, np.flatnonzero(np.diff(numbers) != 1) + 1):
+                runs += [plan.PageRun(s.path, int(part[k]), min(per, len(part) - k), 0, s.size, s.changed) for k in range(0, len(part), per)]
+        return runs, {"ranges_total": 0, "ranges_kept": 0, "pages_total": total, "pages_read": sum(r.count for r in runs)}
+
+    def read(self, partition):
+        for run in partition.runs:
+            fs, at = plan.file_system(run.path)
+            with fs.open_input_file(at) as side:
+                self._fetch = (lambda first, length, side=side: cell.chained(page_reader(side, self.layout), self.layout, first, length)) if self.options.get("on_overflow") == "resolve" else None
+                yield from super().read(Part([run]))
+
+    def decode(self, pages, base, window=None):
+        o, key = self.options, self.storage.key
+        return cell.decode(pages, self.layout, self.storage, self.names, base, self._fetch, o.get("numeric_as", "double"), o.get("timestamp_as", "ntz"), key[0] if len(key) == 1 else None)
+
+
+def page_reader(f, lay: cell.Layout):
+    """Pages of an open file, by first number (from 1) and count."""
+
+    def read(number: int, count: int) -> np.ndarray:
+        f.seek((number - 1) * lay.page)
+        raw = f.read(count * lay.page)
+        return np.frombuffer(raw[: len(raw) // lay.page * lay.page], np.uint8).reshape(-1, lay.page)
+
+    return read
+
+
+def _opened(path: str):
+    fs, at = plan.file_system(path)
+    return fs.open_input_file(at)
+
+
+def file_layout(path: str) -> cell.Layout:
+    with _opened(path) as f:
+        return cell.layout(f.read(cell.FILE_HEADER))
+
+
+def tables_of(path: str, lay: cell.Layout) -> dict[str, tuple[int, str]]:
+    """Root page and definition of each table of a database file."""
+    with _opened(path) as f:
+        read = page_reader(f, lay)
+        out = {}
+        for number in cell.leaves(read, 1).tolist():
+            batch = cell.decode(read(number, 1), lay, cell.MASTER, first=number - 1, fetch=lambda a, n: cell.chained(read, lay, a, n))
+            out |= {r["name"]: (r["rootpage"], r["sql"]) for r in batch.to_pylist() if r["type"] == "table"}
+    return out
+
+
+def tree_pages(path: str, table: str, lay: cell.Layout) -> np.ndarray:
+    found = tables_of(path, lay)
+    if table not in found:
+        raise ValueError(f"{path} has no table {table}")
+    with _opened(path) as f:
+        return cell.leaves(page_reader(f, lay), found[table][0])
+
+
+def declared_schema(sql: str) -> StorageSchema:
+    """A storage schema from a table's definition: its columns' names and declared types."""
+    text, key = re.sub(r"^[^(]*\(|\)[^)]*$", "", sql, flags=re.S), ()
+    columns = []
+    for m in re.finditer(r"[\"`\[]?(\w+)[\"`\]]?\s+(\w+)([^,(]*(?:\([^)]*\))?[^,]*)(?:,|$)", text):
+        kind = m[2].upper()
+        kind = "int8" if "INT" in kind else "float8" if kind in ("REAL", "DOUBLE", "FLOAT") else "bool" if kind == "BOOLEAN" else "date" if kind == "DATE" else "timestamp" if kind == "TIMESTAMP" else "binary" if kind == "BLOB" else "text"
+        if kind == "int8" and "PRIMARY KEY" in m[3].upper():
+            key = (m[1],)
+        columns.append(f"{m[1]}:{kind}{'!' if m[1] in key or 'NOT NULL' in m[3].upper() else ''}")
+    return StorageSchema.parse(",".join(columns), key)
+
+
 class _Pushing:
     """Adds filter pushdown; every filter stays above the scan as well, as ranges are coarse."""
 
@@ -581,6 +665,35 @@ class PageHeapSource(PagedSource):
         return HeapStream(schema, self.options, storage)
 
 
+class PageCellSource(PagedSource):
+    """Tables of SQLite 3 database files; read only."""
+
+    @classmethod
+    def name(cls):
+        return "pagecell"
+
+    def _storage(self):
+        if not self.options.get("table"):
+            raise ValueError("the option table names the table to read")
+        if self.options.get("columns_spec"):
+            return StorageSchema.parse(self.options["columns_spec"], tuple(k for k in self.options.get("pk", "").split(",") if k)), None
+        first = plan.list_segments(plan.expand(self.options["path"])[0])[0].path
+        return declared_schema(tables_of(first, file_layout(first))[self.options["table"]][1]), None
+
+    def schema(self):
+        storage, _ = self._storage()
+        columns = [c.strip() for c in self.options["columns"].split(",")] if self.options.get("columns") else None
+        return storage.spark(columns, numeric_as=self.options.get("numeric_as", "double"), timestamp_as=self.options.get("timestamp_as", "ntz"))
+
+    def reader(self, schema):
+        storage, _ = self._storage()
+        first = plan.list_segments(plan.expand(self.options["path"])[0])[0].path
+        return CellReader(schema, self.options, storage, None, file_layout(first))
+
+    def writer(self, schema, overwrite):
+        raise NotImplementedError("database files are written by their own library")
+
+
 class PageTreeSource(PagedSource):
     reader_class, pushing_class, writer_class = TreeReader, PushingTreeReader, TreeWriter
     headers = ("kind", "level", "index_id", "records")

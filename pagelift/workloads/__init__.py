@@ -4,9 +4,9 @@ from __future__ import annotations
 
 
 def _registries():
-    from pagelift.workloads import functions, relational, scans, synthesis, tpch
+    from pagelift.workloads import cells, functions, relational, scans, synthesis, tpch
 
-    return (scans.REG, tpch.REG, relational.REG, functions.REG, synthesis.REG)
+    return (scans.REG, tpch.REG, relational.REG, functions.REG, synthesis.REG, cells.REG)
 
 
 def queries() -> dict:
