@@ -7,6 +7,8 @@ Payloads that don't fit their page go on along a chain of overflow pages, which
 
 from __future__ import annotations
 
+import datetime
+import sqlite3
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -210,3 +212,43 @@ def _column(c, flat: np.ndarray, at: np.ndarray, kind: np.ndarray, length: np.nd
     if c.kind == "bool":
         values = values != 0
     return codec.fixed_array(arrow, values if c.kind in ("bool", "numeric") else values.astype({"int2": np.int16, "int4": np.int32, "date": np.int32, "float4": np.float32}.get(c.kind, values.dtype)), there)
+
+
+# -- writing, by the database's own library ------------------------------------------------------------------------
+
+DECLARED = {"bool": "BOOLEAN", "int2": "INTEGER", "int4": "INTEGER", "int8": "INTEGER", "float4": "REAL", "float8": "REAL", "numeric": "REAL", "date": "DATE", "timestamp": "TIMESTAMP", "binary": "BLOB"}
+EPOCH = datetime.datetime(1970, 1, 1)
+
+
+def stored(v):
+    """A value as the library takes it: days and microseconds for dates and timestamps."""
+    if isinstance(v, datetime.datetime):
+        return int((v - EPOCH) / datetime.timedelta(microseconds=1))
+    return (v - EPOCH.date()).days if isinstance(v, datetime.date) else v
+
+
+def database(batches, schema: StorageSchema, table: str, key: str | None = None, page_size: int = 4096, beside: int = 500) -> bytes | None:
+    """A database file with the rows in a table, whose pages alternate with those of another; None without rows."""
+    db, some = sqlite3.connect(":memory:"), False
+    db.execute(f"PRAGMA page_size = {page_size}")
+    db.execute("CREATE TABLE beside_it (a INTEGER, b TEXT)")
+    db.executemany("INSERT INTO beside_it VALUES (?, ?)", [(i, "x" * 50) for i in range(beside)])
+    columns = ", ".join(f"{c.name} {DECLARED.get(c.kind, 'TEXT')}{' PRIMARY KEY' if c.name == key else ''}" for c in schema.columns)
+    db.execute(f"CREATE TABLE {table} ({columns})")
+    for b in batches:
+        rows = [tuple(map(stored, r.values())) for r in b.to_pylist()]
+        db.executemany(f"INSERT INTO {table} VALUES ({', '.join('?' * len(schema.columns))})", rows)
+        db.executemany("INSERT INTO beside_it VALUES (?, ?)", [(i, "between") for i in range(len(rows) // 10)])
+        some = some or bool(rows)
+    db.commit()
+    return db.serialize() if some else None
+
+
+def leaf_bytes(data: bytes, table: str) -> bytes:
+    """The leaf pages of a table of a database file that is held in memory."""
+    lay = layout(data[:FILE_HEADER])
+    pages = np.frombuffer(data, np.uint8).reshape(-1, lay.page)
+    read = lambda number, count: pages[number - 1 : number - 1 + count]
+    master = [r for n in leaves(read, 1) for r in decode(read(int(n), 1), lay, MASTER, first=int(n) - 1).to_pylist()]
+    root = next(r["rootpage"] for r in master if r["name"] == table)
+    return pages[leaves(read, root) - 1].tobytes()

@@ -291,6 +291,8 @@ class CellReader(PagedReader):
 
     def decode(self, pages, base, window=None):
         o, key = self.options, self.storage.key
+        if o.get("reader"):
+            return self.generated(pages, "pagecell")
         return cell.decode(pages, self.layout, self.storage, self.names, base, self._fetch, o.get("numeric_as", "double"), o.get("timestamp_as", "ntz"), key[0] if len(key) == 1 else None)
 
 

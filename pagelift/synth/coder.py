@@ -71,7 +71,7 @@ FAULTS = {
     "crash": Fault("run", ((START, START + "    raise IndexError('offset outside the page')\n"),)),
     "lost_rows": Fault("row_count", ((START, START + "    pages = pages[:-1] if len(pages) > 1 else pages[:0]\n"),)),
     "wrong_epoch": Fault("value", (("np.int64(10957)", "np.int64(10956)"), ("np.int32(10957)", "np.int32(10956)"), ("1970 * 12", "1971 * 12"))),
-    "sign_lost": Fault("value", (("np.where(negative, -out, out)", "out"),)),
+    "sign_lost": Fault("value", (("np.where(negative, -out, out)", "out"), ("raw[:, 0].astype(np.int8).astype(np.int64)", "raw[:, 0].astype(np.int64)"))),
     "null_bits_turned": Fault("null_count", (("(bit == 1)", "(bit == 0)"), ("(k % 8) & 1 == 0", "(k % 8) & 1 == 1"))),
     "scale_lost": Fault("value", (("4 * (weight - count + 1)", "4 * (weight - count)"), ("np.full(len(raw), -scale)", "np.full(len(raw), 0)"))),
     "prose": Fault("prose"),

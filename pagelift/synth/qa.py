@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagelift.formats import heap, tree
+from pagelift.formats import cell, heap, tree
 from pagelift.measure import GroundTruth, Mismatch, compare, truth
 from pagelift.schema import StorageSchema
 from pagelift.synth.coder import ENTRY, ask
@@ -37,6 +37,8 @@ def page_bytes(df: DataFrame, kind: str, storage: StorageSchema) -> bytes:
         return registered(kind)["encode"](batch, storage)
     if kind == "pageheap":
         return heap.encode(batch, storage).tobytes()
+    if kind == "pagecell":
+        return cell.leaf_bytes(cell.database([batch], storage, "made"), "made")
     return np.vstack([tree.file_start(40), tree.encode(batch, storage)]).tobytes()
 
 

@@ -22,9 +22,10 @@ from pagelift.session import ROOT
 ARROW = {"bool": "b", "int2": "s", "int4": "i", "int8": "l", "float4": "f", "float8": "g", "date": "tdD", "timestamp": "tsu:", "numeric": "g", "bpchar": "u", "varchar": "u", "text": "u", "binary": "z"}
 CONSTANTS = {
     "pageheap": {"page_size": 8192, "header": 24, "pointer": 4, "tuple_header": 23, "epoch_days": 10957, "byte_order": "little"},
+    "pagecell": {"page_size": 4096, "leaf": 13, "cell_pointers": 8, "overflow_margin": 35, "byte_order": "big"},
     "pagetree": {"page_size": 16384, "header": 38, "index_header": 36, "first_record": 99, "last_record": 112, "page_type": 0x45BF, "byte_order": "big"},
 }
-VISIBILITY = {"pageheap": "keep unless a deleter is set that was neither rolled back nor only a lock", "pagetree": "keep ordinary records that aren't marked deleted"}
+VISIBILITY = {"pagecell": "keep all cells that a leaf page points to", "pageheap": "keep unless a deleter is set that was neither rolled back nor only a lock", "pagetree": "keep ordinary records that aren't marked deleted"}
 
 
 @dataclass(frozen=True)

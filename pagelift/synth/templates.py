@@ -277,6 +277,86 @@ def read_pages(pages, column_spec, names=None, index_id=None):
 '''
 
 
+CELL_BRANCHES = '''
+
+SIZES = np.array([0, 1, 2, 3, 4, 6, 8, 8, 0, 0, 0, 0])
+
+
+def numbers(flat, at, code, real):
+    """Numbers of any serial type."""
+    out = np.zeros(len(at), np.float64 if real else np.int64)
+    for c in np.unique(code):
+        on = np.flatnonzero(code == c)
+        if c == 7:
+            out[on] = pick(flat, at[on], 8).view(">f8").ravel()
+        elif c in (8, 9):
+            out[on] = c - 8
+        else:
+            raw = pick(flat, at[on], int(SIZES[c]))
+            value = raw[:, 0].astype(np.int8).astype(np.int64)
+            for k in range(1, raw.shape[1]):
+                value = value << 8 | raw[:, k]
+            out[on] = value
+    return out
+
+
+VALUES = {
+    "bool": lambda *a: numbers(*a, False) != 0,
+    "int2": lambda *a: numbers(*a, False).astype(np.int16),
+    "int4": lambda *a: numbers(*a, False).astype(np.int32),
+    "int8": lambda *a: numbers(*a, False),
+    "float4": lambda *a: numbers(*a, True).astype(np.float32),
+    "float8": lambda *a: numbers(*a, True),
+    "numeric": lambda *a: numbers(*a, True),
+    "date": lambda *a: numbers(*a, False).astype(np.int32),
+    "timestamp": lambda *a: numbers(*a, False),
+}
+
+'''
+
+CELL_BODY = '''
+
+def varint(flat, at):
+    value, size, live = np.zeros(len(at), np.int64), np.ones(len(at), np.int64), np.arange(len(at))
+    for k in range(9):
+        byte = flat[at[live] + k].astype(np.int64)
+        value[live] = value[live] << 8 | byte if k == 8 else value[live] << 7 | byte & 127
+        size[live] = k + 1
+        live = live[byte >= 128]
+    return value, at + size
+
+
+def read_pages(pages, column_spec, names=None, index_id=None):
+    pages = np.asarray(pages, np.uint8).reshape(-1, PAGE)
+    if (pages[:, 0] != <leaf>).any():
+        raise ValueError("not a leaf page")
+    flat = np.concatenate([pages.ravel(), np.zeros(64, np.uint8)])
+    count = pages[:, 3].astype(np.int64) << 8 | pages[:, 4]
+    page = np.repeat(np.arange(len(pages)), count)
+    slot = np.arange(len(page)) - np.repeat(np.cumsum(count) - count, count)
+    at = page * PAGE + <cell_pointers> + 2 * slot
+    payload, at = varint(flat, page * PAGE + (flat[at].astype(np.int64) << 8 | flat[at + 1]))
+    if (payload > PAGE - <overflow_margin>).any():
+        raise ValueError("a row goes on along overflow pages")
+    _, at = varint(flat, at)
+    head, cursor = varint(flat, at)
+    body, end, out = at + head, at + head, {}
+    for name, kind, arguments, _ in columns_of(column_spec):
+        known = cursor < end
+        code, after = varint(flat, np.where(known, cursor, 0))
+        code, cursor = np.where(known, code, 0), np.where(known, after, cursor)
+        size = np.where(code >= 12, (code - 12) // 2, SIZES[np.minimum(code, 11)])
+        there = code > 0
+        if kind in VALUES:
+            out[name] = plain(ARROW[kind], VALUES[kind](flat, body[there], code[there]), there)
+        else:
+            out[name] = strings(ARROW[kind], flat, body[there], size[there], there)
+        body = body + size
+    names = names or list(out)
+    return pa.RecordBatch.from_arrays([out[n] for n in names], names=names)
+'''
+
+
 def fixed_table(branches: dict[str, tuple[str, str]]) -> str:
     """The decoders of fixed-width types: a function each, and a table of widths and functions."""
     functions = "".join(f"\n\ndef value_{kind}(raw):\n    raw = np.ascontiguousarray(raw)\n    return {code}\n" for kind, (_, code) in branches.items())
@@ -285,6 +365,7 @@ def fixed_table(branches: dict[str, tuple[str, str]]) -> str:
 
 PARTS = {
     "pageheap": lambda: [COMMON, fixed_table(HEAP_FIXED), HEAP_NUMERIC, HEAP_BODY],
+    "pagecell": lambda: [COMMON, CELL_BRANCHES, CELL_BODY],
     "pagetree": lambda: [COMMON, TREE_HELPERS, fixed_table(TREE_FIXED), TREE_NUMERIC, TREE_BODY],
 }
 

@@ -2,53 +2,31 @@
 
 from __future__ import annotations
 
-import datetime
 import re
-import sqlite3
 
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
 from pagelift import scan
+from pagelift.formats import cell
 from pagelift.plans import pages as plan
 from pagelift.schema import StorageSchema
 from pagelift.workloads import fixtures as fx
 from pagelift.workloads.registry import Registry
 
 REG = Registry()
-DECLARED = {"bool": "BOOLEAN", "int2": "INTEGER", "int4": "INTEGER", "int8": "INTEGER", "float4": "REAL", "float8": "REAL", "numeric": "REAL", "date": "DATE", "timestamp": "TIMESTAMP", "binary": "BLOB"}
-EPOCH = datetime.datetime(1970, 1, 1)
-
-
-def stored(v):
-    """A value as the library takes it: days and microseconds for dates and timestamps."""
-    if isinstance(v, datetime.datetime):
-        return int((v - EPOCH) / datetime.timedelta(microseconds=1))
-    return (v - EPOCH.date()).days if isinstance(v, datetime.date) else v
 
 
 def written(df: DataFrame, path: str, table: str, spec: str, key: str | None, page_size: int = 4096) -> str:
     """The rows as database files, one a partition; each holds another table too."""
     storage = StorageSchema.parse(spec)
-    columns = ", ".join(f"{c.name} {DECLARED.get(c.kind, 'TEXT')}{' PRIMARY KEY' if c.name == key else ''}" for c in storage.columns)
 
     def put(batches):
-        db = sqlite3.connect(":memory:")
-        db.execute(f"PRAGMA page_size = {page_size}")
-        db.execute("CREATE TABLE before_it (a INTEGER, b TEXT)")
-        db.executemany("INSERT INTO before_it VALUES (?, ?)", [(i, "x" * 50) for i in range(500)])
-        db.execute(f"CREATE TABLE {table} ({columns})")
-        some = False
-        for b in batches:
-            rows = [tuple(map(stored, r.values())) for r in b.to_pylist()]
-            db.executemany(f"INSERT INTO {table} VALUES ({', '.join('?' * len(storage.columns))})", rows)
-            db.executemany("INSERT INTO before_it VALUES (?, ?)", [(i, "between") for i in range(len(rows) // 10)])  # the tables' pages alternate
-            some = some or bool(rows)
-        db.commit()
-        if some:
-            plan.write_bytes(f"{path}/{table}-{TaskContext.get().partitionId():05d}.db", db.serialize())
-        yield pa.RecordBatch.from_arrays([pa.array([some])], names=["written"])
+        data = cell.database(batches, storage, table, key, page_size)
+        if data:
+            plan.write_bytes(f"{path}/{table}-{TaskContext.get().partitionId():05d}.db", data)
+        yield pa.RecordBatch.from_arrays([pa.array([data is not None])], names=["written"])
 
     df.select(*storage.names).mapInArrow(put, "written boolean").collect()
     plan.write_bytes(f"{path}/_done", b"")

@@ -82,6 +82,21 @@ def _pass_sql(kind):
 for _k in ("pageheap", "pagetree"):
     REG.add(f"synth_pass_{_k[4:]}", _pass(_k), _pass_sql(_k))
 
+REG.add("synth_pass_cell", _pass("pagecell"), _pass_sql("pagecell"))
+
+
+@REG.query("synth_deployed_cell", "SELECT * FROM lineitem")
+def synth_deployed_cell(spark, d):
+    """Database files of another system, through a generated reader; one fault on the way."""
+    from pagelift.workloads import cells
+
+    scan.register(spark)
+    r = loop.run(spark, job(spark, d, "lineitem", "pagecell"), loop.SynthConfig(coder=FaultyCoder(("sign_lost",))))
+    if r.attempts != 2:
+        raise AssertionError("the fault was not seen")
+    return scan.scan(spark, "pagecell", cells.base(spark, d, "lineitem"), table="lineitem", columns_spec=fx.SPECS["lineitem"], **deploy.options(r))
+
+
 FAULTS = [(), ("syntax",), ("crash",), ("lost_rows",), ("wrong_epoch",), ("sign_lost",), ("scale_lost",), ("null_bits_turned",), ("prose",), ("syntax", "crash", "lost_rows", "wrong_epoch")]
 
 
