@@ -479,6 +479,8 @@ class PagedWriter(DataSourceArrowWriter):
     def commit(self, messages):
         messages = sorted((m for m in messages if m is not None), key=lambda m: m.partition)
         old = None if self.overwrite or not plan.exists(f"{self.path}/{plan.MANIFEST}") else plan.manifest(self.path)
+        if not self.overwrite and (old.get("writes", 1) if old else 0) != self.number:
+            raise ValueError(f"{self.path} was written by another job meanwhile; write again")
         m = {"format": self.format, "columns": self.storage.to_json(), "files": (old["files"] if old else []) + [f for x in messages for f in x.files], "rows": (old["rows"] if old else 0) + sum(x.rows for x in messages), "float_codec": self.options.get("float_codec", "ordered"), "prefix": self.options.get("prefix", "declared"), "writes": self.number + 1, "relation": (old or {}).get("relation") or uuid.uuid4().int >> 65}
         chunks = [f for x in messages for f in x.overflow]
         if chunks or old:

@@ -132,6 +132,19 @@ def test_overflow_values_of_several_writes_and_relations(spark, tmp_path, kind):
     assert sorted(map(tuple, scan.scan(spark, kind, paths[0], on_overflow="resolve").collect())) == want[:2]
 
 
+def test_an_append_notices_another_one(spark, at):
+    from pagelift.sources.paged import HeapWriter
+
+    spec = {"path": at, "columns_spec": "k:int8!"}
+    scan.write(spark.range(10).toDF("k"), "pageheap", at, "k:int8!")
+    schema = StorageSchema.parse("k:int8!").spark()
+    late = HeapWriter(schema, spec, False)
+    scan.write(spark.range(10).toDF("k"), "pageheap", at, "k:int8!", mode="append")
+    with pytest.raises(ValueError, match="another job"):
+        late.commit([])
+    assert scan.scan(spark, "pageheap", at).count() == 20
+
+
 def test_an_index_knows_what_it_covers(spark, at):
     spec = "k:int8!"
     scan.write(spark.range(100).toDF("k").coalesce(1), "pageheap", at, spec)
