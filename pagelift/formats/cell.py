@@ -77,18 +77,20 @@ def kinds(pages: np.ndarray, first: int) -> tuple[np.ndarray, np.ndarray]:
     return pages[np.arange(len(pages)), start], start
 
 
-def children(page: np.ndarray, number: int) -> list[int]:
-    """Page numbers that an interior page of a table points to."""
+def children(page: np.ndarray, number: int) -> tuple[np.ndarray, np.ndarray]:
+    """Page numbers that an interior page of a table points to, and the largest row number below all but the last."""
     at = FILE_HEADER if number == 1 else 0
     count = int.from_bytes(page[at + 3 : at + 5].tobytes(), "big")
     pointers = np.ascontiguousarray(page[at + 12 : at + 12 + 2 * count]).view(">u2").astype(np.int64)
     left = np.ascontiguousarray(codec.take(page, pointers, 4)).view(">u4").ravel() if count else np.zeros(0, np.uint32)
-    return [*left.tolist(), int.from_bytes(page[at + 8 : at + 12].tobytes(), "big")]
+    keys, _ = varint(np.concatenate([page, np.zeros(16, np.uint8)]), pointers + 4)
+    return np.append(left, int.from_bytes(page[at + 8 : at + 12].tobytes(), "big")).astype(np.int64), keys
 
 
-def leaves(read: Callable[[int, int], np.ndarray], root: int) -> np.ndarray:
-    """Numbers (from 1) of the leaf pages of the tree with the given root; read gives pages by first number and count.
-    Interior pages are read only: of a table, about one page in some hundreds."""
+def leaves(read: Callable[[int, int], np.ndarray], root: int, low: int | None = None, high: int | None = None) -> np.ndarray:
+    """Numbers (from 1) of the leaf pages of the tree with the given root, in the file's order; read gives pages by first
+    number and count.  Only interior pages are read, about one page in some hundreds, and of these only those that lead to
+    row numbers from low to high."""
     found, level = [], [root]
     while level:
         below = []
@@ -100,9 +102,16 @@ def leaves(read: Callable[[int, int], np.ndarray], root: int) -> np.ndarray:
                 continue
             if kind != INTERIOR:
                 raise PageError(f"page {number} is no page of a table")
-            nodes = children(page, number)
-            first = read(nodes[0], 1)[0][0]
-            if first == LEAF:  # all pages of a level are of one kind
+            nodes, keys = children(page, number)
+            on = np.ones(len(nodes), bool)
+            if low is not None:
+                on[:-1] &= keys >= low
+            if high is not None:
+                on[1:] &= keys < high
+            if not on.any():
+                continue
+            nodes = nodes[on].tolist()
+            if read(nodes[0], 1)[0][0] == LEAF:  # all pages of a level are of one kind
                 found += nodes
             else:
                 below += nodes

@@ -61,9 +61,9 @@ def _flag(options, name: str, default: str = "false") -> bool:
 
 
 class PagedReader(DataSourceReader):
-    """Of either format."""
+    """Of any format."""
 
-    page_size = heap.PAGE
+    kind, page_size = "pageheap", heap.PAGE
 
     def __init__(self, schema: StructType, options: dict, storage: StorageSchema, found: dict | None):
         self.output, self.options, self.storage, self.manifest = schema, dict(options), storage, found or {}
@@ -214,7 +214,7 @@ class HeapReader(PagedReader):
 
 
 class TreeReader(PagedReader):
-    page_size = tree.PAGE
+    kind, page_size = "pagetree", tree.PAGE
 
     def _index_id(self, run: plan.PageRun):
         fs, at = plan.file_system(run.path)
@@ -265,7 +265,10 @@ class TreeReader(PagedReader):
 
 
 class CellReader(PagedReader):
-    """Of SQLite 3 database files, one or several with the same table."""
+    """Of SQLite 3 database files, one or several with the same table.  Bounds of a key that is the row number leave out what
+    the interior pages exclude."""
+
+    kind = "pagecell"
 
     def __init__(self, schema, options, storage, found, lay: cell.Layout):
         super().__init__(schema, options, storage, found)
@@ -273,11 +276,15 @@ class CellReader(PagedReader):
 
     def plan(self):
         """Runs of leaf pages of the table's tree, which is found through its interior pages."""
-        segments, runs, total = self.segments(), [], 0
+        segments, runs, total, bounds = self.segments(), [], 0, ()
+        if self.predicate and self.storage.key == (self.predicate.column,) and _flag(self.options, "prune", "true"):
+            bounds = (self.predicate.low, self.predicate.high)  # the key is the row number
         self.target, per = self.split_bytes(segments), max(1, self.split_bytes(segments) // self.page_size)
         for s in segments:
             total += s.size // self.page_size
-            numbers = tree_pages(s.path, self.options["table"], self.layout) - 1
+            numbers = tree_pages(s.path, self.options["table"], self.layout, *bounds) - 1
+            if not len(numbers):
+                continue
             for part in np.split(numbers, np.flatnonzero(np.diff(numbers) != 1) + 1):
                 runs += [plan.PageRun(s.path, int(part[k]), min(per, len(part) - k), 0, s.size, s.changed) for k in range(0, len(part), per)]
         return runs, {"ranges_total": 0, "ranges_kept": 0, "pages_total": total, "pages_read": sum(r.count for r in runs)}
@@ -328,12 +335,13 @@ def tables_of(path: str, lay: cell.Layout) -> dict[str, tuple[int, str]]:
     return out
 
 
-def tree_pages(path: str, table: str, lay: cell.Layout) -> np.ndarray:
+def tree_pages(path: str, table: str, lay: cell.Layout, low: int | None = None, high: int | None = None) -> np.ndarray:
+    """Leaf pages of a table with row numbers from low to high."""
     found = tables_of(path, lay)
     if table not in found:
         raise ValueError(f"{path} has no table {table}")
     with _opened(path) as f:
-        return cell.leaves(page_reader(f, lay), found[table][0])
+        return cell.leaves(page_reader(f, lay), found[table][0], low, high)
 
 
 def declared_schema(sql: str) -> StorageSchema:
@@ -353,7 +361,8 @@ class _Pushing:
     """Adds filter pushdown; every filter stays above the scan as well, as ranges are coarse."""
 
     def pushFilters(self, filters):
-        column = self.options.get("index_column") or (self.storage.physical()[0].name if self.page_size == tree.PAGE else None)
+        first = {"pagetree": self.storage.physical()[0].name, "pagecell": self.storage.key[0] if self.storage.key else None}.get(self.kind)
+        column = self.options.get("index_column") or first
         found = self.predicate
         for f in filters:
             name = f.attribute[0] if len(f.attribute) == 1 else None
@@ -386,6 +395,10 @@ class PushingTreeReader(_Pushing, TreeReader):
     pass
 
 
+class PushingCellReader(_Pushing, CellReader):
+    pass
+
+
 @dataclass
 class Written(WriterCommitMessage):
     partition: int
@@ -692,7 +705,7 @@ class PageCellSource(PagedSource):
     def reader(self, schema):
         storage, _ = self._storage()
         first = plan.list_segments(plan.expand(self.options["path"])[0])[0].path
-        return CellReader(schema, self.options, storage, None, file_layout(first))
+        return (PushingCellReader if _flag(self.options, "pushdown") else CellReader)(schema, self.options, storage, None, file_layout(first))
 
     def writer(self, schema, overwrite):
         raise NotImplementedError("database files are written by their own library")

@@ -76,6 +76,10 @@ def cell_large_pages(spark, d):
     return scan.scan(spark, "pagecell", path, table="customer", columns_spec=fx.SPECS["customer"])
 
 
+BOUNDS = "o_orderkey BETWEEN 700 AND 1900"
+REG.add("cell_key_range", lambda s, d: scanned("orders", range="o_orderkey:int8:700:1900")(s, d).where(BOUNDS), f"SELECT * FROM orders WHERE {BOUNDS}")
+REG.add("cell_key_pushdown", lambda s, d: scanned("orders", pushdown=True)(s, d).where("o_orderkey IN (3, 1200) OR o_orderkey > 14000").where("o_orderkey >= 1000"), "SELECT * FROM orders WHERE (o_orderkey IN (3, 1200) OR o_orderkey > 14000) AND o_orderkey >= 1000")
+
 NULLS = "event_id, CASE WHEN event_id % 3 = 0 THEN NULL ELSE ts END AS ts, CASE WHEN event_id % 5 = 0 THEN NULL ELSE value END AS value, CASE WHEN event_id % 2 = 0 THEN NULL ELSE event_type END AS event_type, event_id * event_id * event_id * 1000003 - 7 AS big, CASE WHEN event_id % 4 = 0 THEN NULL ELSE event_id % 2 = 1 END AS odd"
 
 

@@ -66,6 +66,27 @@ def test_only_the_tables_leaves_are_read(spark, tmp_path):
     assert segment.pages and scan.scan(spark, "pagecell", path, table="t", columns_spec=SPEC, pk="k", on_overflow="resolve").count() == len(filled(str(tmp_path / "b.db")))
 
 
+def test_row_numbers_prune_leaves(spark, tmp_path):
+    """Interior pages tell which leaves hold a range; others become garbage and are not read."""
+    path = str(tmp_path / "a.db")
+    want = filled(path, 512, 4000)
+    lay = file_layout(path)
+    every = tree_pages(path, "t", lay)
+    for low, high in ((100, 400), (None, 50), (11_900, None), (5, 5), (50_000, None), (None, -1)):
+        some = tree_pages(path, "t", lay, low, high)
+        assert set(some.tolist()) <= set(every.tolist()) and len(some) < len(every) / 4
+        where = " AND ".join([f"k >= {low}"] * (low is not None) + [f"k <= {high}"] * (high is not None))
+        df = scan.scan(spark, "pagecell", path, table="t", columns_spec=SPEC, pk="k", on_overflow="resolve", range=f"k:int8:{'' if low is None else low}:{'' if high is None else high}", where=where)
+        assert sorted(r.k for r in df.collect()) == sorted(r[0] for r in want if (low is None or r[0] >= low) and (high is None or r[0] <= high))
+    pushed = scan.scan(spark, "pagecell", path, columns=["k"], table="t", columns_spec=SPEC, pk="k", pushdown=True, on_overflow="resolve")
+    kept = set(tree_pages(path, "t", lay, 300, 310).tolist())
+    with open(path, "r+b") as f:
+        for number in set(every.tolist()) - kept:
+            f.seek((number - 1) * lay.page)
+            f.write(b"\xff" * lay.page)
+    assert sorted(r.k for r in pushed.where("k >= 300 AND k <= 310").collect()) == sorted(r[0] for r in want if 300 <= r[0] <= 310)
+
+
 def test_schemas_come_from_definitions(spark, tmp_path):
     got = declared_schema('CREATE TABLE "t" (id INTEGER PRIMARY KEY, name VARCHAR(20) NOT NULL, price DOUBLE PRECISION, ok BOOLEAN, at DATE, raw BLOB)')
     assert [(c.name, c.kind) for c in got.columns] == [("id", "int8"), ("name", "text"), ("price", "float8"), ("ok", "bool"), ("at", "date"), ("raw", "binary")]
