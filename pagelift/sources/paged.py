@@ -214,8 +214,21 @@ class HeapReader(PagedReader):
 
 
 class TreeReader(PagedReader):
+    """Bounds of the leading key leave out whole files, where the manifest tells theirs, and leaf pages before they are
+    decoded."""
+
     kind, page_size = "pagetree", tree.PAGE
 
+    def plan(self):
+        runs, counts = super().plan()
+        p = self.predicate
+        if not p or p.column != self.storage.physical()[0].name or not _flag(self.options, "prune", "true"):
+            return runs, counts
+        bounds = {f"{path.rstrip('/')}/{f['path']}": f["keys"] for path in plan.expand(self.options["path"]) for f in (plan.manifest(path) or {"files": []})["files"] if f.get("keys")}
+        outside = {path for path, (low, high) in bounds.items() if (p.low is not None and high < p.low) or (p.high is not None and low > p.high)}
+        kept = [r for r in runs if r.path not in outside]
+        return kept, counts | {"pages_read": sum(r.count for r in kept)}
+
     def _index_id(self, run: plan.PageRun):
         fs, at = plan.file_system(run.path)
         with fs.open_input_file(at) as f:
@@ -478,7 +491,10 @@ class PagedWriter(DataSourceArrowWriter):
         self.finish(out, state)
         if state["chunks"]:
             self._put(state)
-        return Written(part, out.close(), side.close(), rows)
+        files = out.close()
+        if state.get("keys") and len(files) == 1:
+            files[0]["keys"] = state["keys"]  # what the leading key goes from and to in the file
+        return Written(part, files, side.close(), rows)
 
     def first_page(self):
         return 0
@@ -581,7 +597,10 @@ class TreeWriter(PagedWriter):
         return first
 
     def pages(self, batch, moved, state):
-        o = self.options
+        o, first = self.options, self.storage.physical()[0]
+        if first.kind in ("int2", "int4", "int8") and batch.num_rows:
+            low, high = (x.as_py() for x in (pc.min(batch.column(first.name)), pc.max(batch.column(first.name))))
+            state["keys"] = [min(low, state.get("keys", [low])[0]), max(high, state.get("keys", [high])[-1])]
         return tree.encode(batch, self.storage, state["page"], 40, o.get("float_codec", "ordered"), o.get("prefix", "declared"), int(o.get("fill_factor", 94)), state["row"], moved)
 
     def finish(self, out, state):

@@ -68,6 +68,21 @@ def test_pruned_pages_are_not_opened(spark, orders, at):
         scan.scan(spark, "pageheap", at).count()
 
 
+def test_tree_files_outside_the_keys_are_not_read(spark, orders, at):
+    scan.write(orders, "pagetree", at, fx.SPECS["orders"], pk=("o_orderkey",), partitions=6)
+    top = orders.count()
+    m = scan.metrics(at, "pagetree", range=f"o_orderkey:int8::{top // 10}")
+    assert 0 < m["pages_read"] < m["pages_total"] / 2
+    for s in plan.list_segments(at)[3:]:
+        with open(s.path, "r+b") as f:
+            f.write(b"\xff" * s.size)
+    got = scan.scan(spark, "pagetree", at, pushdown=True).where(f"o_orderkey <= {top // 10}")
+    assert rows(got) == rows(orders.where(f"o_orderkey <= {top // 10}"))
+    for k, (low, high) in enumerate((f["keys"] for f in plan.manifest(at)["files"])):
+        assert low <= high and (k == 0 or low > before)
+        before = high
+
+
 def test_direct_scan_reads_page_files_only(spark, sf_dir, tmp_path):
     copy = tmp_path / "tables"
     copy.mkdir()
