@@ -265,16 +265,28 @@ class TreeReader(PagedReader):
 
     def _fetch(self, first: int, length: int) -> bytes:
         """A value on pages of its own, of the file that is being read."""
-        if self._side is None or self._side[0] != self._path:
+        if self._side is None:
             fs, at = plan.file_system(self._path)
-            self._side = (self._path, fs.open_input_file(at))
-        f = self._side[1]
+            self._side = _Ahead(fs.open_input_file(at), tree.PAGE)
+        return tree.chained(self._side.read, first, length)
 
-        def read(page: int, count: int) -> bytes:
-            f.seek(page * tree.PAGE)
-            return f.read(count * tree.PAGE)
 
-        return tree.chained(read, first, length)
+class _Ahead:
+    """Reads pages of a file; while wishes follow each other in the file, many pages at once."""
+
+    MANY = 256
+
+    def __init__(self, f, page_size: int):
+        self.f, self.size, self.start, self.held, self.following = f, page_size, 0, b"", -1
+
+    def read(self, page: int, count: int) -> bytes:
+        at = (page - self.start) * self.size
+        if not 0 <= at <= len(self.held) - count * self.size:
+            ahead = max(count, self.MANY) if page == self.following else count
+            self.f.seek(page * self.size)
+            self.start, self.held, at = page, self.f.read(ahead * self.size), 0
+        self.following = page + count
+        return self.held[at : at + count * self.size]
 
 
 class CellReader(PagedReader):
