@@ -11,7 +11,7 @@ import pytest
 
 from conftest import DATA, ROOT
 
-QUERIES = ["access_compare", "etl_jdbc_lineitem"]
+QUERIES = ["access_compare", "etl_jdbc_lineitem", "jdbc_partitioned"]
 
 RUN = """
 import sys
