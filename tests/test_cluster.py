@@ -11,7 +11,7 @@ import pytest
 
 from conftest import DATA, ROOT
 
-QUERIES = ["access_compare", "etl_jdbc_lineitem", "jdbc_partitioned", "jdbc_row_at_a_time", "jdbc_server_filter", "sink_jdbc", "src_jdbc"]
+QUERIES = ["access_compare", "etl_jdbc_lineitem", "jdbc_partitioned", "jdbc_row_at_a_time", "jdbc_server_filter", "sink_jdbc", "src_jdbc", "src_jdbc_partitioned"]
 
 RUN = """
 import sys
