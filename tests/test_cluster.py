@@ -69,3 +69,18 @@ def test_values_survive_the_import(spark, tmp_path):
     assert sorted(map(tuple, wire.jdbc(spark, url, "odd", 10).collect())) == sorted(rows)
     assert os.listdir(f"{tmp_path}/it's") == ["odd.jar"]
     assert wire.jdbc(spark, wire.load_jdbc(df.where("k = 0"), f"{tmp_path}/none.jar", "odd"), "odd", 10).count() == 0
+
+
+def test_a_database_is_filled_by_parts(spark, tmp_path):
+    import zipfile
+
+    from pagelift import wire
+
+    df = spark.range(0, 300_000, 1, 40).selectExpr("id AS k", "cast(id AS double) AS v", "id % 7 AS r").where("r <> 0 OR k > 100000")
+    url = wire.load_jdbc(df, f"{tmp_path}/parts.jar", "parts")
+    for found in (wire.jdbc(spark, url, "parts", 1000), wire.jdbc(spark, url, "parts", 1000, "K", (0, 299_999))):
+        assert found.exceptAll(df).count() == df.exceptAll(found).count() == 0
+    with zipfile.ZipFile(tmp_path / "parts.jar") as z:
+        large = [x.file_size for x in z.infolist() if x.filename.startswith("db/seg0/") and x.file_size >= 100_000]
+    assert wire.TABLES - 2 <= len(large) <= wire.TABLES + 10  # a file each, none of which waits for another's log
+    assert sum(large) < 50 * df.count()  # pages are full
