@@ -84,3 +84,12 @@ def test_a_database_is_filled_by_parts(spark, tmp_path):
         large = [x.file_size for x in z.infolist() if x.filename.startswith("db/seg0/") and x.file_size >= 100_000]
     assert wire.TABLES - 2 <= len(large) <= wire.TABLES + 10  # a file each, none of which waits for another's log
     assert sum(large) < 50 * df.count()  # pages are full
+
+
+@pytest.mark.parametrize("key", ["id AS k", "cast(null AS long) AS k"])
+def test_partitions_without_keys(spark, tmp_path, key):
+    from pagelift import wire
+
+    df = spark.range(3).selectExpr(key).where("k IS NULL")
+    url = wire.load_jdbc(df, f"{tmp_path}/keys.jar", "keys_of")
+    assert wire.jdbc(spark, url, "keys_of", 10, "K", wire.bounds(df, "k")).count() == df.count()
