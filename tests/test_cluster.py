@@ -93,3 +93,14 @@ def test_partitions_without_keys(spark, tmp_path, key):
     df = spark.range(3).selectExpr(key).where("k IS NULL")
     url = wire.load_jdbc(df, f"{tmp_path}/keys.jar", "keys_of")
     assert wire.jdbc(spark, url, "keys_of", 10, "K", wire.bounds(df, "k")).count() == df.count()
+
+
+@pytest.mark.parametrize("name", ["src_jdbc", "src_jdbc_partitioned"])
+def test_rows_without_line_number_are_returned(spark, tmp_path, name):
+    from pagelift import workloads
+
+    rows = [(1, 1, 5.0), (1, 2, None), (2, None, 7.0), (None, None, 9.0), (3, 3, 1.0), (3, -4, 2.0), (4, 5, 3.0)]
+    spark.createDataFrame(rows, "l_orderkey long, l_linenumber int, l_quantity double").coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = workloads.queries()[name](spark, str(tmp_path)).collect()
+    want = duckdb.sql(f"WITH lineitem AS (SELECT * FROM '{tmp_path}/lineitem.parquet/*.parquet') {workloads.oracle_sql()[name]}").fetchall()
+    assert sorted(map(tuple, got), key=repr) == sorted(want, key=repr)
